@@ -6,7 +6,27 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from spatial_links.llm.common import table
+from spatial_links.llm.common import materialise, new_path, table
+
+
+def _vocabulary(name: str) -> str:
+    import public_tokenizers
+
+    return public_tokenizers.path(name)
+
+
+def op1_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from spatial_links.llm import token_files
+
+    path = new_path(spark, "tokens")
+    token_files.write_tokens(table(spark, sf_dir, "documents"), path, _vocabulary("byte_bpe_50k.json"), end_id=2)
+    return token_files.with_starts(materialise(token_files.digest(token_files.read_tokens(spark, path)), "digest"))
+
+
+def op7_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from spatial_links.llm.packing import pack
+
+    return pack(table(spark, sf_dir, "documents"), _vocabulary("word_bpe_49k.json"), end_id=0, capacity=2048)
 
 
 def op2_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -17,7 +37,9 @@ def op2_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_token_files": op1_token_files,
         "op2_near_dedup": op2_near_dedup,
+        "op7_best_fit_packing": op7_best_fit_packing,
     }
 
 

@@ -12,7 +12,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-BLOCK_BYTES = 2 << 20
+BLOCK_BYTES = 1 << 20
 
 SPACE = np.zeros(256, bool)
 SPACE[[0x20, *range(0x09, 0x0E)]] = True
@@ -65,6 +65,8 @@ def blocks(batches: Iterator[pa.RecordBatch], column: str = "text", size: int =
             to = max(at + 1, int(np.searchsorted(off, off[at] + size, side="right")) - 1)
             yield batch.slice(at, to - at), raw[off[at] : off[to]], off[at : to + 1] - off[at]
             at = to
+        del batch, raw, off
+    release()
 
 
 def span_hash(raw: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
@@ -113,3 +115,16 @@ def lines(raw: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.
     last[:-1] = own[1:] != own[:-1]
     end[last] = off[own[last] + 1]
     return start, end, own
+
+
+def release() -> None:
+    """Gives freed memory back to the system, so that an idle, reused Python worker stays small."""
+    import ctypes
+    import gc
+
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except OSError:
+        pass
