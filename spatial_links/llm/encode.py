@@ -8,59 +8,87 @@ a bounded cache and joined; pieces not in it are encoded in one batch. The ids e
 
 from __future__ import annotations
 
+import json
 import os
 import re
-from array import array
 from functools import lru_cache
 
+import numpy as np
+
 _LETTER = "A-Za-zÀ-ÖØ-öø-ž"
-_PLAIN = re.compile(rf" ?[{_LETTER}]+(?:'[{_LETTER}]+)*|(?:(?! [{_LETTER}])[^{_LETTER}])+")
+_SPACED = re.compile(rf" ?[{_LETTER}]+(?:'[{_LETTER}]+)*|(?:(?! [{_LETTER}])[^{_LETTER}])+")
+_BARE = re.compile(rf"[{_LETTER}]+(?:'[{_LETTER}]+)*|[^\n {_LETTER}]+")
 #: Texts that are not plain: other characters, two white spaces together, or an apostrophe that opens a word.
-_ODD = re.compile(rf"[^\n -~{_LETTER}]|[ \n][ \n]|'(?=[{_LETTER}])(?<![{_LETTER}]')")
+_ODD = re.compile(rf"[^\n -~{_LETTER}]|İ|[ \n][ \n]|'(?=[{_LETTER}])(?<![{_LETTER}]')")
 _VISIBLE = "!-~À-ž"
 _CUT = re.compile(rf"(?<=[{_VISIBLE}])(?= [{_VISIBLE}])")
-CACHE_ENTRIES = 1_000_000
+CACHE_ENTRIES, AT_ONCE = 1_000_000, 20_000
 
 
 @lru_cache(maxsize=4)
 def _tokenizer(path: str):
+    """(tokenizer, whether words end in a mark and case and white space are dropped, ids that start or end a word)."""
     os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
     from tokenizers import Tokenizer
 
     found = Tokenizer.from_file(path)
     found.encode_special_tokens = True  # the vocabulary's special strings are ordinary text in a corpus
-    return found
+    ends = json.loads(found.to_str())["model"].get("end_of_word_suffix")
+    vocabulary = found.get_vocab()
+    edge = np.zeros(max(vocabulary.values()) + 1, bool)
+    edge[[i for w, i in vocabulary.items() if (w.endswith(ends) if ends else w.startswith("Ġ"))]] = True
+    return found, bool(ends), edge
 
 
 class Encoder:
     """Texts to little-endian unsigned 32-bit ids, as bytes."""
 
     def __init__(self, path: str, end_id: int):
-        self.tokenizer, self.end, self.known = _tokenizer(path), array("I", [end_id]).tobytes(), {}
-
-    def _learn(self, pieces: set[str]) -> None:
-        if len(self.known) + len(pieces) > CACHE_ENTRIES:
-            self.known.clear()
-        new = [p for p in pieces if p not in self.known]
-        for at in range(0, len(new), 20_000):
-            part = new[at : at + 20_000]
+        self.tokenizer, self.bare, self.edge = _tokenizer(path)
+        self.end, self.known = np.array([end_id], "<u4").tobytes(), {}
+
+    def _cut(self, text: str) -> list[str]:
+        if _ODD.search(text):
+            return _CUT.split(text)
+        return _BARE.findall(text.lower()) if self.bare else _SPACED.findall(text)
+
+    def _learn(self, pieces: list[str]) -> None:
+        """Words are encoded as one text, whose ids are cut where a word starts or ends; other pieces one by one."""
+        is_word = (lambda p: p.isalpha()) if self.bare else (lambda p: p[:1] == " " and p[1:].isalpha())
+        word, other = [], []
+        for p in pieces:
+            (word if is_word(p) else other).append(p)
+        for at in range(0, len(word), AT_ONCE):
+            part = word[at : at + AT_ONCE]
+            ids = np.array(self.tokenizer.encode_batch_fast([(" " if self.bare else "").join(part)], add_special_tokens=False)[0].ids, "<u4")
+            edge = np.flatnonzero(self.edge[ids])
+            cut = [0, *(4 * (edge + 1)).tolist()] if self.bare else [*(4 * edge).tolist(), 4 * len(ids)]
+            if len(cut) != len(part) + 1 or cut[0] or cut[-1] != 4 * len(ids):
+                other += part
+                continue
+            raw = ids.tobytes()
+            self.known.update(zip(part, (raw[x:y] for x, y in zip(cut, cut[1:], strict=False)), strict=True))
+        for at in range(0, len(other), AT_ONCE):
+            part = other[at : at + AT_ONCE]
             for p, e in zip(part, self.tokenizer.encode_batch_fast(part, add_special_tokens=False), strict=True):
-                self.known[p] = array("I", e.ids).tobytes()
+                self.known[p] = np.array(e.ids, "<u4").tobytes()
 
     def __call__(self, texts: list[str | None]) -> list[bytes]:
-        cut = [_CUT.split(x) if _ODD.search(x) else _PLAIN.findall(x) for x in (x or "" for x in texts)]
         out, at = [], 0
-        while at < len(cut):  # a few texts at a time, so that the cache's bound holds
-            to, size = at, 0
-            while to < len(cut) and (to == at or size + len(cut[to]) <= 200_000):
-                size += len(cut[to])
-                to += 1
-            missing = {p for pieces in cut[at:to] for p in pieces} - self.known.keys()
-            if missing:
-                self._learn({p for pieces in cut[at:to] for p in pieces} if len(self.known) + len(missing) > CACHE_ENTRIES else missing)
+        while at < len(texts):  # a few texts at a time, so that the cache's bound holds
+            cut, size = [], 0
+            while at < len(texts) and size <= 200_000:
+                cut.append(self._cut(texts[at] or ""))
+                size += len(cut[-1])
+                at += 1
+            used = set().union(*cut)
+            missing = used - self.known.keys()
+            if len(self.known) + len(missing) > CACHE_ENTRIES:
+                self.known.clear()
+                missing = used
+            self._learn(list(missing))
             get = self.known.__getitem__
-            out += [b"".join(map(get, pieces)) + self.end for pieces in cut[at:to]]
-            at = to
+            out += [b"".join(map(get, pieces)) + self.end for pieces in cut]
         return out
 
 
