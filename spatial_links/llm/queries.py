@@ -23,6 +23,18 @@ def op1_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files.with_starts(materialise(token_files.digest(token_files.read_tokens(spark, path)), "digest"))
 
 
+def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from spatial_links.llm.repetition import quality_rules
+
+    return quality_rules(table(spark, sf_dir, "documents"))
+
+
+def op10_kd_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from spatial_links.llm.kd_shards import shard
+
+    return shard(table(spark, sf_dir, "documents"), shards=40)
+
+
 def op7_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     from spatial_links.llm.packing import pack
 
@@ -39,7 +51,9 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_token_files": op1_token_files,
         "op2_near_dedup": op2_near_dedup,
+        "op6_quality_rules": op6_quality_rules,
         "op7_best_fit_packing": op7_best_fit_packing,
+        "op10_kd_shards": op10_kd_shards,
     }
 
 
