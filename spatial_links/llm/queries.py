@@ -6,6 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+import corpus_pipeline
 from spatial_links.llm.common import materialise, new_path, table
 
 
@@ -23,6 +24,24 @@ def op1_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files.with_starts(materialise(token_files.digest(token_files.read_tokens(spark, path)), "digest"))
 
 
+def op4_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from spatial_links.llm.secret_scan import scan
+
+    return scan(table(spark, sf_dir, "documents"))
+
+
+def op5_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from spatial_links.llm.decontaminate import leaks
+
+    return leaks(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
+def op8_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from spatial_links.llm.license_scan import scan
+
+    return scan(table(spark, sf_dir, "documents"))
+
+
 def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     from spatial_links.llm.repetition import quality_rules
 
@@ -51,11 +70,17 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_token_files": op1_token_files,
         "op2_near_dedup": op2_near_dedup,
+        "op4_secret_scan": op4_secret_scan,
+        "op5_decontamination": op5_decontamination,
         "op6_quality_rules": op6_quality_rules,
         "op7_best_fit_packing": op7_best_fit_packing,
+        "op8_license_scan": op8_license_scan,
         "op10_kd_shards": op10_kd_shards,
+        "pipeline": corpus_pipeline.run,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    from spatial_links.llm import license_scan
+
+    return {"op8_license_scan": license_scan.oracle()}

@@ -139,6 +139,22 @@ def _measure(min_words: int):
     return run
 
 
+def _good(column: str, min_words: int, max_covered: float, max_longest: int, max_share: float):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for rows, raw, off in T.blocks(batches, column):
+            n, _, _, _, repeat, longest, covered = measures(raw, off, min_words)
+            bad = (n < MIN_TEXT_WORDS) | (100 * repeat > MAX_REPEAT_PERCENT * n)
+            bad |= (covered > max_covered * n) | ((longest > max_longest) & (longest > max_share * n))
+            yield rows.filter(pa.array(~bad))
+
+    return run
+
+
+def keep_good(docs: DataFrame, min_words: int = MIN_WORDS, max_covered: float = MAX_COVERED, max_longest: int = MAX_LONGEST, max_share: float = MAX_SHARE) -> DataFrame:
+    """The rows of docs, with all columns, that `quality_rules` keeps; decided where they are read, without a join."""
+    return docs.mapInArrow(_good("text", min_words, max_covered, max_longest, max_share), docs.schema)
+
+
 def quality_rules(docs: DataFrame, min_words: int = MIN_WORDS, max_covered: float = MAX_COVERED, max_longest: int = MAX_LONGEST, max_share: float = MAX_SHARE) -> DataFrame:
     """SCHEMA with base_failed and kept for every row of docs(doc_id, text); other columns are ignored."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
