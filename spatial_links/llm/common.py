@@ -45,6 +45,15 @@ def drop(df: DataFrame) -> None:
             path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
+def small(spark: SparkSession, rows: list[tuple], schema: str) -> DataFrame:
+    """A short list of rows as a plan of literals, so that no Python worker is needed to make it."""
+    kinds = [f.split() for f in schema.split(", ")]
+    if not rows:
+        return spark.range(0).select(*(F.lit(None).cast(t).alias(c) for c, t in kinds))
+    each = [F.struct(*(F.lit(v).cast(t).alias(c) for v, (c, t) in zip(r, kinds, strict=True))) for r in rows]
+    return spark.range(1).select(F.inline(F.array(*each)))
+
+
 def partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 

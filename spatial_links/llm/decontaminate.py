@@ -17,7 +17,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from spatial_links.llm.common import materialise
+from spatial_links.llm.common import materialise, small
 
 WINDOW, STRIDE, MIN_RUN = 8, 5, 12
 BROADCAST_WINDOWS = 2_000_000
@@ -80,7 +80,7 @@ def leaks(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, stride: i
         found = part if found is None else found.unionByName(part)
     schema = "doc_id long, item_id long, doc_word int, item_word int, run_words int, exact boolean"
     if found is None:
-        return docs.sparkSession.createDataFrame([], schema)
+        return small(docs.sparkSession, [], schema)
     found = materialise(found.distinct(), "alignments")
     near = docs.join(found.select("doc_id", "text_key").distinct(), ["doc_id", "text_key"], "left_semi").dropDuplicates(["doc_id", "text_key"])
     near = near.select("doc_id", "text_key", canonical(F.col("text")).alias("words")).select("*", _types(F.col("words")).alias("types"))

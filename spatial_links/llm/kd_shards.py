@@ -16,7 +16,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from spatial_links.llm.common import materialise, partitions
+from spatial_links.llm.common import materialise, partitions, small
 
 OVERHEAD_BYTES, DIGIT, TOLERANCE = 16, 10, 0.002
 DIMENSIONS = ("size", "characters", "language", "hash")
@@ -51,7 +51,7 @@ def points(docs: DataFrame) -> DataFrame:
 
 def _moved(rows: DataFrame, cuts: list[tuple]) -> DataFrame:
     """Each row's node after the cuts (node, dim, first, second) of a level; a node that is not cut stays."""
-    by = F.broadcast(rows.sparkSession.createDataFrame(cuts, "node long, dim int, first long, second long"))
+    by = F.broadcast(small(rows.sparkSession, cuts, "node long, dim int, first long, second long"))
     key = _key(F.col("dim"))
     right = (key > F.col("first")) | ((key == F.col("first")) & (F.col("tie") >= F.col("second")))
     node = F.when(F.col("dim").isNull(), F.col("node")).otherwise(2 * F.col("node") + right.cast("long"))
@@ -120,7 +120,7 @@ def _refine(rows: DataFrame, state: dict, todo: list[int]) -> None:
         bits = min(DIGIT, s["shift"]) if s["shift"] > 0 else DIGIT
         s["bits"] = bits
         part.append((n, s["dim"], s["at"], s["shift"], bits))
-    by = F.broadcast(rows.sparkSession.createDataFrame(part, "node long, dim int, at long, shift int, bits int"))
+    by = F.broadcast(small(rows.sparkSession, part, "node long, dim int, at long, shift int, bits int"))
     key = _key(F.col("dim"))
     first = F.expr("shift > 0")
     full = F.when(first, F.expr("shiftright(k, shift)")).otherwise(F.expr(f"shiftleft(k, -shift) + shiftright(tie, {SECOND_BITS} + shift)"))
@@ -146,7 +146,7 @@ def shard(docs: DataFrame, shards: int = 40) -> DataFrame:
     spark = docs.sparkSession
     rows = points(docs)
     rows, leaf = split(rows, shards)
-    number = F.broadcast(spark.createDataFrame(list(leaf.items()), "node long, shard int"))
+    number = F.broadcast(small(spark, list(leaf.items()), "node long, shard int"))
     width = max(4, partitions(spark))
     rows = rows.join(number, "node").select("doc_id", "size", "text_crc32", "shard", F.pmod(F.xxhash64("doc_id", "text_crc32"), F.lit(width)).cast("int").alias("bucket"))
     rows = materialise(rows, "sharded")

@@ -16,6 +16,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from spatial_links.llm.common import small
+
 BLOCK_WORDS, PERCENT = 64, 80
 #: Separators of the words of a text before lower-casing: all of ASCII but digits and letters.
 SEPARATOR = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
@@ -113,7 +115,7 @@ def template_matches(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     for number, (label, words) in enumerate(template_words()):
         ranks, need = sorted(order[w] for w in words), needed(len(words), percent)
         rows += [(rank, at, number, label, ranks, need) for at, rank in enumerate(ranks[: len(ranks) - need + 1])]
-    prefixes = F.broadcast(spark.createDataFrame(rows, "rank int, t_at int, template int, label string, t_ranks array<int>, need int"))
+    prefixes = F.broadcast(small(spark, rows, "rank int, t_at int, template int, label string, t_ranks array<int>, need int"))
     word_of = {i: w for w, i in order.items()}
     likely = _any(sorted({word_of[r[0]] for r in rows}))
     rank = F.create_map(*(F.lit(x) for w, i in order.items() for x in (w, i)))

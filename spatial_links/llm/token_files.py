@@ -16,6 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from spatial_links.llm.common import small
 from spatial_links.llm.encode import encoder
 from spatial_links.llm.textops import blocks
 
@@ -69,6 +70,6 @@ def with_starts(rows: DataFrame) -> DataFrame:
     for r in sums:
         before.append((r.part, total))
         total += r.n
-    base = rows.sparkSession.createDataFrame(before, "part int, base long")
+    base = small(rows.sparkSession, before, "part int, base long")
     earlier = Window.partitionBy("part").orderBy("doc_id").rowsBetween(Window.unboundedPreceding, -1)
     return rows.join(F.broadcast(base), "part").select("doc_id", (F.col("base") + F.coalesce(F.sum("n_tokens").over(earlier), F.lit(0))).alias("start"), "n_tokens", "ids_crc32")
