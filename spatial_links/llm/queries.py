@@ -48,6 +48,12 @@ def op6_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_rules(table(spark, sf_dir, "documents"))
 
 
+def op9_quality_model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from spatial_links.llm.quality_model import scored
+
+    return scored(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op10_kd_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     from spatial_links.llm.kd_shards import shard
 
@@ -75,6 +81,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op6_quality_rules": op6_quality_rules,
         "op7_best_fit_packing": op7_best_fit_packing,
         "op8_license_scan": op8_license_scan,
+        "op9_quality_model": op9_quality_model,
         "op10_kd_shards": op10_kd_shards,
         "pipeline": corpus_pipeline.run,
     }
