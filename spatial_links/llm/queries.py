@@ -24,6 +24,12 @@ def op1_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_files.with_starts(materialise(token_files.digest(token_files.read_tokens(spark, path)), "digest"))
 
 
+def op3_mixing_model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from spatial_links.llm.mixing_model import scores
+
+    return scores(table(spark, sf_dir, "documents"))
+
+
 def op4_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     from spatial_links.llm.secret_scan import scan
 
@@ -76,6 +82,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
         "op1_token_files": op1_token_files,
         "op2_near_dedup": op2_near_dedup,
+        "op3_mixing_model": op3_mixing_model,
         "op4_secret_scan": op4_secret_scan,
         "op5_decontamination": op5_decontamination,
         "op6_quality_rules": op6_quality_rules,
