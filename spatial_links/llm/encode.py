@@ -19,10 +19,12 @@ _LETTER = "A-Za-zÀ-ÖØ-öø-ž"
 _SPACED = re.compile(rf" ?[{_LETTER}]+(?:'[{_LETTER}]+)*|(?:(?! [{_LETTER}])[^{_LETTER}])+")
 _BARE = re.compile(rf"[{_LETTER}]+(?:'[{_LETTER}]+)*|[^\n {_LETTER}]+")
 #: Texts that are not plain: other characters, two white spaces together, or an apostrophe that opens a word.
-_ODD = re.compile(rf"[^\n -~{_LETTER}]|İ|[ \n][ \n]|'(?=[{_LETTER}])(?<![{_LETTER}]')")
+_OTHER = re.compile("[^\n -~A-Za-zÀ-ÖØ-öø-įı-ž]")  # no dotted capital I: its lower case is two characters
+_DOUBLE = ("  ", "\n\n", " \n", "\n ")
+_OPENING = re.compile(rf"'(?=[{_LETTER}])(?<![{_LETTER}]')")
 _VISIBLE = "!-~À-ž"
 _CUT = re.compile(rf"(?<=[{_VISIBLE}])(?= [{_VISIBLE}])")
-CACHE_ENTRIES, AT_ONCE = 1_000_000, 20_000
+CACHE_ENTRIES, AT_ONCE = 800_000, 20_000
 
 
 @lru_cache(maxsize=4)
@@ -48,7 +50,7 @@ class Encoder:
         self.end, self.known = np.array([end_id], "<u4").tobytes(), {}
 
     def _cut(self, text: str) -> list[str]:
-        if _ODD.search(text):
+        if any(d in text for d in _DOUBLE) or _OTHER.search(text) or "'" in text and _OPENING.search(text):
             return _CUT.split(text)
         return _BARE.findall(text.lower()) if self.bare else _SPACED.findall(text)
 
@@ -82,11 +84,11 @@ class Encoder:
                 size += len(cut[-1])
                 at += 1
             used = set().union(*cut)
-            missing = used - self.known.keys()
+            missing = [p for p in used if p not in self.known]
             if len(self.known) + len(missing) > CACHE_ENTRIES:
                 self.known.clear()
-                missing = used
-            self._learn(list(missing))
+                missing = list(used)
+            self._learn(missing)
             get = self.known.__getitem__
             out += [b"".join(map(get, pieces)) + self.end for pieces in cut]
         return out
