@@ -8,7 +8,7 @@ an n-gram's own occurrence is left out of the counts it is predicted from.
 
 What is gathered from the corpus: counts of all words and all 6-byte strings, summed over training texts, which
 grows with the input. What reaches one place has a fixed size: the slot tables, the weights, and the commonest
-`COMMON_WORDS` words, which are looked up where texts are read; all other words are joined with their counts, so the
+`COMMON_WORDS` words (and scores of the commonest `COMMON_STRINGS` strings), which are looked up where texts are read; all other words are joined with their counts, so the
 base score is exact for any vocabulary. A text's score is a sum over its distinct strings, computed once a block.
 
 Null and empty texts are one end token (and end byte). Repeated rows are separate rows. With no training text the
@@ -33,7 +33,7 @@ ORDERS = 6
 SLOT_BITS = (8, 14, 18, 20, 21, 22)
 BASE = np.concatenate([[0], np.cumsum([1 << b for b in SLOT_BITS])])
 GATES, STEPS, LEARN, ROUNDS = 4 * ORDERS + 1, 33, 0.02, 2
-COMMON_WORDS, PENDING = 1 << 20, 600_000
+COMMON_WORDS, COMMON_STRINGS, PENDING = 1 << 20, 1 << 20, 600_000
 END_BYTE = 0xFF
 END_TOKEN = int(T.mix(np.array([12345], np.uint64))[0])
 WORD, GRAM = 0, 1
@@ -300,38 +300,60 @@ def train(strings: DataFrame) -> Mixer:
     return mixer
 
 
-def common_words(words: DataFrame, most: int) -> tuple[int, np.ndarray, np.ndarray]:
-    """(least count, keys ascending, counts) of the words that occur at least so often; at most `most` of them."""
+def least_count(counts: DataFrame, most: int) -> int:
+    """The least n for which at most `most` rows of (key, n) have that many or more."""
     level = F.ceil(F.log2(F.col("n")) * 4).cast("int")
-    sizes = {r.level: r.words for r in words.groupBy(level.alias("level")).agg(F.count(F.lit(1)).alias("words")).collect()}
+    sizes = {r.level: r.rows for r in counts.groupBy(level.alias("level")).agg(F.count(F.lit(1)).alias("rows")).collect()}
     least, total = 1 << 62, 0
     for v in sorted(sizes, reverse=True):
         if total + sizes[v] > most:
             break
         total += sizes[v]
         least = int(np.floor(2 ** ((v - 1) / 4))) + 1 if v > 0 else 1
-    got = words.where(F.col("n") >= least).select("key", "n").toArrow()
-    key, n = got.column(0).to_numpy().view(np.uint64), got.column(1).to_numpy()
+    return least
+
+
+def _sorted_table(rows: DataFrame) -> tuple[np.ndarray, np.ndarray]:
+    """A bounded (key, value) table on the driver, keys ascending."""
+    got = rows.toArrow()
+    key, value = got.column(0).to_numpy().view(np.uint64), got.column(1).to_numpy()
     order = np.argsort(key)
-    return least, key[order], n[order]
+    return key[order], value[order]
+
+
+def _logs(shared):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(shared.value.log10(b.column(0).to_numpy().view(np.uint64)))], names=["key", "log"])
+
+    return run
+
+
+def _look_up(keys: np.ndarray, values: np.ndarray, wanted: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(found, value or 0) of each wanted key in a sorted table."""
+    if not len(keys):
+        return np.zeros(len(wanted), bool), np.zeros(len(wanted))
+    at = np.minimum(np.searchsorted(keys, wanted), len(keys) - 1)
+    found = keys[at] == wanted
+    return found, np.where(found, values[at], 0.0)
 
 
 def _score(shared):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        mixer, keys, logs = shared.value
+        mixer, words, strings = shared.value
         for rows, raw, off in T.blocks(batches, size=2 * T.BLOCK_BYTES):
             m = rows.num_rows
             g, doc = grams(raw, off)
             u, inverse = np.unique(g, return_inverse=True)
-            score = np.bincount(doc, weights=mixer.log10(u)[inverse], minlength=m)
+            found, value = _look_up(*strings, u)
+            value[~found] = mixer.log10(u[~found])
+            score = np.bincount(doc, weights=value[inverse], minlength=m)
             del g, inverse, doc
             h, doc = word_hashes(raw, off)
             n_tokens = np.bincount(doc, minlength=m) + 1
             h, doc = np.concatenate([h, np.full(m, END_TOKEN, np.uint64)]), np.concatenate([doc, np.arange(m)])
             u, inverse = np.unique(h, return_inverse=True)
-            at = np.minimum(np.searchsorted(keys, u), max(len(keys) - 1, 0))
-            found = keys[at] == u if len(keys) else np.zeros(len(u), bool)
-            value = np.where(found, logs[at], 0.0) if len(keys) else np.zeros(len(u))
+            found, value = _look_up(*words, u)
             known = found[inverse]
             n_known = np.bincount(doc[known], minlength=m)
             part = np.bincount(doc, weights=value[inverse], minlength=m)
@@ -356,9 +378,14 @@ def scores(docs: DataFrame, parts: int = 7, held: int = 2, common: int = COMMON_
     counts = materialise(counts.groupBy("kind", "key").agg(F.sum("n").alias("n")), "counts")
     words = counts.where(F.col("kind") == WORD)
     total, distinct = words.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count(F.lit(1))).first()
-    mixer = train(counts.where(F.col("kind") == GRAM).select("key", "n"))
-    least, keys, n = common_words(words, common)
-    shared = spark.sparkContext.broadcast((mixer, keys, np.log10(n + 1.0)))
+    strings = counts.where(F.col("kind") == GRAM).select("key", "n")
+    mixer = train(strings)
+    first = spark.sparkContext.broadcast(mixer)
+    common_strings = _sorted_table(strings.where(F.col("n") >= least_count(strings, COMMON_STRINGS)).select("key").mapInArrow(_logs(first), "key long, log double"))
+    first.destroy()
+    least = least_count(words, common)
+    common_words = _sorted_table(words.where(F.col("n") >= least).select("key", F.log10(F.col("n") + 1).alias("log")))
+    shared = spark.sparkContext.broadcast((mixer, common_words, common_strings))
     schema = "doc_id long, held_out boolean, n_tokens long, n_known long, part double, score double, rare array<long>, times array<long>"
     scored = materialise(docs.mapInArrow(_score(shared), schema).withColumn("row", F.monotonically_increasing_id()), "scored")
     rare = scored.select("row", F.explode(F.arrays_zip("rare", "times")).alias("r")).select("row", F.col("r.rare").alias("key"), F.col("r.times").alias("times"))
