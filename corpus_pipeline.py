@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from spatial_links.llm import decontaminate, near_dedup, packing, repetition, secret_scan
-from spatial_links.llm.common import new_path, table
+from spatial_links.llm.common import by_ids, materialise, new_path, table
 
 ORACLE_SQL = None
 
@@ -27,13 +27,14 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of five-word-shingle near duplicates stays: the one with the smallest doc_id."""
     groups = near_dedup.near_duplicates(docs, width=5, percent=80)
-    return docs.join(groups.where(~F.col("kept")).select("doc_id"), "doc_id", "left_anti")
+    others = materialise(groups.where(~F.col("kept")).select("doc_id").distinct(), "duplicates")
+    return by_ids(docs, others, ["doc_id"], "left_anti")
 
 
 def benchmark_decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that hold a passage of a benchmark item go."""
-    found = decontaminate.leaks(docs, table(spark, sf_dir, "benchmark")).select("doc_id").distinct()
-    return docs.join(found, "doc_id", "left_anti")
+    found = materialise(decontaminate.leaks(docs, table(spark, sf_dir, "benchmark")).select("doc_id").distinct(), "leaks")
+    return by_ids(docs, found, ["doc_id"], "left_anti")
 
 
 def secret_scans(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -27,14 +27,26 @@ def new_path(spark: SparkSession, name: str) -> str:
     return f"{shared_dir(spark).rstrip('/')}/{name}-{uuid.uuid4().hex}"
 
 
-def materialise(df: DataFrame, name: str) -> DataFrame:
-    """Writes df to the shared folder and reads it back: lineage is cut and a lost executor costs no recomputation."""
+def materialise(df: DataFrame, name: str, files: int | None = None) -> DataFrame:
+    """Writes df to the shared folder and reads it back: lineage is cut and a lost executor costs no recomputation.
+
+    files: at most so many, for tables that are much smaller than what they are made of.
+    """
     spark = df.sparkSession
     path = new_path(spark, name)
-    df.write.parquet(path)
+    (df.coalesce(files) if files else df).write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: Rows of ids that may be broadcast: a fixed bound, checked by a count.
+BROADCAST_IDS = 1_000_000
+
+
+def by_ids(rows: DataFrame, ids: DataFrame, keys: list[str], how: str) -> DataFrame:
+    """Joins written, distinct ids to rows: broadcast below a checked count, else shuffled."""
+    return rows.join(F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids, keys, how)
+
+
 def drop(df: DataFrame) -> None:
     """Deletes the files of a table that `materialise` wrote, once nothing reads it any more."""
     spark = df.sparkSession
@@ -58,7 +70,7 @@ def partitions(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
 
-def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
+def connected_components(edges: DataFrame, files: int | None = None, max_rounds: int = 60) -> DataFrame:
     """Components of an undirected graph by alternating large-star and small-star.
 
     edges: (u long, v long), in any direction, repeats allowed. Returns (node, component) with
@@ -71,7 +83,7 @@ def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
         return df.agg(F.count(F.lit(1)), F.expr("bit_xor(xxhash64(u, v))"), F.sum(F.expr("v % 1000003"))).first()
 
     cur = materialise(
-        edges.where("u is not null and v is not null and u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), "edges"
+        edges.where("u is not null and v is not null and u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), "edges", files
     )
     seen = settled(cur)
     for _ in range(max_rounds):
@@ -81,7 +93,7 @@ def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
         low = large.groupBy("u").agg(F.min("v").alias("m"))
         near = large.join(low, "u")
         small = near.where("v <> m").select(F.col("v").alias("u"), F.col("m").alias("v")).unionByName(near.select("u", F.col("m").alias("v"))).distinct()
-        nxt = materialise(small, "edges")
+        nxt = materialise(small, "edges", files)
         drop(cur)
         cur, last, seen = nxt, seen, settled(nxt)
         if last == seen:

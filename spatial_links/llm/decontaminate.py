@@ -17,7 +17,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from spatial_links.llm.common import materialise, small
+from spatial_links.llm.common import by_ids, materialise, small
 
 WINDOW, STRIDE, MIN_RUN = 8, 5, 12
 BROADCAST_WINDOWS = 2_000_000
@@ -82,7 +82,7 @@ def leaks(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, stride: i
     if found is None:
         return small(docs.sparkSession, [], schema)
     found = materialise(found.distinct(), "alignments")
-    near = docs.join(found.select("doc_id", "text_key").distinct(), ["doc_id", "text_key"], "left_semi").dropDuplicates(["doc_id", "text_key"])
+    near = by_ids(docs, materialise(found.select("doc_id", "text_key").distinct(), "leaking"), ["doc_id", "text_key"], "left_semi").dropDuplicates(["doc_id", "text_key"])
     near = near.select("doc_id", "text_key", canonical(F.col("text")).alias("words")).select("*", _types(F.col("words")).alias("types"))
     pairs = found.join(near, ["doc_id", "text_key"])
     pairs = pairs.join(F.broadcast(items) if items.count() <= BROADCAST_WINDOWS // 100 else items, "item_id")

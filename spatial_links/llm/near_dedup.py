@@ -7,8 +7,9 @@ empty set and link with nothing; repeated doc_ids and texts are allowed (rows of
 
 Scale. Documents with the same set become one representative first, by a partial aggregate. In a bucket no pair
 list is made: every member is compared with a few pivots (mergeable minima, so a bucket with a third of all rows
-is no task's burden). After a first run of components only pairs of a bucket that lie in *different* components
-are left, and those are compared in full, so that no link between different texts that banding puts together is lost.
+is no task's burden). After a first run of components only documents of buckets that still hold *different*
+components are left; an exact prefix-filter join over those finds every link among them that the pivots did not try, so that
+no link between different texts that banding puts together is lost.
 With 28 bands of 4 rows a pair at similarity 0.8 misses all bands with probability 4e-7.
 """
 
@@ -18,13 +19,15 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from spatial_links.llm import textops as T
-from spatial_links.llm.common import connected_components, materialise
+from spatial_links.llm.common import by_ids, connected_components, drop, materialise
 
 BANDS, ROWS = 28, 4
+#: Written tables get a file for so many documents.
+ROWS_A_FILE = 25_000
 _U = np.uint64
 #: A linked pair agrees on 80 % of the minima give or take 3.8 %; pairs far below that are not compared in full.
 LEAST_AGREEMENT = 0.55
@@ -111,18 +114,53 @@ def _sets(width: int):
     return run
 
 
-def _confirmed(docs: DataFrame, sig: DataFrame, pairs: DataFrame, width: int, percent: int, k: int) -> DataFrame:
+def _sets_of(docs: DataFrame, ids: DataFrame, width: int, files: int) -> DataFrame:
+    """(doc_id, shingles) of the documents with these ids, made of their texts again: no set is kept for all documents."""
+    return materialise(by_ids(docs, ids, ["doc_id"], "left_semi").mapInArrow(_sets(width), "doc_id long, shingles array<long>"), "sets", files)
+
+
+def _confirmed(docs: DataFrame, sig: DataFrame, pairs: DataFrame, width: int, percent: int, k: int, files: int) -> DataFrame:
     """The pairs (u, v) that are linked: first by agreement of their signatures, then on their full sets."""
     a = sig.select(F.col("doc_id").alias("u"), F.col("sig").alias("sig_u"))
     b = sig.select(F.col("doc_id").alias("v"), F.col("sig").alias("sig_v"))
     agree = "aggregate(zip_with(sig_u, sig_v, (x, y) -> if(x = y, 1, 0)), 0, (s, x) -> s + x)"
-    likely = materialise(pairs.join(a, "u").join(b, "v").where(f"{agree} >= {int(LEAST_AGREEMENT * k)}").select("u", "v"), "likely")
-    need = likely.select(F.explode(F.array("u", "v")).alias("doc_id")).distinct()
-    sets = materialise(docs.join(need, "doc_id", "left_semi").mapInArrow(_sets(width), "doc_id long, shingles array<long>"), "sets")
+    likely = materialise(pairs.join(a, "u").join(b, "v").where(f"{agree} >= {int(LEAST_AGREEMENT * k)}").select("u", "v"), "likely", files)
+    need = materialise(likely.select(F.explode(F.array("u", "v")).alias("doc_id")).distinct(), "need", files)
+    sets = _sets_of(docs, need, width, files)
     su = sets.select(F.col("doc_id").alias("u"), F.col("shingles").alias("set_u"))
     sv = sets.select(F.col("doc_id").alias("v"), F.col("shingles").alias("set_v"))
     both = likely.join(su, "u").join(sv, "v").select("u", "v", F.size("set_u").alias("nu"), F.size("set_v").alias("nv"), F.expr("size(array_intersect(set_u, set_v))").alias("c"))
-    return both.where(f"100 * c >= {percent} * (nu + nv - c)").select("u", "v")
+    out = materialise(both.where(f"100 * c >= {percent} * (nu + nv - c)").select("u", "v"), "links", files)
+    for t in (likely, need, sets):
+        drop(t)
+    return out
+
+
+def _rest(docs: DataFrame, shared: DataFrame, comp: DataFrame, width: int, percent: int, files: int) -> DataFrame:
+    """Pairs (u, v) that banding put together but the pivots left in different components, by an exact prefix filter.
+
+    Among the documents of such buckets, words of a set are ordered rarest first; two sets at the threshold share one of
+    their first n - ceil(n * percent / 100) + 1. Of the documents that share such a shingle, those outside its largest
+    component are set against all others, so a group of copies in one component makes no pairs at all.
+    """
+    now = shared.select("key", "doc_id").join(comp.withColumnRenamed("node", "doc_id"), "doc_id", "left").select("key", "doc_id", F.coalesce("component", "doc_id").alias("c"))
+    open_ = now.groupBy("key").agg(F.min("c").alias("a"), F.max("c").alias("b")).where("a <> b").select("key")
+    ids = materialise(now.join(open_, "key", "left_semi").select("doc_id", "c").distinct(), "open", files)
+    sets = _sets_of(docs, ids.select("doc_id"), width, files)
+    each = sets.select("doc_id", F.size("shingles").alias("n"), F.explode("shingles").alias("s"))
+    often = each.groupBy("s").agg(F.count(F.lit(1)).alias("f"))
+    rank = F.row_number().over(Window.partitionBy("doc_id").orderBy("f", "s"))
+    first = each.join(often, "s").withColumn("rank", rank).where(f"rank <= n - int(ceil(n * {percent} / 100.0)) + 1 and f > 1")
+    first = materialise(first.select("doc_id", "n", "s").join(ids, "doc_id"), "prefixes", files)
+    mixed = first.groupBy("s", "c").agg(F.count(F.lit(1)).alias("size")).groupBy("s").agg(F.count(F.lit(1)).alias("parts"), F.max(F.struct("size", "c")).alias("most")).where("parts > 1")
+    first = first.join(mixed.select("s", F.col("most.c").alias("big")), "s")
+    other = first.where("c <> big").select("s", F.col("doc_id").alias("a"), F.col("n").alias("m"), F.col("c").alias("d"))
+    near = f"100 * least(n, m) >= {percent} * greatest(n, m)"
+    pairs = first.join(other, "s").where(f"c <> d and (c = big or doc_id > a) and {near}").select(F.least("doc_id", "a").alias("u"), F.greatest("doc_id", "a").alias("v")).distinct()
+    out = materialise(pairs, "rest", files)
+    for t in (ids, sets):
+        drop(t)
+    return out
 
 
 def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, bands: int = BANDS, rows: int = ROWS, seed: int = 11) -> DataFrame:
@@ -130,11 +168,12 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, bands: i
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     k = bands * rows
     sig = materialise(docs.mapInArrow(_signatures(width, bands, rows, seed), "doc_id long, n_shingles long, fp_a long, fp_b long, sig array<int>, bands array<long>"), "signatures")
+    files = max(2, -(-sig.count() // ROWS_A_FILE))
     alike = ["fp_a", "fp_b", "n_shingles"]
     firsts = sig.where("n_shingles > 0").groupBy(*alike).agg(F.min("doc_id").alias("rep"))
     lone = sig.where("n_shingles = 0").select("doc_id", "n_shingles", F.col("doc_id").alias("rep"))
-    member = materialise(sig.where("n_shingles > 0").select("doc_id", *alike).join(firsts, alike).select("doc_id", "n_shingles", "rep").unionByName(lone), "members")
-    reps = materialise(sig.where("n_shingles > 0").join(member.where("doc_id = rep").select("doc_id"), "doc_id", "left_semi").dropDuplicates(["doc_id"]).select("doc_id", "n_shingles", "sig", "bands"), "reps")
+    member = materialise(sig.where("n_shingles > 0").select("doc_id", *alike).join(firsts, alike).select("doc_id", "n_shingles", "rep").unionByName(lone), "members", files)
+    reps = materialise(sig.where("n_shingles > 0").join(member.where("doc_id = rep").select("doc_id"), "doc_id", "left_semi").dropDuplicates(["doc_id"]).select("doc_id", "n_shingles", "sig", "bands"), "reps", files)
 
     held = reps.select("doc_id", F.col("n_shingles").alias("n"), F.explode("bands").alias("key"))
     me = F.struct("doc_id", "n")
@@ -144,7 +183,7 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, bands: i
         .where("size > 1")
         .select("key", F.array("p0", F.col("p1.p"), F.struct(F.col("p2.doc_id"), F.col("p2.n"))).alias("hubs"))
     )
-    shared = materialise(held.join(hubs, "key"), "buckets")
+    shared = materialise(held.join(hubs, "key"), "buckets", files)
     near = f"100 * least(n, m) >= {percent} * greatest(n, m)"
     star = (
         shared.select("doc_id", "n", F.explode(F.array_distinct("hubs")).alias("hub"))
@@ -153,24 +192,14 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, bands: i
         .select(F.least("doc_id", "other").alias("u"), F.greatest("doc_id", "other").alias("v"))
         .distinct()
     )
-    links = materialise(_confirmed(docs, reps, star, width, percent, k), "links")
-    comp = materialise(connected_components(links), "components")
-
-    # Pairs of a bucket in different components. All but the bucket's largest component are set against the whole bucket.
-    now = shared.select("key", "doc_id", "n").join(comp.withColumnRenamed("node", "doc_id"), "doc_id", "left").select("key", "doc_id", "n", F.coalesce("component", "doc_id").alias("c"))
-    per = now.groupBy("key", "c").agg(F.count(F.lit(1)).alias("size"))
-    open_ = per.groupBy("key").agg(F.count(F.lit(1)).alias("parts"), F.max(F.struct("size", "c")).alias("most")).where("parts > 1").select("key", F.col("most.c").alias("big"))
-    now = materialise(now.join(open_, "key").withColumn("grade", F.floor(F.log(F.col("n")) / F.log(F.lit(100.0 / percent))).cast("int")), "open")
-    rest = now.where("c <> big").select("key", F.explode(F.expr("array(grade - 1, grade, grade + 1)")).alias("grade"), F.col("doc_id").alias("a"), F.col("n").alias("m"), F.col("c").alias("d"))
-    cross = (
-        rest.join(now, ["key", "grade"])
-        .where(f"c <> d and (c = big or doc_id > a) and {near}")
-        .select(F.least("doc_id", "a").alias("u"), F.greatest("doc_id", "a").alias("v"))
-        .distinct()
-        .join(star.select("u", "v"), ["u", "v"], "left_anti")
-    )
-    more = materialise(_confirmed(docs, reps, cross, width, percent, k), "links")
-    comp = materialise(connected_components(links.unionByName(more)), "components")
+    star = materialise(star, "star", files)
+    links = _confirmed(docs, reps, star, width, percent, k, files)
+    comp = materialise(connected_components(links, files), "components", files)
+    rest = _rest(docs, shared, comp, width, percent, files).join(star, ["u", "v"], "left_anti")
+    more = _confirmed(docs, reps, rest, width, percent, k, files)
+    comp = materialise(connected_components(links.unionByName(more), files), "components", files)
+    for t in (sig, reps, shared, star, links, more):
+        drop(t)
     out = member.join(comp.select(F.col("node").alias("rep"), "component"), "rep", "left")
     # The component's smallest representative is its smallest document: each is the smallest of its copies.
     out = out.select("doc_id", "n_shingles", F.coalesce("component", "rep").alias("component_id"))

@@ -20,6 +20,8 @@ from pyspark.ml.functions import vector_to_array
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from spatial_links.llm.common import by_ids, materialise
+
 MIN_LENGTH, NEAR, TRAINING_ROWS, TREES, DEPTH, THRESHOLD, SEED = 16, 40, 4000, 24, 7, 0.5, 5
 _KEY = "A-Za-z0-9+/=_-"
 _CREDENTIAL = "password|passwd|secret|token|apikey|api_key"
@@ -141,7 +143,7 @@ def redact(docs: DataFrame, model: RandomForestClassificationModel | None = None
     hits = hits.groupBy(F.col("doc_id.doc_id").alias("doc_id"), F.col("doc_id.secret_key").alias("secret_key")).agg(F.collect_set("number").alias("secret_numbers"))
     parts, tokens = F.split("text", CANDIDATE, -1), F.regexp_extract_all("text", F.lit(CANDIDATE), F.lit(0))
     clean = F.array_join(F.transform(parts, lambda p, i: F.concat(p, F.when(F.array_contains("secret_numbers", i), F.lit(mask)).otherwise(F.coalesce(F.get(tokens, i), F.lit(""))))), "")
-    out = keyed.join(hits, ["doc_id", "secret_key"], "left").withColumn("text", F.when(F.col("secret_numbers").isNull(), F.col("text")).otherwise(clean))
+    out = by_ids(keyed, materialise(hits, "secrets"), ["doc_id", "secret_key"], "left").withColumn("text", F.when(F.col("secret_numbers").isNull(), F.col("text")).otherwise(clean))
     if "n_chars" in docs.columns:
         out = out.withColumn("n_chars", F.when(F.col("secret_numbers").isNull(), F.col("n_chars")).otherwise(F.length("text").cast(docs.schema["n_chars"].dataType)))
     return out.select(*docs.columns)
