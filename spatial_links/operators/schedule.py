@@ -86,9 +86,9 @@ def local_top(scored: DataFrame, budget: int, candidates: int, side: str = "targ
 
 
 def with_means(scored: DataFrame, side: str = "target") -> DataFrame:
-    """Each pair beside the mean weight of its geometry: mean, n, geo, side."""
+    """Each pair beside the mean weight of its geometry (rounded, so that no order of summing shows): mean, n, geo, side."""
     ends = _ends(scored, side)
-    means = ends.groupBy("side", "geo").agg(F.avg("weight").alias("mean"), F.count(F.lit(1)).alias("n"))
+    means = ends.groupBy("side", "geo").agg(F.round(F.avg("weight"), 9).alias("mean"), F.count(F.lit(1)).alias("n"))
     return ends.join(means, ["side", "geo"])
 
 

@@ -136,7 +136,7 @@ def routes(spark: SparkSession, sf_dir: str, every: int = 50) -> DataFrame:
     rows = rows.select("l_orderkey", F.expr("cast(l_partkey div 4 as int)").alias("x"), F.expr("cast(datediff(l_shipdate, date '1995-01-01') div 14 as int)").alias("y"), "l_shipdate", "l_linenumber")
     rows = rows.groupBy("l_orderkey", "x", "y").agg(F.min(F.struct("l_shipdate", "l_linenumber")).alias("first"))
     rows = rows.groupBy("l_orderkey").agg(F.sort_array(F.collect_list(F.struct("first", "x", "y"))).alias("p")).where("size(p) >= 2")
-    xs, ys = (F.transform("p", lambda q, c=c: q[c].cast("double")) for c in ("x", "y"))
+    xs, ys = F.transform("p", lambda q: q["x"].cast("double")), F.transform("p", lambda q: q["y"].cast("double"))
     d = rows.select(F.col("l_orderkey").alias("gid"), F.concat(F.lit("urn:routes:"), F.col("l_orderkey").cast("string")).alias("uri"), F.lit("L").alias("geom_type"), F.lit(1).cast("tinyint").alias("dim"), xs.alias("xs"), ys.alias("ys"), F.array(F.size("p")).alias("ring_ends"), F.create_map(F.lit("layer"), F.lit("routes")).alias("attrs"))
     return with_mbr(d)
 
