@@ -4,12 +4,13 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from spatial_links.operators import grid, verify
 from spatial_links.plans.methods import MethodSpec, pair_matrices
 
 
-@F.udtf(returnType="tx bigint, ty bigint")
+@F.udtf(returnType=T.StructType([T.StructField("tx", T.LongType()), T.StructField("ty", T.LongType())]))
 class TilesOf:
     """The tiles that a box meets, for lateral calls from SQL (which Spark does not allow to Arrow table functions)."""
 

@@ -16,6 +16,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from spatial_links.plans.shared import written
+
 
 @dataclass(frozen=True)
 class Budget:
@@ -188,7 +190,7 @@ def dynamic_top(verified: DataFrame, boost: float = 1.0, mode: str = "mul", shar
     return verified.withColumn("shard", F.lit(0) if shard is None else shard.cast("int")).select("shard", "sid", "tid", "weight", "second", "related").groupBy("shard").applyInArrow(run, schema)
 
 
-def dynamic_rounds(scored: DataFrame, verify, budget: int, round_size: int, boost: float = 1.0, keep=lambda d: d.cache()) -> DataFrame:
+def dynamic_rounds(scored: DataFrame, verify, budget: int, round_size: int, boost: float = 1.0, keep=written) -> DataFrame:
     """The global form: rounds of `round_size` pairs; after each, weights are recomputed from the hits so far.
 
     verify: DataFrame(sid, tid) -> DataFrame(sid, tid, related). With round_size 1 the order equals the exact one.

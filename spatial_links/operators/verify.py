@@ -7,6 +7,7 @@ import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from spatial_links.functions.geometry import SHAPE, prefixed
 from spatial_links.functions.kernel import relate
@@ -23,7 +24,7 @@ MASKS = {
 RELATIONS = ("contains", "covered_by", "covers", "crosses", "equals", "intersects", "overlaps", "touches", "within")
 
 
-@F.arrow_udf("string")
+@F.arrow_udf(T.StringType())
 def relate_matrix(a_type: pa.Array, a_xs: pa.Array, a_ys: pa.Array, a_ends: pa.Array, b_type: pa.Array, b_xs: pa.Array, b_ys: pa.Array, b_ends: pa.Array) -> pa.Array:
     """Nine characters of F, 0, 1, 2 for each pair."""
     flags = [np.asarray(pc.equal(t, "P").fill_null(False)) for t in (a_type, b_type)]

@@ -14,3 +14,11 @@ def new_path(spark: SparkSession, name: str) -> str:
         spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="checkpoint-"))
         found = spark.sparkContext.getCheckpointDir()
     return f"{found.rstrip('/')}/{name}-{uuid.uuid4().hex}"
+
+
+def written(df):
+    """df as a table in the shared folder: lineage and plan are cut, and a lost executor costs no recomputation."""
+    spark = df.sparkSession
+    path = new_path(spark, "table")
+    df.write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
