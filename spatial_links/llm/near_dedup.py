@@ -8,8 +8,8 @@ empty set and link with nothing; repeated doc_ids and texts are allowed (rows of
 Scale. Documents with the same set become one representative first, by a partial aggregate. In a bucket no pair
 list is made: every member is compared with a few pivots (mergeable minima, so a bucket with a third of all rows
 is no task's burden). After a first run of components only documents of buckets that still hold *different*
-components are left; an exact prefix-filter join over those finds every link among them that the pivots did not try, so that
-no link between different texts that banding puts together is lost.
+components are left; they meet further pivots, a few turns, and an exact prefix-filter join over what is still open then finds
+every link among them that the pivots did not try, so that no link between different texts that banding puts together is lost.
 With 28 bands of 4 rows a pair at similarity 0.8 misses all bands with probability 4e-7.
 """
 
@@ -28,6 +28,8 @@ from spatial_links.llm.common import by_ids, connected_components, drop, materia
 BANDS, ROWS = 28, 4
 #: Written tables get a file for so many documents.
 ROWS_A_FILE = 25_000
+#: Pivots of a bucket in each of the further turns for members that the first pivots left outside its largest component.
+HUBS, TURNS = 6, 4
 _U = np.uint64
 #: A linked pair agrees on 80 % of the minima give or take 3.8 %; pairs far below that are not compared in full.
 LEAST_AGREEMENT = 0.55
@@ -119,35 +121,50 @@ def _sets_of(docs: DataFrame, ids: DataFrame, width: int, files: int) -> DataFra
     return materialise(by_ids(docs, ids, ["doc_id"], "left_semi").mapInArrow(_sets(width), "doc_id long, shingles array<long>"), "sets", files)
 
 
-def _confirmed(docs: DataFrame, sig: DataFrame, pairs: DataFrame, width: int, percent: int, k: int, files: int) -> DataFrame:
+def _confirmed(docs: DataFrame, sig: DataFrame, pairs: DataFrame, width: int, percent: int, k: int, files: int, sets: DataFrame | None = None) -> DataFrame:
     """The pairs (u, v) that are linked: first by agreement of their signatures, then on their full sets."""
     a = sig.select(F.col("doc_id").alias("u"), F.col("sig").alias("sig_u"))
     b = sig.select(F.col("doc_id").alias("v"), F.col("sig").alias("sig_v"))
     agree = "aggregate(zip_with(sig_u, sig_v, (x, y) -> if(x = y, 1, 0)), 0, (s, x) -> s + x)"
     likely = materialise(pairs.join(a, "u").join(b, "v").where(f"{agree} >= {int(LEAST_AGREEMENT * k)}").select("u", "v"), "likely", files)
-    need = materialise(likely.select(F.explode(F.array("u", "v")).alias("doc_id")).distinct(), "need", files)
-    sets = _sets_of(docs, need, width, files)
+    done = [likely]
+    if sets is None:
+        need = materialise(likely.select(F.explode(F.array("u", "v")).alias("doc_id")).distinct(), "need", files)
+        sets = _sets_of(docs, need, width, files)
+        done += [need, sets]
     su = sets.select(F.col("doc_id").alias("u"), F.col("shingles").alias("set_u"))
     sv = sets.select(F.col("doc_id").alias("v"), F.col("shingles").alias("set_v"))
     both = likely.join(su, "u").join(sv, "v").select("u", "v", F.size("set_u").alias("nu"), F.size("set_v").alias("nv"), F.expr("size(array_intersect(set_u, set_v))").alias("c"))
     out = materialise(both.where(f"100 * c >= {percent} * (nu + nv - c)").select("u", "v"), "links", files)
-    for t in (likely, need, sets):
+    for t in done:
         drop(t)
     return out
 
 
-def _rest(docs: DataFrame, shared: DataFrame, comp: DataFrame, width: int, percent: int, files: int) -> DataFrame:
-    """Pairs (u, v) that banding put together but the pivots left in different components, by an exact prefix filter.
+def _open(shared: DataFrame, comp: DataFrame) -> DataFrame:
+    """(key, doc_id, n, c, big): members of buckets that hold different components c; big is the bucket's largest."""
+    now = shared.select("key", "doc_id", "n").join(comp.withColumnRenamed("node", "doc_id"), "doc_id", "left").select("key", "doc_id", "n", F.coalesce("component", "doc_id").alias("c"))
+    per = now.groupBy("key", "c").agg(F.count(F.lit(1)).alias("size"))
+    mixed = per.groupBy("key").agg(F.count(F.lit(1)).alias("parts"), F.max(F.struct("size", "c")).alias("most")).where("parts > 1")
+    return now.join(mixed.select("key", F.col("most.c").alias("big")), "key")
 
-    Among the documents of such buckets, words of a set are ordered rarest first; two sets at the threshold share one of
-    their first n - ceil(n * percent / 100) + 1. Of the documents that share such a shingle, those outside its largest
-    component are set against all others, so a group of copies in one component makes no pairs at all.
+
+def _more_hubs(open_: DataFrame, turn: int, percent: int) -> DataFrame:
+    """Pairs (u, v) of members outside a bucket's largest component with a few pivots inside it, others each turn."""
+    inside = open_.where("c = big").select("key", *(F.struct(F.xxhash64("doc_id", F.lit(HUBS * turn + i)).alias("h"), "doc_id", "n").alias(f"h{i}") for i in range(HUBS)))
+    hubs = inside.groupBy("key").agg(F.array_distinct(F.array(*(F.min(f"h{i}") for i in range(HUBS)))).alias("hubs"))
+    pairs = open_.where("c <> big").join(hubs, "key").select("doc_id", "n", F.explode(F.transform("hubs", lambda h: F.struct(h["doc_id"].alias("other"), h["n"].alias("m")))).alias("p")).select("doc_id", "n", "p.*")
+    return pairs.where(f"100 * least(n, m) >= {percent} * greatest(n, m)").select(F.least("doc_id", "other").alias("u"), F.greatest("doc_id", "other").alias("v")).distinct()
+
+
+def _rest(ids: DataFrame, sets: DataFrame, percent: int, files: int) -> DataFrame:
+    """Pairs (u, v) of ids (doc_id, c) in different components c, by an exact prefix filter.
+
+    Shingles of a set are ordered rarest first; two sets at the threshold share one of their first
+    n - ceil(n * percent / 100) + 1. Of the documents that share such a shingle, those outside its largest component are
+    set against all others, so a group of copies in one component makes no pairs at all.
     """
-    now = shared.select("key", "doc_id").join(comp.withColumnRenamed("node", "doc_id"), "doc_id", "left").select("key", "doc_id", F.coalesce("component", "doc_id").alias("c"))
-    open_ = now.groupBy("key").agg(F.min("c").alias("a"), F.max("c").alias("b")).where("a <> b").select("key")
-    ids = materialise(now.join(open_, "key", "left_semi").select("doc_id", "c").distinct(), "open", files)
-    sets = _sets_of(docs, ids.select("doc_id"), width, files)
-    each = sets.select("doc_id", F.size("shingles").alias("n"), F.explode("shingles").alias("s"))
+    each = sets.join(ids.select("doc_id"), "doc_id", "left_semi").select("doc_id", F.size("shingles").alias("n"), F.explode("shingles").alias("s"))
     often = each.groupBy("s").agg(F.count(F.lit(1)).alias("f"))
     rank = F.row_number().over(Window.partitionBy("doc_id").orderBy("f", "s"))
     first = each.join(often, "s").withColumn("rank", rank).where(f"rank <= n - int(ceil(n * {percent} / 100.0)) + 1 and f > 1")
@@ -157,10 +174,14 @@ def _rest(docs: DataFrame, shared: DataFrame, comp: DataFrame, width: int, perce
     other = first.where("c <> big").select("s", F.col("doc_id").alias("a"), F.col("n").alias("m"), F.col("c").alias("d"))
     near = f"100 * least(n, m) >= {percent} * greatest(n, m)"
     pairs = first.join(other, "s").where(f"c <> d and (c = big or doc_id > a) and {near}").select(F.least("doc_id", "a").alias("u"), F.greatest("doc_id", "a").alias("v")).distinct()
-    out = materialise(pairs, "rest", files)
-    for t in (ids, sets):
-        drop(t)
-    return out
+    return materialise(pairs, "rest", files)
+
+
+def _with_files(df: DataFrame, old: DataFrame, files: int) -> DataFrame:
+    """df written anew; the table it replaces goes."""
+    new = materialise(df, "next", files)
+    drop(old)
+    return new
 
 
 def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, bands: int = BANDS, rows: int = ROWS, seed: int = 11) -> DataFrame:
@@ -195,10 +216,25 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, bands: i
     star = materialise(star, "star", files)
     links = _confirmed(docs, reps, star, width, percent, k, files)
     comp = materialise(connected_components(links, files), "components", files)
-    rest = _rest(docs, shared, comp, width, percent, files).join(star, ["u", "v"], "left_anti")
-    more = _confirmed(docs, reps, rest, width, percent, k, files)
-    comp = materialise(connected_components(links.unionByName(more), files), "components", files)
-    for t in (sig, reps, shared, star, links, more):
+    shared = _with_files(_open(shared, comp).select("key", "doc_id", "n"), shared, files)  # buckets of one component are settled
+    held = materialise(shared.select("doc_id").distinct(), "open", files)
+    sets = _sets_of(docs, held, width, files)
+    for turn in range(TURNS):
+        tried = _more_hubs(_open(shared, comp), turn, percent)
+        more = _confirmed(docs, reps, tried, width, percent, k, files, sets)
+        new = not more.isEmpty()
+        if new:
+            links = _with_files(links.unionByName(more), links, files)
+            comp = _with_files(connected_components(links, files), comp, files)
+            shared = _with_files(_open(shared, comp).select("key", "doc_id", "n"), shared, files)
+        drop(more)
+        if not new:
+            break
+    ids = materialise(_open(shared, comp).select("doc_id", "c").distinct(), "open", files)
+    rest = _rest(ids, sets, percent, files)
+    more = _confirmed(docs, reps, rest, width, percent, k, files, sets)
+    comp = _with_files(connected_components(links.unionByName(more), files), comp, files)
+    for t in (sig, reps, shared, star, links, more, held, sets, ids, rest):
         drop(t)
     out = member.join(comp.select(F.col("node").alias("rep"), "component"), "rep", "left")
     # The component's smallest representative is its smallest document: each is the smallest of its copies.
