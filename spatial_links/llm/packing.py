@@ -30,12 +30,13 @@ ROUNDS, STEP = 40, 0.5
 def _pieces(path: str, end_id: int, capacity: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = encoder(path, end_id)
-        for rows, _, _ in blocks(batches):
-            out = []
-            for i, ids in zip(rows.column(0).to_pylist(), enc(rows.column(1).to_pylist()), strict=True):
-                for k, at in enumerate(range(0, len(ids), 4 * capacity)):
-                    part = ids[at : at + 4 * capacity]
-                    out.append((i, k, at // 4, len(part) // 4, zlib.crc32(part)))
+        for rows, raw, off in blocks(batches):
+            ids, ends = enc.block(raw, off)
+            view, out = memoryview(ids.astype("<u4", copy=False)).cast("B"), []
+            for i, a, b in zip(rows.column(0).to_pylist(), ends[:-1].tolist(), ends[1:].tolist(), strict=True):
+                for k, at in enumerate(range(a, b, capacity)):
+                    to = min(at + capacity, b)
+                    out.append((i, k, at - a, to - at, zlib.crc32(view[4 * at : 4 * to])))
             cols = list(zip(*out, strict=True)) or [[]] * 5
             yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64()), strict=True)], names=["doc_id", "piece", "start", "length", "ids_crc32"])
 

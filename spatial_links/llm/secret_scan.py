@@ -23,12 +23,12 @@ from pyspark.sql import functions as F
 from spatial_links.llm.common import by_ids, materialise
 
 MIN_LENGTH, NEAR, TRAINING_ROWS, TREES, DEPTH, THRESHOLD, SEED = 16, 40, 4000, 24, 7, 0.5, 5
-_KEY = "A-Za-z0-9+/=_-"
+_KEY = "A-Za-z0-9+/_-"
 _CREDENTIAL = "password|passwd|secret|token|apikey|api_key"
 #: One candidate: a key-like string, a value assigned to a credential word, or a private key's header.
 CANDIDATE = (
-    rf"(?<![{_KEY}])(?=[A-Za-z+/=_-]*+[0-9])[{_KEY}]{{{MIN_LENGTH},}}"
-    rf"|(?<![{_KEY}])(?=[a-z]*+[A-Z]++[a-z]++[A-Z])[A-Za-z+/=_-]{{20,}}"
+    rf"(?<![{_KEY}])(?=[A-Za-z+/_-]*+[0-9])[{_KEY}]{{{MIN_LENGTH},}}+={{0,2}}"
+    rf"|(?<![{_KEY}])(?=[a-z]*+[A-Z]++[a-z]++[A-Z])[A-Za-z+/_-]{{20,}}+={{0,2}}"
     rf"|(?<=(?:{_CREDENTIAL}) {{0,2}}[:=] {{0,2}}[\"']?)[^\s\"']{{8,}}"
     r"|-----BEGIN [A-Z ]{0,20}PRIVATE KEY-----"
 )
@@ -87,7 +87,7 @@ def labelled_findings(spark: SparkSession, rows: int = TRAINING_ROWS) -> DataFra
     bad = [
         (plain, F.concat_ws("-", word("a"), word("b"), word("c"), F.pmod(n, F.lit(100)))), (harmless, hex_("j", 40)), (harmless, hex_("k", 64)), (plain, F.concat(glued("d", 4), F.pmod(n, F.lit(1000)))),
         (near, F.lit("EXAMPLEKEY0123456789abcd")), (near, F.concat(F.lit("your_"), word("e"), F.lit("_token_here_1234"))), (plain, F.format_string("%016d", F.pmod(F.xxhash64(n), F.lit(10**16)))), (harmless, F.concat_ws("-", hex_("l", 8), hex_("m", 4), hex_("n", 4), hex_("o", 12))),
-        (plain, F.concat(F.lit("chapter/"), word("f"), F.lit("/page-"), n)), (plain, F.concat(F.initcap(word("g")), F.initcap(word("h")), F.initcap(word("i")), F.initcap(word("j")))), (plain, F.concat(glued("k", 3), F.lit("!!!"))), (near, F.concat(F.lit("xxxxxxxxxxxxxxxx"), F.pmod(n, F.lit(10)))),
+        (plain, F.concat(F.lit("chapter/"), word("f"), F.lit("/page-"), n)), (plain, F.concat(F.initcap(word("g")), F.initcap(word("h")), F.initcap(word("i")), F.initcap(word("j")))), (plain, F.concat(F.initcap(word("p")), F.lit("Is"), F.initcap(word("q")), F.lit("Of"), F.initcap(word("r")))), (plain, F.concat(F.lit("This"), F.initcap(word("s")), F.lit("A"), F.initcap(word("t")), F.lit("s"))), (plain, F.concat(glued("k", 3), F.lit("!!!"))), (near, F.concat(F.lit("xxxxxxxxxxxxxxxx"), F.pmod(n, F.lit(10)))),
         (pick("rule", "token: ", "password: ", "secret = "), glued("l", 3)),
     ]
     path = pick("path", "src1", "src7", "docs/readme", "tests/fixture", "src19")

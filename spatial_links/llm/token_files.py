@@ -27,11 +27,9 @@ SCHEMA = "part int, doc_id long, ids array<int>"
 def _encode(path: str, end_id: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = encoder(path, end_id)
-        for rows, _, _ in blocks(batches):
-            ids = enc(rows.column(1).to_pylist())
-            ends = np.concatenate([[0], np.cumsum([len(x) // 4 for x in ids])]).astype(np.int32)
-            values = np.frombuffer(b"".join(ids), np.int32)
-            yield pa.RecordBatch.from_arrays([rows.column(0), pa.ListArray.from_arrays(pa.array(ends), pa.array(values))], names=["doc_id", "ids"])
+        for rows, raw, off in blocks(batches):
+            ids, ends = enc.block(raw, off)
+            yield pa.RecordBatch.from_arrays([rows.column(0), pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(ids.view(np.int32)))], names=["doc_id", "ids"])
 
     return run
 

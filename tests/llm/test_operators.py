@@ -1,0 +1,332 @@
+"""Each text operator on awkward rows (nulls, empty and long texts, ties, repeats, clashing columns) and against brute force."""
+
+import collections
+import itertools
+import math
+import random
+import re
+import zlib
+
+import numpy as np
+import pytest
+from pyspark.sql import functions as F
+
+from spatial_links.llm import decontaminate, encode, kd_shards, license_scan, mixing_model, near_dedup, packing, quality_model, queries, repetition, secret_scan, token_files
+from spatial_links.llm.common import connected_components, new_path
+
+from ..conftest import DATA, same
+
+WORDS = re.compile(r"[^\x20\x09-\x0D]+")
+FOLD = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+ALL_SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, key string, shard int, rank int"
+
+
+@pytest.fixture(scope="module")
+def rows():
+    rng = random.Random(4)
+    vocabulary = ["".join(rng.choice("abcdeéñ") for _ in range(rng.randint(1, 6))) for _ in range(200)]
+    text = lambda n: " ".join(rng.choice(vocabulary) for _ in range(n))
+    base = text(120)
+    texts = [None, "", " \n\t ", "one", "Two  words", text(9000), base, base, base.upper(), base.replace(" ", "\n", 5), base + " tail", text(60) + "\n" + text(30) + "\n" + text(30), "a " * 300, "x y \U0001f600 日本語 é́ İ ǅ", "All rights reserved. CC BY 4.0 # $ | <>", "word" * 4000]
+    for k in range(14):
+        w = base.split()
+        for _ in range(k):
+            w[rng.randrange(len(w))] = text(1)
+        texts.append(" ".join(w))
+    texts += [text(rng.randint(1, 200)) for _ in range(40)]
+    return [(i, t, None if i % 5 == 0 else "en", None if i % 7 == 0 else f"s{i % 3}", None, "k", 3, 1) for i, t in enumerate(texts)]
+
+
+@pytest.fixture(scope="module")
+def docs(spark, rows):
+    return spark.createDataFrame(rows, ALL_SCHEMA).repartition(3).cache()
+
+
+@pytest.fixture(scope="module")
+def empty(docs):
+    return docs.limit(0)
+
+
+def shingles(text, width):
+    w = WORDS.findall((text or "").translate(FOLD))
+    return frozenset(zip(*(w[i:] for i in range(width)), strict=False)) if len(w) >= width else frozenset([tuple(w)] if w else [])
+
+
+def brute_groups(rows, width, percent=80):
+    sets = {r[0]: shingles(r[1], width) for r in rows}
+    up = {i: i for i in sets}
+
+    def find(x):
+        while up[x] != x:
+            x = up[x]
+        return x
+
+    for a, b in itertools.combinations(sorted(sets), 2):
+        c = len(sets[a] & sets[b])
+        if sets[a] and sets[b] and 100 * c >= percent * (len(sets[a]) + len(sets[b]) - c):
+            x, y = find(a), find(b)
+            up[max(x, y)] = min(x, y)
+    return {i: (len(sets[i]), find(i)) for i in sets}
+
+
+@pytest.mark.parametrize("width", [2, 5])
+def test_near_duplicates(docs, rows, width):
+    want = brute_groups(rows, width)
+    got = near_dedup.near_duplicates(docs, width=width).collect()
+    assert {r.doc_id: (r.n_shingles, r.component_id) for r in got} == want
+    assert all(r.kept == (r.doc_id == r.component_id) for r in got)
+
+
+def test_near_duplicates_of_a_large_group(spark):
+    """A group whose members link with about half of each other: pivots, turns and the exact join must close it."""
+    rng = random.Random(9)
+    w = [f"w{i}" for i in range(150)]
+    rows = []
+    for i in range(160):
+        v = list(w)
+        for _ in range(rng.choice([6, 8, 9, 10])):
+            v[rng.randrange(150)] = f"x{rng.randrange(10**6)}"
+        rows.append((i, " ".join(v)))
+    got = near_dedup.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), width=2).collect()
+    assert {r.doc_id: (r.n_shingles, r.component_id) for r in got} == brute_groups(rows, 2)
+
+
+def test_components(spark):
+    rng = random.Random(2)
+    edges = [(rng.randrange(60), rng.randrange(60)) for _ in range(45)] + [(100 + i, 101 + i) for i in range(40)] + [(300, 301 + i) for i in range(50)] + [(5, 5), (None, 3)]
+    up = {}
+
+    def find(x):
+        while up.setdefault(x, x) != x:
+            x = up[x]
+        return x
+
+    for a, b in edges:
+        if a is not None and a != b:
+            x, y = find(a), find(b)
+            up[max(x, y)] = min(x, y)
+    got = connected_components(spark.createDataFrame(edges, "u long, v long"))
+    assert {(r.node, r.component) for r in got.collect()} == {(n, find(n)) for n in list(up)}
+
+
+ODD = ["a  b", "a   b", " x", "x ", "x \n y", "\n\n  a\tb", "a \x1c b", "it's don't 'll  'S", "5's x", 'say "\'tis" x', "x''s", "\n\nNext", "a\nb", "e ́x", "Été İI", "<|endoftext|> hi", "日本 語", "ß SS Σ ΑΣ", "a\0 b c", "", None, "a . b ... c", " " * 7 + "q", "A\r\n B", "a%b %c 5 5 d"]
+
+
+@pytest.mark.parametrize(("name", "end"), [("byte_bpe_50k.json", 2), ("word_bpe_49k.json", 0)])
+def test_pieces_encode_like_whole_texts(rows, name, end):
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    t = Tokenizer.from_file(public_tokenizers.path(name))
+    t.encode_special_tokens = True
+    texts = [r[1] for r in rows] + ODD
+    want = [np.array([*e.ids, end], "<u4").tobytes() for e in t.encode_batch([x or "" for x in texts], add_special_tokens=False)]
+    assert encode.Encoder(public_tokenizers.path(name), end)(texts) == want
+
+
+def test_token_files(spark, docs, rows, empty):
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    path, vocabulary = new_path(spark, "tokens"), public_tokenizers.path("byte_bpe_50k.json")
+    token_files.write_tokens(docs, path, vocabulary, 2)
+    got = token_files.with_starts(token_files.digest(token_files.read_tokens(spark, path))).orderBy("doc_id").collect()
+    t, at = Tokenizer.from_file(vocabulary), 0
+    t.encode_special_tokens = True
+    for r, (i, text, *_) in zip(got, rows, strict=True):
+        ids = [*t.encode(text or "", add_special_tokens=False).ids, 2]
+        assert (r.doc_id, r.start, r.n_tokens, r.ids_crc32) == (i, at, len(ids), zlib.crc32(np.array(ids, "<u4").tobytes()))
+        at += len(ids)
+    one = token_files.read_tokens(spark, path).where("doc_id = 5")
+    assert one.count() == 1 and "PushedFilters: [IsNotNull(doc_id), EqualTo(doc_id,5)]" in one._jdf.queryExecution().executedPlan().toString()
+    token_files.write_tokens(empty, path + "e", vocabulary, 2)
+    assert token_files.with_starts(token_files.digest(token_files.read_tokens(spark, path + "e"))).count() == 0
+
+
+def test_packing(docs, rows, empty):
+    import public_tokenizers
+
+    vocabulary = public_tokenizers.path("word_bpe_49k.json")
+    got = packing.pack(docs, vocabulary).collect()
+    by = collections.defaultdict(list)
+    for r in got:
+        by[r.sequence_id].append((r.offset, r.length))
+    for parts in by.values():
+        at = 0
+        for offset, length in sorted(parts):
+            assert offset == at
+            at += length
+        assert at <= 2048
+    whole = collections.Counter()
+    for r in got:
+        whole[r.doc_id] += r.length
+    enc = encode.Encoder(vocabulary, 0)
+    assert whole == {i: len(x) // 4 for i, x in zip([r[0] for r in rows], enc([r[1] for r in rows]), strict=True)}
+    assert len(by) <= -(-sum(whole.values()) // 2048) + 1
+    assert packing.pack(empty, vocabulary).count() == 0
+
+
+def test_configurations_hold_the_histogram():
+    rng = random.Random(1)
+    for _ in range(5):
+        h = collections.Counter(min(64, int(rng.paretovariate(0.7) * 3)) for _ in range(rng.randint(1, 3000)))
+        held, n = collections.Counter(), 0
+        for form, times in packing.configurations(h, 64):
+            assert sum(a * m for m, a in form) <= 64
+            n += times
+            for m, a in form:
+                held[m] += a * times
+        assert held == h
+        assert n <= 1.02 * -(-sum(k * v for k, v in h.items()) // 64) + 2
+    assert packing.configurations({}, 64) == []
+
+
+def test_quality_rules(docs, rows, empty):
+    def longest(w):
+        n, best, cover = len(w), 0, [False] * len(w)
+        for i in range(n):
+            for j in range(i + 1, n):
+                k = 0
+                while j + k < n and w[i + k] == w[j + k]:
+                    k += 1
+                best = max(best, k)
+                if k >= repetition.MIN_WORDS:
+                    for z in range(k):
+                        cover[i + z] = cover[j + z] = True
+        return best, sum(cover)
+
+    got = {r.doc_id: r for r in repetition.quality_rules(docs).collect()}
+    for i, text, *_ in rows:
+        x = text or ""
+        w, r = WORDS.findall(x), got[i]
+        c = collections.Counter(zip(w, w[1:], w[2:], strict=False))
+        repeat = {p for k, g in enumerate(zip(w, w[1:], w[2:], strict=False)) if c[g] > 1 for p in (k, k + 1, k + 2)}
+        seen, dup = set(), 0
+        for line in x.split("\n"):
+            if WORDS.search(line):
+                dup += line in seen
+                seen.add(line)
+        assert (r.n_words, r.word_chars, r.n_symbols, r.n_dup_lines, r.n_repeat_words) == (len(w), sum(map(len, w)), len(re.findall(r"[#*$%&|<>]", x)), dup, len(repeat))
+        assert r.base_failed == (len(w) < 50 or 100 * len(repeat) > 50 * len(w))
+        if len(w) <= 320:
+            assert (r.longest_repeat, r.covered_words) == longest(w)
+    kept = {i for i, r in got.items() if r.kept}
+    assert {r.doc_id for r in repetition.keep_good(docs).collect()} == kept and repetition.keep_good(docs).columns == docs.columns
+    assert repetition.quality_rules(empty).count() == 0
+
+
+def test_shards(docs, rows, empty):
+    for n in (1, 3, 7):
+        got = kd_shards.shard(docs, n).collect()
+        assert len(got) == len(rows)
+        slots, size = collections.defaultdict(list), collections.Counter()
+        for r in got:
+            text = dict((x[0], x[1]) for x in rows)[r.doc_id] or ""
+            assert (r.size, r.text_crc32, r.law, r.grown_shard) == (len(text.encode()) + 16, zlib.crc32(text.encode()), "bytes", None)
+            slots[r.shard].append(r.slot)
+            size[r.shard] += r.size
+        assert all(sorted(v) == list(range(len(v))) for v in slots.values()) and set(slots) <= set(range(n))
+    assert kd_shards.shard(empty, 4).count() == 0
+
+
+def test_shards_are_near_equal_and_cut_a_hot_group(spark):
+    rows = [(i, "same text here " * 5) for i in range(3000)] + [(3000 + i, f"text {i} " * (1 + i % 40)) for i in range(3000)]
+    got = kd_shards.shard(spark.createDataFrame(rows, "doc_id long, text string"), 16).groupBy("shard").agg(F.sum("size").alias("n")).collect()
+    n = [r.n for r in got]
+    assert len(n) == 16 and max(n) < 1.03 * min(n)
+
+
+def test_license_scan(spark, duck, docs, empty):
+    same(spark, duck, queries.op8_license_scan, license_scan.oracle())
+    got = {r.doc_id: r for r in license_scan.scan(docs).collect()}
+    assert got[0].n_words == 0 and got[0].first_word is None and got[0].labels == "" and got[0].score == 0
+    r = got[14]
+    assert (r.n_base, r.first_word, r.last_word, r.base_labels, r.score) == (2, 0, 3, "cc-by,reserved", 1.0)
+    assert license_scan.scan(empty).count() == 0
+
+
+def test_decontamination(spark, rows, docs, empty):
+    bench = spark.createDataFrame([(1, "Anna buys 12 apples for 3.50 euros and gives 12 of those to her good friend in the old town today"), (2, "short one here"), (3, None), (4, "")], "item_id long, text string")
+    filler = "some other words that stand around it "
+    texts = {
+        100: filler * 3 + "Anna buys 12 apples for 3.50 euros and gives 12 of those to her good friend in the old town today " + filler,
+        101: filler + "anna BUYS 40 apples, for 7.25 euros and gives 40 of those to her good friend in the old town today",
+        102: filler + "Anna buys 40 apples for 7.25 euros and gives 41 of those to her good friend",
+        103: filler * 9, 104: "a short one here is", 105: None, 106: "", 107: filler + "Anna buys 12 apples for",
+    }
+    d = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    got = {(r.doc_id, r.item_id): r for r in decontaminate.leaks(d, bench).collect()}
+    assert set(got) == {(100, 1), (101, 1), (104, 2)}
+    assert got[100, 1].exact and not got[101, 1].exact
+    assert decontaminate.leaks(empty, bench).count() == 0 and decontaminate.leaks(docs, bench.limit(0)).count() == 0
+    assert decontaminate.leaks(docs, bench).count() == 0
+
+
+def test_planted_leaks(spark):
+    docs = [(r.doc_id, WORDS.findall(r.text.lower())) for r in spark.read.parquet(f"{DATA}/documents.parquet").collect()]
+    items = [WORDS.findall(r.text.lower()) for r in spark.read.parquet(f"{DATA}/benchmark.parquet").collect()]
+    has = lambda w, x: any(w[i : i + len(x)] == x for i in range(len(w) - len(x) + 1))
+    want = {i for i, w in docs if any(has(w, x[1:-1]) for x in items)}
+    assert {r.doc_id for r in queries.op5_decontamination(spark, DATA).collect()} == want
+
+
+def test_secret_scan(spark, empty):
+    key = "24be64439e3e49cf46b2d7c90f3602a3d0b907ff"
+    texts = {1: f'the token = "{key}" and', 2: "commit 24be64439e3e49cf46b2d7c90f3602a3d0b907ff is fine", 3: "card 4785380592391139 here", 4: None, 5: "", 6: "ThisIsAClassNameOfSorts and internationalisation", 7: f"secret={key}\n" * 3, 8: "long " * 5000 + f'password = "{key}"'}
+    d = spark.createDataFrame([(i, t, None, "x") for i, t in texts.items()], "doc_id long, text string, source string, score string")
+    model = secret_scan.fit(secret_scan.labelled_findings(spark, 1000))
+    got = secret_scan.scan(d, model).collect()
+    assert collections.Counter(r.doc_id for r in got) == {1: 1, 7: 3, 8: 1}
+    for r in got:
+        assert texts[r.doc_id][r.start : r.start + r.length] == key
+    clean = {r.doc_id: r.text for r in secret_scan.redact(d, model).collect()}
+    assert clean == {i: t and (t if i in (2, 3) else t.replace(key, "[secret]")) for i, t in texts.items()}
+    assert secret_scan.scan(empty, model).count() == 0 and secret_scan.redact(empty, model).columns == empty.columns
+
+
+def test_secret_forest_on_held_out_findings(spark):
+    every = secret_scan.labelled_findings(spark, 2000).withColumn("h", F.pmod(F.xxhash64("token", "before"), F.lit(4)))
+    model = secret_scan.fit(every.where("h > 0").drop("h"))
+    r = secret_scan._scored(every.where("h = 0").drop("h"), model).agg(F.avg(((F.col("score") >= 0.5) == (F.col("label") > 0)).cast("int"))).first()
+    assert r[0] > 0.97
+
+
+def test_quality_model(spark, docs, rows, empty):
+    d, labels = (spark.read.parquet(f"{DATA}/{t}.parquet") for t in ("documents", "labels"))
+    got = quality_model.scored(d, labels).join(labels, "doc_id")
+    held = got.where("held_out").collect()
+    assert np.mean([r.predicted == r.quality for r in held]) > 0.9
+    assert all(0 <= r.score <= 1 and r.held_out == (zlib.crc32(str(r.doc_id).encode()) % 4 == 2) for r in got.collect())
+    flipped = quality_model.scored(d, labels.withColumn("quality", F.when(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 4 == 2, 1 - F.col("quality")).otherwise(F.col("quality"))))
+    assert got.select("doc_id", "score").exceptAll(flipped.select("doc_id", "score")).count() == 0  # held-out labels teach nothing
+    assert quality_model.scored(docs, labels.limit(0)).where("score = 0.5").count() == len(rows)
+    assert quality_model.scored(empty, labels).count() == 0
+
+
+def test_isotonic():
+    shares = quality_model.isotonic(np.array([1, 2, 0, 2, 1.0]), np.array([1, 0, 0, 2, 0.0]))
+    assert list(np.diff(shares) >= 0) == [True] * 4 and math.isclose(shares[0], 1 / 3)
+
+
+@pytest.mark.parametrize("common", [3, 1 << 20])
+def test_language_model(docs, rows, common, empty):
+    got = {r.doc_id: r for r in mixing_model.scores(docs, common=common).collect()}
+    held = {i: zlib.crc32(str(i).encode()) % 7 == 2 for i in got}
+    tokens = {r[0]: [*WORDS.findall((r[1] or "").translate(FOLD)), None] for r in rows}
+    c = collections.Counter(w for i, t in tokens.items() if not held[i] for w in t)
+    n, v = sum(c.values()), len(c)
+    for i, t in tokens.items():
+        r = got[i]
+        assert (r.held_out, r.n_tokens, r.n_known, r.train_tokens) == (held[i], len(t), sum(c[w] > 0 for w in t), n)
+        assert math.isclose(r.base_score, sum(math.log10((c[w] + 1) / (n + 1 * (v + 1))) for w in t), rel_tol=1e-9)
+        assert r.score < 0
+    assert mixing_model.scores(empty).count() == 0
+
+
+def test_language_model_is_a_distribution(docs):
+    """Probabilities of all next bytes after a context add up to one, and familiar text scores better than noise."""
+    counts = docs.select("doc_id", "text").mapInArrow(mixing_model._gather, "kind int, key long, n long").groupBy("kind", "key").agg(F.sum("n").alias("n"))
+    model = mixing_model.train(counts.where("kind = 1").select("key", "n"))
+    for ctx in (b"abcde", b"\xff\xff\xff\xffa", b"zqzqz"):
+        keys = np.array([int.from_bytes(ctx + bytes([s]), "big") for s in range(256)], np.uint64)
+        assert math.isclose((10 ** model.log10(keys)).sum(), 1, rel_tol=1e-4)
