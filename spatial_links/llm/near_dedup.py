@@ -8,8 +8,8 @@ empty set and link with nothing; repeated doc_ids and texts are allowed (rows of
 Scale. Documents with the same set become one representative first, by a partial aggregate. In a bucket no pair
 list is made: every member is compared with a few pivots (mergeable minima, so a bucket with a third of all rows
 is no task's burden). After a first run of components only documents of buckets that still hold *different*
-components are left; they meet further pivots, a few turns, and an exact prefix-filter join over what is still open then finds
-every link among them that the pivots did not try, so that no link between different texts that banding puts together is lost.
+components are left: all that lie outside a component are compared, set by set and in blocks, with all in that component's
+buckets, so that no link between different texts that banding puts together is lost.
 With 28 bands of 4 rows a pair at similarity 0.8 misses all bands with probability 4e-7.
 """
 
@@ -19,7 +19,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from spatial_links.llm import textops as T
@@ -28,8 +28,8 @@ from spatial_links.llm.common import by_ids, connected_components, drop, materia
 BANDS, ROWS = 28, 4
 #: Written tables get a file for so many documents.
 ROWS_A_FILE = 25_000
-#: Pivots of a bucket in each of the further turns for members that the first pivots left outside its largest component.
-HUBS, TURNS = 6, 4
+#: Documents in a block of those outside a component, and of those in its buckets.
+OUTSIDE_BLOCK, AROUND_BLOCK = 256, 1024
 _U = np.uint64
 #: A linked pair agrees on 80 % of the minima give or take 3.8 %; pairs far below that are not compared in full.
 LEAST_AGREEMENT = 0.55
@@ -121,60 +121,101 @@ def _sets_of(docs: DataFrame, ids: DataFrame, width: int, files: int) -> DataFra
     return materialise(by_ids(docs, ids, ["doc_id"], "left_semi").mapInArrow(_sets(width), "doc_id long, shingles array<long>"), "sets", files)
 
 
-def _confirmed(docs: DataFrame, sig: DataFrame, pairs: DataFrame, width: int, percent: int, k: int, files: int, sets: DataFrame | None = None) -> DataFrame:
+def _confirmed(docs: DataFrame, sig: DataFrame, pairs: DataFrame, width: int, percent: int, k: int, files: int) -> DataFrame:
     """The pairs (u, v) that are linked: first by agreement of their signatures, then on their full sets."""
     a = sig.select(F.col("doc_id").alias("u"), F.col("sig").alias("sig_u"))
     b = sig.select(F.col("doc_id").alias("v"), F.col("sig").alias("sig_v"))
     agree = "aggregate(zip_with(sig_u, sig_v, (x, y) -> if(x = y, 1, 0)), 0, (s, x) -> s + x)"
     likely = materialise(pairs.join(a, "u").join(b, "v").where(f"{agree} >= {int(LEAST_AGREEMENT * k)}").select("u", "v"), "likely", files)
-    done = [likely]
-    if sets is None:
-        need = materialise(likely.select(F.explode(F.array("u", "v")).alias("doc_id")).distinct(), "need", files)
-        sets = _sets_of(docs, need, width, files)
-        done += [need, sets]
+    need = materialise(likely.select(F.explode(F.array("u", "v")).alias("doc_id")).distinct(), "need", files)
+    sets = _sets_of(docs, need, width, files)
     su = sets.select(F.col("doc_id").alias("u"), F.col("shingles").alias("set_u"))
     sv = sets.select(F.col("doc_id").alias("v"), F.col("shingles").alias("set_v"))
     both = likely.join(su, "u").join(sv, "v").select("u", "v", F.size("set_u").alias("nu"), F.size("set_v").alias("nv"), F.expr("size(array_intersect(set_u, set_v))").alias("c"))
     out = materialise(both.where(f"100 * c >= {percent} * (nu + nv - c)").select("u", "v"), "links", files)
-    for t in done:
+    for t in (likely, need, sets):
         drop(t)
     return out
 
 
 def _open(shared: DataFrame, comp: DataFrame) -> DataFrame:
-    """(key, doc_id, n, c, big): members of buckets that hold different components c; big is the bucket's largest."""
-    now = shared.select("key", "doc_id", "n").join(comp.withColumnRenamed("node", "doc_id"), "doc_id", "left").select("key", "doc_id", "n", F.coalesce("component", "doc_id").alias("c"))
+    """(doc_id, c, big): members of buckets that hold different components c; big is the bucket's largest."""
+    now = shared.select("key", "doc_id").join(comp.withColumnRenamed("node", "doc_id"), "doc_id", "left").select("key", "doc_id", F.coalesce("component", "doc_id").alias("c"))
     per = now.groupBy("key", "c").agg(F.count(F.lit(1)).alias("size"))
     mixed = per.groupBy("key").agg(F.count(F.lit(1)).alias("parts"), F.max(F.struct("size", "c")).alias("most")).where("parts > 1")
-    return now.join(mixed.select("key", F.col("most.c").alias("big")), "key")
+    return now.join(mixed.select("key", F.col("most.c").alias("big")), "key").select("doc_id", "c", "big").distinct()
+
+
+def _compare(percent: int):
+    """Links between a block of sets outside a component and a block of sets around it: no pair is made but linked ones."""
+
+    def run(outside: pa.Table, around: pa.Table) -> pa.Table:
+        us, vs = [], []
+        if outside.num_rows and around.num_rows:
+            left, right = _Block(outside, "a"), _Block(around, "b")
+            for g in np.intersect1d(left.group, right.group):
+                i, j = left.rows(g), right.rows(g)
+                values = np.concatenate([right.set(r) for r in j])
+                size = np.array([len(right.set(r)) for r in j])
+                values, at = np.unique(values, return_inverse=True)
+                first = np.cumsum(size) - size
+                mark = np.zeros(len(values), np.int64)
+                for r in i:
+                    mine = left.set(r)
+                    k = np.searchsorted(values, mine)
+                    k = k[(k < len(values)) & (values[np.minimum(k, len(values) - 1)] == mine)]
+                    mark[k] = 1
+                    common = np.add.reduceat(mark[at], first)
+                    mark[k] = 0
+                    hit = j[(100 * common >= percent * (len(mine) + size - common)) & (right.c[j] != left.c[r])]
+                    us.append(np.full(len(hit), left.doc[r]))
+                    vs.append(right.doc[hit])
+        u, v = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in (us, vs))
+        return pa.table({"u": pa.array(np.minimum(u, v), pa.int64()), "v": pa.array(np.maximum(u, v), pa.int64())})
 
+    return run
+
+
+class _Block:
+    """Rows of one side: doc, c, group (a component with its pair of blocks) and sorted sets."""
 
-def _more_hubs(open_: DataFrame, turn: int, percent: int) -> DataFrame:
-    """Pairs (u, v) of members outside a bucket's largest component with a few pivots inside it, others each turn."""
-    inside = open_.where("c = big").select("key", *(F.struct(F.xxhash64("doc_id", F.lit(HUBS * turn + i)).alias("h"), "doc_id", "n").alias(f"h{i}") for i in range(HUBS)))
-    hubs = inside.groupBy("key").agg(F.array_distinct(F.array(*(F.min(f"h{i}") for i in range(HUBS)))).alias("hubs"))
-    pairs = open_.where("c <> big").join(hubs, "key").select("doc_id", "n", F.explode(F.transform("hubs", lambda h: F.struct(h["doc_id"].alias("other"), h["n"].alias("m")))).alias("p")).select("doc_id", "n", "p.*")
-    return pairs.where(f"100 * least(n, m) >= {percent} * greatest(n, m)").select(F.least("doc_id", "other").alias("u"), F.greatest("doc_id", "other").alias("v")).distinct()
+    def __init__(self, table: pa.Table, side: str):
+        table = table.combine_chunks()
+        self.doc, self.c, self.group = (table.column(f"{n}_{side}").to_numpy() for n in ("doc_id", "c", "group"))
+        sets = table.column(f"shingles_{side}").chunk(0)
+        self.off = np.frombuffer(sets.buffers()[1], np.int32)[sets.offset : sets.offset + len(sets) + 1]
+        self.values = sets.values.to_numpy()
+        self.order = np.argsort(self.group, kind="stable")
+        self.sorted = self.group[self.order]
 
+    def rows(self, group: int) -> np.ndarray:
+        return self.order[np.searchsorted(self.sorted, group) : np.searchsorted(self.sorted, group, "right")]
 
-def _rest(ids: DataFrame, sets: DataFrame, percent: int, files: int) -> DataFrame:
-    """Pairs (u, v) of ids (doc_id, c) in different components c, by an exact prefix filter.
+    def set(self, row: int) -> np.ndarray:
+        return self.values[self.off[row] : self.off[row + 1]]
 
-    Shingles of a set are ordered rarest first; two sets at the threshold share one of their first
-    n - ceil(n * percent / 100) + 1. Of the documents that share such a shingle, those outside its largest component are
-    set against all others, so a group of copies in one component makes no pairs at all.
+
+def _rest(open_: DataFrame, sets: DataFrame, percent: int, files: int) -> DataFrame:
+    """Links (u, v) of open documents in different components: all outside a component against all in its buckets.
+
+    The documents outside and around a component are dealt to blocks of bounded size, every pair of blocks meets in one
+    task, and only links come out. Work grows with (documents outside) * (documents around), rows do not.
     """
-    each = sets.join(ids.select("doc_id"), "doc_id", "left_semi").select("doc_id", F.size("shingles").alias("n"), F.explode("shingles").alias("s"))
-    often = each.groupBy("s").agg(F.count(F.lit(1)).alias("f"))
-    rank = F.row_number().over(Window.partitionBy("doc_id").orderBy("f", "s"))
-    first = each.join(often, "s").withColumn("rank", rank).where(f"rank <= n - int(ceil(n * {percent} / 100.0)) + 1 and f > 1")
-    first = materialise(first.select("doc_id", "n", "s").join(ids, "doc_id"), "prefixes", files)
-    mixed = first.groupBy("s", "c").agg(F.count(F.lit(1)).alias("size")).groupBy("s").agg(F.count(F.lit(1)).alias("parts"), F.max(F.struct("size", "c")).alias("most")).where("parts > 1")
-    first = first.join(mixed.select("s", F.col("most.c").alias("big")), "s")
-    other = first.where("c <> big").select("s", F.col("doc_id").alias("a"), F.col("n").alias("m"), F.col("c").alias("d"))
-    near = f"100 * least(n, m) >= {percent} * greatest(n, m)"
-    pairs = first.join(other, "s").where(f"c <> d and (c = big or doc_id > a) and {near}").select(F.least("doc_id", "a").alias("u"), F.greatest("doc_id", "a").alias("v")).distinct()
-    return materialise(pairs, "rest", files)
+    outside = open_.where("c <> big").select("big", "doc_id", "c").distinct()
+    around = open_.select("big", "doc_id", "c").distinct()
+    n = outside.groupBy("big").agg(F.count(F.lit(1)).alias("o")).join(around.groupBy("big").agg(F.count(F.lit(1)).alias("m")), "big")
+    n = n.select("big", F.ceil(F.col("o") / OUTSIDE_BLOCK).cast("int").alias("no"), F.ceil(F.col("m") / AROUND_BLOCK).cast("int").alias("nm"))
+    group = F.xxhash64("big", "i", "j").alias("group")
+    # Small components share tasks; the blocks of a large one are spread.
+    task = F.when((F.col("no") == 1) & (F.col("nm") == 1), F.pmod(F.xxhash64("big"), F.lit(8 * files))).otherwise(F.col("group")).alias("task")
+    part = lambda k: F.pmod(F.xxhash64("doc_id", F.lit(3)), F.col(k)).cast("int")
+    each = lambda k: F.explode(F.sequence(F.lit(0), F.col(k) - 1))
+    left = outside.join(n, "big").select("*", part("no").alias("i")).select("*", each("nm").alias("j")).select("*", group).select("doc_id", "c", "group", task)
+    right = around.join(n, "big").select("*", part("nm").alias("j")).select("*", each("no").alias("i")).select("*", group).select("doc_id", "c", "group", task)
+    columns = ("doc_id", "c", "group", "task", "shingles")
+    left, right = (d.join(sets, "doc_id").select(*(F.col(c).alias(c) for c in columns)).toDF(*(f"{c}_{k}" for c in columns)) for k, d in (("a", left), ("b", right)))
+    found = left.groupBy("task_a").cogroup(right.groupBy("task_b")).applyInArrow(_compare(percent), "u long, v long")
+    return materialise(found.distinct(), "links", files)
 
 
 def _with_files(df: DataFrame, old: DataFrame, files: int) -> DataFrame:
@@ -216,25 +257,12 @@ def near_duplicates(docs: DataFrame, width: int = 5, percent: int = 80, bands: i
     star = materialise(star, "star", files)
     links = _confirmed(docs, reps, star, width, percent, k, files)
     comp = materialise(connected_components(links, files), "components", files)
-    shared = _with_files(_open(shared, comp).select("key", "doc_id", "n"), shared, files)  # buckets of one component are settled
-    held = materialise(shared.select("doc_id").distinct(), "open", files)
+    open_ = materialise(_open(shared, comp), "open", files)
+    held = materialise(open_.select("doc_id").distinct(), "need", files)
     sets = _sets_of(docs, held, width, files)
-    for turn in range(TURNS):
-        tried = _more_hubs(_open(shared, comp), turn, percent)
-        more = _confirmed(docs, reps, tried, width, percent, k, files, sets)
-        new = not more.isEmpty()
-        if new:
-            links = _with_files(links.unionByName(more), links, files)
-            comp = _with_files(connected_components(links, files), comp, files)
-            shared = _with_files(_open(shared, comp).select("key", "doc_id", "n"), shared, files)
-        drop(more)
-        if not new:
-            break
-    ids = materialise(_open(shared, comp).select("doc_id", "c").distinct(), "open", files)
-    rest = _rest(ids, sets, percent, files)
-    more = _confirmed(docs, reps, rest, width, percent, k, files, sets)
+    more = _rest(open_, sets, percent, files)
     comp = _with_files(connected_components(links.unionByName(more), files), comp, files)
-    for t in (sig, reps, shared, star, links, more, held, sets, ids, rest):
+    for t in (sig, reps, shared, star, links, more, open_, held, sets):
         drop(t)
     out = member.join(comp.select(F.col("node").alias("rep"), "component"), "rep", "left")
     # The component's smallest representative is its smallest document: each is the smallest of its copies.
