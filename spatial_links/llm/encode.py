@@ -19,6 +19,8 @@ import pyarrow as pa
 from spatial_links.llm import textops as T
 
 CACHE_ENTRIES, AT_ONCE = 700_000, 20_000
+#: Bytes of text encoded together.
+BLOCK_BYTES = 3 << 20
 
 _SPACES = np.zeros(256, bool)
 _SPACES[[0x20, 0x0A]] = True
@@ -150,14 +152,18 @@ class Encoder:
         start, end, doc = pieces(raw, off, self.bare)
         key, at, inverse = np.unique(T.span_hash(raw, start, end), return_index=True, return_inverse=True)
         names = key.tolist()
-        if len(self.slot) + len(names) > CACHE_ENTRIES and sum(k not in self.slot for k in names) + len(self.slot) > CACHE_ENTRIES:
+        get = self.slot.get
+        place = np.fromiter((get(k, -1) for k in names), np.int64, len(names))
+        new = np.flatnonzero(place < 0)
+        if len(self.slot) + len(new) > CACHE_ENTRIES:
             self._clear()
-        new = [i for i, k in enumerate(names) if k not in self.slot]
-        if new:
+            new = np.arange(len(names))
+        if len(new):
             spans = zip(start[at[new]].tolist(), end[at[new]].tolist(), strict=True)
-            whole = raw.tobytes()
-            self._learn([names[i] for i in new], [whole[a:b].decode() for a, b in spans])
-        slot = np.fromiter(map(self.slot.__getitem__, names), np.int64, len(names))[inverse]
+            whole, unknown = raw.tobytes(), [names[i] for i in new.tolist()]
+            self._learn(unknown, [whole[a:b].decode() for a, b in spans])
+            place[new] = np.fromiter(map(self.slot.__getitem__, unknown), np.int64, len(unknown))
+        slot = place[inverse]
         size = self.size[slot]
         total = int(size.sum())
         before = np.cumsum(size) - size

@@ -364,13 +364,13 @@ def _score(shared):
             times = np.diff(np.append(new, len(h)))
             ends = pa.array(np.concatenate([[0], np.cumsum(np.bincount(doc[new], minlength=m))]).astype(np.int32))
             rare = [pa.ListArray.from_arrays(ends, pa.array(x)) for x in (np.ascontiguousarray(h[new]).view(np.int64), times.astype(np.int64))]
-            yield pa.RecordBatch.from_arrays([rows.column(0), rows.column(2), pa.array(n_tokens.astype(np.int64)), pa.array(n_known.astype(np.int64)), pa.array(part), pa.array(score), *rare], names=["doc_id", "held_out", "n_tokens", "n_known", "part", "score", "rare", "times"])
+            yield pa.RecordBatch.from_arrays([rows.column(0), rows.column(2), pa.array(n_tokens.astype(np.int64)), pa.array(n_known.astype(np.int64)), pa.array(part), pa.array(score), pa.array(np.diff(off) + 1), *rare], names=["doc_id", "held_out", "n_tokens", "n_known", "part", "score", "n_bytes", "rare", "times"])
 
     return run
 
 
 def scores(docs: DataFrame, parts: int = 7, held: int = 2, common: int = COMMON_WORDS) -> DataFrame:
-    """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score) for every row of docs(doc_id, text)."""
+    """(doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score, bits_per_byte) for every row of docs(doc_id, text)."""
     spark = docs.sparkSession
     out = F.coalesce(F.crc32(F.col("doc_id").cast("string").cast("binary")) % parts == held, F.lit(False))
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), out.alias("held_out"))
@@ -386,10 +386,10 @@ def scores(docs: DataFrame, parts: int = 7, held: int = 2, common: int = COMMON_
     least = least_count(words, common)
     common_words = _sorted_table(words.where(F.col("n") >= least).select("key", F.log10(F.col("n") + 1).alias("log")))
     shared = spark.sparkContext.broadcast((mixer, common_words, common_strings))
-    schema = "doc_id long, held_out boolean, n_tokens long, n_known long, part double, score double, rare array<long>, times array<long>"
+    schema = "doc_id long, held_out boolean, n_tokens long, n_known long, part double, score double, n_bytes long, rare array<long>, times array<long>"
     scored = materialise(docs.mapInArrow(_score(shared), schema).withColumn("row", F.monotonically_increasing_id()), "scored")
     rare = scored.select("row", F.explode(F.arrays_zip("rare", "times")).alias("r")).select("row", F.col("r.rare").alias("key"), F.col("r.times").alias("times"))
     met = rare.join(words.where(F.col("n") < least).select("key", "n"), "key")
     met = met.groupBy("row").agg(F.sum("times").alias("more"), F.sum(F.col("times") * F.log10(F.col("n") + 1)).alias("rest"))
     base = F.col("part") + F.coalesce("rest", F.lit(0.0)) - F.col("n_tokens") * F.lit(float(np.log10(total + distinct + 1)))
-    return scored.join(met, "row", "left").select("doc_id", "held_out", "n_tokens", (F.col("n_known") + F.coalesce("more", F.lit(0))).alias("n_known"), F.lit(int(total)).cast("long").alias("train_tokens"), base.alias("base_score"), "score")
+    return scored.join(met, "row", "left").select("doc_id", "held_out", "n_tokens", (F.col("n_known") + F.coalesce("more", F.lit(0))).alias("n_known"), F.lit(int(total)).cast("long").alias("train_tokens"), base.alias("base_score"), "score", (-F.col("score") * float(np.log2(10)) / F.col("n_bytes")).alias("bits_per_byte"))

@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from spatial_links.llm.common import materialise, partitions
-from spatial_links.llm.encode import encoder
+from spatial_links.llm.encode import BLOCK_BYTES, encoder
 from spatial_links.llm.textops import blocks
 
 ROUNDS, STEP = 40, 0.5
@@ -30,7 +30,7 @@ ROUNDS, STEP = 40, 0.5
 def _pieces(path: str, end_id: int, capacity: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = encoder(path, end_id)
-        for rows, raw, off in blocks(batches):
+        for rows, raw, off in blocks(batches, size=BLOCK_BYTES):
             ids, ends = enc.block(raw, off)
             view, out = memoryview(ids.astype("<u4", copy=False)).cast("B"), []
             for i, a, b in zip(rows.column(0).to_pylist(), ends[:-1].tolist(), ends[1:].tolist(), strict=True):

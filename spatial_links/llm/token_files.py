@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from spatial_links.llm.common import small
-from spatial_links.llm.encode import encoder
+from spatial_links.llm.encode import BLOCK_BYTES, encoder
 from spatial_links.llm.textops import blocks
 
 STRIPE_BYTES, INDEX_STRIDE = 64 << 20, 1000
@@ -27,15 +27,18 @@ SCHEMA = "part int, doc_id long, ids array<int>"
 def _encode(path: str, end_id: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = encoder(path, end_id)
-        for rows, raw, off in blocks(batches):
+        for rows, raw, off in blocks(batches, size=BLOCK_BYTES):
             ids, ends = enc.block(raw, off)
             yield pa.RecordBatch.from_arrays([rows.column(0), pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(ids.view(np.int32)))], names=["doc_id", "ids"])
 
     return run
 
 
-def write_tokens(docs: DataFrame, path: str, vocabulary: str, end_id: int, compression: str = "zstd") -> None:
-    """Writes every text of docs(doc_id, text) as ids, in ascending doc_id order, to ORC files under path."""
+def write_tokens(docs: DataFrame, path: str, vocabulary: str, end_id: int, compression: str = "none") -> None:
+    """Writes every text of docs(doc_id, text) as ids, in ascending doc_id order, to ORC files under path.
+
+    Run-length encoding packs ids to their bits; a general codec on top (compression) gains little and costs time.
+    """
     ordered = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).repartitionByRange("doc_id").sortWithinPartitions("doc_id")
     ids = ordered.mapInArrow(_encode(vocabulary, end_id), "doc_id long, ids array<int>").select(F.spark_partition_id().alias("part"), "doc_id", "ids")
     options = {"compression": compression, "orc.stripe.size": str(STRIPE_BYTES), "orc.create.index": "true", "orc.row.index.stride": str(INDEX_STRIDE), "orc.bloom.filter.columns": "doc_id", "orc.bloom.filter.fpp": "0.01", "orc.encoding.strategy": "SPEED"}
