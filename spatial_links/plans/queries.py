@@ -12,7 +12,7 @@ from spatial_links.operators import grid, measures, partitioned, schedule, verif
 from spatial_links.plans import methods as M
 from spatial_links.plans import oracles as O
 from spatial_links.plans.methods import MethodSpec
-from spatial_links.plans.shared import new_path
+from spatial_links.plans.shared import new_path, written
 from spatial_links.sources import layers as L
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -500,7 +500,7 @@ for _s in weights.SCHEMES:
 @query("q_w_composite", O.scored("p7", "js", "mbro") + ", rk as (select *, row_number() over (order by weight desc, second desc, sid, tid) as position, rank() over (order by weight desc, second desc) as rank, dense_rank() over (order by weight desc, second desc) as dense from w) select position, sid, tid, rank, dense from rk where position <= 100")
 def w_composite(spark, sf_dir):
     pairs, *_ = _p7(spark, sf_dir)
-    top = schedule.global_top(weights.scored(pairs, "js", "mbro"), 100)
+    top = schedule.global_top(written(weights.scored(pairs, "js", "mbro")), 100)
     w = Window.partitionBy(F.lit(1)).orderBy(F.desc("weight"), F.desc("second"))  # at most 100 rows
     return top.select("position", "sid", "tid", F.rank().over(w).cast("bigint").alias("rank"), F.dense_rank().over(w).cast("bigint").alias("dense"))
 
@@ -530,7 +530,7 @@ def _sched(name: str, oracle: str | None, primary: str, secondary: str | None, o
     @query(name, oracle)
     def run(spark, sf_dir):
         pairs, *_ = _p7(spark, sf_dir)
-        scored = weights.scored(pairs, primary, secondary)
+        scored = written(weights.scored(pairs, primary, secondary))  # counted, cut to quantiles and numbered: read several times
         budget, n = _budget(scored)
         return order(pairs, scored, budget, n).select("position", "sid", "tid")
 
@@ -586,7 +586,7 @@ select cast(rr.shard as bigint) as shard, position, sid, tid from rr join qq on
 @query("q_sched_sharded", _ORDERED + _SHARES)
 def sched_sharded(spark, sf_dir):
     pairs, *_ = _p7(spark, sf_dir)
-    scored = weights.scored(pairs, "js", "mbro")
+    scored = written(weights.scored(pairs, "js", "mbro"))
     return schedule.sharded(scored, _budget(scored)[0], F.expr(f"cast({_SHARD} as bigint)")).select("shard", "position", "sid", "tid")
 
 
@@ -600,7 +600,7 @@ def _dynamic(name: str, primary: str, secondary: str | None) -> None:
     @query(name)
     def run(spark, sf_dir):
         pairs, _, s, t = _p7(spark, sf_dir)
-        top = schedule.global_top(weights.scored(pairs, primary, secondary), 2000)
+        top = schedule.global_top(written(weights.scored(pairs, primary, secondary)), 2000)
         return schedule.dynamic_top(_verified(top, s, t)).select("position", "sid", "tid", "related")
 
 
@@ -612,14 +612,14 @@ _dynamic("q_sched_composite_dynamic", "js", "mbro")
 @query("q_sched_dynamic_rounds")
 def sched_dynamic_rounds(spark, sf_dir):
     pairs, _, s, t = _p7(spark, sf_dir)
-    scored = weights.scored(pairs, "js", "mbro")
+    scored = written(weights.scored(pairs, "js", "mbro"))
     return schedule.dynamic_rounds(scored, lambda d: _verified(d, s, t), 600, 200).select("position", "sid", "tid", "related")
 
 
 @query("q_sched_dynamic_sharded")
 def sched_dynamic_sharded(spark, sf_dir):
     pairs, _, s, t = _p7(spark, sf_dir)
-    scored = weights.scored(pairs, "js", "mbro")
+    scored = written(weights.scored(pairs, "js", "mbro"))
     top = schedule.sharded(scored, 4000, F.expr(f"cast({_SHARD} as bigint)"))
     return schedule.dynamic_top(_verified(top, s, t), shard=F.expr(_SHARD)).select("shard", "position", "sid", "tid", "related")
 
@@ -652,7 +652,7 @@ def _all_flagged(spark, sf_dir):
 @query("q_sched_ideal", _with_flags(_ORDERED) + ", i as (select w.sid, w.tid, intersects from w join flags using (sid, tid))" + _top_sql("intersects desc, sid, tid", "i"))
 def sched_ideal(spark, sf_dir):
     pairs, flags = _all_flagged(spark, sf_dir)
-    scored = weights.scored(pairs, "js", "mbro")
+    scored = written(weights.scored(pairs, "js", "mbro"))
     return schedule.ideal(scored, flags, _budget(scored)[0]).select("position", "sid", "tid")
 
 
@@ -683,7 +683,7 @@ def eval_budgets(spark, sf_dir):
     total, found = flags.agg(F.count(F.lit(1)), F.sum(F.col("related").cast("long"))).first()
     budgets = {f: schedule.Budget(fraction=f).pairs(total) for f in _FRACTIONS}
     most = max(budgets.values())
-    js, mbro = weights.scored(pairs, "js"), weights.scored(pairs, "mbro")
+    js, mbro = written(weights.scored(pairs, "js")), written(weights.scored(pairs, "mbro"))
     orders = {"global_js": schedule.global_top(js, most), "global_mbro": schedule.global_top(mbro, most), "unordered": schedule.unordered(js, most), "ideal": schedule.ideal(js, flags, most)}
     out = []
     for name, d in orders.items():
@@ -696,7 +696,7 @@ def eval_budgets(spark, sf_dir):
 @query("q_eval_curve", _with_flags(O.scored("p7", "mbro")) + ", rk as (select intersects, row_number() over (order by w.weight desc, w.sid, w.tid) as position from w join flags using (sid, tid)), st as (select cast(ceil(position / 1000.0) as bigint) as step, sum(intersects::int) as n, max(position) as position from rk where position <= 20000 group by 1) select position, cast(sum(n) over (order by step) as bigint) as found from st")
 def eval_curve(spark, sf_dir):
     pairs, flags = _all_flagged(spark, sf_dir)
-    ranked = schedule.global_top(weights.scored(pairs, "mbro"), 20000).join(flags, ["sid", "tid"])
+    ranked = schedule.global_top(written(weights.scored(pairs, "mbro")), 20000).join(flags, ["sid", "tid"])
     return measures.recall_curve(ranked.select("position", "related"), 1000)
 
 
