@@ -105,7 +105,8 @@ def pieces(raw: np.ndarray, off: np.ndarray, bare: bool) -> tuple[np.ndarray, np
 
 
 class Encoder:
-    def __init__(self, path: str, end_id: int):
+    def __init__(self, path: str, end_id: int, entries: int = CACHE_ENTRIES):
+        self.entries = entries
         self.tokenizer, self.bare, self.edge = _tokenizer(path)
         self.end = end_id
         self._clear()
@@ -155,7 +156,7 @@ class Encoder:
         get = self.slot.get
         place = np.fromiter((get(k, -1) for k in names), np.int64, len(names))
         new = np.flatnonzero(place < 0)
-        if len(self.slot) + len(new) > CACHE_ENTRIES:
+        if len(self.slot) + len(new) > self.entries:
             self._clear()
             new = np.arange(len(names))
         if len(new):
@@ -179,11 +180,12 @@ class Encoder:
         return [ids[a:b].astype("<u4").tobytes() for a, b in zip(ends[:-1], ends[1:], strict=True)]
 
 
-_encoders: dict[tuple[str, int], Encoder] = {}
+_encoders: dict[tuple[str, int, int], Encoder] = {}
 
 
-def encoder(path: str, end_id: int) -> Encoder:
+def encoder(path: str, end_id: int, entries: int = CACHE_ENTRIES) -> Encoder:
     """One encoder, and so one pool, for each Python worker."""
-    if (path, end_id) not in _encoders:
-        _encoders[path, end_id] = Encoder(path, end_id)
-    return _encoders[path, end_id]
+    if (path, end_id, entries) not in _encoders:
+        _encoders.clear()
+        _encoders[path, end_id, entries] = Encoder(path, end_id, entries)
+    return _encoders[path, end_id, entries]

@@ -21,16 +21,16 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from spatial_links.llm.common import materialise, partitions
-from spatial_links.llm.encode import BLOCK_BYTES, encoder
+from spatial_links.llm.encode import BLOCK_BYTES, CACHE_ENTRIES, encoder
 from spatial_links.llm.textops import blocks
 
 ROUNDS, STEP = 40, 0.5
 
 
-def _pieces(path: str, end_id: int, capacity: int):
+def _pieces(path: str, end_id: int, capacity: int, entries: int, block_bytes: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc = encoder(path, end_id)
-        for rows, raw, off in blocks(batches, size=BLOCK_BYTES):
+        enc = encoder(path, end_id, entries)
+        for rows, raw, off in blocks(batches, size=block_bytes):
             ids, ends = enc.block(raw, off)
             view, out = memoryview(ids.astype("<u4", copy=False)).cast("B"), []
             for i, a, b in zip(rows.column(0).to_pylist(), ends[:-1].tolist(), ends[1:].tolist(), strict=True):
@@ -177,11 +177,14 @@ def _place(shared):
     return run
 
 
-def pack(docs: DataFrame, vocabulary: str, end_id: int = 0, capacity: int = 2048) -> DataFrame:
-    """(doc_id, piece, start, length, ids_crc32, sequence_id, offset) for every piece of docs(doc_id, text)."""
+def pack(docs: DataFrame, vocabulary: str, end_id: int = 0, capacity: int = 2048, entries: int = CACHE_ENTRIES, block_bytes: int = BLOCK_BYTES) -> DataFrame:
+    """(doc_id, piece, start, length, ids_crc32, sequence_id, offset) for every piece of docs(doc_id, text).
+
+    entries, block_bytes: pieces of text that a worker remembers and bytes it encodes together, its memory against its time.
+    """
     spark = docs.sparkSession
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    pieces = docs.mapInArrow(_pieces(vocabulary, end_id, capacity), "doc_id long, piece int, start long, length long, ids_crc32 long")
+    pieces = docs.mapInArrow(_pieces(vocabulary, end_id, capacity, entries, block_bytes), "doc_id long, piece int, start long, length long, ids_crc32 long")
     width = max(4, partitions(spark))
     pieces = materialise(pieces.withColumn("bucket", F.pmod(F.xxhash64("doc_id", "piece"), F.lit(width)).cast("int")), "pieces")
     # Ranks within a length: rows of one length, however many, are dealt over `width` buckets, each with its offset.
