@@ -3,7 +3,7 @@
 A text becomes words in which numbers, units after numbers and names inside sentences are typed placeholders that
 keep their value beside them; case and punctuation go. Windows of `window` canonical words of the benchmark are
 hash-joined with every `stride`-th window of the documents: any common run of window + stride - 1 words holds such a
-window, so none of them is missed. For each pair and alignment found, the run of equal canonical words is measured
+window, so none of them is missed. Items of which a shorter run suffices are joined with every window instead. For each pair and alignment found, the run of equal canonical words is measured
 and the slots in it are compared: each benchmark value must stand for one value in the document (a re-parameterised
 question renames consistently). A document leaks an item if such a run has `min_run` words, or the whole item if that is
 shorter, and at least half as many of its words are not placeholders.
@@ -66,15 +66,19 @@ def leaks(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, stride: i
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("text")).withColumn("text_key", F.xxhash64("text"))
     items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), canonical(text).alias("item")).where("size(item) > 0")
     items = materialise(items.select("*", _types(F.col("item")).alias("item_types")), "items")
-    sizes = sorted(r[0] for r in items.select(F.least(F.size("item"), F.lit(window)).alias("n")).distinct().collect())
+    # A run of `least` words holds a window that starts at a multiple of the step if least >= n + step - 1.
+    least = F.least(F.size("item"), F.lit(min_run))
+    n_words = F.least(least, F.lit(window))
+    items = items.withColumn("n", n_words).withColumn("step", F.when(least >= n_words + stride - 1, stride).otherwise(1))
+    sizes = sorted((r.n, r.step) for r in items.select("n", "step").distinct().collect())
     types = docs.select("doc_id", "text_key", _types(canonical(F.col("text"))).alias("types"))
     found = None
-    for n in sizes:
-        theirs = items.where(F.least(F.size("item"), F.lit(window)) == n)
+    for n, step in sizes:
+        theirs = items.where((F.col("n") == n) & (F.col("step") == step))
         theirs = theirs.select("item_id", F.explode(_windows(F.col("item_types"), n, 1)).alias("w")).select("item_id", F.col("w.at").alias("item_at"), F.col("w.key").alias("key"))
         if theirs.count() <= BROADCAST_WINDOWS:
             theirs = F.broadcast(theirs)
-        ours = types.select("doc_id", "text_key", F.explode(_windows(F.col("types"), n, stride if n == window else 1)).alias("w"))
+        ours = types.select("doc_id", "text_key", F.explode(_windows(F.col("types"), n, step)).alias("w"))
         ours = ours.select("doc_id", "text_key", F.col("w.at").alias("at"), F.col("w.key").alias("key"))
         part = ours.join(theirs, "key").select("doc_id", "text_key", "item_id", (F.col("at") - F.col("item_at")).alias("shift"))
         found = part if found is None else found.unionByName(part)

@@ -262,6 +262,14 @@ def test_decontamination(spark, rows, docs, empty):
     assert decontaminate.leaks(docs, bench).count() == 0
 
 
+def test_leaks_of_short_items_at_any_place(spark):
+    words = "quick brown foxes jump over seven lazy dogs near old stone walls".split()
+    bench = spark.createDataFrame([(n, " ".join(f"{w}{'abcdefgh'[n - 5]}" for w in words[:n])) for n in range(5, 13)], "item_id long, text string")
+    texts = [(100 * r.item_id + k, "filler " * k + r.text + " filler" * 9, r.item_id) for r in bench.collect() for k in range(6)]
+    d = spark.createDataFrame([t[:2] for t in texts], "doc_id long, text string")
+    assert {(r.doc_id, r.item_id) for r in decontaminate.leaks(d, bench).collect()} == {(i, n) for i, _, n in texts}
+
+
 def test_planted_leaks(spark):
     docs = [(r.doc_id, WORDS.findall(r.text.lower())) for r in spark.read.parquet(f"{DATA}/documents.parquet").collect()]
     items = [WORDS.findall(r.text.lower()) for r in spark.read.parquet(f"{DATA}/benchmark.parquet").collect()]
