@@ -3,10 +3,11 @@
 A text becomes words in which numbers, units after numbers and names inside sentences are typed placeholders that
 keep their value beside them; case and punctuation go. Windows of `window` canonical words of the benchmark are
 hash-joined with every `stride`-th window of the documents: any common run of window + stride - 1 words holds such a
-window, so none of them is missed. Items of which a shorter run suffices are joined with every window instead. For each pair and alignment found, the run of equal canonical words is measured
-and the slots in it are compared: each benchmark value must stand for one value in the document (a re-parameterised
-question renames consistently). A document leaks an item if such a run has `min_run` words, or the whole item if that is
-shorter, and at least half as many of its words are not placeholders.
+window, so none of them is missed. Items of which a shorter run suffices are joined with every window instead. For each pair and alignment found, every run of
+equal canonical words of `min_run` words (or the whole item if that is shorter) is judged. Each benchmark value must stand
+for one value in the document (a re-parameterised question renames consistently): a run is cut at the slots of values that
+stand for several in it. A document leaks an item if a part has that many words, at least half as many not placeholders,
+or if that many words are equal with their values, whatever stands around them.
 
 The benchmark's windows are broadcast only below a checked count, else shuffled. Only DataFrame functions are used.
 Null and empty texts and items match nothing. Rows equal in doc_id and text give one result; other columns are ignored.
@@ -44,24 +45,55 @@ def _windows(words: Column, size: int, stride: int) -> Column:
     return F.transform(at, lambda i: F.struct(i.alias("at"), F.xxhash64(F.slice(words, i + 1, size)).alias("key")))
 
 
-def _runs() -> Column:
-    """Struct of the longest run of equal types around an alignment: (size, end) in item words."""
-    flags = F.transform(
-        F.sequence(F.greatest(F.lit(0), -F.col("shift")), F.least(F.size("item") - 1, F.size("words") - 1 - F.col("shift"))),
-        lambda i: F.struct(i.alias("i"), (F.element_at("item_types", i + 1) == F.element_at("types", i + F.col("shift") + 1)).alias("same")),
-    )
-    zero = F.struct(F.lit(0).alias("now"), F.lit(0).alias("size"), F.lit(0).alias("end"))
-
-    def step(s: Column, f: Column) -> Column:
-        now = F.when(f["same"], s["now"] + 1).otherwise(0)
-        better = now > s["size"]
-        return F.struct(now.alias("now"), F.when(better, now).otherwise(s["size"]).alias("size"), F.when(better, f["i"] + 1).otherwise(s["end"]).alias("end"))
-
-    return F.aggregate(flags, zero, step)
+def _parts(start: Column, end: Column, breaks: Column) -> Column:
+    """The parts of [start, end) between positions `breaks` (ascending), as structs (from, to)."""
+    edges = F.concat(F.array(start - 1), breaks, F.array(end))
+    return F.zip_with(F.slice(edges, 1, F.size(edges) - 1), F.slice(edges, 2, F.size(edges) - 1), lambda x, y: F.struct((x + 1).alias("from"), y.alias("to")))
+
+
+def _long(parts: Column) -> Column:
+    return F.filter(parts, lambda r: r["to"] - r["from"] >= F.col("least"))
+
+
+def _pieces(pairs: DataFrame) -> DataFrame:
+    """Adds from, run_words, exact: parts of an alignment's runs of equal types that show a leak, of `least` words or more.
+
+    Shown by equal words, or by a part without a slot that the run contradicts and with enough plain words.
+    """
+    word, shift = F.col("item"), F.col("shift")
+    mine = lambda i: F.get("words", i + shift)
+    theirs = lambda i: F.get(word, i)
+    within = lambda r: F.sequence(r["from"], r["to"] - 1)
+    first, end = F.greatest(F.lit(0), -shift), F.least(F.size("item"), F.size("words") - shift)
+    unlike = F.filter(F.sequence(first, end - 1), lambda i: F.get("item_types", i) != F.get("types", i + shift))
+    keep = ["doc_id", "item_id", "shift", "item", "words", "least"]
+    runs = pairs.select(*keep, F.explode(_long(_parts(first, end, unlike))).alias("run"))
+    slots = F.array_distinct(F.transform(F.filter(within(F.col("run")), lambda i: theirs(i).startswith("#")), lambda i: F.struct(theirs(i).alias("b"), mine(i).alias("d"))))
+    runs = runs.withColumn("slots", F.transform(slots, lambda x: x["b"])).withColumn("names", F.array_distinct("slots"))
+    odd = F.when(F.size("slots") == F.size("names"), F.array().cast("array<string>")).otherwise(F.filter("names", lambda b: F.size(F.filter("slots", lambda x: x == b)) > 1))
+    runs = runs.withColumn("odd", odd)
+    cut = lambda breaks: _long(_parts(F.col("run.from"), F.col("run.to"), breaks))
+    equal = F.transform(cut(F.filter(within(F.col("run")), lambda i: theirs(i) != mine(i))), lambda r: F.struct(r["from"].alias("from"), r["to"].alias("to"), F.lit(True).alias("exact")))
+    alike = F.transform(cut(F.filter(within(F.col("run")), lambda i: F.array_contains("odd", theirs(i)))), lambda r: F.struct(r["from"].alias("from"), r["to"].alias("to"), F.lit(False).alias("exact")))
+    parts = runs.select(*keep, F.explode(F.concat(equal, alike)).alias("part"))
+    plain = F.size(F.filter(F.slice("item", F.col("part.from") + 1, F.col("part.to") - F.col("part.from")), lambda w: ~w.startswith("#")))
+    parts = parts.withColumn("enough", F.col("part.exact") | (2 * plain >= F.col("part.to") - F.col("part.from")))
+    # Of a part with too few plain words, the longest one inside it that has enough: level(i) is plain words less others before i.
+    ahead = F.transform(F.sequence(F.col("part.from"), F.col("part.to") - 1), lambda i: F.when(theirs(i).startswith("#"), -1).otherwise(1))
+    level = F.aggregate(ahead, F.array(F.lit(0)), lambda a, x: F.concat(a, F.array(F.element_at(a, -1) + x)))
+    parts = parts.withColumn("level", F.when(~F.col("enough"), level))
+    n = F.col("part.to") - F.col("part.from")
+    ends = lambda i: F.array_max(F.filter(F.sequence(i + F.col("least"), n), lambda j: F.get("level", j) >= F.get("level", i)))
+    inner = F.array_max(F.transform(F.sequence(F.lit(0), n - F.col("least")), lambda i: F.struct((ends(i) - i).alias("size"), (-i).alias("at"))))
+    parts = parts.withColumn("inner", F.when(~F.col("enough"), inner))
+    parts = parts.withColumn("from", F.when(F.col("enough"), F.col("part.from")).otherwise(F.col("part.from") - F.col("inner.at")))
+    parts = parts.withColumn("run_words", F.when(F.col("enough"), n).otherwise(F.col("inner.size"))).where("run_words is not null")
+    same = F.slice("item", F.col("from") + 1, F.col("run_words")) == F.slice("words", F.col("from") + shift + 1, F.col("run_words"))
+    return parts.select("doc_id", "item_id", "shift", "from", "run_words", same.alias("exact"))
 
 
 def leaks(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, stride: int = STRIDE, min_run: int = MIN_RUN) -> DataFrame:
-    """(doc_id, item_id, doc_word, item_word, run_words, exact): the longest run for each document and item that leaks."""
+    """(doc_id, item_id, doc_word, item_word, run_words, exact): the longest such part for each document and item that leaks."""
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("text")).withColumn("text_key", F.xxhash64("text"))
     items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), canonical(text).alias("item")).where("size(item) > 0")
@@ -90,14 +122,7 @@ def leaks(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, stride: i
     near = near.select("doc_id", "text_key", canonical(F.col("text")).alias("words")).select("*", _types(F.col("words")).alias("types"))
     pairs = found.join(near, ["doc_id", "text_key"])
     pairs = pairs.join(F.broadcast(items) if items.count() <= BROADCAST_WINDOWS // 100 else items, "item_id")
-    pairs = pairs.withColumn("run", _runs()).withColumn("from", F.expr("run.end - run.size"))
-    pairs = pairs.where(F.col("run.size") >= F.least(F.lit(min_run), F.size("item")))
-    mine = F.slice("words", F.col("from") + F.col("shift") + 1, F.col("run.size"))
-    theirs = F.slice("item", F.col("from") + 1, F.col("run.size"))
-    slots = F.array_distinct(F.filter(F.arrays_zip(theirs.alias("b"), mine.alias("d")), lambda x: x["b"].startswith("#")))
-    pairs = pairs.select("doc_id", "item_id", "shift", "from", F.col("run.size").alias("run_words"), slots.alias("slots"), (theirs == mine).alias("exact"), F.size(F.filter(theirs, lambda w: ~w.startswith("#"))).alias("plain"))
-    one_each = F.size("slots") == F.size(F.array_distinct(F.transform("slots", lambda x: x["b"])))
-    pairs = pairs.where(one_each & (2 * F.col("plain") >= F.col("run_words")))
+    pairs = _pieces(pairs.withColumn("least", F.least(F.lit(min_run), F.size("item"))))
     best = F.max(F.struct("run_words", "exact", (-F.col("from")).alias("f"), "shift")).alias("best")
     out = pairs.groupBy("doc_id", "item_id").agg(best)
     return out.select("doc_id", "item_id", (F.col("best.shift") - F.col("best.f")).cast("int").alias("doc_word"), (-F.col("best.f")).cast("int").alias("item_word"), F.col("best.run_words").cast("int").alias("run_words"), F.col("best.exact").alias("exact"))

@@ -270,6 +270,22 @@ def test_leaks_of_short_items_at_any_place(spark):
     assert {(r.doc_id, r.item_id) for r in decontaminate.leaks(d, bench).collect()} == {(i, n) for i, _, n in texts}
 
 
+def test_leaks_in_parts_of_runs(spark):
+    one = "the 5 red boxes stand in a long row by the wall and each of them holds as many old coins as there are boxes so 5 coins a box"
+    numbers = "1 22 333 44 55 666 77 88 99 100 and 110 120 130 140 150"
+    tail = "of these the first two are what we want to add up and the rest is left out by all of them"
+    bench = spark.createDataFrame([(1, one), (2, numbers), (3, numbers.replace("0", "7") + " " + tail)], "item_id long, text string")
+    texts = {
+        100: one.replace("so 5", "so 6"), 101: numbers, 102: numbers.replace("1", "2"),
+        103: numbers.replace("1", "3") + " " + tail, 104: "a 7 b " + one.replace("5", "8"), 105: one.replace("the 5", "the 7").replace("so 5", "so 6"),
+    }
+    d = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    got = {(r.doc_id, r.item_id): r for r in decontaminate.leaks(d, bench).collect()}
+    assert set(got) == {(100, 1), (101, 2), (103, 3), (104, 1), (105, 1)}
+    assert got[100, 1].exact and got[101, 2].exact and got[101, 2].run_words == 16
+    assert not got[103, 3].exact and got[103, 3].run_words > len(tail.split()) and not got[104, 1].exact and got[105, 1].exact
+
+
 def test_planted_leaks(spark):
     docs = [(r.doc_id, WORDS.findall(r.text.lower())) for r in spark.read.parquet(f"{DATA}/documents.parquet").collect()]
     items = [WORDS.findall(r.text.lower()) for r in spark.read.parquet(f"{DATA}/benchmark.parquet").collect()]
