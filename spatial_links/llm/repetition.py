@@ -5,8 +5,8 @@ For a block of whole documents one suffix array is built at a time by prefix dou
 longest common prefixes of neighbours come from the kept ranks of each doubling. A suffix's largest neighbour value
 is the longest repeat that starts there (its deepest longest-common-prefix interval), and the union of these spans is
 the union of all occurrences of maximal repeated substrings. A document is rejected if repeats of `min_words` words or
-more cover over `max_covered` of its words, or the longest repeat has over `max_longest` words and over `max_share` of
-the document.
+more cover over `max_covered` of its words, or the longest repeat has over `max_longest` words, however long the
+document (a share of it would add nothing: two copies of over half of `max_covered` are too much covered already).
 
 Nulls and empty texts have no words and fail the base rules. A document's rows depend on its text alone, so ties and
 repeated rows are alike; a very long text makes a block of its own. One pass, no shuffle.
@@ -23,7 +23,7 @@ from pyspark.sql import functions as F
 
 from spatial_links.llm import textops as T
 
-MIN_WORDS, MAX_COVERED, MAX_LONGEST, MAX_SHARE = 8, 0.3, 100, 0.15
+MIN_WORDS, MAX_COVERED, MAX_LONGEST = 8, 0.3, 100
 MIN_TEXT_WORDS, MAX_REPEAT_PERCENT = 50, 50
 _U = np.uint64
 _SYMBOL = np.zeros(256, bool)
@@ -139,26 +139,26 @@ def _measure(min_words: int):
     return run
 
 
-def _good(column: str, min_words: int, max_covered: float, max_longest: int, max_share: float):
+def _good(column: str, min_words: int, max_covered: float, max_longest: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for rows, raw, off in T.blocks(batches, column):
             n, _, _, _, repeat, longest, covered = measures(raw, off, min_words)
             bad = (n < MIN_TEXT_WORDS) | (100 * repeat > MAX_REPEAT_PERCENT * n)
-            bad |= (covered > max_covered * n) | ((longest > max_longest) & (longest > max_share * n))
+            bad |= (covered > max_covered * n) | (longest > max_longest)
             yield rows.filter(pa.array(~bad))
 
     return run
 
 
-def keep_good(docs: DataFrame, min_words: int = MIN_WORDS, max_covered: float = MAX_COVERED, max_longest: int = MAX_LONGEST, max_share: float = MAX_SHARE) -> DataFrame:
+def keep_good(docs: DataFrame, min_words: int = MIN_WORDS, max_covered: float = MAX_COVERED, max_longest: int = MAX_LONGEST) -> DataFrame:
     """The rows of docs, with all columns, that `quality_rules` keeps; decided where they are read, without a join."""
-    return docs.mapInArrow(_good("text", min_words, max_covered, max_longest, max_share), docs.schema)
+    return docs.mapInArrow(_good("text", min_words, max_covered, max_longest), docs.schema)
 
 
-def quality_rules(docs: DataFrame, min_words: int = MIN_WORDS, max_covered: float = MAX_COVERED, max_longest: int = MAX_LONGEST, max_share: float = MAX_SHARE) -> DataFrame:
+def quality_rules(docs: DataFrame, min_words: int = MIN_WORDS, max_covered: float = MAX_COVERED, max_longest: int = MAX_LONGEST) -> DataFrame:
     """SCHEMA with base_failed and kept for every row of docs(doc_id, text); other columns are ignored."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     out = docs.mapInArrow(_measure(min_words), SCHEMA)
     failed = (F.col("n_words") < MIN_TEXT_WORDS) | (100 * F.col("n_repeat_words") > MAX_REPEAT_PERCENT * F.col("n_words"))
-    over = (F.col("covered_words") > max_covered * F.col("n_words")) | ((F.col("longest_repeat") > max_longest) & (F.col("longest_repeat") > max_share * F.col("n_words")))
+    over = (F.col("covered_words") > max_covered * F.col("n_words")) | (F.col("longest_repeat") > max_longest)
     return out.withColumn("base_failed", failed).withColumn("kept", ~failed & ~over)

@@ -215,6 +215,17 @@ def test_quality_rules(docs, rows, empty):
     assert repetition.quality_rules(empty).count() == 0
 
 
+def test_longest_repeat_decides_by_itself(spark):
+    word = (f"w{k}" for k in itertools.count()).__next__
+    words = lambda n: [word() for _ in range(n)]
+    long, short, edge = words(2900), words(90), words(100)
+    texts = {1: words(7000) + long + words(7200) + long, 2: words(900) + short + words(900) + short, 3: words(3000), 4: words(5000) + long[:101] + words(5000) + long[:101], 5: words(500) + edge + words(500) + edge}
+    d = spark.createDataFrame([(i, " ".join(w)) for i, w in texts.items()], "doc_id long, text string")
+    got = {r.doc_id: r for r in repetition.quality_rules(d).collect()}
+    assert got[1].longest_repeat == 2900 and got[1].covered_words == 5800 < repetition.MAX_COVERED * got[1].n_words
+    assert {i for i, r in got.items() if r.kept} == {2, 3, 5} == {r.doc_id for r in repetition.keep_good(d).collect()}
+
+
 def test_shards(docs, rows, empty):
     for n in (1, 3, 7):
         got = kd_shards.shard(docs, n).collect()
