@@ -1,7 +1,7 @@
 """Secret scans: candidate strings, then a random forest that removes false positives.
 
-Candidates are strings of at least `MIN_LENGTH` key characters with a digit or of mixed case, values assigned to a
-credential word, and private-key headers. The forest looks at length, character transitions, dictionary
+Candidates are strings of at least `MIN_LENGTH` key characters with a digit, of mixed case or after a known prefix of
+keys, values assigned to a credential word (in any case, quoted or not), and private-key headers. The forest looks at length, character transitions, dictionary
 coverage, the document's source path and the neighbouring words. It is fitted on labelled findings that
 `labelled_findings` writes out of public key shapes and of the look-alikes that scanners trip over; their number is a
 parameter. Fitting and scoring use DataFrame functions and spark.ml only. Scanning is one pass without a shuffle.
@@ -25,11 +25,14 @@ from spatial_links.llm.common import by_ids, materialise
 MIN_LENGTH, NEAR, TRAINING_ROWS, TREES, DEPTH, THRESHOLD, SEED = 16, 40, 4000, 24, 7, 0.5, 5
 _KEY = "A-Za-z0-9+/_-"
 _CREDENTIAL = "password|passwd|secret|token|apikey|api_key"
-#: One candidate: a key-like string, a value assigned to a credential word, or a private key's header.
+#: How keys of well-known services begin.
+_PREFIX = "AKIA|ASIA|gh[oprsu]_|github_pat_|glpat-|sk-|[rs]k_live_|xox[abprs]-|AIza"
+#: One candidate: a key-like string, a string after a known prefix, a value assigned to a credential word, or a private key's header.
 CANDIDATE = (
     rf"(?<![{_KEY}])(?=[A-Za-z+/_-]*+[0-9])[{_KEY}]{{{MIN_LENGTH},}}+={{0,2}}"
     rf"|(?<![{_KEY}])(?=[a-z]*+[A-Z]++[a-z]++[A-Z])[A-Za-z+/_-]{{20,}}+={{0,2}}"
-    rf"|(?<=(?:{_CREDENTIAL}) {{0,2}}[:=] {{0,2}}[\"']?)[^\s\"']{{8,}}"
+    rf"|(?<![{_KEY}])(?:{_PREFIX})[{_KEY}]{{{MIN_LENGTH},}}+={{0,2}}"
+    rf"|(?<=[:= \"'])(?<=(?i:{_CREDENTIAL})[\"']? {{0,2}}[:=] {{0,2}}[\"']?)[^\s\"']{{8,}}"
     r"|-----BEGIN [A-Z ]{0,20}PRIVATE KEY-----"
 )
 #: Words that stand in made-up keys and in identifiers, not in secrets.
@@ -53,7 +56,7 @@ def features(df: DataFrame) -> DataFrame:
         "lower_share": _share(t, "[^a-z]"),
         "hex": t.rlike("^[0-9a-f]+$|^[0-9A-F]+$"),
         "transitions": F.length(kinds) / F.length(t),
-        "distinct_share": F.size(F.array_distinct(F.split(F.substring(t, 1, 64), ""))) / F.least(F.length(t), F.lit(64)),
+        "distinct_share": F.size(F.array_distinct(F.split(t, ""))) / F.length(t),
         "longest_letters": letters,
         "vowel_share": _share(low, "[^aeiou]"),
         "dictionary_share": 1 - F.length(F.regexp_replace(low, "|".join(DICTIONARY), "")) / F.length(t),
@@ -76,6 +79,7 @@ def labelled_findings(spark: SparkSession, rows: int = TRAINING_ROWS) -> DataFra
     word = lambda salt: pick(salt, "the", "stone", "river", "letter", "garden", "window", "market", "season", "number", "travel", "erent", "thion", "inther", "andle", "schung", "ement")
     glued = lambda salt, k: F.concat(*(word(f"{salt}{i}") for i in range(k)))
     near = pick("near", "token = \"", "api_key: ", "secret=", "password = '", "Authorization: Bearer ", "access_key = \"", "key: \"")
+    given = pick("given", "PASSWORD=", "DB_SECRET=", "Password: ", '"password": "', '"token": "', "password = '", "secret=", '"api_key": "', "API_KEY = ")
     plain = pick("plain", "see the ", "in that ", "", "- ", "und der ", "of the ", "(", "les ")
     harmless = pick("harmless", "commit ", "sha256:", "md5 ", "checksum = ", "uuid: ", "image src=\"", "version ")
     close = lambda b: F.when(b.endswith('"'), '"').when(b.endswith("'"), "'").otherwise(" and")
@@ -83,12 +87,14 @@ def labelled_findings(spark: SparkSession, rows: int = TRAINING_ROWS) -> DataFra
         (near, hex_("a", 40)), (near, hex_("b", 32)), (near, b64("c", 40)), (plain, F.concat(F.lit("AKIA"), F.upper(hex_("d", 16)))),
         (near, F.concat(F.lit("ghp_"), F.regexp_replace(b64("e", 36), "[+/=]", "x"))), (near, F.concat(F.lit("sk-"), F.regexp_replace(b64("f", 40), "[+/=]", "T"))),
         (near, hex_("g", 64)), (plain, F.lit("-----BEGIN RSA PRIVATE KEY-----")), (near, F.regexp_replace(b64("h", 20), "[+/=]", "9")), (plain, b64("i", 44)),
+        (plain, F.concat(F.lit("AKIA"), F.translate(F.upper(hex_("q", 16)), "0123456789", "GHIJKLMNOP"))), (given, F.regexp_replace(b64("t", 12), "[+/=]", "7")),
+        (given, F.concat(word("r"), F.pmod(F.xxhash64(n), F.lit(1000)), hex_("s", 4))), (given, F.concat(word("w"), F.pmod(F.xxhash64(n), F.lit(10)), F.translate(hex_("x", 4), "0123456789", "ghijklmnop"))), (given, F.concat(word("y"), word("z"), F.pmod(F.xxhash64(n), F.lit(100)))),
     ]
     bad = [
         (plain, F.concat_ws("-", word("a"), word("b"), word("c"), F.pmod(n, F.lit(100)))), (harmless, hex_("j", 40)), (harmless, hex_("k", 64)), (plain, F.concat(glued("d", 4), F.pmod(n, F.lit(1000)))),
         (near, F.lit("EXAMPLEKEY0123456789abcd")), (near, F.concat(F.lit("your_"), word("e"), F.lit("_token_here_1234"))), (plain, F.format_string("%016d", F.pmod(F.xxhash64(n), F.lit(10**16)))), (harmless, F.concat_ws("-", hex_("l", 8), hex_("m", 4), hex_("n", 4), hex_("o", 12))),
         (plain, F.concat(F.lit("chapter/"), word("f"), F.lit("/page-"), n)), (plain, F.concat(F.initcap(word("g")), F.initcap(word("h")), F.initcap(word("i")), F.initcap(word("j")))), (plain, F.concat(F.initcap(word("p")), F.lit("Is"), F.initcap(word("q")), F.lit("Of"), F.initcap(word("r")))), (plain, F.concat(F.lit("This"), F.initcap(word("s")), F.lit("A"), F.initcap(word("t")), F.lit("s"))), (plain, F.concat(glued("k", 3), F.lit("!!!"))), (near, F.concat(F.lit("xxxxxxxxxxxxxxxx"), F.pmod(n, F.lit(10)))),
-        (pick("rule", "token: ", "password: ", "secret = "), glued("l", 3)),
+        (pick("rule", "token: ", "password: ", "secret = "), glued("l", 3)), (given, F.concat(word("u"), word("v"))),
     ]
     path = pick("path", "src1", "src7", "docs/readme", "tests/fixture", "src19")
 
