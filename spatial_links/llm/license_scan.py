@@ -2,7 +2,8 @@
 
 A block is a line, or a run of `BLOCK_WORDS` words of a longer line (runs overlap by half, so whatever stands in half
 a block's words is whole in some block). A block meets a template if it holds at least `percent` of the template's
-distinct words; of the templates that it meets, those it holds most of label it. The join orders words by their frequency in the whole corpus, rarest first: a block that
+distinct words. All templates that it meets label it, but one of which it holds only words that another label's
+template has too (gpl-2 by a text of gpl-3): without a word that tells it from its rival it is named only if whole. The join orders words by their frequency in the whole corpus, rarest first: a block that
 meets the threshold must share one of a template's first |T| - need + 1 words (prefix filter), must have `need` words
 of the templates at all (length filter), and the words left after the first common one must suffice (positional
 filter). What passes is compared in full, so the result is exact. Only DataFrame functions are used.
@@ -107,15 +108,17 @@ def blocks(docs: DataFrame, likely: str) -> DataFrame:
 
 
 def template_matches(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
-    """doc_id, text_key, label, containment: every pair of a block and a template at the threshold, best per label."""
+    """doc_id, text_key, label, containment: every pair of a block and a template at the threshold that no rival explains, best per label."""
     spark = docs.sparkSession
     count = frequencies(docs)
     order = {w: i for i, w in enumerate(sorted(count, key=lambda w: (count[w], w)))}
     rows = []
+    every = [(label, sorted(order[w] for w in words)) for label, words in template_words()]
     for number, (label, words) in enumerate(template_words()):
         ranks, need = sorted(order[w] for w in words), needed(len(words), percent)
-        rows += [(rank, at, number, label, ranks, need) for at, rank in enumerate(ranks[: len(ranks) - need + 1])]
-    prefixes = F.broadcast(small(spark, rows, "rank int, t_at int, template int, label string, t_ranks array<int>, need int"))
+        rivals = [r for other, r in every if other != label and len(set(r) & set(ranks)) >= need]
+        rows += [(rank, at, number, label, ranks, need, rivals) for at, rank in enumerate(ranks[: len(ranks) - need + 1])]
+    prefixes = F.broadcast(small(spark, rows, "rank int, t_at int, template int, label string, t_ranks array<int>, need int, rivals array<array<int>>"))
     word_of = {i: w for w, i in order.items()}
     likely = _any(sorted({word_of[r[0]] for r in rows}))
     rank = F.create_map(*(F.lit(x) for w, i in order.items() for x in (w, i)))
@@ -123,11 +126,10 @@ def template_matches(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     found = blocks(docs, likely).select("doc_id", "text_key", "number", "run", F.array_sort(F.transform(mine, lambda w: F.element_at(rank, w))).alias("ranks"))
     pairs = found.select("*", F.posexplode("ranks").alias("at", "rank")).join(prefixes, "rank")
     pairs = pairs.where("size(ranks) >= need and 1 + least(size(t_ranks) - t_at - 1, size(ranks) - at - 1) >= need")
-    pairs = pairs.select("doc_id", "text_key", "number", "run", "label", "need", F.size("t_ranks").alias("all"), F.size(F.array_intersect("ranks", "t_ranks")).alias("common"))
-    part = F.struct((F.col("common") / F.col("all")).alias("share"), F.col("label"))
-    per = pairs.where("common >= need").groupBy("doc_id", "text_key", "number", "run").agg(F.collect_set(part).alias("met"))
-    best = per.select("doc_id", "text_key", F.explode(F.filter("met", lambda m: m["share"] == F.array_max("met")["share"])).alias("m"))
-    return best.groupBy("doc_id", "text_key", F.col("m.label").alias("label")).agg(F.max("m.share").alias("containment"))
+    pairs = pairs.select("doc_id", "text_key", "number", "run", "label", "need", "rivals", F.size("t_ranks").alias("all"), F.array_intersect("ranks", "t_ranks").alias("held")).withColumn("common", F.size("held"))
+    told = (F.col("common") == F.col("all")) | ~F.exists("rivals", lambda r: F.size(F.array_except("held", r)) == 0)
+    met = pairs.where("common >= need").where(told)
+    return met.groupBy("doc_id", "text_key", "label").agg(F.max(F.col("common") / F.col("all")).alias("containment"))
 
 
 def scan(docs: DataFrame, percent: int = PERCENT) -> DataFrame:

@@ -256,6 +256,13 @@ def test_license_scan(spark, duck, docs, empty):
     assert license_scan.scan(empty).count() == 0
 
 
+def test_licenses_of_one_block(spark):
+    gpl = "This work is licensed under the GNU General Public License"
+    want = {"Licensed under the Apache License, Version 2.0, or the MIT License": "apache-2.0,mit", "Licensed under CC BY 4.0": "cc-by", "Licensed under CC BY-SA 4.0": "cc-by,cc-by-sa-4.0", gpl + ", version 3": "gpl,gpl-3.0", gpl: "gpl"}
+    d = spark.createDataFrame(list(enumerate(want)), "doc_id long, text string")
+    assert {r.doc_id: r.labels for r in license_scan.scan(d).collect()} == dict(enumerate(want.values()))
+
+
 def test_decontamination(spark, rows, docs, empty):
     bench = spark.createDataFrame([(1, "Anna buys 12 apples for 3.50 euros and gives 12 of those to her good friend in the old town today"), (2, "short one here"), (3, None), (4, "")], "item_id long, text string")
     filler = "some other words that stand around it "
