@@ -1,7 +1,7 @@
 """License scans: base phrases by place, and an exact set-similarity join of text blocks with license templates.
 
-A block is a line, or a run of `BLOCK_WORDS` words of a longer line (runs overlap by half, so whatever stands in half
-a block's words is whole in some block). A block meets a template if it holds at least `percent` of the template's
+A block is a line or the whole text, or a run of `BLOCK_WORDS` words of a longer one (runs overlap by half, so whatever
+stands in half a block's words is whole in some block, across line breaks too). A block meets a template if it holds at least `percent` of the template's
 distinct words. All templates that it meets label it, but one of which it holds only words that another label's
 template has too (gpl-2 by a text of gpl-3): without a word that tells it from its rival it is named only if whole. The join orders words by their frequency in the whole corpus, rarest first: a block that
 meets the threshold must share one of a template's first |T| - need + 1 words (prefix filter), must have `need` words
@@ -9,7 +9,7 @@ of the templates at all (length filter), and the words left after the first comm
 filter). What passes is compared in full, so the result is exact. Only DataFrame functions are used.
 
 Templates are a fixed list, so what is broadcast does not grow. Null and empty texts give no words, no labels and
-score 0. Rows equal in doc_id and text get equal results; a very long line is cut into blocks. Other columns are ignored.
+score 0. Rows equal in doc_id and text get equal results; a very long text is cut into blocks. Other columns are ignored.
 """
 
 from __future__ import annotations
@@ -100,8 +100,9 @@ def base_places(docs: DataFrame) -> DataFrame:
 
 
 def blocks(docs: DataFrame, likely: str) -> DataFrame:
-    """doc_id, text_key, number of the line, run in the line, words: every block of a line that matches `likely`."""
-    lines = docs.where(F.col("text").rlike(likely)).select("doc_id", "text_key", F.posexplode(F.split("text", "\n")).alias("number", "line")).where(F.col("line").rlike(likely))
+    """doc_id, text_key, number of the line (0: the whole text), run in it, words: every block of a line that matches `likely`."""
+    parts = F.when(F.contains("text", F.lit("\n")), F.concat(F.array("text"), F.split("text", "\n"))).otherwise(F.array("text"))
+    lines = docs.where(F.col("text").rlike(likely)).select("doc_id", "text_key", F.posexplode(parts).alias("number", "line")).where(F.col("line").rlike(likely))
     w = lines.select("doc_id", "text_key", "number", _words(_lower(F.col("line"))).alias("w"))
     starts = F.when(F.size("w") <= BLOCK_WORDS, F.array(F.lit(0))).otherwise(F.sequence(F.lit(0), F.size("w") - 1, F.lit(BLOCK_WORDS // 2)))
     return w.select("doc_id", "text_key", "number", F.posexplode(F.transform(starts, lambda i: F.slice("w", i + 1, BLOCK_WORDS))).alias("run", "words"))

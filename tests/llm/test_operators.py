@@ -263,6 +263,14 @@ def test_licenses_of_one_block(spark):
     assert {r.doc_id: r.labels for r in license_scan.scan(d).collect()} == dict(enumerate(want.values()))
 
 
+def test_licenses_across_line_breaks(spark):
+    import textwrap
+
+    texts = [(i, label, textwrap.fill("some words before it " * k + text, width)) for i, (k, width, (label, text)) in enumerate(itertools.product((0, 30), (40, 72), license_scan.TEMPLATES)) if label in ("mit", "bsd", "mpl-2.0")]
+    d = spark.createDataFrame([(i, t) for i, _, t in texts], "doc_id long, text string")
+    assert {r.doc_id: r.labels for r in license_scan.scan(d).collect()} == {i: label for i, label, _ in texts}
+
+
 def test_decontamination(spark, rows, docs, empty):
     bench = spark.createDataFrame([(1, "Anna buys 12 apples for 3.50 euros and gives 12 of those to her good friend in the old town today"), (2, "short one here"), (3, None), (4, "")], "item_id long, text string")
     filler = "some other words that stand around it "
