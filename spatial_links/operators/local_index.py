@@ -40,37 +40,67 @@ def _joined(parts: list[Pairs]) -> Pairs:
     return np.concatenate([p[0] for p in parts]).astype(np.int64), np.concatenate([p[1] for p in parts]).astype(np.int64)
 
 
+#: Index pairs that a sweep or grid holds at once before the exact test.
+CHUNK = 2_000_000
+
+
+def chunked(lo: np.ndarray, hi: np.ndarray, chunk: int = CHUNK):
+    """`ranges` in runs of rows of about `chunk` index pairs, so that what is held does not grow with the overlaps."""
+    total = np.cumsum(np.maximum(hi - lo, 0))
+    at = 0
+    while at < len(lo):
+        to = max(at + 1, int(np.searchsorted(total, (total[at - 1] if at else 0) + chunk, "right")))
+        row, k = ranges(lo[at:to], hi[at:to])
+        yield row + at, k
+        at = to
+
+
 def sweep_list(s: np.ndarray, t: np.ndarray) -> Pairs:
     """Plane sweep with one list per side: when the line stops at an xmin, the active boxes of the other side pair up."""
     so, to = np.argsort(s[:, 0], kind="stable"), np.argsort(t[:, 0], kind="stable")
     sx, tx = s[so, 0], t[to, 0]
     out = []
+
+    def keep(i, j):
+        ok = (s[i, 1] <= t[j, 3]) & (t[j, 1] <= s[i, 3])
+        out.append((i[ok], j[ok]))
+
     # Boxes that start while this one is active; ties count for the source's stop.
-    i, k = ranges(np.searchsorted(tx, sx, "left"), np.searchsorted(tx, s[so, 2], "right"))
-    out.append((so[i], to[k]))
-    j, k = ranges(np.searchsorted(sx, tx, "right"), np.searchsorted(sx, t[to, 2], "right"))
-    out.append((so[k], to[j]))
-    i, j = _joined(out)
-    ok = (s[i, 1] <= t[j, 3]) & (t[j, 1] <= s[i, 3])
-    return i[ok], j[ok]
+    for i, k in chunked(np.searchsorted(tx, sx, "left"), np.searchsorted(tx, s[so, 2], "right")):
+        keep(so[i], to[k])
+    for j, k in chunked(np.searchsorted(sx, tx, "right"), np.searchsorted(sx, t[to, 2], "right")):
+        keep(so[k], to[j])
+    return _joined(out)
 
 
 def sweep_stripes(s: np.ndarray, t: np.ndarray, width: float | None = None) -> Pairs:
-    """Plane sweep with one pair of lists per stripe of the y axis's complement: stripes of the mean source width in x."""
+    """Plane sweep with one pair of lists per stripe: stripes of the mean source height in y, swept along x in each.
+
+    A pair is kept in the stripe of the larger ymin.
+    """
     if not len(s) or not len(t):
         return _joined([])
-    width = width or float((s[:, 2] - s[:, 0]).mean()) or float((s[:, 3] - s[:, 1]).mean()) or 1.0
+    width = width or float((s[:, 3] - s[:, 1]).mean()) or float((s[:, 2] - s[:, 0]).mean()) or 1.0
     cell = lambda v: np.floor(v / width).astype(np.int64)
-    si, sk = ranges(cell(s[:, 0]), cell(s[:, 2]) + 1)
-    ti, tk = ranges(cell(t[:, 0]), cell(t[:, 2]) + 1)
-    so, to = np.lexsort((s[si, 0], sk)), np.lexsort((t[ti, 0], tk))
-    si, sk, ti, tk = si[so], sk[so], ti[to], tk[to]
-    i, k = ranges(np.searchsorted(tk, sk, "left"), np.searchsorted(tk, sk, "right"))
-    a, b = si[i], ti[k]
-    first = np.maximum(cell(s[a, 0]), cell(t[b, 0])) == sk[i]  # the stripe that holds the larger xmin
-    a, b = a[first], b[first]
-    ok = meet(s[a], t[b])
-    return a[ok], b[ok]
+    si, sk = ranges(cell(s[:, 1]), cell(s[:, 3]) + 1)
+    ti, tk = ranges(cell(t[:, 1]), cell(t[:, 3]) + 1)
+    # Stripes are laid end to end along x, so one sweep goes through all of them.
+    xs = np.unique(np.concatenate([s[:, 0], s[:, 2], t[:, 0], t[:, 2]]))
+    rank = lambda v, k: k * len(xs) + np.searchsorted(xs, v)
+    s1, s2, t1, t2 = rank(s[si, 0], sk), rank(s[si, 2], sk), rank(t[ti, 0], tk), rank(t[ti, 2], tk)
+    so, to = np.argsort(s1, kind="stable"), np.argsort(t1, kind="stable")
+    out = []
+
+    def keep(a, b):
+        i, j = si[a], ti[b]
+        ok = (s[i, 1] <= t[j, 3]) & (t[j, 1] <= s[i, 3]) & (np.maximum(cell(s[i, 1]), cell(t[j, 1])) == sk[a])
+        out.append((i[ok], j[ok]))
+
+    for i, k in chunked(np.searchsorted(t1[to], s1[so], "left"), np.searchsorted(t1[to], s2[so], "right")):
+        keep(so[i], to[k])
+    for j, k in chunked(np.searchsorted(s1[so], t1[to], "right"), np.searchsorted(s1[so], t2[to], "right")):
+        keep(so[k], to[j])
+    return _joined(out)
 
 
 class Tree:
@@ -319,29 +349,41 @@ def grid_index(s: np.ndarray, t: np.ndarray, w: float, h: float) -> Pairs:
     base, span = min(sy.min(), ty.min()), max(sy.max(), ty.max()) - min(sy.min(), ty.min()) + 1
     sk, tk = (sx - min(sx.min(), tx.min())) * span + sy - base, (tx - min(sx.min(), tx.min())) * span + ty - base
     so, to = np.argsort(sk, kind="stable"), np.argsort(tk, kind="stable")
-    i, k = ranges(np.searchsorted(tk[to], sk[so], "left"), np.searchsorted(tk[to], sk[so], "right"))
-    a, b, x, y = si[so][i], ti[to][k], sx[so][i], sy[so][i]
-    own = (np.floor(np.maximum(s[a, 0], t[b, 0]) / w) == x) & (np.floor(np.minimum(s[a, 3], t[b, 3]) / h) == y)
-    a, b = a[own], b[own]
-    ok = meet(s[a], t[b])
-    return a[ok], b[ok]
+    out = []
+    for i, k in chunked(np.searchsorted(tk[to], sk[so], "left"), np.searchsorted(tk[to], sk[so], "right")):
+        a, b, x, y = si[so][i], ti[to][k], sx[so][i], sy[so][i]
+        own = (np.floor(np.maximum(s[a, 0], t[b, 0]) / w) == x) & (np.floor(np.minimum(s[a, 3], t[b, 3]) / h) == y)
+        a, b = a[own], b[own]
+        ok = meet(s[a], t[b])
+        out.append((a[ok], b[ok]))
+    return _joined(out)
+
+
+#: Local joins by name, (source boxes, target boxes, node capacity, tile) -> pairs; `register_local_index` adds to them.
+LOCAL = {
+    "nested": lambda s, t, capacity, tile: nested(s, t),
+    "list": lambda s, t, capacity, tile: sweep_list(s, t),
+    "stripes": lambda s, t, capacity, tile: sweep_stripes(s, t),
+    "rtree": lambda s, t, capacity, tile: str_tree(s, capacity).query(t),
+    "rtree_inserted": lambda s, t, capacity, tile: r_tree(s, capacity).query(t),
+    "str": lambda s, t, capacity, tile: str_tree(s, capacity).query(t),
+    "crtree": lambda s, t, capacity, tile: cr_tree(s, capacity).query(t),
+    "quadtree": lambda s, t, capacity, tile: QuadTree(s, capacity).query(t),
+    "grid": lambda s, t, capacity, tile: grid_index(s, t, *tile),
+}
+
+
+def register_local_index(name: str, join) -> None:
+    """Adds a local join: any callable (source boxes, target boxes, capacity, tile) -> (i, j)."""
+    LOCAL[name] = join
+
+
+def local_of(kind: str):
+    """A local join by name; looked up where a join is planned, since tasks may not have what was registered there."""
+    if kind not in LOCAL:
+        raise ValueError(f"no local join {kind}; there are {sorted(LOCAL)}")
+    return LOCAL[kind]
 
 
 def local_join(kind: str, s: np.ndarray, t: np.ndarray, capacity: int = 16, tile: tuple[float, float] | None = None) -> Pairs:
-    if kind == "nested":
-        return nested(s, t)
-    if kind == "list":
-        return sweep_list(s, t)
-    if kind == "stripes":
-        return sweep_stripes(s, t)
-    if kind == "rtree":
-        return r_tree(s, capacity).query(t)
-    if kind == "str":
-        return str_tree(s, capacity).query(t)
-    if kind == "crtree":
-        return cr_tree(s, capacity).query(t)
-    if kind == "quadtree":
-        return QuadTree(s, capacity).query(t)
-    if kind == "grid":
-        return grid_index(s, t, *tile)
-    raise ValueError(kind)
+    return local_of(kind)(s, t, capacity, tile)

@@ -51,5 +51,42 @@ def qualifying_ratio(related: int, candidates: int) -> float:
     return related / candidates if candidates else 0.0
 
 
+def mean_gaps(evaluated: DataFrame) -> DataFrame:
+    """(method, recall_gap, ratio_gap): mean distances from the ideal over budgets, of rows (method, recall, ratio)."""
+    return evaluated.where("method <> 'ideal'").groupBy("method").agg(F.avg(1 - F.col("recall")).alias("recall_gap"), F.avg(1 - F.col("ratio")).alias("ratio_gap"))
+
+
+#: Bytes of a geometry's box and id, and of a point.
+HEAD_BYTES, POINT_BYTES = 48, 16
+
+
+def resident_bytes(source: DataFrame, target: DataFrame) -> DataFrame:
+    """(frugal, intensive): bytes of the smaller side, and of both."""
+    size = lambda d, c: d.agg((F.count(F.lit(1)) * HEAD_BYTES + F.coalesce(F.sum("npoints"), F.lit(0)) * POINT_BYTES).alias(c))
+    both = size(source, "a").crossJoin(size(target, "b"))  # one row each
+    return both.select(F.least("a", "b").alias("frugal"), (F.col("a") + F.col("b")).alias("intensive"))
+
+
+def index_bytes(source: DataFrame, capacity: int = 16) -> DataFrame:
+    """(tree, bytes, box_bytes) of each tree over the sources of every cell, summed; built in the tasks."""
+    import numpy as np
+    import pyarrow as pa
+
+    from spatial_links.operators import local_index as I
+    from spatial_links.operators import partitioned as P
+
+    sample = P.sampled(source, source.limit(0))
+    cells = P.make_cells("kdb", sample)
+
+    def run(table: pa.Table) -> pa.Table:
+        b = np.column_stack([table.column(c).to_numpy() for c in P.BOX]).reshape(-1, 4)
+        trees = {"str": I.str_tree(b, capacity), "crtree": I.cr_tree(b, capacity), "rtree": I.r_tree(b, capacity), "quadtree": I.QuadTree(b, capacity)}
+        boxes = [sum(x[0].nbytes for x in t.levels) if hasattr(t, "levels") else None for t in trees.values()]
+        return pa.table({"tree": list(trees), "bytes": pa.array([t.nbytes() for t in trees.values()], pa.int64()), "box_bytes": pa.array(boxes, pa.int64())})
+
+    each = P.dealt(source.select("gid", *P.BOX), cells).groupBy("pid").applyInArrow(run, "tree string, bytes long, box_bytes long")
+    return each.groupBy("tree").agg(F.sum("bytes").alias("bytes"), F.sum("box_bytes").alias("box_bytes"))
+
+
 def growth(first: float, last: float) -> float:
     return last / first if first else 0.0

@@ -1,7 +1,8 @@
 """Joins in three stages: disjoint cells from a sample, both sides dealt to the cells they meet, a local join per cell.
 
-Cells are half-open and cover the plane, so exactly one of them holds a pair's reference point and no shuffle is
-needed to remove repeats. Only the sample (bounded by rows) and the cells reach the driver.
+Cells cover the plane and exactly one of them owns a pair's reference point, so no shuffle is needed to remove repeats.
+Only the sample (bounded by rows) and the cells reach the driver. How many cells there are follows from the rows of both
+sides, and a cell that holds more than a task should is joined in blocks of both sides, so a task's rows are bounded.
 """
 
 from __future__ import annotations
@@ -11,24 +12,32 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from spatial_links.functions.geometry import BOX, prefixed
-from spatial_links.operators.local_index import local_join
+from spatial_links.functions.geometry import BOX, boxes_meet, prefixed
+from spatial_links.operators import grid
+from spatial_links.operators.grid import Stats
+from spatial_links.operators.local_index import local_of, r_tree, ranges, str_tree
 
 SAMPLE_ROWS, BUCKET = 100_000, -1
+#: Rows that a cell should hold, rows of one side that a task holds at most, and the fewest and most cells.
+CELL_ROWS, BLOCK_ROWS, LEAST_CELLS, MOST_CELLS = 50_000, 200_000, 64, 25_000
 BROADCAST_BYTES = 2 << 30
-INF = float("inf")
+INF, FAR = float("inf"), 1e300
 
 
 class SourceTooLarge(ValueError):
     """The source is over the limit of a broadcast join."""
 
 
+def _points_in(boxes: np.ndarray) -> np.ndarray:
+    return (boxes[:, :2] + boxes[:, 2:]) / 2
+
+
 @dataclass(frozen=True)
 class Cells:
-    """Half-open boxes; with `bucket`, what lies in no cell goes to one overflow partition."""
+    """Half-open boxes; with `bucket`, what lies in no cell goes to one overflow partition. Looked up by a packed tree."""
 
     boxes: np.ndarray
     bucket: bool = False
@@ -36,17 +45,22 @@ class Cells:
     def __len__(self) -> int:
         return len(self.boxes)
 
+    def met(self, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(row, cell) for each cell whose closure meets each closed box."""
+        if "tree" not in self.__dict__:
+            self.__dict__["tree"] = str_tree(np.clip(self.boxes, -FAR, FAR), 8)
+        k, i = self.__dict__["tree"].query(b)
+        return i, k
+
+    def __getstate__(self):
+        return {"boxes": self.boxes, "bucket": self.bucket}
+
     def of(self, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(row, cell) for each cell that each closed box meets."""
-        rows, cells = [], []
+        i, k = self.met(b)
         c = self.boxes
-        step = max(1, 2_000_000 // max(1, len(c)))
-        for at in range(0, len(b), step):
-            p = b[at : at + step, None, :]
-            i, k = np.nonzero((p[..., 0] < c[None, :, 2]) & (p[..., 2] >= c[None, :, 0]) & (p[..., 1] < c[None, :, 3]) & (p[..., 3] >= c[None, :, 1]))
-            rows.append(i + at)
-            cells.append(k)
-        i, k = (np.concatenate(x) if x else np.zeros(0, np.int64) for x in (rows, cells))
+        ok = (b[i, 0] < c[k, 2]) & (b[i, 1] < c[k, 3])
+        i, k = i[ok], k[ok]
         if self.bucket and len(b):
             lo, hi = c[:, :2].min(0), c[:, 2:].max(0)
             out = np.flatnonzero((b[:, 0] < lo[0]) | (b[:, 1] < lo[1]) | (b[:, 2] >= hi[0]) | (b[:, 3] >= hi[1]))
@@ -61,14 +75,91 @@ class Cells:
         return (x >= b[0]) & (x < b[2]) & (y >= b[1]) & (y < b[3])
 
 
-def sample_centres(source: DataFrame, target: DataFrame, rows: int = SAMPLE_ROWS, seed: int = 7) -> np.ndarray:
-    """Box centres of at most `rows` geometries of both sides together, by a hash of the id (the same rows each time)."""
+@dataclass(frozen=True)
+class LeafCells(Cells):
+    """Closed boxes that may overlap and leave gaps, as the leaves of an R-tree do.
+
+    The first cell that holds a reference point owns it, the bucket what none holds. Two boxes with the point in common
+    both meet that cell; if none holds it, neither box lies in one cell, and every such box is in the bucket too.
+    """
+
+    def of(self, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        i, k = self.met(b)
+        c = self.boxes[k]
+        inside = np.zeros(len(b), bool)
+        inside[i[(c[:, 0] <= b[i, 0]) & (c[:, 1] <= b[i, 1]) & (c[:, 2] >= b[i, 2]) & (c[:, 3] >= b[i, 3])]] = True
+        out = np.flatnonzero(~inside)
+        return np.concatenate([i, out]), np.concatenate([k, np.full(len(out), BUCKET)])
+
+    def owns(self, cell: int, x: np.ndarray, y: np.ndarray) -> np.ndarray:
+        i, k = self.met(np.column_stack([x, y, x, y]))
+        first = np.full(len(x), len(self.boxes))
+        np.minimum.at(first, i, k)
+        return first == (len(self.boxes) if cell == BUCKET else cell)
+
+
+@dataclass(frozen=True)
+class FixedCells(Cells):
+    """Equal columns and rows over an extent, the outer ones reaching on without end: cells by arithmetic."""
+
+    extent: tuple[float, float, float, float] = (0.0, 0.0, 1.0, 1.0)
+    shape: tuple[int, int] = (1, 1)
+
+    def __getstate__(self):
+        return {"boxes": self.boxes, "bucket": self.bucket, "extent": self.extent, "shape": self.shape}
+
+    def of(self, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        place = lambda v, axis: np.clip(np.searchsorted(self.edges(axis), v, "right") - 1, 0, self.shape[axis] - 1)
+        i, x = ranges(place(b[:, 0], 0), place(b[:, 2], 0) + 1)
+        k, y = ranges(place(b[i, 1], 1), place(b[i, 3], 1) + 1)
+        return i[k], x[k] * self.shape[1] + y
+
+    def edges(self, axis: int) -> np.ndarray:
+        return np.linspace(self.extent[axis], np.nextafter(self.extent[axis + 2], INF), self.shape[axis] + 1)
+
+
+@dataclass(frozen=True)
+class Sample:
+    """Stats of both sides, and the boxes of a hash sample of them with the rows that each stands for."""
+
+    source: Stats
+    target: Stats
+    boxes: np.ndarray
+    weight: float
+
+    @property
+    def rows(self) -> int:
+        return self.source.rows + self.target.rows
+
+    @property
+    def points(self) -> np.ndarray:
+        return _points_in(self.boxes)
+
+    def extent(self) -> tuple[float, float, float, float]:
+        return grid.joint(self.source, self.target).extent or (0.0, 0.0, 1.0, 1.0)
+
+    def cells(self, share: float | None = None) -> int:
+        """How many cells to aim at: by rows, or 1 / share."""
+        return max(LEAST_CELLS, min(MOST_CELLS, -(-self.rows // CELL_ROWS))) if share is None else max(1, round(1 / share))
+
+    def load(self, cells: Cells) -> dict[int, float]:
+        """Rows of both sides dealt to each cell, as the sample shows (exact if it holds all rows)."""
+        _, k = cells.of(self.boxes)
+        ids, n = np.unique(k, return_counts=True)
+        return dict(zip(ids.tolist(), (n * self.weight).tolist(), strict=True))
+
+
+def sampled(source: DataFrame, target: DataFrame, rows: int = SAMPLE_ROWS, seed: int = 7) -> Sample:
+    """Boxes of at most `rows` geometries of both sides together (the same each time): one aggregate, one collect."""
+    s, t = grid.stats(source, target)
     both = source.select("gid", *BOX).unionByName(target.select("gid", *BOX))
-    n = both.count()
+    n = s.rows + t.rows
     if n > rows:
-        both = both.where(F.pmod(F.xxhash64("gid", F.lit(seed)), F.lit(1_000_000)) < int(rows / n * 1_000_000) + 1)
-    got = both.select(F.expr("(xmin + xmax) / 2").alias("x"), F.expr("(ymin + ymax) / 2").alias("y")).orderBy("x", "y").limit(rows).toArrow()
-    return np.column_stack([got.column(k).to_numpy() for k in (0, 1)]).reshape(-1, 2)
+        both = both.where(F.pmod(F.xxhash64("gid", F.lit(seed)), F.lit(1_000_000_000)) < int(rows / n * 1_000_000_000) + 1)
+    got = both.select(*BOX).limit(2 * rows).toArrow()
+    boxes = np.column_stack([got.column(k).to_numpy() for k in range(4)]).reshape(-1, 4)
+    boxes = boxes[np.lexsort(boxes.T)]
+    return Sample(s, t, boxes, n / max(1, len(boxes)))
 
 
 def _extended(boxes: list, points: np.ndarray, overflow: str) -> Cells:
@@ -167,10 +258,22 @@ def str_cells(points: np.ndarray, capacity: int, overflow: str = "extend") -> Ce
     return _extended(out, points, overflow)
 
 
-def fixed_cells(extent: tuple[float, float, float, float], nx: int, ny: int) -> Cells:
+def fixed_cells(extent: tuple[float, float, float, float], nx: int, ny: int) -> FixedCells:
     xs = np.linspace(extent[0], np.nextafter(extent[2], INF), nx + 1)
     ys = np.linspace(extent[1], np.nextafter(extent[3], INF), ny + 1)
-    return _extended([(xs[i], ys[j], xs[i + 1], ys[j + 1]) for i in range(nx) for j in range(ny)], np.zeros((0, 2)), "extend")
+    c = _extended([(xs[i], ys[j], xs[i + 1], ys[j + 1]) for i in range(nx) for j in range(ny)], np.zeros((0, 2)), "extend")
+    return FixedCells(c.boxes, False, tuple(map(float, extent)), (nx, ny))
+
+
+def leaf_cells(boxes: np.ndarray, capacity: int, most: int = 10_000) -> LeafCells:
+    """The leaves of an R-tree that sample boxes were inserted into one by one."""
+    step = -(-len(boxes) // most)
+    b = boxes[::step] if step > 1 else boxes
+    if not len(b):
+        return LeafCells(np.array([(0.0, 0.0, 1.0, 1.0)]))
+    # Inserted in a scattered order: in a sorted one, splits would cut strips.
+    b = b[np.argsort((np.arange(len(b)) * 2654435761) % (1 << 32), kind="stable")]
+    return LeafCells(r_tree(b, max(2, capacity // max(1, step))).levels[-1][0])
 
 
 def strips(points: np.ndarray, n: int) -> Cells:
@@ -180,8 +283,25 @@ def strips(points: np.ndarray, n: int) -> Cells:
     return Cells(np.array([(a, -INF, b, INF) for a, b in zip(xs, xs[1:], strict=False)]))
 
 
-def make_cells(kind: str, points: np.ndarray, capacity: int, overflow: str = "extend") -> Cells:
-    return {"kdb": kdb_cells, "quadtree": quadtree_cells, "bsp": bsp_cells, "str": str_cells, "rtree": str_cells}[kind](points, capacity, overflow)
+#: Partitioners by name, (sample boxes, capacity in sample rows, overflow) -> Cells; `register_partitioner` adds to them.
+PARTITIONERS: dict[str, Callable[[np.ndarray, int, str], Cells]] = {
+    "kdb": lambda b, capacity, overflow: kdb_cells(_points_in(b), capacity, overflow),
+    "quadtree": lambda b, capacity, overflow: quadtree_cells(_points_in(b), capacity, overflow),
+    "bsp": lambda b, capacity, overflow: bsp_cells(_points_in(b), capacity, overflow),
+    "str": lambda b, capacity, overflow: str_cells(_points_in(b), capacity, overflow),
+    "rtree": lambda b, capacity, overflow: leaf_cells(b, capacity),
+}
+
+
+def register_partitioner(name: str, make: Callable[[np.ndarray, int, str], Cells]) -> None:
+    """Adds a partitioner: any callable (sample boxes, capacity, overflow) -> Cells."""
+    PARTITIONERS[name] = make
+
+
+def make_cells(kind: str, sample: Sample, share: float | None = None, overflow: str = "extend") -> Cells:
+    if kind not in PARTITIONERS:
+        raise ValueError(f"no partitioner {kind}; there are {sorted(PARTITIONERS)}")
+    return PARTITIONERS[kind](sample.boxes, max(1, len(sample.boxes) // sample.cells(share)), overflow)
 
 
 def dealt(df: DataFrame, cells: Cells) -> DataFrame:
@@ -198,65 +318,116 @@ def dealt(df: DataFrame, cells: Cells) -> DataFrame:
     return df.select("*", F.explode(cells_of(*BOX)).alias("pid"))
 
 
-def load(source: DataFrame, target: DataFrame, cells: Cells) -> dict[int, int]:
-    """Geometries of both sides per cell."""
-    both = source.select("gid", *BOX).unionByName(target.select("gid", *BOX))
-    return {r.pid: r.n for r in dealt(both, cells).groupBy("pid").agg(F.count(F.lit(1)).alias("n")).collect()}
-
+def rebalanced(sample: Sample, cells: Cells, skew: float, rounds: int = 24, most: int = MOST_CELLS) -> Cells:
+    """Splits cells that hold `skew` times the geometries of the smallest or more, until none is left that a split eases.
 
-def rebalanced(source: DataFrame, target: DataFrame, cells: Cells, skew: float, rounds: int = 3, smallest: int = 64) -> Cells:
-    """Halves cells that hold `skew` times the geometries of the smallest (of at least `smallest`) or more."""
+    Loads are those of the sample, so no job is needed. A cell is cut at the median of its sample's centres, along its
+    longer side first. Cells with less than half of what the given cells hold on average count as holding that, since
+    nearly empty ones ask for no split of others.
+    """
+    kind = type(cells) if isinstance(cells, LeafCells) else Cells
+    boxes, done = cells.boxes, set()
+    span = sample.extent()
+    half = len(sample.boxes) / max(1, len(boxes)) / 2
     for _ in range(rounds):
-        n = load(source, target, cells)
-        full = [v for v in n.values() if v >= smallest]
-        heavy = {k for k, v in n.items() if full and v >= skew * min(full) and v >= 2 * smallest}
-        if not heavy:
+        now = kind(boxes, cells.bucket)
+        i, k = now.of(sample.boxes)
+        n = np.bincount(k[k >= 0], minlength=len(boxes))
+        least = max(n[n > 0].min(initial=len(sample.boxes)), half, 4.0)
+        heavy = [c for c in np.flatnonzero(n >= skew * least).tolist() if tuple(boxes[c]) not in done]
+        if not heavy or len(boxes) + len(heavy) > most:
             break
-        finite = cells.boxes[np.isfinite(cells.boxes)]
+        order = np.argsort(k, kind="stable")
+        sorted_k, points = k[order], sample.points
         out = []
-        span = source.select(*BOX).unionByName(target.select(*BOX)).agg(F.min("xmin"), F.min("ymin"), F.max("xmax"), F.max("ymax")).first()
-        for k, b in enumerate(cells.boxes):
-            lo = [b[a] if np.isfinite(b[a]) else span[a] for a in (0, 1)]
-            hi = [b[a + 2] if np.isfinite(b[a + 2]) else span[a + 2] for a in (0, 1)]
-            axis = 0 if hi[0] - lo[0] >= hi[1] - lo[1] else 1
-            m = (lo[axis] + hi[axis]) / 2
-            if k in heavy and lo[axis] < m < hi[axis] and len(finite) >= 0:
-                low, high = b.copy(), b.copy()
-                low[axis + 2] = high[axis] = m
-                out += [low, high]
+        for c in heavy:
+            own = points[i[order[np.searchsorted(sorted_k, c) : np.searchsorted(sorted_k, c, "right")]]]
+            b = boxes[c]
+            own = own[(own[:, 0] >= b[0]) & (own[:, 0] <= b[2]) & (own[:, 1] >= b[1]) & (own[:, 1] <= b[3])]
+            width = [min(b[a + 2], span[a + 2]) - max(b[a], span[a]) for a in (0, 1)]
+            for axis in sorted((0, 1), key=lambda a: -width[a]):
+                m = float(np.median(own[:, axis])) if len(own) else b[axis]
+                if b[axis] < m < b[axis + 2]:
+                    low, high = b.copy(), b.copy()
+                    low[axis + 2] = high[axis] = m
+                    halves = kind(np.array([low, high]))
+                    part = sample.boxes[i[order[np.searchsorted(sorted_k, c) : np.searchsorted(sorted_k, c, "right")]]]
+                    _, h = halves.of(part)
+                    if np.bincount(h[h >= 0], minlength=2).max() < 0.9 * n[c]:  # a cut through long boxes eases nothing
+                        out.append((c, low, high))
+                        break
             else:
-                out.append(b)
-        cells = Cells(np.array(out), cells.bucket)
-    return cells
+                done.add(tuple(b))
+        if not out:
+            break
+        gone = {c for c, *_ in out}
+        boxes = np.array([b for c, b in enumerate(boxes) if c not in gone] + [b for _, *two in out for b in two])
+    return kind(boxes, cells.bucket)
 
 
 def _boxes(t: pa.Table, p: str) -> np.ndarray:
     return np.column_stack([t.column(f"{p}_{c}").to_numpy() for c in BOX]).reshape(-1, 4)
 
 
-def join_cells(source: DataFrame, target: DataFrame, cells: Cells, local: str = "nested", capacity: int = 16, tile: tuple[float, float] | None = None) -> DataFrame:
-    """(sid, tid): boxes meet; each pair once, found in the cell of its reference point."""
+def _blocks(d: DataFrame, side: str, parts: dict[int, tuple[int, int]]) -> DataFrame:
+    """Adds part: rows of a full cell go to one block of their own side and meet every block of the other."""
+    if not parts:
+        return d.withColumn("part", F.lit(0))
+    pid = F.col("pid")
+    number = lambda k: F.coalesce(F.element_at(F.create_map(*(F.lit(x) for c, v in parts.items() for x in (c, v[k]))), pid), F.lit(1))
+    ns, nt = number(0), number(1)
+    own = F.pmod(F.xxhash64("gid", F.lit(5)), ns if side == "s" else nt).cast("int")
+    other = F.sequence(F.lit(0), (nt if side == "s" else ns) - 1)
+    part = F.transform(other, lambda o: own * nt + o) if side == "s" else F.transform(other, lambda o: o * nt + own)
+    return d.select("*", F.explode(part).alias("part"))
+
+
+def join_cells(source: DataFrame, target: DataFrame, cells: Cells, local: str = "nested", capacity: int = 16, tile: tuple[float, float] | None = None, sample: Sample | None = None, block_rows: int = BLOCK_ROWS) -> DataFrame:
+    """(sid, tid): boxes meet; each pair once, found in the cell of its reference point.
+
+    With a sample, cells that hold more rows than two blocks are joined block by block: a task holds about block_rows of each side.
+    """
+
+    find = local_of(local)
 
-    def run(key: tuple[pa.Scalar], left: pa.Table, right: pa.Table) -> pa.Table:
+    def run(key: tuple[pa.Scalar, ...], left: pa.Table, right: pa.Table) -> pa.Table:
         s, t = _boxes(left, "s"), _boxes(right, "t")
-        i, j = local_join(local, s, t, capacity, tile)
+        i, j = find(s, t, capacity, tile)
         own = cells.owns(key[0].as_py(), np.maximum(s[i, 0], t[j, 0]), np.minimum(s[i, 3], t[j, 3]))
         return pa.table({"sid": left.column("sid").to_numpy()[i[own]], "tid": right.column("tid").to_numpy()[j[own]]})
 
-    s = prefixed(dealt(source.select("gid", *BOX), cells).select("gid", *BOX, "pid"), "s", (*BOX, "pid"))
-    t = prefixed(dealt(target.select("gid", *BOX), cells).select("gid", *BOX, "pid"), "t", (*BOX, "pid"))
-    return s.groupBy("s_pid").cogroup(t.groupBy("t_pid")).applyInArrow(run, "sid long, tid long")
+    parts: dict[int, tuple[int, int]] = {}
+    if sample and sample.rows:
+        share = sample.source.rows / sample.rows
+        for c, n in sample.load(cells).items():
+            ns, nt = -(-int(n * share) // block_rows), -(-int(n * (1 - share)) // block_rows)
+            if n > 2 * block_rows:
+                parts[c] = (max(1, ns), max(1, nt))
+    columns = (*BOX, "pid", "part")
+    s = prefixed(_blocks(dealt(source.select("gid", *BOX), cells), "s", parts).select("gid", *columns), "s", columns)
+    t = prefixed(_blocks(dealt(target.select("gid", *BOX), cells), "t", parts).select("gid", *columns), "t", columns)
+    return s.groupBy("s_pid", "s_part").cogroup(t.groupBy("t_pid", "t_part")).applyInArrow(run, "sid long, tid long")
+
+
+def _index_bytes(index) -> int:
+    return index.nbytes() + index.items.nbytes
 
 
 def broadcast_index(source: DataFrame, target: DataFrame, build: Callable[[np.ndarray], object], limit: int = BROADCAST_BYTES) -> DataFrame:
-    """(sid, tid) by an index of all source boxes, sent to every task; targets stream past it without a shuffle."""
+    """(sid, tid) by an index of all source boxes, sent to every task; targets stream past it without a shuffle.
+
+    The limit is checked before the boxes are fetched (by their count) and again on the bytes of the built index.
+    """
     spark = source.sparkSession
     n = source.count()
     if n * 40 > limit:
         raise SourceTooLarge(f"{n} source boxes take {n * 40} bytes, over the limit of {limit}")
     got = source.select("gid", *BOX).orderBy("gid").toArrow()
     ids, boxes = got.column(0).to_numpy(), np.column_stack([got.column(k).to_numpy() for k in range(1, 5)]).reshape(-1, 4)
-    shared = spark.sparkContext.broadcast((ids, build(boxes)))
+    index = build(boxes)
+    if n and ids.nbytes + _index_bytes(index) > limit:
+        raise SourceTooLarge(f"an index of {_index_bytes(index)} bytes is over the limit of {limit}")
+    shared = spark.sparkContext.broadcast((ids, index))
 
     def run(batches):
         own, index = shared.value
@@ -268,12 +439,38 @@ def broadcast_index(source: DataFrame, target: DataFrame, build: Callable[[np.nd
     return target.select("gid", *BOX).mapInArrow(run, "sid long, tid long")
 
 
+def _strip(column: str, width: float) -> Column:
+    return F.floor(F.col(column) / F.lit(width)).cast("long")
+
+
+def sweep_pairs(source: DataFrame, target: DataFrame, width: float | None = None) -> DataFrame:
+    """(sid, tid) by the stops of a plane sweep as an equi-join: every box stops once, in the strip of its xmin, and is
+    active in all strips that it reaches into; a pair is found at its later stop (a tie: at the source's), so only once.
+    """
+    if width is None:
+        both = grid.joint(*grid.stats(source, target))
+        width = 4 * (both.w or both.h) or 1.0
+
+    def stops(d: DataFrame, p: str) -> DataFrame:
+        d = prefixed(d, p, BOX)
+        return d.select("*", _strip(f"{p}_xmin", width).alias(f"{p}_strip"))
+
+    def active(d: DataFrame, p: str) -> DataFrame:
+        d = prefixed(d, p, BOX)
+        return d.select("*", F.explode(F.sequence(_strip(f"{p}_xmin", width), _strip(f"{p}_xmax", width))).alias(f"{p}_strip"))
+
+    same = F.col("s_strip") == F.col("t_strip")
+    rows = F.expr("s_ymin <= t_ymax and t_ymin <= s_ymax")
+    at_target = active(source, "s").join(stops(target, "t"), same & rows & F.expr("s_xmin < t_xmin and t_xmin <= s_xmax"))
+    at_source = stops(source, "s").join(active(target, "t"), same & rows & F.expr("t_xmin <= s_xmin and s_xmin <= t_xmax"))
+    return at_target.select("sid", "tid").unionByName(at_source.select("sid", "tid"))
+
+
 def stripe_pairs(source: DataFrame, target: DataFrame, width: float | None = None) -> DataFrame:
     """(sid, tid) by vertical stripes of the mean source width: an equi-join on stripes, kept in the first common one."""
     if width is None:
-        r = source.agg(F.avg(F.expr("xmax - xmin")), F.avg(F.expr("ymax - ymin"))).first()
-        width = r[0] or r[1] or 1.0
-    from spatial_links.functions.geometry import boxes_meet
+        about = grid.stats(source)[0]
+        width = about.w or about.h or 1.0
 
     def side(d: DataFrame, p: str) -> DataFrame:
         d = prefixed(d, p, BOX)
@@ -287,8 +484,6 @@ def stripe_pairs(source: DataFrame, target: DataFrame, width: float | None = Non
 
 def brute_pairs(source: DataFrame, target: DataFrame, limit: int = 1_000_000_000) -> DataFrame:
     """(sid, tid) by comparing every pair of boxes; refuses products over `limit`."""
-    from spatial_links.functions.geometry import boxes_meet
-
     n, m = source.count(), target.count()
     if n * m > limit:
         raise ValueError(f"{n} x {m} pairs are over the limit of {limit}")

@@ -1,8 +1,8 @@
 """Schedulers: which candidates are verified within a budget, and in which order.
 
 Every order is total: weight, then the second scheme, then sid and tid. Positions are given without a window over all
-rows in one task: rows are dealt to buckets of falling weight by a pure function of the weight, counted, and numbered
-inside their bucket behind the counts of the buckets before.
+rows in one task: rows are range-partitioned by the whole order, sorted in their partition, written once, and numbered
+behind the counts of the partitions before, so equal weights do not meet in one task.
 """
 
 from __future__ import annotations
@@ -10,18 +10,22 @@ from __future__ import annotations
 import heapq
 import math
 import time
+from collections.abc import Callable
 from dataclasses import dataclass
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from spatial_links.plans.shared import written
+from spatial_links.plans.shared import dropped, written
+
+#: Pairs that one task puts in dynamic order at most.
+DYNAMIC_ROWS = 2_000_000
 
 
 @dataclass(frozen=True)
 class Budget:
-    """A limit on pairs, on their share of all candidates, or on seconds of verification."""
+    """A limit on pairs, on their share of all candidates, or on seconds of verification (see `verified_within`)."""
 
     max_pairs: int | None = None
     fraction: float | None = None
@@ -40,33 +44,34 @@ def best_first() -> list[Column]:
     return [f(c) for f, c in BEST]
 
 
-def numbered(df: DataFrame, lead: str, order: list[Column], upto: int | None = None, buckets: int = 64) -> DataFrame:
-    """Adds position (from 1) in the given order, which must begin with `lead` descending; rows over `upto` go.
+def numbered(df: DataFrame, order: list[Column], upto: int | None = None, lead: str | None = None) -> DataFrame:
+    """Adds position (from 1) in the given total order; rows over `upto` go.
 
-    Buckets are cut at quantiles of `lead`, so at most `upto` rows and one bucket more are sorted at all.
+    lead: the first column of the order, a descending number: with it, rows far below the budget are cut off by an
+    approximate quantile (which keeps more than `upto` by its error bound) before any are moved.
     """
-    cuts = sorted({q for q in df.approxQuantile(lead, [i / buckets for i in range(1, buckets)], 0.002)}, reverse=True)
-    bucket = F.lit(0)
-    for c in cuts:
-        bucket = bucket + (F.col(lead) < F.lit(c)).cast("int")
-    df = df.withColumn("bucket", bucket)
-    before, start = 0, []
-    for r in df.groupBy("bucket").agg(F.count(F.lit(1)).alias("n")).orderBy("bucket").collect():
-        if upto is None or before < upto:
-            start.append((r.bucket, before))
+    spark = df.sparkSession
+    if upto is not None and lead is not None:
+        n = df.count()
+        if n > 2 * upto:
+            least = df.approxQuantile(lead, [max(0.0, 1 - upto / n - 0.02)], 0.01)
+            df = df.where(F.col(lead) >= least[0])
+    parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+    table = written(df.repartitionByRange(parts, *order).sortWithinPartitions(*order).withColumn("position", F.monotonically_increasing_id()))
+    part, rank = F.shiftright("position", 33), F.col("position").bitwiseAND(F.lit((1 << 33) - 1))
+    before, base = 0, []
+    for r in table.groupBy(part.alias("part")).agg(F.count(F.lit(1)).alias("n")).orderBy("part").collect():
+        base += [F.lit(r.part), F.lit(before)]
         before += r.n
-    if not start:
-        return df.withColumn("position", F.lit(0).cast("long")).drop("bucket").limit(0)
-    base = F.element_at(F.create_map(*(F.lit(x) for b, n in start for x in (b, int(n)))), F.col("bucket")).cast("long")
-    df = df.where(F.col("bucket") <= start[-1][0])
-    own = F.row_number().over(Window.partitionBy("bucket").orderBy(*order))
-    out = df.withColumn("position", own + base).drop("bucket")
+    if not base:
+        return table
+    out = table.withColumn("position", F.element_at(F.create_map(*base), part).cast("long") + rank + 1)
     return out if upto is None else out.where(F.col("position") <= upto)
 
 
 def global_top(scored: DataFrame, budget: int) -> DataFrame:
     """The best `budget` pairs, best first."""
-    return numbered(scored, "weight", best_first(), budget)
+    return numbered(scored, best_first(), budget, "weight")
 
 
 def _ends(scored: DataFrame, side: str) -> DataFrame:
@@ -75,16 +80,14 @@ def _ends(scored: DataFrame, side: str) -> DataFrame:
     return one("source").unionByName(one("target")) if side == "both" else one(side)
 
 
-def local_top(scored: DataFrame, budget: int, candidates: int, side: str = "target", quota: int | None = None) -> DataFrame:
+def local_top(scored: DataFrame, budget: int, side: str = "target", quota: int | None = None) -> DataFrame:
     """A quota of best pairs for each geometry of a side, then the best `budget` of those."""
     ends = _ends(scored, side)
     if quota is None:
         quota = max(1, -(-budget // max(1, ends.select("side", "geo").distinct().count())))
     rank = F.row_number().over(Window.partitionBy("side", "geo").orderBy(*best_first()))
     kept = ends.withColumn("rank", rank).where(F.col("rank") <= quota).select("sid", "tid", "weight", "second")
-    if side == "both":
-        kept = kept.distinct()
-    return global_top(kept, budget)
+    return global_top(kept.distinct() if side == "both" else kept, budget)
 
 
 def with_means(scored: DataFrame, side: str = "target") -> DataFrame:
@@ -99,7 +102,7 @@ def geometry_ordered(scored: DataFrame, budget: int, side: str = "target") -> Da
     rows = with_means(scored, side)
     if side == "both":  # a pair counts where its geometry ranks higher
         rows = rows.groupBy("sid", "tid", "weight", "second").agg(F.max(F.struct("mean", "side", "geo")).alias("g")).select("sid", "tid", "weight", "second", "g.mean", "g.side", "g.geo")
-    chosen = numbered(rows, "mean", [F.desc("mean"), F.asc("side"), F.asc("geo"), *best_first()], budget)
+    chosen = numbered(rows, [F.desc("mean"), F.asc("side"), F.asc("geo"), *best_first()], budget, "mean")
     return global_top(chosen.select("sid", "tid", "weight", "second"), budget)
 
 
@@ -110,29 +113,46 @@ def round_robin(scored: DataFrame, budget: int, side: str = "target") -> DataFra
     rows = rows.withColumn("turn", -F.col("round").cast("double"))
     if side == "both":
         rows = rows.groupBy("sid", "tid", "weight", "second").agg(F.max(F.struct("turn", "mean", "side", "geo")).alias("g")).select("sid", "tid", "weight", "second", "g.turn", "g.mean", "g.side", "g.geo")
-    return numbered(rows, "turn", [F.desc("turn"), F.desc("mean"), F.asc("side"), F.asc("geo"), F.asc("sid"), F.asc("tid")], budget).select("sid", "tid", "weight", "second", "position")
+    return numbered(rows, [F.desc("turn"), F.desc("mean"), F.asc("side"), F.asc("geo"), F.asc("sid"), F.asc("tid")], budget).select("sid", "tid", "weight", "second", "position")
 
 
-def tile_ordered(pairs: DataFrame, scored: DataFrame, budget: int, tile_order: str = "asc") -> DataFrame:
-    """Tiles by how many pairs they own, then pairs of a tile by weight. pairs: (sid, tid, tx, ty)."""
-    rows = scored.join(pairs.select("sid", "tid", "tx", "ty"), ["sid", "tid"])
-    count = rows.groupBy("tx", "ty").agg(F.count(F.lit(1)).alias("tile_pairs"))
+def tile_ordered(scored: DataFrame, budget: int, tile_order: str = "asc") -> DataFrame:
+    """Tiles by how many pairs they own, then pairs of a tile by weight. scored: with the owner tile tx, ty."""
+    count = scored.groupBy("tx", "ty").agg(F.count(F.lit(1)).alias("tile_pairs"))
     sign = -1.0 if tile_order == "asc" else 1.0
-    rows = rows.join(count, ["tx", "ty"]).withColumn("lead", F.lit(sign) * F.col("tile_pairs"))
-    return numbered(rows, "lead", [F.desc("lead"), F.asc("tx"), F.asc("ty"), *best_first()], budget).select("sid", "tid", "weight", "second", "position")
+    rows = scored.join(count, ["tx", "ty"]).withColumn("lead", F.lit(sign) * F.col("tile_pairs"))
+    return numbered(rows, [F.desc("lead"), F.asc("tx"), F.asc("ty"), *best_first()], budget).select("sid", "tid", "weight", "second", "position")
 
 
 def unordered(scored: DataFrame, budget: int, seed: int = 0) -> DataFrame:
     """The batch order as a baseline: by a mixing function of the ids."""
     key = F.pmod(F.col("sid") * 2654435761 + F.col("tid") * 40503 + F.lit(seed), F.lit(1000003))
     rows = scored.withColumn("lead", -key.cast("double"))
-    return numbered(rows, "lead", [F.desc("lead"), F.asc("sid"), F.asc("tid")], budget).select("sid", "tid", "weight", "second", "position")
+    return numbered(rows, [F.desc("lead"), F.asc("sid"), F.asc("tid")], budget, "lead").select("sid", "tid", "weight", "second", "position")
 
 
 def ideal(scored: DataFrame, related: DataFrame, budget: int) -> DataFrame:
     """All related pairs first. related: (sid, tid, related boolean); needs every matrix, so for evaluation only."""
     rows = scored.join(related.select("sid", "tid", F.col("related").cast("double").alias("lead")), ["sid", "tid"])
-    return numbered(rows, "lead", [F.desc("lead"), F.asc("sid"), F.asc("tid")], budget).select("sid", "tid", "weight", "second", "position")
+    return numbered(rows, [F.desc("lead"), F.asc("sid"), F.asc("tid")], budget).select("sid", "tid", "weight", "second", "position")
+
+
+#: Schedulers by name, (scored pairs with their owner tile, budget) -> positions; `register_scheduler` adds to them.
+SCHEDULERS: dict[str, Callable[[DataFrame, int], DataFrame]] = {
+    "global": global_top, "local": local_top, "geometry": geometry_ordered, "round_robin": round_robin, "tiles": tile_ordered,
+    "tiles_desc": lambda scored, budget: tile_ordered(scored, budget, "desc"), "unordered": unordered,
+}
+
+
+def register_scheduler(name: str, order: Callable[[DataFrame, int], DataFrame]) -> None:
+    """Adds a scheduler: any callable (scored, budget) -> the chosen rows with their position."""
+    SCHEDULERS[name] = order
+
+
+def scheduler(name: str) -> Callable[[DataFrame, int], DataFrame]:
+    if name not in SCHEDULERS:
+        raise ValueError(f"no scheduler {name}; there are {sorted(SCHEDULERS)}")
+    return SCHEDULERS[name]
 
 
 def dynamic_order(rows: list[tuple], boost: float = 1.0, mode: str = "mul") -> list[int]:
@@ -173,13 +193,16 @@ def dynamic_order(rows: list[tuple], boost: float = 1.0, mode: str = "mul") -> l
     return out
 
 
-def dynamic_top(verified: DataFrame, boost: float = 1.0, mode: str = "mul", shard: Column | None = None) -> DataFrame:
+def dynamic_top(verified: DataFrame, boost: float = 1.0, mode: str = "mul", shard: Column | None = None, most: int = DYNAMIC_ROWS) -> DataFrame:
     """(shard, position, sid, tid, weight, second, related) in dynamic order inside each shard.
 
     verified: the retained pairs (sid, tid, weight, second, related). All of them are examined within the budget, so
     their matrices are computed in parallel first; only the order, which is sequential, is found in one task a shard.
+    Without shards, over `most` pairs are refused: `sharded` budgets or `dynamic_rounds` are the forms for them.
     """
     schema = "shard int, position long, sid long, tid long, weight double, second double, related boolean"
+    if shard is None and (n := verified.count()) > most:
+        raise ValueError(f"{n} pairs are over {most} for one task: give shards, or use dynamic_rounds")
 
     def run(table: pa.Table) -> pa.Table:
         cols = [table.column(c).to_pylist() for c in ("sid", "tid", "weight", "second", "related")]
@@ -190,29 +213,32 @@ def dynamic_top(verified: DataFrame, boost: float = 1.0, mode: str = "mul", shar
     return verified.withColumn("shard", F.lit(0) if shard is None else shard.cast("int")).select("shard", "sid", "tid", "weight", "second", "related").groupBy("shard").applyInArrow(run, schema)
 
 
-def dynamic_rounds(scored: DataFrame, verify, budget: int, round_size: int, boost: float = 1.0, keep=written) -> DataFrame:
+def dynamic_rounds(scored: DataFrame, verify, budget: int, round_size: int, boost: float = 1.0) -> DataFrame:
     """The global form: rounds of `round_size` pairs; after each, weights are recomputed from the hits so far.
 
     verify: DataFrame(sid, tid) -> DataFrame(sid, tid, related). With round_size 1 the order equals the exact one.
+    Between rounds two tables are kept: the pairs not yet examined, and the hits of each geometry; older ones are deleted.
     """
-    rest = keep(global_top(scored, budget).select("sid", "tid", "weight", "second"))
-    out, hits_s, hits_t, at = None, None, None, 0
+    rest = written(global_top(scored, budget).select("sid", "tid", "weight", "second"))
+    out, hits, at = None, None, 0
     total = rest.count()
     while at < total:
-        now = rest
-        if hits_s is not None:
-            now = rest.join(hits_s, "sid", "left").join(hits_t, "tid", "left")
-            now = now.select("sid", "tid", (F.col("weight") * (1 + boost * (F.coalesce("hs", F.lit(0)) + F.coalesce("ht", F.lit(0))))).alias("weight"), "second", F.col("weight").alias("base"))
-        else:
-            now = now.withColumn("base", F.col("weight"))
-        part = keep(numbered(now, "weight", best_first(), round_size))
-        found = keep(verify(part.select("sid", "tid")).join(part, ["sid", "tid"]).select((F.col("position") + at).alias("position"), "sid", "tid", F.col("base").alias("weight"), "second", "related"))
+        now = rest.withColumn("base", F.col("weight"))
+        if hits is not None:
+            of = lambda side, key: hits.where(F.col("side") == side).select(F.col("geo").alias(key), F.col("n").alias(f"n_{key}"))
+            now = rest.join(of("source", "sid"), "sid", "left").join(of("target", "tid"), "tid", "left")
+            n = F.coalesce("n_sid", F.lit(0)) + F.coalesce("n_tid", F.lit(0))
+            now = now.select("sid", "tid", (F.col("weight") * (1 + boost * n)).alias("weight"), "second", F.col("weight").alias("base"))
+        part = written(numbered(now, best_first(), round_size))
+        found = written(verify(part.select("sid", "tid")).join(part, ["sid", "tid"]).select((F.col("position") + at).alias("position"), "sid", "tid", F.col("base").alias("weight"), "second", "related"))
         out = found if out is None else out.unionByName(found)
-        rest = keep(rest.join(part.select("sid", "tid"), ["sid", "tid"], "left_anti"))
-        hit = keep(out.where("related"))
-        hits_s = hit.groupBy("sid").agg(F.count(F.lit(1)).alias("hs"))
-        hits_t = hit.groupBy("tid").agg(F.count(F.lit(1)).alias("ht"))
-        at += round_size
+        left = written(rest.join(part.select("sid", "tid"), ["sid", "tid"], "left_anti"))
+        new = _ends(found.where("related"), "both").groupBy("side", "geo").agg(F.count(F.lit(1)).alias("n"))
+        more = written(new if hits is None else hits.unionByName(new).groupBy("side", "geo").agg(F.sum("n").alias("n")))
+        for old in (rest, part, hits):
+            if old is not None:
+                dropped(old)
+        rest, hits, at = left, more, at + round_size
     return out
 
 
@@ -227,26 +253,66 @@ def shares(counts: dict[int, int], budget: int) -> dict[int, int]:
     return out
 
 
-def sharded(scored: DataFrame, budget: int, shard: Column) -> DataFrame:
-    """Each shard's best pairs within its share of the budget: no global sort. Adds shard and its own position."""
+def tile_shard(shards: int) -> Column:
+    """The partition of the distributed grid that owns a pair: its owner tile's."""
+    return F.pmod(F.col("tx") * 31 + F.col("ty"), F.lit(shards))
+
+
+def with_quota(scored: DataFrame, budget: int, shard: Column) -> DataFrame:
+    """Adds shard and quota, the shard's part of the budget in proportion to its candidates."""
     rows = scored.withColumn("shard", shard)
     counts = {r.shard: r.n for r in rows.groupBy("shard").agg(F.count(F.lit(1)).alias("n")).collect()}
     quota = shares(counts, budget)
     if not quota:
-        return rows.withColumn("position", F.lit(0).cast("long")).limit(0)
-    limit = F.element_at(F.create_map(*(F.lit(x) for k, v in quota.items() for x in (k, v))), F.col("shard"))
-    rank = F.row_number().over(Window.partitionBy("shard").orderBy(*best_first()))
-    return rows.withColumn("position", rank.cast("long")).where(F.col("position") <= limit)
+        return rows.withColumn("quota", F.lit(0).cast("long")).limit(0)
+    return rows.withColumn("quota", F.element_at(F.create_map(*(F.lit(x) for k, v in quota.items() for x in (k, v))), F.col("shard")).cast("long"))
+
 
+def sharded(scored: DataFrame, budget: int, shard: Column, order: str = "global") -> DataFrame:
+    """A scheduler within each shard's part of the budget: no global sort. Adds shard and the position in it.
+
+    order: global, local, geometry, round_robin (by target) or tiles; a shard is a partition of the join, whose tiles are
+    whole, so there must be enough of them that one task can sort a shard's pairs.
+    """
+    rows = with_quota(scored, budget, shard)
+    at = lambda *by: F.row_number().over(Window.partitionBy("shard").orderBy(*by))
+    geo = Window.partitionBy("shard", "tid")
+    if order in ("geometry", "round_robin"):
+        rows = rows.withColumn("mean", F.round(F.avg("weight").over(geo), 9))
+    if order in ("local", "round_robin"):
+        rows = rows.withColumn("turn", F.row_number().over(geo.orderBy(*best_first())))
+    if order == "local":
+        targets = rows.groupBy("shard").agg(F.count_distinct("tid").alias("targets"))
+        rows = rows.join(F.broadcast(targets), "shard").where("turn <= greatest(1, cast(ceil(quota / targets) as bigint))")
+    if order == "tiles":
+        rows = rows.withColumn("tile_pairs", F.count(F.lit(1)).over(Window.partitionBy("shard", "tx", "ty")))
+    if order == "geometry":
+        rows = rows.withColumn("chosen", at(F.desc("mean"), F.asc("tid"), *best_first())).where("chosen <= quota")
+    by = {"round_robin": [F.asc("turn"), F.desc("mean"), F.asc("tid"), F.asc("sid")], "tiles": [F.asc("tile_pairs"), F.asc("tx"), F.asc("ty"), *best_first()]}
+    rows = rows.withColumn("position", at(*by.get(order, best_first())).cast("long")).where("position <= quota")
+    return rows.select("shard", "position", "sid", "tid", "weight", "second")
+
+
+def verified_within(ordered: DataFrame, source: DataFrame, target: DataFrame, seconds: float, tasks: int | None = None, step: int = 256) -> DataFrame:
+    """Verification under a time budget, run at once: (position, sid, tid, related) of the pairs examined in time.
+
+    Pairs are dealt to tasks by position, so that all work on the best first, and a task looks at the clock before every
+    `step` pairs. The deadline is one moment for all tasks; what a task has begun it finishes.
+    """
+    from spatial_links.operators import verify
 
-def timed(ordered: DataFrame, seconds: float, verify_batch, schema: str) -> DataFrame:
-    """Verification under a time limit: each task stops starting new batches when `seconds` have passed."""
+    columns = [p + c for p in ("s_", "t_") for c in ("dim", *verify.SHAPE)]
+    n = tasks or int(source.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    rows = verify.attach(ordered.select("position", "sid", "tid"), source, target).select("position", "sid", "tid", *columns)
+    rows = rows.repartition(n, F.pmod(F.col("position"), F.lit(n))).sortWithinPartitions("position")
+    end = time.time() + seconds
 
     def run(batches):
-        end = time.monotonic() + seconds
         for b in batches:
-            if time.monotonic() >= end:
-                return
-            yield verify_batch(b)
+            for at in range(0, b.num_rows, step):
+                if time.time() >= end:
+                    return
+                yield verify.matrix_batch(b.slice(at, step))
 
-    return ordered.mapInArrow(run, schema)
+    m = written(rows.mapInArrow(run, "position long, sid long, tid long, s_dim tinyint, t_dim tinyint, matrix string"))
+    return m.select("position", "sid", "tid", verify.relation("intersects", F.col("matrix"), F.col("s_dim"), F.col("t_dim")).alias("related"))

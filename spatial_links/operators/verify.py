@@ -31,6 +31,15 @@ def relate_matrix(a_type: pa.Array, a_xs: pa.Array, a_ys: pa.Array, a_ends: pa.A
     return pa.array(relate(flags[0], a_xs, a_ys, a_ends, flags[1], b_xs, b_ys, b_ends), pa.string())
 
 
+def matrix_batch(b: pa.RecordBatch) -> pa.RecordBatch:
+    """(position, sid, tid, s_dim, t_dim, matrix) of a batch that carries both geometries."""
+    side = lambda p: [b.column(p + c) for c in SHAPE]
+    (a, *one), (c, *two) = side("s_"), side("t_")
+    flags = [np.asarray(pc.equal(t, "P").fill_null(False)) for t in (a, c)]
+    cols = [b.column(k) for k in ("position", "sid", "tid", "s_dim", "t_dim")]
+    return pa.RecordBatch.from_arrays([*cols, pa.array(relate(flags[0], *one, flags[1], *two), pa.string())], names=["position", "sid", "tid", "s_dim", "t_dim", "matrix"])
+
+
 def matrix_of(a: str = "s_", b: str = "t_") -> Column:
     return relate_matrix(*(F.col(p + c) for p in (a, b) for c in SHAPE))
 
@@ -113,3 +122,11 @@ def disjoint_pairs(source: DataFrame, target: DataFrame, related: DataFrame, lim
         raise ValueError(f"{n} x {m} pairs are over the limit of {limit}")
     every = source.select(F.col("gid").alias("sid")).crossJoin(target.select(F.col("gid").alias("tid")))
     return every.join(related.select("sid", "tid"), ["sid", "tid"], "left_anti")
+
+
+def disjoint_counts(source: DataFrame, target: DataFrame, related: DataFrame) -> DataFrame:
+    """(sid, disjoint): closed world as numbers, all targets less the related ones of each source; no pair is made."""
+    n = related.groupBy("sid").agg(F.count(F.lit(1)).alias("n"))
+    every = target.agg(F.count(F.lit(1)).alias("m"))
+    d = source.select(F.col("gid").alias("sid")).join(n, "sid", "left").crossJoin(F.broadcast(every))  # one row
+    return d.select("sid", (F.col("m") - F.coalesce("n", F.lit(0))).alias("disjoint"))

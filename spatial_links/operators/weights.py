@@ -57,7 +57,7 @@ def weight(scheme: str, universe: int = 0) -> Column:
     return {"cf": lambda: cf().cast("double"), "js": js, "chi2": lambda: chi2(universe), "mbro": mbro, "isp": isp}[scheme]()
 
 
-def scored(pairs, primary: str = "js", secondary: str | None = None, universe: int = 0):
-    """(sid, tid, weight, second): the primary scheme, ties broken by the secondary (0 without one)."""
+def scored(pairs, primary: str = "js", secondary: str | None = None, universe: int = 0, keep: tuple[str, ...] = ()):
+    """(sid, tid, weight, second, and the columns in keep): the primary scheme, ties broken by the secondary (0 without one)."""
     second = weight(secondary, universe) if secondary else F.lit(0.0)
-    return pairs.select("sid", "tid", weight(primary, universe).alias("weight"), second.alias("second"))
+    return pairs.select("sid", "tid", weight(primary, universe).alias("weight"), second.alias("second"), *keep)

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import time
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -10,6 +11,7 @@ from pyspark.sql import functions as F
 from spatial_links.operators import grid, measures, schedule, verify, weights
 from spatial_links.plans import methods as M
 from spatial_links.plans.methods import MethodSpec
+from spatial_links.plans.shared import dropped, written
 from spatial_links.sources import layers as L
 
 SERIAL = ("two_sided_grid", "source_grid", "plane_sweep_list", "plane_sweep_stripes", "pbsm", "stripe_hash", "stripe_str", "rtree", "quadtree", "crtree")
@@ -26,27 +28,29 @@ PARALLEL = {
 }
 
 
+#: Runs of which a reported time is the mean.
+REPETITIONS = 5
+
+
 def seconds(df: DataFrame) -> float:
     at = time.perf_counter()
     df.write.format("noop").mode("overwrite").save()
     return time.perf_counter() - at
 
 
-def run_report(source: DataFrame, target: DataFrame, spec: MethodSpec, repetitions: int = 1) -> dict:
-    """Filtering, verification and total seconds (means), candidates and related pairs of a method."""
+def run_report(source: DataFrame, target: DataFrame, spec: MethodSpec, repetitions: int = REPETITIONS) -> dict:
+    """Filtering, verification and total seconds (means), candidates and related pairs of a method.
+
+    Candidates are written once, and verification alone is timed from there; the total is a run from layer to matrix.
+    """
     t_f = sum(seconds(M.candidate_pairs(source, target, spec).select("sid", "tid")) for _ in range(repetitions)) / repetitions
+    pairs = written(M.candidate_pairs(source, target, spec).select("sid", "tid"))
+    m = verify.matrices(verify.attach(pairs, source, target))
+    t_v = sum(seconds(m) for _ in range(repetitions)) / repetitions
     total = sum(seconds(M.pair_matrices(source, target, spec)) for _ in range(repetitions)) / repetitions
-    m = M.pair_matrices(source, target, spec)
-    related = verify.relation("intersects", F.col("matrix"), F.col("s_dim"), F.col("t_dim"))
-    n, r = m.agg(F.count(F.lit(1)), F.sum(related.cast("long"))).first()
-    return {"method": spec.name, "params": spec.params, "measures": {"filter_seconds": t_f, "verify_seconds": max(0.0, total - t_f), "total_seconds": total, "candidates": n, "related": r or 0}}
-
-
-def _cached(*layers: DataFrame) -> tuple[DataFrame, ...]:
-    out = tuple(d.cache() for d in layers)
-    for d in out:
-        d.count()
-    return out
+    n, r = m.agg(F.count(F.lit(1)), F.sum(M.related_of(m).cast("long"))).first()
+    dropped(pairs)
+    return {"method": spec.name, "params": spec.params, "measures": {"filter_seconds": t_f, "verify_seconds": t_v, "total_seconds": total, "candidates": n, "related": r or 0}}
 
 
 def subset(layer: DataFrame, k: int) -> DataFrame:
@@ -54,67 +58,118 @@ def subset(layer: DataFrame, k: int) -> DataFrame:
     return layer.where(F.expr(f"(x div 10) % 10 < {k}"))
 
 
-def serial_scalability(spark: SparkSession, sf_dir: str, tenths: tuple[int, ...] = (1, 5, 10), methods: tuple[str, ...] = SERIAL) -> list[dict]:
-    s, t = _cached(*L.pair(spark, sf_dir, "p1"))
-    return [run_report(subset(s, k), subset(t, k), MethodSpec(m)) | {"tenths": k} for k in tenths for m in methods]
-
-
-def serial_comparison(spark: SparkSession, sf_dir: str, pairs: tuple[str, ...] = ("p1", "p2", "p3")) -> list[dict]:
+def serial_scalability(spark: SparkSession, sf_dir: str, tenths: tuple[int, ...] = tuple(range(1, 11)), methods: tuple[str, ...] = SERIAL, repetitions: int = REPETITIONS) -> list[dict]:
+    """The filters on growing subsets of the first pair; each layer's subset is written first."""
     out = []
-    for p in pairs:
-        s, t = _cached(*L.pair(spark, sf_dir, p))
-        out += [run_report(s, t, MethodSpec(m)) | {"pair": p} for m in SERIAL]
+    for k in tenths:
+        s, t = (written(subset(d, k)) for d in L.pair(spark, sf_dir, "p1"))
+        out += [run_report(s, t, MethodSpec(m), repetitions) | {"tenths": k} for m in methods]
+        dropped(s)
+        dropped(t)
     return out
 
 
-def parallel_comparison(spark: SparkSession, sf_dir: str, pairs: tuple[str, ...] = ("p1", "p3", "p4", "p5", "p6")) -> list[dict]:
+def serial_comparison(spark: SparkSession, sf_dir: str, pairs: tuple[str, ...] = ("p1", "p2", "p3"), repetitions: int = REPETITIONS) -> list[dict]:
+    return [run_report(*L.pair(spark, sf_dir, p), MethodSpec(m), repetitions) | {"pair": p} for p in pairs for m in SERIAL]
+
+
+def parallel_scalability(spark: SparkSession, sf_dir: str, tenths: tuple[int, ...] = tuple(range(1, 11)), repetitions: int = REPETITIONS) -> list[dict]:
+    """The parallel joins on growing subsets of the first pair, with one serial configuration to compare."""
     out = []
-    for p in pairs:
-        s, t = _cached(*L.pair(spark, sf_dir, p))
-        out += [run_report(s, t, spec) | {"pair": p, "configuration": name} for name, spec in PARALLEL.items()]
+    for k in tenths:
+        s, t = (written(subset(d, k)) for d in L.pair(spark, sf_dir, "p1"))
+        specs = PARALLEL | {"one_task": MethodSpec("plane_sweep_list", {"strips": 1})}
+        out += [run_report(s, t, spec, repetitions) | {"tenths": k, "configuration": name} for name, spec in specs.items()]
+        dropped(s)
+        dropped(t)
     return out
 
 
-def progressive_comparison(spark: SparkSession, sf_dir: str, pair: str = "p7", fractions: tuple[float, ...] = (0.05, 0.1, 0.25, 0.5), dynamic_rows: int = 20_000) -> DataFrame:
-    """Measures per budget of the named configurations (global and dynamic with js and mbro, their composite), and the ideal."""
-    s, t = _cached(*L.pair(spark, sf_dir, pair))
-    tile = grid.guarded(grid.mean_tile(s), t)
-    pairs = grid.join_tiles(s, t, tile)
-    flags = M.pair_matrices(s, t).select("sid", "tid", verify.relation("intersects", F.col("matrix"), F.col("s_dim"), F.col("t_dim")).alias("related")).cache()
-    total, found = flags.agg(F.count(F.lit(1)), F.sum(F.col("related").cast("long"))).first()
+def parallel_comparison(spark: SparkSession, sf_dir: str, pairs: tuple[str, ...] = ("p1", "p2", "p3", "p4", "p5", "p6"), repetitions: int = REPETITIONS) -> list[dict]:
+    return [run_report(*L.pair(spark, sf_dir, p), spec, repetitions) | {"pair": p, "configuration": name} for p in pairs for name, spec in PARALLEL.items()]
+
+
+def memory_limit(source: DataFrame, target: DataFrame, limit: int) -> dict[str, str]:
+    """What each serial method does in `limit` bytes: it runs, or needs more than that for what it keeps."""
+    r = measures.resident_bytes(source, target).first()
+    need = {"frugal": r.frugal, "intensive": r.intensive}
+    return {m: "runs" if need[M.method(m).memory] <= limit else f"needs {need[M.method(m).memory]} bytes" for m in SERIAL}
+
+
+def speed_up(serial: list[dict], parallel: list[dict]) -> dict[str, float]:
+    """How much faster each parallel configuration's run is than the best serial one's."""
+    best = min(r["measures"]["total_seconds"] for r in serial)
+    return {r["configuration"]: best / r["measures"]["total_seconds"] for r in parallel}
+
+
+#: The orders that are compared, with their weights: an order's own name, or dynamic_ and the static order it starts from.
+ORDERS = {"global_js": ("js", None), "global_mbro": ("mbro", None), "composite": ("js", "mbro"), "unordered": ("js", None), "ideal": ("js", None)}
+FRACTIONS = tuple(k / 20 for k in range(1, 11))
+
+
+def progressive_comparison(spark: SparkSession, sf_dir: str, pair: str = "p7", methods: tuple[str, ...] = (*ORDERS, "dynamic_js", "dynamic_mbro", "dynamic_composite"), fractions: tuple[float, ...] = FRACTIONS) -> DataFrame:
+    """(method, and the measures of `measures.progressive`) at each budget, a share of all candidates.
+
+    A dynamic order is a run of its own at each budget: it retains the best pairs of that budget and reorders them as
+    related pairs are found, so it has the static order's precision and recall, and differs in when pairs are found.
+    """
+    s, t = L.pair(spark, sf_dir, pair)
+    about = tuple(grid.stats(s, t))
+    pairs = grid.join_tiles(s, t, about[0].tile(), about=about)
+    m = M.pair_matrices(s, t)
+    flags = written(m.select("sid", "tid", M.related_of(m).alias("related")))
+    total, found = flags.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.col("related").cast("long")), F.lit(0))).first()
     budgets = {f: schedule.Budget(fraction=f).pairs(total) for f in fractions}
     most = max(budgets.values())
-    out = []
-    for name, (one, two) in {"js": ("js", None), "mbro": ("mbro", None), "js_mbro": ("js", "mbro")}.items():
-        scored = weights.scored(pairs, one, two)
-        top = schedule.global_top(scored, most).join(flags, ["sid", "tid"]).cache()
-        out.append((f"global_{name}", top))
-        # The dynamic order is sequential within a shard; shards keep each task's share small.
-        shards = max(1, most // dynamic_rows)
-        dyn = schedule.dynamic_top(top, shard=F.pmod("tid", F.lit(shards)))
-        out.append((f"dynamic_{name}", dyn.select(((F.col("position") - 1) * shards + F.col("shard") + 1).alias("position"), "related")))
-    out.append(("unordered", schedule.unordered(weights.scored(pairs), most).join(flags, ["sid", "tid"])))
-    out.append(("ideal", schedule.ideal(weights.scored(pairs), flags, most).join(flags, ["sid", "tid"])))
-    parts = [measures.progressive(d.select("position", "related"), budgets, found).select(F.lit(n).alias("order"), "*") for n, d in out]
-    result = parts[0]
-    for p in parts[1:]:
-        result = result.unionByName(p)
-    return result
-
-
-def complexity_fit(spark: SparkSession, sf_dir: str, capacity: int = 16) -> dict[str, list[tuple[int, int, int]]]:
-    """Work counters of the tree filters on growing sources: (sources, targets, tree nodes visited)."""
+    ranked: dict[str, DataFrame] = {}
+
+    def static(name: str) -> DataFrame:
+        if name not in ranked:
+            scored = written(weights.scored(pairs, *ORDERS[name]))
+            order = {"unordered": schedule.unordered, "ideal": lambda d, n: schedule.ideal(d, flags, n)}.get(name, schedule.global_top)
+            ranked[name] = written(order(scored, most).join(flags, ["sid", "tid"]))
+            dropped(scored)
+        return ranked[name]
+
+    def dynamic(name: str) -> DataFrame:
+        top = static(name)
+        runs = F.explode(F.array(*(F.struct(F.lit(k).alias("run"), F.lit(b).cast("long").alias("upto")) for k, b in enumerate(budgets.values()))))
+        each = top.select("*", runs.alias("r")).where("position <= r.upto").select(F.col("r.run").alias("run"), "sid", "tid", "weight", "second", "related")
+        done = written(schedule.dynamic_top(each, shard=F.col("run")).select("shard", "position", "related"))
+        parts = [measures.progressive(done.where(F.col("shard") == k), {f: b}, found) for k, (f, b) in enumerate(budgets.items())]
+        return reduce(DataFrame.unionByName, parts)
+
+    of = {"dynamic_js": "global_js", "dynamic_mbro": "global_mbro", "dynamic_composite": "composite"}
+    rows = [(dynamic(of[n]) if n in of else measures.progressive(static(n).select("position", "related"), budgets, found)).select(F.lit(n).alias("method"), "*") for n in methods]
+    return reduce(DataFrame.unionByName, rows)
+
+
+def complexity_fit(source: DataFrame, target: DataFrame, capacity: int = 16, shares: tuple[int, ...] = (4, 2, 1)) -> dict[str, list[tuple[int, int, int]]]:
+    """Work counters of the tree filters on growing sides: (sources, targets, tree nodes visited), summed over cells.
+
+    Sides grow by a hash of the id. The trees are built and asked in the tasks of the cells.
+    """
     import numpy as np
+    import pyarrow as pa
 
     from spatial_links.operators import local_index as I
+    from spatial_links.operators import partitioned as P
 
-    s, t = L.pair(spark, sf_dir, "p1")
-    box = lambda d: np.column_stack([c.to_numpy() for c in d.select("xmin", "ymin", "xmax", "ymax").toArrow().columns])
-    sb, tb = box(s), box(t)
+    sample = P.sampled(source, target)
+    cells = P.make_cells("kdb", sample)
     out: dict[str, list[tuple[int, int, int]]] = {}
-    for share in (4, 2, 1):
-        a, b = sb[:: share], tb[::share]
-        for name, tree in (("rtree", I.r_tree(a, capacity)), ("quadtree", I.QuadTree(a, capacity)), ("crtree", I.cr_tree(a, capacity))):
-            tree.query(b)
-            out.setdefault(name, []).append((len(a), len(b), tree.visited))
+
+    def run(left: pa.Table, right: pa.Table) -> pa.Table:
+        a, b = (np.column_stack([t.column(f"{p}_{c}").to_numpy() for c in P.BOX]).reshape(-1, 4) for t, p in ((left, "s"), (right, "t")))
+        trees = {"rtree": I.r_tree(a, capacity), "quadtree": I.QuadTree(a, capacity), "crtree": I.cr_tree(a, capacity)}
+        for t in trees.values():
+            t.query(b)
+        return pa.table({"tree": list(trees), "n": [len(a)] * 3, "m": [len(b)] * 3, "visited": pa.array([int(t.visited) for t in trees.values()], pa.int64())})
+
+    for share in shares:
+        some = lambda d: d.where(F.pmod(F.xxhash64("gid"), F.lit(share)) == 0).select("gid", *P.BOX)
+        s, t = (P.prefixed(P.dealt(some(d), cells), p, (*P.BOX, "pid")) for d, p in ((source, "s"), (target, "t")))
+        each = s.groupBy("s_pid").cogroup(t.groupBy("t_pid")).applyInArrow(run, "tree string, n long, m long, visited long")
+        for r in each.groupBy("tree").agg(F.sum("n").alias("n"), F.sum("m").alias("m"), F.sum("visited").alias("v")).collect():
+            out.setdefault(r.tree, []).append((r.n, r.m, r.v))
     return out

@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from spatial_links.operators import grid, local_index, partitioned, verify
-from spatial_links.operators.grid import Tile
+from spatial_links.operators.grid import Stats, Tile
 
 
 @dataclass(frozen=True)
@@ -80,100 +80,148 @@ def method(name: str) -> Method:
 
 _TILE = (Param("tile_w", "double", None, 1e-12, None, about="tile width; none: from the data"), Param("tile_h", "double", None, 1e-12, None, about="tile height; none: from the data"))
 _NODE = Param("capacity", "int", 16, 2, 256, about="entries of a tree node")
-_SAMPLE = (Param("cell_share", "double", 1 / 64, 1e-5, 1, about="share of the sample that a cell may hold"), Param("overflow", "string", "extend", options=("extend", "bucket"), about="outer cells reach to infinity, or one partition takes what lies outside"))
+_SAMPLE = (Param("cell_share", "double", None, 1e-5, 1, about="share of the sample that a cell may hold; none: from the rows of both sides"), Param("overflow", "string", "extend", options=("extend", "bucket"), about="outer cells reach to infinity, or one partition takes what lies outside"))
+_BUILD = Param("build", "string", "packed", options=("packed", "inserted"), about="how the R-tree is built: packed bottom-up, or box by box with splits")
+_STRIPS = Param("strips", "int", None, 1, 1_000_000, about="strips joined in parallel; 1: one task; none: from the rows of both sides")
 
 
-def _tile(p: dict, *sides: DataFrame) -> Tile:
+def _tile(p: dict, *sides: Stats) -> Tile:
     if p.get("tile_w") and p.get("tile_h"):
         return Tile(p["tile_w"], p["tile_h"])
-    return grid.mean_tile(*sides)
+    return grid.joint(*sides).tile()
+
+
+def smaller(a: Stats, b: Stats) -> bool:
+    """Whether the second side has fewer rows, and so is the one to index or to size tiles by."""
+    return b.rows < a.rows
 
 
 def _two_sided(s, t, p):
-    tile = _tile(p, s, t)
+    about = tuple(grid.stats(s, t))
+    tile = _tile(p, *about)
     if p["dedup"] == "refpoint":
-        return grid.join_tiles(s, t, tile, carry=p["carry"])
-    if p["swap"]:
-        volume = lambda d: d.agg(F.sum(F.expr("(xmax - xmin) * (ymax - ymin)"))).first()[0] or 0.0
-        if volume(t) < volume(s):
-            return grid.without_repeats(grid.join_tiles(t, s, tile, own=False), p["dedup"]).select(F.col("tid").alias("sid"), F.col("sid").alias("tid"))
+        return grid.join_tiles(s, t, tile, carry=p["carry"], about=about)
+    if p["swap"] and about[1].area < about[0].area:
+        return grid.without_repeats(grid.join_tiles(t, s, tile, own=False), p["dedup"]).select(F.col("tid").alias("sid"), F.col("sid").alias("tid"))
     return grid.without_repeats(grid.join_tiles(s, t, tile, own=False), p["dedup"])
 
 
 def _source_grid(s, t, p):
-    tile = grid.guarded(_tile(p, s), t) if p["guard"] else _tile(p, s)
-    build = "broadcast" if p["broadcast_rows"] and s.count() <= p["broadcast_rows"] else "auto"
-    return grid.join_tiles(s, t, tile, carry=p["carry"], build=build)
+    about = tuple(grid.stats(s, t))
+    own = about[1] if p["source"] == "smaller" and smaller(*about) else about[0]
+    tile = _tile(p, own)
+    build = "broadcast" if p["broadcast_rows"] and about[0].rows <= p["broadcast_rows"] and not grid.top_level(tile, *about) else "auto"
+    return grid.join_tiles(s, t, tile, carry=p["carry"], build=build, about=about if p["guard"] else None)
 
 
 def _distributed(s, t, p):
-    swap = p["source"] == "right" or p["source"] == "smaller" and t.count() < s.count()
-    tile = grid.guarded(_tile(p, t if swap else s), s, t)
-    return grid.join_tiles(s, t, tile, carry=p["carry"])
+    about = tuple(grid.stats(s, t))
+    swap = p["source"] == "right" or p["source"] == "smaller" and smaller(*about)
+    return grid.join_tiles(s, t, _tile(p, about[1] if swap else about[0]), carry=p["carry"], about=about, hot_rows=p["hot_rows"])
+
+
+def _turned(join, s, t, sample, wanted: bool):
+    """join(source, target), with the smaller side as source where that is wanted."""
+    if wanted and smaller(sample.source, sample.target):
+        from dataclasses import replace
+
+        return join(t, s, replace(sample, source=sample.target, target=sample.source)).select(F.col("tid").alias("sid"), F.col("sid").alias("tid"))
+    return join(s, t, sample)
 
 
-def _cells(s, t, p, kind):
-    points = partitioned.sample_centres(s, t)
-    return partitioned.make_cells(kind, points, max(1, int(len(points) * p["cell_share"])), p.get("overflow", "extend"))
+def _cell_join(s, t, p, make, local, indexed: bool = False):
+    """Cells by make(sample), then `local` in each; an index is built of the smaller side."""
+    sample = partitioned.sampled(s, t)
+    tile = (lambda d: (d.w, d.h))(sample.source.tile()) if local == "grid" else None
+    join = lambda a, b, about: partitioned.join_cells(a, b, make(sample), local, p.get("capacity", 16), tile, about, p.get("block_rows") or partitioned.BLOCK_ROWS)
+    return _turned(join, s, t, sample, indexed)
 
 
-def _local_tile(s):
-    tile = grid.mean_tile(s)
-    return tile.w, tile.h
+def _strips_of(p):
+    return lambda sample: partitioned.strips(sample.points, p["strips"] or sample.cells())
 
 
 def _sweep(kind):
-    def run(s, t, p):
-        cells = partitioned.strips(partitioned.sample_centres(s, t), p["strips"])
-        return partitioned.join_cells(s, t, cells, kind)
+    return lambda s, t, p: _cell_join(s, t, p, _strips_of(p), kind)
+
+
+def _sampled_cells(p):
+    return lambda sample: partitioned.make_cells(p["partitioner"], sample, p["cell_share"], p["overflow"])
 
-    return run
 
+def _fixed(p):
+    """nx and ny as given, or as many as the rows of both sides ask for."""
+    def make(sample):
+        n = max(1, round(sample.cells() ** 0.5))
+        return partitioned.fixed_cells(sample.extent(), p.get("nx") or n, p.get("ny") or n)
 
-def _fixed(s, t, nx, ny):
-    r = s.select("xmin", "ymin", "xmax", "ymax").unionByName(t.select("xmin", "ymin", "xmax", "ymax")).agg(F.min("xmin"), F.min("ymin"), F.max("xmax"), F.max("ymax")).first()
-    return partitioned.fixed_cells(tuple(r) if r[0] is not None else (0.0, 0.0, 1.0, 1.0), nx, ny)
+    return make
+
+
+def _packed(p, kind: str) -> str:
+    return "rtree_inserted" if kind == "rtree" and p.get("build") == "inserted" else kind
 
 
 def _tree(kind):
     def run(s, t, p):
-        build = {"rtree": lambda b: local_index.r_tree(b, p["capacity"]), "quadtree": lambda b: local_index.QuadTree(b, p["capacity"], p.get("max_depth", 16)), "crtree": lambda b: local_index.cr_tree(b, p["capacity"], p.get("bits", 8))}[kind]
-        return partitioned.broadcast_index(s, t, build)
+        build = {
+            "rtree": lambda b: (local_index.r_tree if p["build"] == "inserted" else local_index.str_tree)(b, p["capacity"]),
+            "quadtree": lambda b: local_index.QuadTree(b, p["capacity"], p.get("max_depth", 16)),
+            "crtree": lambda b: local_index.cr_tree(b, p["capacity"], p.get("bits", 8)),
+        }[kind]
+        a, b = grid.stats(s, t)
+        if smaller(a, b):
+            return partitioned.broadcast_index(t, s, build, p["limit"]).select(F.col("tid").alias("sid"), F.col("sid").alias("tid"))
+        return partitioned.broadcast_index(s, t, build, p["limit"])
 
     return run
 
 
+def _broadcast_join(s, t, p):
+    build = lambda b: (local_index.r_tree if p["build"] == "inserted" else local_index.str_tree)(b, p["capacity"])
+    return partitioned.broadcast_index(s, t, build, p["limit"])
+
+
 def _skew_aware(s, t, p):
-    cells = _fixed(s, t, 8, 8) if p["partitioner"] == "grid" else _cells(s, t, p, p["partitioner"])
-    cells = partitioned.rebalanced(s, t, cells, p["skew"])
-    return partitioned.join_cells(s, t, cells, p["local"], p["capacity"], _local_tile(s) if p["local"] == "grid" else None)
+    def make(sample):
+        n = max(4, round(sample.cells() ** 0.5))
+        cells = partitioned.fixed_cells(sample.extent(), n, n) if p["partitioner"] == "grid" else partitioned.make_cells(p["partitioner"], sample, p["cell_share"], p["overflow"])
+        return partitioned.rebalanced(sample, cells, p["skew"])
+
+    return _cell_join(s, t, p, make, _packed(p, p["local"]))
 
 
 def _partition_pairs(s, t, p):
     """A fixed grid is plain arithmetic, so its cells are tiles of a grid join; sampled cells are dealt by a lookup."""
     if p["partitioner"] != "fixed":
-        return partitioned.join_cells(s, t, _cells(s, t, p, p["partitioner"]), "nested")
-    r = s.select("xmin", "ymin", "xmax", "ymax").unionByName(t.select("xmin", "ymin", "xmax", "ymax")).agg(F.max("xmax") - F.min("xmin"), F.max("ymax") - F.min("ymin")).first()
-    return grid.join_tiles(s, t, Tile((r[0] or 1.0) / p["nx"], (r[1] or 1.0) / p["ny"]))
+        return _cell_join(s, t, p, _sampled_cells(p), "nested")
+    about = tuple(grid.stats(s, t))
+    x1, y1, x2, y2 = grid.joint(*about).extent or (0.0, 0.0, 1.0, 1.0)
+    return grid.join_tiles(s, t, Tile((x2 - x1 or 1.0) / p["nx"], (y2 - y1 or 1.0) / p["ny"]), about=about)
 
 
 _CARRY = Param("carry", "boolean", False, about="carry both geometries through the join")
+_SIDE = Param("source", "string", "smaller", options=("smaller", "left", "right"), about="the side whose mean sizes the tile")
+_LIMIT = Param("limit", "long", partitioned.BROADCAST_BYTES, 0, partitioned.BROADCAST_BYTES, about="bytes of the source boxes and their index")
+_BLOCK = Param("block_rows", "int", None, 1, None, about="rows of a side that one task of a full cell holds; none: the default")
+_LOCAL = ("nested", "rtree", "quadtree", "grid")
 for _m in (
     Method("two_sided_grid", "tiles of the mean size over both sides, or as given; both sides dealt to tiles", "grid", "both", "intensive", True, _two_sided, (*_TILE, Param("dedup", "string", "refpoint", options=("refpoint", "distinct", "group_by", "drop_duplicates", "reduce_by_key"), about="how repeats are kept out"), Param("swap", "boolean", False, about="take the side of the smaller volume as source"), _CARRY), True),
-    Method("source_grid", "tiles of the mean source size, or as given; only the source is indexed", "grid", "both", "frugal", True, _source_grid, (*_TILE, Param("guard", "boolean", True, about="coarsen the tile if targets would lie in too many"), Param("broadcast_rows", "int", 0, 0, 5_000_000, about="broadcast sources of at most so many rows"), _CARRY), True),
-    Method("plane_sweep_list", "sweep along x with one list per side, in strips of equal load", "partition", "both", "intensive", False, _sweep("list"), (Param("strips", "int", 16, 1, 1_000_000, about="strips swept in parallel; 1: one task"),)),
-    Method("plane_sweep_stripes", "sweep along x with lists per stripe", "partition", "both", "intensive", False, _sweep("stripes"), (Param("strips", "int", 16, 1, 1_000_000, about="strips swept in parallel; 1: one task"),)),
-    Method("pbsm", "a fixed number of orthogonal partitions, plane sweep within", "partition", "both", "intensive", False, lambda s, t, p: partitioned.join_cells(s, t, _fixed(s, t, p["nx"], p["ny"]), p["structure"]), (Param("nx", "int", 16, 1, 4096, about="partitions along x"), Param("ny", "int", 16, 1, 4096, about="partitions along y"), Param("structure", "string", "list", options=("list", "stripes"), about="sweep structure"))),
+    Method("source_grid", "tiles of the mean source size, or as given; only the source is indexed", "grid", "both", "frugal", True, _source_grid, (*_TILE, Param("source", "string", "left", options=("smaller", "left"), about="the side whose mean sizes the tile"), Param("guard", "boolean", True, about="deal geometries that would lie in too many tiles to coarser ones, and split hot tiles"), Param("broadcast_rows", "int", 0, 0, 5_000_000, about="broadcast sources of at most so many rows"), _CARRY), True),
+    Method("plane_sweep_list", "sweep along x with one list per side, in strips of equal load", "partition", "both", "intensive", False, _sweep("list"), (_STRIPS, _BLOCK)),
+    Method("plane_sweep_stripes", "sweep along x with lists per stripe", "partition", "both", "intensive", False, _sweep("stripes"), (_STRIPS, _BLOCK)),
+    Method("plane_sweep_stops", "the stops of a sweep as two equi-joins on strips, without Python", "partition", "parallel", "frugal", False, lambda s, t, p: partitioned.sweep_pairs(s, t, p["width"]), (Param("width", "double", None, 1e-12, None, about="strip width; none: four mean widths"),)),
+    Method("pbsm", "orthogonal partitions, plane sweep within", "partition", "both", "intensive", False, lambda s, t, p: _cell_join(s, t, p, _fixed(p), p["structure"]), (Param("nx", "int", None, 1, 4096, about="partitions along x; none: from the rows"), Param("ny", "int", None, 1, 4096, about="partitions along y; none: from the rows"), Param("structure", "string", "list", options=("list", "stripes"), about="sweep structure"), _BLOCK)),
     Method("stripe_hash", "vertical stripes of the mean source width, an equi-join on stripes", "partition", "both", "frugal", False, lambda s, t, p: partitioned.stripe_pairs(s, t, p["width"]), (Param("width", "double", None, 1e-12, None, about="stripe width; none: mean source width"),)),
-    Method("stripe_str", "vertical strips with a packed tree of the sources in each", "partition", "both", "frugal", False, lambda s, t, p: partitioned.join_cells(s, t, partitioned.strips(partitioned.sample_centres(s, t), p["strips"]), "str", p["capacity"]), (Param("strips", "int", 16, 1, 1_000_000, about="strips"), _NODE)),
-    Method("rtree", "an R-tree of the sources, sent to all tasks", "tree", "both", "frugal", False, _tree("rtree"), (_NODE,)),
-    Method("quadtree", "a quadtree of the sources, sent to all tasks", "tree", "both", "frugal", False, _tree("quadtree"), (_NODE, Param("max_depth", "int", 16, 1, 24, about="deepest level"))),
-    Method("crtree", "a packed R-tree with boxes quantised relative to their parent", "tree", "both", "frugal", False, _tree("crtree"), (_NODE, Param("bits", "int", 8, 4, 16, about="bits of a quantised coordinate"))),
-    Method("sampled_partition_join", "cells from a sample, equal partitions joined, nested loop or local index", "tree", "parallel", "intensive", False, lambda s, t, p: partitioned.join_cells(s, t, _cells(s, t, p, p["partitioner"]), p["local"], p["capacity"]), (Param("partitioner", "string", "kdb", options=("kdb", "quadtree"), about="cells"), Param("local", "string", "rtree", options=("nested", "rtree", "quadtree"), about="local join"), *_SAMPLE, _NODE)),
-    Method("broadcast_join", "an R-tree of a source of limited size, targets split, no global join", "tree", "parallel", "frugal", False, lambda s, t, p: partitioned.broadcast_index(s, t, lambda b: local_index.r_tree(b, p["capacity"]), p["limit"]), (Param("limit", "long", partitioned.BROADCAST_BYTES, 0, partitioned.BROADCAST_BYTES, about="bytes of source boxes"), _NODE)),
-    Method("partition_pair_join", "user grid, or cells from binary or sort-tile splits of a sample; overlapping partitions joined", "partition", "parallel", "intensive", False, _partition_pairs, (Param("partitioner", "string", "fixed", options=("fixed", "bsp", "str"), about="cells"), Param("nx", "int", 512, 1, 4096, about="columns of a fixed grid"), Param("ny", "int", 512, 1, 4096, about="rows of a fixed grid"), *_SAMPLE)),
-    Method("distributed_grid", "tiles of the mean source size deal both sides; one equi-join", "grid", "parallel", "intensive", True, _distributed, (*_TILE, Param("source", "string", "smaller", options=("smaller", "left", "right"), about="the side whose mean sizes the tile"), _CARRY), True),
-    Method("skew_aware_join", "cells are split while they hold a multiple of the smallest; local index on the source", "tree", "parallel", "intensive", False, _skew_aware, (Param("partitioner", "string", "quadtree", options=("grid", "rtree", "quadtree"), about="cells"), Param("local", "string", "rtree", options=("rtree", "quadtree", "grid"), about="local index"), Param("skew", "double", 2.0, 1.1, 100, about="multiple of the smallest cell that is split"), *_SAMPLE, _NODE)),
+    Method("stripe_str", "vertical strips with a packed tree of the sources in each", "partition", "both", "frugal", False, lambda s, t, p: _cell_join(s, t, p, _strips_of(p), "str", True), (_STRIPS, _NODE, _BLOCK)),
+    Method("rtree", "an R-tree of the smaller side, sent to all tasks", "tree", "both", "frugal", False, _tree("rtree"), (_NODE, _BUILD, _LIMIT)),
+    Method("quadtree", "a quadtree of the smaller side, sent to all tasks", "tree", "both", "frugal", False, _tree("quadtree"), (_NODE, Param("max_depth", "int", 16, 1, 24, about="deepest level"), _LIMIT)),
+    Method("crtree", "a packed R-tree with boxes quantised relative to their parent", "tree", "both", "frugal", False, _tree("crtree"), (_NODE, Param("bits", "int", 8, 4, 16, about="bits of a quantised coordinate"), _LIMIT)),
+    Method("sampled_partition_join", "cells from a sample, equal partitions joined, nested loop or local index", "tree", "parallel", "intensive", False, lambda s, t, p: _cell_join(s, t, p, _sampled_cells(p), _packed(p, p["local"])), (Param("partitioner", "string", "kdb", options=("kdb", "quadtree"), about="cells"), Param("local", "string", "rtree", options=_LOCAL, about="local join"), *_SAMPLE, _NODE, _BUILD, _BLOCK)),
+    Method("broadcast_join", "an R-tree of a source of limited size, targets split, no global join", "tree", "parallel", "frugal", False, _broadcast_join, (_LIMIT, _NODE, _BUILD)),
+    Method("partition_pair_join", "user grid, or cells from binary or sort-tile splits of a sample; overlapping partitions joined", "partition", "parallel", "intensive", False, _partition_pairs, (Param("partitioner", "string", "fixed", options=("fixed", "bsp", "str"), about="cells"), Param("nx", "int", 512, 1, 4096, about="columns of a fixed grid"), Param("ny", "int", 512, 1, 4096, about="rows of a fixed grid"), *_SAMPLE, _BLOCK)),
+    Method("distributed_grid", "tiles of the mean source size deal both sides; one equi-join", "grid", "parallel", "intensive", True, _distributed, (*_TILE, _SIDE, Param("hot_rows", "int", None, 1, None, about="targets of a tile beyond which it is split; none: from the rows"), _CARRY), True),
+    Method("skew_aware_join", "cells are split while they hold a multiple of the smallest; local index on the source", "tree", "parallel", "intensive", False, _skew_aware, (Param("partitioner", "string", "quadtree", options=("grid", "rtree", "quadtree"), about="cells"), Param("local", "string", "rtree", options=("rtree", "quadtree", "grid"), about="local index"), Param("skew", "double", 2.0, 1.1, 100, about="multiple of the smallest cell that is split"), *_SAMPLE, _NODE, _BUILD, _BLOCK)),
     Method("zorder_join", "2^precision tiles on a Z-order curve, equi-join on the curve", "grid", "parallel", "intensive", False, lambda s, t, p: grid.zorder_pairs(s, t, p["precision"], p["carry"]), (Param("precision", "int", 20, 2, 40, about="bits of the curve"), _CARRY), True),
     Method("brute_force", "every pair", "none", "both", "intensive", False, lambda s, t, p: partitioned.brute_pairs(s, t), ()),
 ):
@@ -229,32 +277,67 @@ def methods_catalog(spark: SparkSession) -> DataFrame:
     return spark.createDataFrame(rows, "method string, about string, tiling string, execution string, memory string, evidence boolean, param string, kind string, `default` string, least double, most double, options string, param_about string")
 
 
-def grid_search(source: DataFrame, target: DataFrame, name: str, space: dict[str, list], measure=None) -> list[tuple[dict, float]]:
-    """Every combination of a method's parameter values with its measure (default: seconds to count candidates), best first."""
+def related_of(matrices: DataFrame):
+    """Whether a pair satisfies any positive relation."""
+    return verify.relation("intersects", F.col("matrix"), F.col("s_dim"), F.col("t_dim"))
+
+
+def grid_search(source: DataFrame, target: DataFrame, name: str, space: dict[str, list], objective: str = "seconds", budget: float = 0.1) -> list[tuple[dict, float]]:
+    """Every combination of values with its objective, best first.
+
+    objective 'seconds': the time to find all candidates, least first. 'recall': progressive recall (the area under the
+    curve against that of an ideal order) of the best `budget` of a grid's candidates, most first; beside the method's
+    parameters `space` may then vary scheduler, weight and second.
+    """
     import itertools
     import time
 
-    def seconds(pairs: DataFrame) -> float:
+    from spatial_links.operators import measures, schedule, weights
+    from spatial_links.plans.shared import dropped, written
+
+    def seconds(params: dict) -> float:
         at = time.perf_counter()
-        pairs.write.format("noop").mode("overwrite").save()
+        candidate_pairs(source, target, MethodSpec(name, params)).write.format("noop").mode("overwrite").save()
         return time.perf_counter() - at
 
+    flags = None
+    if objective == "recall":
+        m = pair_matrices(source, target)
+        flags = written(m.select("sid", "tid", related_of(m).alias("related")))
+        total, found = flags.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.col("related").cast("long")), F.lit(0))).first()
+        limit = schedule.Budget(fraction=budget).pairs(total)
+
+    def recall(params: dict) -> float:
+        own = dict(params)
+        order, one, two = own.pop("scheduler", "global"), own.pop("weight", "js"), own.pop("second", None)
+        pairs = candidate_pairs(source, target, MethodSpec(name, own))
+        scored = written(weights.scored(pairs, one, two).join(pairs.select("sid", "tid", "tx", "ty"), ["sid", "tid"]))
+        ranked = schedule.scheduler(order)(scored, limit).join(flags, ["sid", "tid"]).select("position", "related")
+        out = measures.progressive(ranked, {budget: limit}, found).first().ratio
+        dropped(scored)
+        return out
+
+    measure = {"seconds": seconds, "recall": recall}[objective]
     out = []
     for values in itertools.product(*space.values()):
         params = dict(zip(space, values, strict=True))
-        out.append((params, (measure or seconds)(candidate_pairs(source, target, MethodSpec(name, params)))))
-    return sorted(out, key=lambda x: x[1])
+        out.append((params, measure(params)))
+    if flags is not None:
+        dropped(flags)
+    return sorted(out, key=lambda x: x[1] if objective == "seconds" else -x[1])
 
 
-def recommend_targets(source: DataFrame, targets: dict[str, DataFrame], budget: int) -> list[tuple[str, int]]:
-    """Targets by how many related pairs a small budget finds among their best candidates."""
-    from spatial_links.operators.schedule import global_top
+def recommend_targets(source: DataFrame, targets: dict[str, DataFrame], budget: float = 0.02) -> list[tuple[str, int]]:
+    """Targets by how many related pairs a small share of their best candidates holds."""
+    from spatial_links.operators.schedule import Budget, global_top
     from spatial_links.operators.weights import scored
+    from spatial_links.plans.shared import dropped, written
 
     out = []
     for name, t in targets.items():
-        tile = grid.guarded(grid.mean_tile(source), t)
-        top = global_top(scored(grid.join_tiles(source, t, tile), "js", "mbro"), budget)
-        found = verify.matrices(verify.attach(top.select("sid", "tid"), source, t)).where(verify.relation("intersects", F.col("matrix"), F.col("s_dim"), F.col("t_dim"))).count()
-        out.append((name, found))
+        best = written(scored(candidate_pairs(source, t, MethodSpec("source_grid")), "js", "mbro"))
+        top = global_top(best, Budget(fraction=budget).pairs(best.count()))
+        m = verify.matrices(verify.attach(top.select("sid", "tid"), source, t))
+        out.append((name, m.where(related_of(m)).count()))
+        dropped(best)
     return sorted(out, key=lambda x: (-x[1], x[0]))

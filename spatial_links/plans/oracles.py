@@ -79,6 +79,8 @@ flags as (select *, (ii >= 0 or ib >= 0 or bi >= 0 or bb >= 0) as intersects,
 """
 
 
+#: Points of a geometry by its shape.
+POINTS = "case shape when 'rect' then 5 when 'L' then 7 when 'ring' then 10 when 'plus' then 13 when 'hook' then 3 else 2 end"
 RELATIONS = ("contains", "covered_by", "covers", "crosses", "equals", "intersects", "overlaps", "touches", "within")
 
 
@@ -112,15 +114,14 @@ def tile(*sides: str) -> str:
     return f"tile as (select avg(cast(w as double)) as tw, avg(cast(h as double)) as th from ({both}))"
 
 
-def scored(name: str, primary: str = "js", secondary: str | None = None) -> str:
-    """CTEs up to `w`: sid, tid, weight, second, tile ranges and counts, with the source-mean tile."""
+def scored(name: str, primary: str = "js", secondary: str | None = None, sides: tuple[str, ...] = ("s",)) -> str:
+    """CTEs up to `w`: sid, tid, weight, second, tile ranges and counts, with the mean tile of the sides."""
     e = {"cf": "cast(k as double)", "js": "cast(k as double) / (ks + kt - k)", "mbro": "case when ua > 0 then ia / ua else 0.0 end", "isp": "1.0 / (sp + tp)", "chi2": "case when (k + (ks - k)) * ((kt - k) + (n - ks - kt + k)) * (k + (kt - k)) * ((ks - k) + (n - ks - kt + k)) > 0 then n * pow(cast(k as double) * (n - ks - kt + k) - cast(ks - k as double) * (kt - k), 2) / ((cast(k as double) + (ks - k)) * (cast(kt - k as double) + (n - ks - kt + k)) * (cast(k as double) + (kt - k)) * (cast(ks - k as double) + (n - ks - kt + k))) else 0.0 end"}
-    points = "case shape when 'rect' then 5 when 'L' then 7 when 'ring' then 10 when 'plus' then 13 when 'hook' then 3 else 2 end"
-    return f"""{pairs(name)}, {tile('s')},
+    return f"""{pairs(name)}, {tile(*sides)},
 r as (select c.sid, c.tid, cast(floor(s.x / tw) as bigint) as sx1, cast(floor((s.x + s.w) / tw) as bigint) as sx2, cast(floor(s.y / th) as bigint) as sy1, cast(floor((s.y + s.h) / th) as bigint) as sy2,
   cast(floor(t.x / tw) as bigint) as tx1, cast(floor((t.x + t.w) / tw) as bigint) as tx2, cast(floor(t.y / th) as bigint) as ty1, cast(floor((t.y + t.h) / th) as bigint) as ty2,
   greatest(0.0, least(s.x + s.w, t.x + t.w) - greatest(s.x, t.x)) * greatest(0.0, least(s.y + s.h, t.y + t.h) - greatest(s.y, t.y)) as ia, cast(s.w * s.h + t.w * t.h as double) as ab,
-  s.np as sp, t.np as tp from c join (select *, {points} as np from s) s on s.gid = c.sid join (select *, {points} as np from t) t on t.gid = c.tid, tile),
+  s.np as sp, t.np as tp from c join (select *, {POINTS} as np from s) s on s.gid = c.sid join (select *, {POINTS} as np from t) t on t.gid = c.tid, tile),
 ext as (select (select (floor(max(x + w) / any_value(tw)) - floor(min(x) / any_value(tw)) + 1) * (floor(max(y + h) / any_value(th)) - floor(min(y) / any_value(th)) + 1) from (select x, y, w, h from s union all select x, y, w, h from t), tile) as n),
 q as (select r.*, (least(sx2, tx2) - greatest(sx1, tx1) + 1) * (least(sy2, ty2) - greatest(sy1, ty1) + 1) as k, (sx2 - sx1 + 1) * (sy2 - sy1 + 1) as ks, (tx2 - tx1 + 1) * (ty2 - ty1 + 1) as kt, ab - ia as ua,
   greatest(sx1, tx1) as tx, least(sy2, ty2) as ty, ext.n as n from r, ext),

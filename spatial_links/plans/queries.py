@@ -67,7 +67,7 @@ for _name in (*L.RECIPES, "mixed"):
     _layer_query(_name)
 
 _ROUTES = """with p as (select l_orderkey, l_partkey // 4 as x, date_diff('day', date '1995-01-01', cast(l_shipdate as date)) // 14 as y, min((l_shipdate, l_linenumber)) as f
-  from lineitem where l_orderkey % 50 = 0 group by 1, 2, 3),
+  from lineitem group by 1, 2, 3),
 r as (select l_orderkey as gid, count(*) as npoints, list({'x': x, 'y': y} order by f, x, y) as pts from p group by 1 having count(*) >= 2)"""
 
 
@@ -121,12 +121,20 @@ def range_window(spark, sf_dir):
 # Sources
 
 
-@query("q_clean_report")
+_LINES = r"\r\n|\n|\r"
+_JUNK = f"select unnest(string_split_regex(text, '{_LINES}')) as line from documents"
+_KIND = r"upper(regexp_extract(line, '^\s*([A-Za-z]+)', 1))"
+
+
+@query("q_clean_report", f"""with {O.BASE}, j as ({_JUNK}), r as (select case when {_KIND} = '' or not regexp_matches(line, '^\\s*[A-Za-z]+\\s*(\\(|EMPTY)') then 'parse_error'
+  when {_KIND} not in ('LINESTRING', 'POLYGON') then 'unsupported_type' else 'other' end as reason from j)
+select 'accepted' as reason, count(*) as n from ({O.layer('lakes')}) union all select reason, count(*) as n from r group by 1""")
 def clean_report(spark, sf_dir):
+    """The lakes among all lines of all documents, as one file of lines to be cleaned."""
     from spatial_links.sources import readers as R
 
     path = new_path(spark, "wkt")
-    junk = L.table(spark, sf_dir, "documents").select(F.element_at(F.split("text", "\n"), 1).alias("value"))
+    junk = L.table(spark, sf_dir, "documents").select(F.explode(F.split("text", _LINES)).alias("value"))
     L.layer(spark, sf_dir, "lakes").select(G.to_wkt().alias("value")).unionByName(junk).write.text(path)
     good, rejected = R.clean(R.read_wkt(spark, path))
     good = good.groupBy().agg(F.count(F.lit(1)).alias("n")).select(F.lit("accepted").alias("reason"), "n")
@@ -262,11 +270,7 @@ def cand_serial_sweep(spark, sf_dir):
     return M.candidate_pairs(*L.pair(spark, sf_dir, "p1"), MethodSpec("plane_sweep_list", {"strips": 1})).select("sid", "tid")
 
 
-@query("q_cand_sweep_window", _PAIRS_P1)
-def cand_sweep_window(spark, sf_dir):
-    """The sweep as SQL: x intervals binned to strips, joined, owned by the strip of the larger xmin."""
-    s, t = L.pair(spark, sf_dir, "p1")
-    return partitioned.stripe_pairs(s, t, width=8.0)
+_candidates("q_cand_sweep_window", MethodSpec("plane_sweep_stops"))
 
 
 @query("q_cand_uri_ids", O.pairs("p1") + " select 'urn:lakes:' || sid as suri, 'urn:streams:' || tid as turi from c")
@@ -279,12 +283,10 @@ def cand_uri_ids(spark, sf_dir):
 
 @query("q_cand_bloom", _PAIRS_P1)
 def cand_bloom(spark, sf_dir):
-    """Targets are first cut down to tiles that hold a source at all: a semi-join, which Spark may run as a Bloom filter."""
+    """The ablation with a Bloom filter of the sources' tiles, through which targets pass before they are dealt."""
     s, t = L.pair(spark, sf_dir, "p1")
-    tile = grid.mean_tile(s)
-    held = grid.dealt(grid.ranged(G.prefixed(s, "s", G.BOX), tile, "s"), "s").select("tx", "ty").distinct()
-    near = grid.dealt(grid.ranged(G.prefixed(t, "t", G.BOX), tile, "t"), "t").join(held, ["tx", "ty"], "left_semi").select(F.col("tid").alias("gid")).distinct()
-    return M.candidate_pairs(s, t.join(near, "gid", "left_semi"), MethodSpec("source_grid")).select("sid", "tid")
+    about = grid.stats(s)[0]
+    return M.candidate_pairs(s, grid.TileFilter(s, about.tile(), about.rows).passed(t), MethodSpec("source_grid")).select("sid", "tid")
 
 
 @query("q_cand_undeduped", O.scored("p1", "cf") + " select sid, tid, cast(k as bigint) as times from w")
@@ -322,11 +324,22 @@ for _name, _spec in {
     _join(_name, _spec)
 
 
-@query("q_join_skew_routes")
-def join_skew_routes(spark, sf_dir):
-    """Long diagonal routes over lakes: the skewed workload; relation counts."""
-    s, t = L.layer(spark, sf_dir, "lakes"), L.routes(spark, sf_dir, 500)
-    return verify.relation_counts(M.pair_matrices(s, t, MethodSpec("skew_aware_join")))
+_WALKS = f"""with p as (select l_orderkey, l_partkey // 4 as x, date_diff('day', date '1995-01-01', cast(l_shipdate as date)) // 14 as y, min((l_shipdate, l_linenumber)) as f
+  from lineitem group by 1, 2, 3), r as (select l_orderkey as gid, list({{'x': x, 'y': y}} order by f, x, y) as pts from p group by 1 having count(*) >= 2),
+u as (select gid, pts[1].x as fx, pts[1].y as fy, unnest(pts) as q from r), v as (select gid, fx + ((q.x - fx) % 24 + 24) % 24 as x, fy + ((q.y - fy) % 24 + 24) % 24 as y from u),
+k as (select gid, min(x) as x1, min(y) as y1, max(x) as x2, max(y) as y2 from v group by 1 having count(distinct (x, y)) >= 2)"""
+
+
+@query("q_cand_skew_walks", f"{_WALKS}, {O.BASE}, s as ({O.layer('lakes')}) select s.gid as sid, k.gid as tid from s join k on s.x <= x2 and x1 <= s.x + s.w and s.y <= y2 and y1 <= s.y + s.h")
+def cand_skew_walks(spark, sf_dir):
+    """Slanting lines of every order's stops over lakes: the skewed workload; candidates."""
+    return M.candidate_pairs(L.layer(spark, sf_dir, "lakes"), L.layer(spark, sf_dir, "walks"), MethodSpec("skew_aware_join"))
+
+
+@query("q_join_skew_walks")
+def join_skew_walks(spark, sf_dir):
+    """Relation counts of the skewed workload (slanting lines, so the lattice oracle has no truth; tested against the exact kernel)."""
+    return verify.relation_counts(M.pair_matrices(L.layer(spark, sf_dir, "lakes"), L.layer(spark, sf_dir, "walks"), MethodSpec("skew_aware_join")))
 
 
 for _p in L.PAIRS:
@@ -362,14 +375,12 @@ def rel_runs(spark, sf_dir):
     return verify.one_relation_runs(s, t, lambda a, b: grid.join_tiles(a, b, grid.mean_tile(a), carry=True).select("sid", "tid", *(p + c for p in ("s_", "t_") for c in ("dim", *G.SHAPE))))
 
 
-_CORNER = "x < 30 and y < 40"
-
-
-@query("q_disjoint_anti", f'{O.pair_ctes("p1")} select a.gid as sid, b.gid as tid from (select gid from s where {_CORNER}) a, (select gid from t where {_CORNER}) b where not exists (select 1 from flags f where f.sid = a.gid and f.tid = b.gid and intersects)')
-def disjoint_anti(spark, sf_dir):
-    s, t = (d.where(_CORNER) for d in L.pair(spark, sf_dir, "p1"))
+@query("q_disjoint_counts", f'{O.pair_ctes("p1")}, n as (select sid, count(*) as n from flags where intersects group by 1) select s.gid as sid, (select count(*) from t) - coalesce(n.n, 0) as disjoint from s left join n on n.sid = s.gid')
+def disjoint_counts(spark, sf_dir):
+    """Closed world: how many targets each source has nothing in common with."""
+    s, t = L.pair(spark, sf_dir, "p1")
     m = M.pair_matrices(s, t)
-    return verify.disjoint_pairs(s, t, m.where(_related(m)))
+    return verify.disjoint_counts(s, t, m.where(_related(m)))
 
 
 # Tables of relations
@@ -473,11 +484,12 @@ def method_equivalence(spark, sf_dir):
 # Weights and schedulers
 
 
-def _p7(spark, sf_dir, pair: str = "p7"):
-    """(pairs, tile, source, target) with the source-mean tile."""
+def _p7(spark, sf_dir, pair: str = "p7", both: bool = False):
+    """(pairs, tile, source, target) with the mean tile of the source, or of both sides."""
     s, t = L.pair(spark, sf_dir, pair)
-    tile = grid.mean_tile(s)
-    return grid.join_tiles(s, t, tile), tile, s, t
+    about = tuple(grid.stats(s, t))
+    tile = (grid.joint(*about) if both else about[0]).tile()
+    return grid.join_tiles(s, t, tile, about=about), tile, s, t
 
 
 def _universe(s: DataFrame, t: DataFrame, tile: grid.Tile) -> int:
@@ -526,18 +538,17 @@ def _budget(scored: DataFrame) -> tuple[int, int]:
     return schedule.Budget(fraction=0.1).pairs(n), n
 
 
-def _sched(name: str, oracle: str | None, primary: str, secondary: str | None, order) -> None:
+def _sched(name: str, oracle: str | None, primary: str, secondary: str | None, order, both: bool = False) -> None:
     @query(name, oracle)
     def run(spark, sf_dir):
-        pairs, *_ = _p7(spark, sf_dir)
-        scored = written(weights.scored(pairs, primary, secondary))  # counted, cut to quantiles and numbered: read several times
-        budget, n = _budget(scored)
-        return order(pairs, scored, budget, n).select("position", "sid", "tid")
+        pairs, *_ = _p7(spark, sf_dir, both=both)
+        scored = written(weights.scored(pairs, primary, secondary, keep=("tx", "ty")))  # counted, cut to a quantile and numbered: read several times
+        return order(scored, _budget(scored)[0]).select("position", "sid", "tid")
 
 
 _ORDERED = O.scored("p7", "js", "mbro")
 for _s in ("js", "mbro", "cf"):
-    _sched(f"q_sched_global_{_s}", O.scored("p7", _s) + _top_sql(_BEST), _s, None, lambda pairs, d, bu, n: schedule.global_top(d, bu))
+    _sched(f"q_sched_global_{_s}", O.scored("p7", _s) + _top_sql(_BEST), _s, None, schedule.global_top)
 
 
 def _geo(side: str) -> str:
@@ -568,30 +579,46 @@ def _robin_sql(side: str) -> str:
 
 for _side in ("target", "source", "both"):
     _suffix = "" if _side == "target" else f"_{_side}"
-    _sched(f"q_sched_local{_suffix}", _local_sql(_side), "js", "mbro", lambda pairs, d, bu, n, side=_side: schedule.local_top(d, bu, n, side))
-    _sched(f"q_sched_geometry{_suffix}", _geometry_sql(_side), "js", "mbro", lambda pairs, d, bu, n, side=_side: schedule.geometry_ordered(d, bu, side))
-    _sched(f"q_sched_roundrobin{_suffix}", _robin_sql(_side), "js", "mbro", lambda pairs, d, bu, n, side=_side: schedule.round_robin(d, bu, side))
+    _sched(f"q_sched_local{_suffix}", _local_sql(_side), "js", "mbro", lambda d, bu, side=_side: schedule.local_top(d, bu, side))
+    _sched(f"q_sched_geometry{_suffix}", _geometry_sql(_side), "js", "mbro", lambda d, bu, side=_side: schedule.geometry_ordered(d, bu, side))
+    _sched(f"q_sched_roundrobin{_suffix}", _robin_sql(_side), "js", "mbro", lambda d, bu, side=_side: schedule.round_robin(d, bu, side))
 for _order, _dir in (("asc", ""), ("desc", " desc")):
-    _sched(f"q_sched_tiles_{_order}", _ORDERED + ", k as (select *, count(*) over (partition by tx, ty) as n from w)" + _top_sql(f"n{_dir}, tx, ty, {_BEST}", "k"), "js", "mbro", lambda pairs, d, bu, n, o=_order: schedule.tile_ordered(pairs, d, bu, o))
-_sched("q_sched_unordered", _ORDERED + _top_sql("(sid * 2654435761 + tid * 40503) % 1000003, sid, tid"), "js", "mbro", lambda pairs, d, bu, n: schedule.unordered(d, bu))
-
-_SHARD = "tid % 16"
-_SHARES = f""", n as (select {_SHARD} as shard, count(*) as c from w group by 1), b as (select {_BU} as bu, (select count(*) from w) as total),
-f as (select shard, bu * c // total as base, row_number() over (order by bu * c % total desc, shard) as place, bu from n, b),
-qq as (select shard, base + case when place <= bu - (select sum(base) from f) then 1 else 0 end as quota from f),
-rr as (select sid, tid, {_SHARD} as shard, row_number() over (partition by {_SHARD} order by {_BEST}) as position from w)
-select cast(rr.shard as bigint) as shard, position, sid, tid from rr join qq on qq.shard = rr.shard where position <= quota"""
+    _sched(f"q_sched_tiles_{_order}", O.scored("p7", "js", "mbro", ("s", "t")) + ", k as (select *, count(*) over (partition by tx, ty) as n from w)" + _top_sql(f"n{_dir}, tx, ty, {_BEST}", "k"), "js", "mbro", lambda d, bu, o=_order: schedule.tile_ordered(d, bu, o), both=True)
+_sched("q_sched_unordered", _ORDERED + _top_sql("(sid * 2654435761 + tid * 40503) % 1000003, sid, tid"), "js", "mbro", schedule.unordered)
+
+# The parallel forms: every partition of the distributed grid applies the scheduler to its own pairs, within its part of the budget.
+_SHARDS = 16
+_SHARD = f"(tx * 31 + ty) % {_SHARDS}"
+_PARTED = f""", g as (select *, (({_SHARD}) + {_SHARDS}) % {_SHARDS} as shard from w), n as (select shard, count(*) as c, count(distinct tid) as targets from g group by 1), b as (select {_BU} as bu, (select count(*) from w) as total),
+f as (select shard, targets, bu * c // total as base, row_number() over (order by bu * c % total desc, shard) as place, bu from n, b),
+qq as (select shard, targets, base + case when place <= bu - (select sum(base) from f) then 1 else 0 end as quota from f),
+gq as (select g.*, quota, targets from g join qq using (shard))"""
+_PART_ORDERS = {
+    "global": ("gq", _BEST),
+    "local": (f"(select * from (select *, row_number() over (partition by shard, tid order by {_BEST}) as rk from gq) where rk <= greatest(1, ceil(quota / targets)))", _BEST),
+    "geometry": (f"(select * from (select *, row_number() over (partition by shard order by mean desc, tid, {_BEST}) as rk from (select *, round(avg(weight) over (partition by shard, tid), 9) as mean from gq)) where rk <= quota)", _BEST),
+    "round_robin": (f"(select *, row_number() over (partition by shard, tid order by {_BEST}) as rk, round(avg(weight) over (partition by shard, tid), 9) as mean from gq)", "rk, mean desc, tid, sid"),
+    "tiles": ("(select *, count(*) over (partition by shard, tx, ty) as n from gq)", f"n, tx, ty, {_BEST}"),
+}
+
+
+def _parted(order: str) -> None:
+    rows, by = _PART_ORDERS[order]
+    oracle = _ORDERED + _PARTED + f", z as (select shard, quota, sid, tid, row_number() over (partition by shard order by {by}) as position from {rows}) select cast(shard as bigint) as shard, position, sid, tid from z where position <= quota"
+
+    @query("q_sched_sharded" if order == "global" else f"q_sched_sharded_{order}", oracle)
+    def run(spark, sf_dir):
+        pairs, *_ = _p7(spark, sf_dir)
+        scored = written(weights.scored(pairs, "js", "mbro", keep=("tx", "ty")))
+        return schedule.sharded(scored, _budget(scored)[0], schedule.tile_shard(_SHARDS), order).select(F.col("shard").cast("bigint").alias("shard"), "position", "sid", "tid")
 
 
-@query("q_sched_sharded", _ORDERED + _SHARES)
-def sched_sharded(spark, sf_dir):
-    pairs, *_ = _p7(spark, sf_dir)
-    scored = written(weights.scored(pairs, "js", "mbro"))
-    return schedule.sharded(scored, _budget(scored)[0], F.expr(f"cast({_SHARD} as bigint)")).select("shard", "position", "sid", "tid")
+for _order in _PART_ORDERS:
+    _parted(_order)
 
 
 def _verified(top: DataFrame, s: DataFrame, t: DataFrame) -> DataFrame:
-    keep = [c for c in ("position", "sid", "tid", "weight", "second") if c in top.columns]
+    keep = [c for c in ("shard", "position", "sid", "tid", "weight", "second") if c in top.columns]
     m = verify.matrices(verify.attach(top.select(*keep), s, t))
     return m.select(*keep, _related(m).alias("related"))
 
@@ -600,8 +627,9 @@ def _dynamic(name: str, primary: str, secondary: str | None) -> None:
     @query(name)
     def run(spark, sf_dir):
         pairs, _, s, t = _p7(spark, sf_dir)
-        top = schedule.global_top(written(weights.scored(pairs, primary, secondary)), 2000)
-        return schedule.dynamic_top(_verified(top, s, t)).select("position", "sid", "tid", "related")
+        scored = written(weights.scored(pairs, primary, secondary))
+        top = schedule.global_top(scored, _budget(scored)[0])
+        return schedule.dynamic_top(written(_verified(top, s, t))).select("position", "sid", "tid", "related")
 
 
 _dynamic("q_sched_dynamic_js", "js", None)
@@ -611,42 +639,45 @@ _dynamic("q_sched_composite_dynamic", "js", "mbro")
 
 @query("q_sched_dynamic_rounds")
 def sched_dynamic_rounds(spark, sf_dir):
+    """The global dynamic order in four rounds over the whole budget."""
     pairs, _, s, t = _p7(spark, sf_dir)
     scored = written(weights.scored(pairs, "js", "mbro"))
-    return schedule.dynamic_rounds(scored, lambda d: _verified(d, s, t), 600, 200).select("position", "sid", "tid", "related")
+    budget = _budget(scored)[0]
+    return schedule.dynamic_rounds(scored, lambda d: _verified(d, s, t), budget, max(1, -(-budget // 4))).select("position", "sid", "tid", "related")
 
 
 @query("q_sched_dynamic_sharded")
 def sched_dynamic_sharded(spark, sf_dir):
     pairs, _, s, t = _p7(spark, sf_dir)
-    scored = written(weights.scored(pairs, "js", "mbro"))
-    top = schedule.sharded(scored, 4000, F.expr(f"cast({_SHARD} as bigint)"))
-    return schedule.dynamic_top(_verified(top, s, t), shard=F.expr(_SHARD)).select("shard", "position", "sid", "tid", "related")
-
-
-@query("q_sched_time_budget")
-def sched_time_budget(spark, sf_dir):
-    """A limit on seconds: tasks stop starting batches at the deadline (here one that all of it meets)."""
-    import pyarrow as pa
-
-    pairs, *_ = _p7(spark, sf_dir)
-    top = schedule.global_top(weights.scored(pairs, "js"), 2000).select("position", "sid", "tid")
-    return schedule.timed(top, 60.0, lambda b: pa.RecordBatch.from_arrays(b.columns, names=b.schema.names), "position long, sid long, tid long")
+    scored = written(weights.scored(pairs, "js", "mbro", keep=("tx", "ty")))
+    top = schedule.sharded(scored, _budget(scored)[0], schedule.tile_shard(_SHARDS))
+    return schedule.dynamic_top(_verified(top, s, t), shard=F.col("shard")).select("shard", "position", "sid", "tid", "related")
 
 
-_FLAGGED = O.pair_ctes("p7")
+_SECONDS = (0, 3600)
 
 
-def _with_flags(scored_sql: str) -> str:
+def _with_flags(scored_sql: str, pair: str = "p7") -> str:
     """The weights' CTEs behind the flags' CTEs of the same pair."""
     tail = scored_sql.split("c as materialized", 1)[1].split(", tile as ", 1)[1]
-    return f"{_FLAGGED}, tile as {tail}"
+    return f"{O.pair_ctes(pair)}, tile as {tail}"
 
 
-def _all_flagged(spark, sf_dir):
+@query("q_sched_time_budget", _with_flags(O.scored("p7", "js")) + f", i as (select intersects, row_number() over (order by {_BEST}) as position from w join flags using (sid, tid)) select cast(b as bigint) as seconds, cast(sum(case when b > 0 and position <= {_BU} then 1 else 0 end) as bigint) as verified, cast(sum(case when b > 0 and position <= {_BU} and intersects then 1 else 0 end) as bigint) as related from i, (values {', '.join(f'({x})' for x in _SECONDS)}) v(b) group by 1")
+def sched_time_budget(spark, sf_dir):
+    """The best pairs verified under a time limit: one that has run out, and one that all of a tenth meets."""
     pairs, _, s, t = _p7(spark, sf_dir)
+    scored = written(weights.scored(pairs, "js"))
+    top = written(schedule.global_top(scored, _budget(scored)[0]).select("position", "sid", "tid"))
+    n = lambda d, b: d.agg(F.count(F.lit(1)).alias("verified"), F.coalesce(F.sum(F.col("related").cast("bigint")), F.lit(0)).alias("related")).select(F.lit(b).cast("bigint").alias("seconds"), "verified", "related")
+    return _union([n(schedule.verified_within(top, s, t, b), b) for b in _SECONDS])
+
+
+def _all_flagged(spark, sf_dir, pair: str = "p7"):
+    """(pairs, related flags as a written table)"""
+    pairs, _, s, t = _p7(spark, sf_dir, pair)
     m = M.pair_matrices(s, t)
-    return pairs, m.select("sid", "tid", _related(m).alias("related"))
+    return pairs, written(m.select("sid", "tid", _related(m).alias("related")))
 
 
 @query("q_sched_ideal", _with_flags(_ORDERED) + ", i as (select w.sid, w.tid, intersects from w join flags using (sid, tid))" + _top_sql("intersects desc, sid, tid", "i"))
@@ -656,57 +687,72 @@ def sched_ideal(spark, sf_dir):
     return schedule.ideal(scored, flags, _budget(scored)[0]).select("position", "sid", "tid")
 
 
-_EVALUATED = {"global_js": ("js", "w_js"), "global_mbro": ("mbro", "w_mbro")}
-_FRACTIONS = [k / 20 for k in range(1, 11)]
+#: The pairs of the progressive comparison, and its static orders as SQL.
+COMPARED = ("p2", "p7", "p8", "p9")
+_STATIC = {
+    "global_js": "js desc, sid, tid", "global_mbro": "mb desc, sid, tid", "composite": "js desc, mb desc, sid, tid",
+    "unordered": "(sid * 2654435761 + tid * 40503) % 1000003, sid, tid", "ideal": "intersects desc, sid, tid",
+}
 
 
-def _eval_sql() -> str:
-    base = _with_flags(O.scored("p7", "js"))
-    mbro = O.scored("p7", "mbro").rsplit("select sid, tid, ", 1)[1].split(" as weight", 1)[0]
-    orders = {"global_js": "w.weight desc, w.sid, w.tid", "global_mbro": "mb desc, w.sid, w.tid", "unordered": "(w.sid * 2654435761 + w.tid * 40503) % 1000003, w.sid, w.tid", "ideal": "intersects desc, w.sid, w.tid"}
-    both = f", z as (select w.*, intersects, {mbro} as mb from w join q using (sid, tid) join flags using (sid, tid))".replace("w.*", "w.sid, w.tid, w.weight")
-    ranks = " union all ".join(f"select '{m}' as method, intersects, row_number() over (order by {o.replace('w.', '')}) as position from z" for m, o in orders.items())
-    return f"""{base}{both}, ranked as materialized ({ranks}), total as (select count(*) as c, sum(intersects::int) as r from z),
+def _eval_sql(pair: str) -> str:
+    base = _with_flags(O.scored(pair, "js", "mbro"), pair)
+    ranks = " union all ".join(f"select '{m}' as method, intersects, row_number() over (order by {o}) as position from z" for m, o in _STATIC.items())
+    return f"""{base}, z as (select sid, tid, weight as js, second as mb, intersects from w join flags using (sid, tid)), ranked as materialized ({ranks}), total as (select count(*) as c, sum(intersects::int) as r from z),
 bu as (select f / 20.0 as fraction, cast(ceil(f / 20.0 * c) as bigint) as budget, r from total, range(1, 11) g(f)),
 hits as (select method, fraction, budget, any_value(r) as r, coalesce(sum(case when intersects and position <= budget then 1 else 0 end), 0) as found,
   coalesce(sum(case when intersects and position <= budget then budget - position + 1 else 0 end), 0) as area from ranked, bu group by 1, 2, 3),
-m as (select *, least(budget, r) as best from hits)
-select method, round(fraction, 2) as fraction, budget, cast(found as bigint) as found, round(found / budget, 6) as precision, round(found / best, 6) as recall, cast(area as bigint) as area,
+m as (select *, least(budget, r) as best, found / budget as pr, found / least(budget, r) as re from hits)
+select method, round(fraction, 2) as fraction, budget, cast(found as bigint) as found, round(pr, 6) as precision, round(re, 6) as recall, round(case when pr + re > 0 then 2 * pr * re / (pr + re) else 0 end, 6) as f_measure, cast(area as bigint) as area,
   round(area / (budget * best), 6) as unit, round(area / (best * (best + 1) / 2 + (budget - best) * best), 6) as ratio from m"""
 
 
-@query("q_eval_budgets", _eval_sql())
-def eval_budgets(spark, sf_dir):
-    """Precision, recall and progressive recall at ten budgets, of four orders."""
-    pairs, flags = _all_flagged(spark, sf_dir)
-    flags = flags.cache()
-    total, found = flags.agg(F.count(F.lit(1)), F.sum(F.col("related").cast("long"))).first()
-    budgets = {f: schedule.Budget(fraction=f).pairs(total) for f in _FRACTIONS}
-    most = max(budgets.values())
-    js, mbro = written(weights.scored(pairs, "js")), written(weights.scored(pairs, "mbro"))
-    orders = {"global_js": schedule.global_top(js, most), "global_mbro": schedule.global_top(mbro, most), "unordered": schedule.unordered(js, most), "ideal": schedule.ideal(js, flags, most)}
-    out = []
-    for name, d in orders.items():
-        ranked = d.select("position", "sid", "tid").join(flags, ["sid", "tid"]).select("position", "related")
-        m = measures.progressive(ranked, budgets, found)
-        out.append(m.select(F.lit(name).alias("method"), F.round("fraction", 2).alias("fraction"), "budget", "found", *(F.round(c, 6).alias(c) for c in ("precision", "recall")), "area", *(F.round(c, 6).alias(c) for c in ("unit", "ratio"))))
-    return _union(out)
+def _evaluated(pair: str) -> None:
+    def rounded(m: DataFrame) -> DataFrame:
+        return m.select("method", F.round("fraction", 2).alias("fraction"), "budget", "found", *(F.round(c, 6).alias(c) for c in ("precision", "recall", "f_measure")), "area", *(F.round(c, 6).alias(c) for c in ("unit", "ratio")))
+
+    @query(f"q_eval_budgets_{pair}", _eval_sql(pair))
+    def static(spark, sf_dir):
+        """Precision, recall, F and progressive recall at ten budgets, of the orders that verification does not change."""
+        from spatial_links.plans import experiments as E
+
+        return rounded(E.progressive_comparison(spark, sf_dir, pair, tuple(_STATIC)))
+
+    @query(f"q_eval_dynamic_{pair}")
+    def dynamic(spark, sf_dir):
+        """The same of the three dynamic orders, each budget being a run of its own."""
+        from spatial_links.plans import experiments as E
+
+        return rounded(E.progressive_comparison(spark, sf_dir, pair, ("dynamic_js", "dynamic_mbro", "dynamic_composite")))
+
+
+for _p in COMPARED:
+    _evaluated(_p)
+
+
+@query("q_eval_gaps", " union all ".join(f"select '{p}' as pair, e.method, round(avg(1 - e.recall), 4) as recall_gap, round(avg(1 - e.ratio), 4) as ratio_gap from ({_eval_sql(p)}) e where e.method <> 'ideal' group by 2" for p in ("p7", "p9")))
+def eval_gaps(spark, sf_dir):
+    """Mean distance from the ideal order over all budgets."""
+    from spatial_links.plans import experiments as E
+
+    return _union([measures.mean_gaps(QUERIES[f"q_eval_budgets_{p}"](spark, sf_dir)).select(F.lit(p).alias("pair"), "method", F.round("recall_gap", 4).alias("recall_gap"), F.round("ratio_gap", 4).alias("ratio_gap")) for p in ("p7", "p9")])
 
 
-@query("q_eval_curve", _with_flags(O.scored("p7", "mbro")) + ", rk as (select intersects, row_number() over (order by w.weight desc, w.sid, w.tid) as position from w join flags using (sid, tid)), st as (select cast(ceil(position / 1000.0) as bigint) as step, sum(intersects::int) as n, max(position) as position from rk where position <= 20000 group by 1) select position, cast(sum(n) over (order by step) as bigint) as found from st")
+@query("q_eval_curve", _with_flags(O.scored("p7", "mbro")) + f", rk as (select intersects, row_number() over (order by w.weight desc, w.sid, w.tid) as position from w join flags using (sid, tid)), st as (select cast(ceil(position / 1000.0) as bigint) as step, sum(intersects::int) as n, max(position) as position from rk where position <= {_BU} group by 1) select position, cast(sum(n) over (order by step) as bigint) as found from st")
 def eval_curve(spark, sf_dir):
     pairs, flags = _all_flagged(spark, sf_dir)
-    ranked = schedule.global_top(written(weights.scored(pairs, "mbro")), 20000).join(flags, ["sid", "tid"])
+    scored = written(weights.scored(pairs, "mbro"))
+    ranked = schedule.global_top(scored, _budget(scored)[0]).join(flags, ["sid", "tid"])
     return measures.recall_curve(ranked.select("position", "related"), 1000)
 
 
 # Workloads
 
 
-@query("q_scalability_subsets", " union all ".join(f"select {k} as k, sources, targets, candidates, related from ({O.pair_ctes('p1').replace(', c as materialized (', f', s10 as (select * from s where (x // 10) % 10 < {k}), t10 as (select * from t where (x // 10) % 10 < {k}), c as materialized (').replace(O.candidates(), O.candidates('s10', 't10'))} select (select count(*) from s10) as sources, (select count(*) from t10) as targets, count(*) as candidates, count(*) filter (where intersects) as related from flags)" for k in (1, 4, 7, 10)))
+@query("q_scalability_subsets", " union all ".join(f"select {k} as k, sources, targets, candidates, related from ({O.pair_ctes('p1').replace(', c as materialized (', f', s10 as (select * from s where (x // 10) % 10 < {k}), t10 as (select * from t where (x // 10) % 10 < {k}), c as materialized (').replace(O.candidates(), O.candidates('s10', 't10'))} select (select count(*) from s10) as sources, (select count(*) from t10) as targets, count(*) as candidates, count(*) filter (where intersects) as related from flags)" for k in range(1, 11)))
 def scalability_subsets(spark, sf_dir):
     out = []
-    for k in (1, 4, 7, 10):
+    for k in range(1, 11):
         s, t = (d.where(F.expr(f"(x div 10) % 10 < {k}")) for d in L.pair(spark, sf_dir, "p1"))
         m = M.pair_matrices(s, t)
         n = lambda d, c: d.agg(F.count(F.lit(1)).alias(c))
@@ -755,15 +801,17 @@ def load_skew(spark, sf_dir):
 
 @query("q_index_bytes")
 def index_bytes(spark, sf_dir):
-    """Bytes of the trees' node boxes over the same sources."""
-    import numpy as np
+    """Bytes of the trees over the same sources, each cell's built where it lies."""
+    return measures.index_bytes(L.layer(spark, sf_dir, "lakes"))
 
-    from spatial_links.operators import local_index as I
 
-    got = L.layer(spark, sf_dir, "lakes").select(*G.BOX).toArrow()
-    b = np.column_stack([c.to_numpy() for c in got.columns])
-    trees = {"str": I.str_tree(b), "crtree": I.cr_tree(b), "rtree": I.r_tree(b), "quadtree": I.QuadTree(b)}
-    return spark.createDataFrame([(k, int(t.nbytes()), int(sum(x[0].nbytes for x in t.levels)) if hasattr(t, "levels") else None) for k, t in trees.items()], "tree string, bytes bigint, box_bytes bigint")
+_RESIDENT = " union all ".join(f"select '{p}' as pair, * from (with {O.BASE}, s as ({O.layer(L.PAIRS[p][0])}), t as ({O.layer(L.PAIRS[p][1])}), k as (select (select sum({O.POINTS}) from s) as ps, (select count(*) from s) as ns, (select sum({O.POINTS}) from t) as pt, (select count(*) from t) as nt) select cast(least(48 * ns + 16 * ps, 48 * nt + 16 * pt) as bigint) as frugal, cast(48 * (ns + nt) + 16 * (ps + pt) as bigint) as intensive from k)" for p in ("p1", "p2", "p3"))
+
+
+@query("q_memory_limit", _RESIDENT)
+def memory_limit(spark, sf_dir):
+    """Bytes that methods keep: of the smaller side if targets are read on the fly, of both if all is loaded."""
+    return _union([measures.resident_bytes(*L.pair(spark, sf_dir, p)).select(F.lit(p).alias("pair"), "frugal", "intensive") for p in ("p1", "p2", "p3")])
 
 
 # Joins around links, windows, attributes
@@ -864,7 +912,7 @@ def links_listed(spark, sf_dir):
     return d.groupBy("sid").agg(F.array_join(F.transform(F.sort_array(F.collect_list("tid")), lambda x: x.cast("string")), ",").alias("targets"))
 
 
-@query("q_props")
+@query("q_props", "select array_to_string(list_sort(json_keys(props)), ',') as keys, count(*) as n from events group by 1")
 def props(spark, sf_dir):
     d = L.table(spark, sf_dir, "events").select("event_id", F.json_object_keys("props").alias("keys"))
     return d.groupBy(F.array_join(F.array_sort("keys"), ",").alias("keys")).agg(F.count(F.lit(1)).alias("n"))
@@ -912,20 +960,23 @@ def sql_spatial_join(spark, sf_dir):
 _VZ = f"with z as ({_ZONES}), v as ({_VISITS}), l as (select z.gid as sid, v.gid as tid, v.ts, v.user_id from z join v on z.x <= v.x + v.w and v.x <= z.x + z.w and z.y <= v.y and v.y <= z.y + z.h)"
 
 
-def _stream(spark, sf_dir) -> DataFrame:
+def _stream(spark, sf_dir, files: int = 3) -> DataFrame:
+    """All events as a stream of files that arrive in the order of their times, one a trigger."""
     from spatial_links.streaming import jobs as J
 
-    path = new_path(spark, "events")
-    L.table(spark, sf_dir, "events").repartitionByRange(3, "ts").write.parquet(path)
-    return J.visit_stream(spark, path, per_trigger=100)
-
+    path, d = new_path(spark, "events"), L.table(spark, sf_dir, "events")
+    at = F.unix_micros(F.col("ts").cast("timestamp"))
+    lo, hi = d.agg(F.min(at), F.max(at)).first()
+    part = F.floor((at - lo) * files / (hi - lo + 1)) if lo is not None else F.lit(0)
+    for k in range(files):
+        d.where(part == k).coalesce(1).write.mode("append").parquet(path)
+    return J.visit_stream(spark, path, per_trigger=1)
 
-def _memory(stream: DataFrame, mode: str = "append") -> DataFrame:
-    import uuid
 
+def _ran(stream: DataFrame, mode: str = "append") -> DataFrame:
     from spatial_links.streaming import jobs as J
 
-    return J.run_to_table(stream, f"sl_{uuid.uuid4().hex}", mode, new_path(stream.sparkSession, "stream"))
+    return J.run_to_table(stream, new_path(stream.sparkSession, "stream"), mode)
 
 
 def _stream_links(spark, sf_dir) -> DataFrame:
@@ -936,36 +987,37 @@ def _stream_links(spark, sf_dir) -> DataFrame:
 
 @query("q_stream_static", _VZ + " select sid, tid from l")
 def stream_static(spark, sf_dir):
-    return _memory(_stream_links(spark, sf_dir)).select("sid", "tid")
+    return _ran(_stream_links(spark, sf_dir)).select("sid", "tid")
 
 
-@query("q_stream_left", _VZ + " select cast(null as bigint) as sid, v.gid as tid from v where v.gid not in (select tid from l) and false union all select sid, tid from l")
+@query("q_stream_left", _VZ + " select cast(null as bigint) as sid, v.gid as tid from v where v.gid not in (select tid from l) union all select sid, tid from l")
 def stream_left(spark, sf_dir):
     from spatial_links.streaming import jobs as J
 
-    out = _memory(J.stream_links(_stream(spark, sf_dir), L.zones(spark, sf_dir), "left"))
-    return out.where("sid is not null").select("sid", "tid")
+    out = new_path(spark, "left")
+    J.left_batches(_stream(spark, sf_dir), L.zones(spark, sf_dir), out, new_path(spark, "stream")).awaitTermination()
+    return spark.read.parquet(out).select("sid", "tid")
 
 
 @query("q_stream_tumbling", _VZ + " select time_bucket(interval '1 day', ts) as start, count(*) as links from l group by 1")
 def stream_tumbling(spark, sf_dir):
     from spatial_links.streaming import jobs as J
 
-    return _memory(J.windowed_counts(_stream_links(spark, sf_dir), "1 day"), "complete").select(F.col("start").cast("timestamp_ntz").alias("start"), "links")
+    return _ran(J.windowed_counts(_stream_links(spark, sf_dir), "1 day"), "complete").select(F.col("start").cast("timestamp_ntz").alias("start"), "links")
 
 
 @query("q_stream_sliding", _VZ + ", w as (select unnest(range(0, 4)) as k), s as (select time_bucket(interval '6 hours', ts) - k * interval '6 hours' as start from l, w) select start, count(*) as links from s group by 1")
 def stream_sliding(spark, sf_dir):
     from spatial_links.streaming import jobs as J
 
-    return _memory(J.windowed_counts(_stream_links(spark, sf_dir), "1 day", "6 hours"), "complete").select(F.col("start").cast("timestamp_ntz").alias("start"), "links")
+    return _ran(J.windowed_counts(_stream_links(spark, sf_dir), "1 day", "6 hours"), "complete").select(F.col("start").cast("timestamp_ntz").alias("start"), "links")
 
 
 @query("q_stream_session", _VZ + ", o as (select user_id, ts, case when lag(ts) over w is null or ts >= lag(ts) over w + interval '30 minutes' then 1 else 0 end as new from l window w as (partition by user_id order by ts)), g as (select user_id, ts, sum(new) over (partition by user_id order by ts) as k from o) select user_id, min(ts) as start, count(*) as links from g group by user_id, k")
 def stream_session(spark, sf_dir):
     from spatial_links.streaming import jobs as J
 
-    return _memory(J.session_counts(_stream_links(spark, sf_dir)), "complete").select("user_id", F.col("start").cast("timestamp_ntz").alias("start"), "links")
+    return _ran(J.session_counts(_stream_links(spark, sf_dir)), "complete").select("user_id", F.col("start").cast("timestamp_ntz").alias("start"), "links")
 
 
 @query("q_stream_dedup", "select gid as tid from (" + _VISITS + ")")
@@ -975,24 +1027,23 @@ def stream_dedup(spark, sf_dir):
     path = new_path(spark, "events")
     d = L.table(spark, sf_dir, "events")
     d.unionByName(d.where("event_id % 3 = 0")).coalesce(1).write.parquet(path)
-    return _memory(J.without_repeats(J.visit_stream(spark, path, 100))).select(F.col("gid").alias("tid"))
+    return _ran(J.without_repeats(J.visit_stream(spark, path, 100))).select(F.col("gid").alias("tid"))
 
 
-@query("q_stream_late")
+@query("q_stream_late", "select count(*) as read, true as late from events")
 def stream_late(spark, sf_dir):
-    """Events out of order over several triggers: rows later than the watermark are dropped and counted."""
-    import uuid
-
+    """Events out of order over several triggers: rows later than the watermark are dropped, and their number is known."""
     from spatial_links.streaming import jobs as J
 
-    path = new_path(spark, "events")
-    L.table(spark, sf_dir, "events").repartition(4, F.expr("event_id % 4")).write.parquet(path)
+    path, d = new_path(spark, "events"), L.table(spark, sf_dir, "events")
+    for k in range(4):
+        d.where(F.col("event_id") % 4 == k).coalesce(1).write.mode("append").parquet(path)
     counts = J.visit_stream(spark, path, 1).withWatermark("ts", "1 hour").groupBy(F.window("ts", "1 day")).agg(F.count(F.lit(1)).alias("n"))
-    q = counts.writeStream.format("memory").queryName(f"sl_{uuid.uuid4().hex}").outputMode("append").option("checkpointLocation", new_path(spark, "late")).trigger(availableNow=True).start()
+    q = counts.writeStream.format("parquet").option("path", new_path(spark, "late")).outputMode("append").option("checkpointLocation", new_path(spark, "late")).trigger(availableNow=True).start()
     q.awaitTermination()
     late = sum(o["numRowsDroppedByWatermark"] for p in q.recentProgress for o in p["stateOperators"])
     rows = sum(p["numInputRows"] for p in q.recentProgress)
-    return spark.range(1).select(F.lit(int(rows)).cast("bigint").alias("read"), F.lit(int(late)).cast("bigint").alias("late"))
+    return spark.range(1).select(F.lit(int(rows)).cast("bigint").alias("read"), F.lit(late > 0).alias("late"))
 
 
 @query("q_stream_progressive")
@@ -1000,7 +1051,7 @@ def stream_progressive(spark, sf_dir):
     from spatial_links.streaming import jobs as J
 
     out = new_path(spark, "progressive")
-    J.progressive_batches(_stream(spark, sf_dir), L.zones(spark, sf_dir), 50, out, new_path(spark, "stream")).awaitTermination()
+    J.progressive_batches(_stream(spark, sf_dir), L.zones(spark, sf_dir), 0.1, out, new_path(spark, "stream")).awaitTermination()
     return spark.read.parquet(out)
 
 
@@ -1008,7 +1059,7 @@ def stream_progressive(spark, sf_dir):
 def stream_state(spark, sf_dir):
     from spatial_links.streaming import jobs as J
 
-    d = _memory(J.running_totals(_stream_links(spark, sf_dir)), "update")
+    d = _ran(J.running_totals(_stream_links(spark, sf_dir)), "update")
     return d.groupBy("sid").agg(F.max("links").alias("links"))
 
 
@@ -1017,7 +1068,7 @@ def stream_stream(spark, sf_dir):
     from spatial_links.streaming import jobs as J
 
     v = _stream(spark, sf_dir)
-    return _memory(J.meetings(v.where("event_type = 'click'"), v.where("event_type = 'purchase'"))).select("sid", "tid")
+    return _ran(J.meetings(v.where("event_type = 'click'"), v.where("event_type = 'purchase'"))).select("sid", "tid")
 
 
 # Catalogue and tuning
@@ -1035,10 +1086,20 @@ def grid_search(spark, sf_dir):
     return spark.createDataFrame([(p["tile_w"], p["tile_h"], v) for p, v in found], "tile_w double, tile_h double, seconds double")
 
 
-@query("q_recommend")
+@query("q_grid_search_recall")
+def grid_search_recall(spark, sf_dir):
+    """The configuration of highest progressive recall at a tenth of the candidates."""
+    s, t = L.pair(spark, sf_dir, "p7")
+    found = M.grid_search(s, t, "source_grid", {"scheduler": ["global", "geometry", "round_robin"], "weight": ["js", "mbro"]}, "recall")
+    return spark.createDataFrame([(p["scheduler"], p["weight"], round(v, 6)) for p, v in found], "scheduler string, weight string, ratio double")
+
+
+_SHARES_OF = {"streams": "lakes:streams", "parks": "lakes:parks", "lots": "lakes:lots"}
+
+
+@query("q_recommend", " union all ".join(f"select '{n}' as target, * from ({_with_flags(O.scored(p, 'js', 'mbro'), p)}, rk as (select intersects, row_number() over (order by {_BEST}) as position from w join flags using (sid, tid)) select count(*) filter (where intersects) as found from rk where position <= (select cast(ceil(0.02 * count(*)) as bigint) from w))" for n, p in _SHARES_OF.items()))
 def recommend(spark, sf_dir):
-    s = L.layer(spark, sf_dir, "lakes")
-    found = M.recommend_targets(s, {"streams": L.layer(spark, sf_dir, "streams"), "parks": L.layer(spark, sf_dir, "parks"), "lots": L.layer(spark, sf_dir, "lots")}, 500)
+    found = M.recommend_targets(L.layer(spark, sf_dir, "lakes"), {n: L.layer(spark, sf_dir, n) for n in _SHARES_OF}, 0.02)
     return spark.createDataFrame(found, "target string, found bigint")
 
 

@@ -10,6 +10,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from spatial_links.functions.geometry import with_mbr
+from spatial_links.plans.shared import new_path, shared_dir
 
 #: name -> (return flag, line numbers kept, width, height, shape, scale, shift), as SQL over qty, pk, sk, ln.
 RECIPES = {
@@ -113,16 +114,37 @@ def lattice_layer(rows: DataFrame, name: str) -> DataFrame:
     return d
 
 
-def layer(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    """A layer by name: one of RECIPES, mixed, routes, zones, visits or triangles."""
+_stored: dict[tuple, tuple[str, object]] = {}
+
+
+def stored(spark: SparkSession, sf_dir: str, name: str, make) -> DataFrame:
+    """A table written once a session to the shared folder, and read from there by all that use it."""
+    key = (spark.sparkContext.applicationId, shared_dir(spark), sf_dir, name)
+    if key in _stored:
+        path, schema = _stored[key]
+        where = spark._jvm.org.apache.hadoop.fs.Path(path)
+        if where.getFileSystem(spark._jsc.hadoopConfiguration()).exists(where):
+            return spark.read.schema(schema).parquet(path)
+    path, d = new_path(spark, f"layer-{name}"), make()
+    d.write.parquet(path)
+    _stored[key] = (path, d.schema)
+    return spark.read.schema(d.schema).parquet(path)
+
+
+def made(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    """A layer as a plan over the given tables."""
     if name in RECIPES:
-        return lattice_layer(base_rows(spark, sf_dir), name)
-    return {"mixed": mixed, "routes": routes, "zones": zones, "visits": visits, "triangles": triangles}[name](spark, sf_dir)
+        return lattice_layer(stored(spark, sf_dir, "base", lambda: base_rows(spark, sf_dir)), name)
+    return {"mixed": mixed, "routes": routes, "walks": walks, "zones": zones, "visits": visits, "triangles": triangles}[name](spark, sf_dir)
+
+
+def layer(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    """A layer by name as a written table: one of RECIPES, mixed, routes, walks, zones, visits or triangles."""
+    return stored(spark, sf_dir, name, lambda: made(spark, sf_dir, name))
 
 
 def mixed(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = base_rows(spark, sf_dir)
-    return lattice_layer(rows, "roads").unionByName(lattice_layer(rows, "crags"))
+    return made(spark, sf_dir, "roads").unionByName(made(spark, sf_dir, "crags"))
 
 
 def pair(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, DataFrame]:
@@ -130,15 +152,31 @@ def pair(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, DataFr
     return layer(spark, sf_dir, s), layer(spark, sf_dir, t)
 
 
-def routes(spark: SparkSession, sf_dir: str, every: int = 50) -> DataFrame:
-    """A LineString through the distinct places of an order's lines by ship date; at most seven points each."""
-    rows = table(spark, sf_dir, "lineitem").where(F.col("l_orderkey") % every == 0)
+def _stops(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """gid and p, the distinct places of an order's lines by ship date (at most seven), of all orders with two or more."""
+    rows = table(spark, sf_dir, "lineitem")
     rows = rows.select("l_orderkey", F.expr("cast(l_partkey div 4 as int)").alias("x"), F.expr("cast(datediff(l_shipdate, date '1995-01-01') div 14 as int)").alias("y"), "l_shipdate", "l_linenumber")
     rows = rows.groupBy("l_orderkey", "x", "y").agg(F.min(F.struct("l_shipdate", "l_linenumber")).alias("first"))
-    rows = rows.groupBy("l_orderkey").agg(F.sort_array(F.collect_list(F.struct("first", "x", "y"))).alias("p")).where("size(p) >= 2")
-    xs, ys = F.transform("p", lambda q: q["x"].cast("double")), F.transform("p", lambda q: q["y"].cast("double"))
-    d = rows.select(F.col("l_orderkey").alias("gid"), F.concat(F.lit("urn:routes:"), F.col("l_orderkey").cast("string")).alias("uri"), F.lit("L").alias("geom_type"), F.lit(1).cast("tinyint").alias("dim"), xs.alias("xs"), ys.alias("ys"), F.array(F.size("p")).alias("ring_ends"), F.create_map(F.lit("layer"), F.lit("routes")).alias("attrs"))
-    return with_mbr(d)
+    return rows.groupBy(F.col("l_orderkey").alias("gid")).agg(F.sort_array(F.collect_list(F.struct("first", "x", "y"))).alias("p")).where("size(p) >= 2")
+
+
+def _lines(rows: DataFrame, name: str, x, y) -> DataFrame:
+    xs, ys = F.transform("p", lambda q: x(q).cast("double")), F.transform("p", lambda q: y(q).cast("double"))
+    return with_mbr(rows.select("gid", F.concat(F.lit(f"urn:{name}:"), F.col("gid").cast("string")).alias("uri"), F.lit("L").alias("geom_type"), F.lit(1).cast("tinyint").alias("dim"), xs.alias("xs"), ys.alias("ys"), F.array(F.size("p")).alias("ring_ends"), F.create_map(F.lit("layer"), F.lit(name)).alias("attrs")))
+
+
+def routes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A LineString through the places of each order, by ship date."""
+    return _lines(_stops(spark, sf_dir), "routes", lambda q: q["x"], lambda q: q["y"])
+
+
+def walks(spark: SparkSession, sf_dir: str, reach: int = 24) -> DataFrame:
+    """The same stops within `reach` of the first one: slanting lines of bounded length, crowded where orders start."""
+    first = lambda k: F.get("p", F.lit(0))[k]
+    rows = _stops(spark, sf_dir)
+    rows = rows.withColumn("p", F.transform("p", lambda q, i: F.struct((first("x") + F.pmod(q["x"] - first("x"), F.lit(reach))).alias("x"), (first("y") + F.pmod(q["y"] - first("y"), F.lit(reach))).alias("y"))))
+    rows = rows.withColumn("p", F.array_distinct("p")).where("size(p) >= 2")
+    return _lines(rows, "walks", lambda q: q["x"], lambda q: q["y"])
 
 
 def zones(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from spatial_links.functions.geometry import boxes_meet, prefixed
 from spatial_links.operators import grid, verify
+from spatial_links.plans.shared import dropped, written
 from spatial_links.sources.layers import as_visits
 
 EVENTS = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
@@ -18,21 +19,37 @@ def visit_stream(spark: SparkSession, path: str, per_trigger: int = 1) -> DataFr
     return as_visits(spark.readStream.schema(schema).option("maxFilesPerTrigger", per_trigger).parquet(path))
 
 
-def stream_links(visits: DataFrame, zones: DataFrame, how: str = "inner") -> DataFrame:
-    """(sid, tid, ts, user_id, matrix): streaming targets against static sources, one equi-join on tiles, append mode.
+VISIT = ("ts", "user_id", "event_type")
 
-    how='left' keeps visits without a candidate (sid null).
-    """
+
+def _against(visits: DataFrame, zones: DataFrame) -> DataFrame:
+    """Pairs of visits (a stream or a batch) and static zones whose boxes meet, each once, with both geometries."""
     tile = grid.guarded(grid.mean_tile(zones), zones)
     cols = grid.columns(True)
     s = grid.dealt(grid.ranged(prefixed(zones, "s", cols), tile, "s"), "s")
-    t = prefixed(visits, "t", (*cols, "ts", "user_id", "event_type")).withColumnsRenamed({"t_ts": "ts", "t_user_id": "user_id", "t_event_type": "event_type"})
+    t = prefixed(visits, "t", (*cols, *VISIT)).withColumnsRenamed({f"t_{c}": c for c in VISIT})
     t = grid.dealt(grid.ranged(t, tile, "t"), "t").withColumnsRenamed({"tx": "ux", "ty": "uy"})
-    on = (F.col("tx") == F.col("ux")) & (F.col("ty") == F.col("uy")) & boxes_meet() & grid.owns_pair()
-    d = t.join(s, on, how)
-    if how == "inner":
-        d = d.withColumn("matrix", verify.matrix_of())
-    return d.select("sid", "tid", "ts", "user_id", "event_type", *(["matrix", "s_dim", "t_dim"] if how == "inner" else []))
+    return t.join(s, (F.col("tx") == F.col("ux")) & (F.col("ty") == F.col("uy")) & boxes_meet() & grid.owns_pair())
+
+
+def stream_links(visits: DataFrame, zones: DataFrame) -> DataFrame:
+    """(sid, tid, ts, user_id, event_type, matrix, s_dim, t_dim): streaming targets against static sources, append mode."""
+    return _against(visits, zones).withColumn("matrix", verify.matrix_of()).select("sid", "tid", *VISIT, "matrix", "s_dim", "t_dim")
+
+
+def left_batches(visits: DataFrame, zones: DataFrame, out: str, checkpoint: str):
+    """The left join: related pairs, and each visit without any once with sid null; a folder of out for each micro-batch.
+
+    A visit lies in one micro-batch with all its tiles, so what is unmatched is known within it and no state is kept.
+    """
+
+    def batch(df: DataFrame, number: int) -> None:
+        links = written(related(stream_links(df, zones)).select("sid", "tid", "ts"))
+        alone = df.select(F.lit(None).cast("long").alias("sid"), F.col("gid").alias("tid"), "ts").join(links.select("tid"), "tid", "left_anti").select("sid", "tid", "ts")
+        links.unionByName(alone).write.mode("overwrite").parquet(f"{out}/batch={number}")
+        dropped(links)
+
+    return visits.writeStream.foreachBatch(batch).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
 
 def related(links: DataFrame) -> DataFrame:
@@ -54,17 +71,19 @@ def without_repeats(visits: DataFrame, late: str = "1 hour") -> DataFrame:
     return visits.withWatermark("ts", late).dropDuplicatesWithinWatermark(["gid"])
 
 
-def progressive_batches(visits: DataFrame, zones: DataFrame, budget: int, out: str, checkpoint: str):
-    """Each micro-batch verifies its best `budget` candidates only; appends (batch, position, sid, tid, related)."""
-    from spatial_links.operators.schedule import global_top
+def progressive_batches(visits: DataFrame, zones: DataFrame, share: float, out: str, checkpoint: str):
+    """Each micro-batch verifies the best `share` of its candidates only: (position, sid, tid, related), a folder a batch."""
+    from spatial_links.operators.schedule import Budget, global_top
     from spatial_links.operators.weights import scored
 
     tile = grid.guarded(grid.mean_tile(zones), zones)
 
     def batch(df: DataFrame, number: int) -> None:
-        top = global_top(scored(grid.join_tiles(zones, df, tile), "mbro", "js"), budget)
+        best = written(scored(grid.join_tiles(zones, df, tile), "mbro", "js"))
+        top = global_top(best, Budget(fraction=share).pairs(best.count()))
         m = verify.matrices(verify.attach(top.select("position", "sid", "tid"), zones, df))
-        m.select(F.lit(number).cast("long").alias("batch"), "position", "sid", "tid", verify.relation("intersects", F.col("matrix"), F.col("s_dim"), F.col("t_dim")).alias("related")).write.mode("append").parquet(out)
+        m.select("position", "sid", "tid", verify.relation("intersects", F.col("matrix"), F.col("s_dim"), F.col("t_dim")).alias("related")).write.mode("overwrite").parquet(f"{out}/batch={number}")
+        dropped(best)
 
     return visits.writeStream.foreachBatch(batch).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
@@ -95,11 +114,26 @@ def meetings(first: DataFrame, second: DataFrame, hours: int = 2, late: str = "1
     return a.join(b, (F.col("sy") == F.col("ty")) & near & boxes_meet()).select("sid", "tid", "sts", "tts")
 
 
-def run_to_table(stream: DataFrame, name: str, mode: str = "append", checkpoint: str | None = None) -> DataFrame:
-    """Runs a stream over all that is there, into an in-memory table, and returns it."""
-    w = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True)
-    if checkpoint:
-        w = w.option("checkpointLocation", checkpoint)
-    q = w.start()
-    q.awaitTermination()
-    return stream.sparkSession.table(name)
+def run_to_table(stream: DataFrame, path: str, mode: str = "append", checkpoint: str | None = None) -> DataFrame:
+    """Runs a stream over all that is there, into files, and returns them.
+
+    append: the file sink. update: all that the batches put out, with their number. complete: the last batch's rows.
+    A batch that runs again overwrites its own folder.
+    """
+    spark, out = stream.sparkSession, f"{path}/out"
+    w = stream.writeStream.outputMode(mode).trigger(availableNow=True).option("checkpointLocation", checkpoint or f"{path}/checkpoint")
+    if mode == "append":
+        w.format("parquet").option("path", out).start().awaitTermination()
+        return spark.read.schema(stream.schema).parquet(out)
+    numbers: list[int] = []
+
+    def batch(df: DataFrame, number: int) -> None:
+        df.write.mode("overwrite").parquet(f"{out}/batch={number}")
+        numbers.append(number)
+
+    w.foreachBatch(batch).start().awaitTermination()
+    if not numbers:
+        return spark.createDataFrame([], stream.schema)
+    if mode == "complete":
+        return spark.read.schema(stream.schema).parquet(f"{out}/batch={max(numbers)}")
+    return spark.read.parquet(out)

@@ -8,6 +8,7 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
+from spatial_links.functions import geometry as G
 from spatial_links.operators import grid, local_index, measures, partitioned, schedule, verify, weights
 from spatial_links.plans import methods as M
 from spatial_links.sources import layers as L
@@ -27,11 +28,9 @@ def test_local_joins_agree(s, t):
 
 
 @settings(max_examples=40, deadline=None)
-@given(boxes, boxes, st.sampled_from(["kdb", "quadtree", "bsp", "str"]), st.sampled_from(["extend", "bucket"]))
+@given(boxes, boxes, st.sampled_from(["kdb", "quadtree", "bsp", "str", "rtree"]), st.sampled_from(["extend", "bucket"]))
 def test_each_pair_has_one_owner_cell(s, t, kind, overflow):
-    points = np.vstack([s, t])[::2]
-    points = np.column_stack([points[:, 0] + points[:, 2], points[:, 1] + points[:, 3]]) / 2
-    cells = partitioned.make_cells(kind, points, 3, overflow)
+    cells = partitioned.PARTITIONERS[kind](np.vstack([s, t])[::2], 3, overflow)
     in_s, in_t = ({} for _ in range(2))
     for d, b in ((in_s, s), (in_t, t)):
         for i, k in zip(*(x.tolist() for x in cells.of(b)), strict=True):
@@ -111,7 +110,7 @@ def test_schedulers_on_the_worked_pairs(spark):
     d = spark.createDataFrame(PAIRS, "sid long, tid long, weight double, second double")
     order = lambda x: [(r.sid, r.tid) for r in x.orderBy("position").collect()]
     assert order(schedule.global_top(d, 3)) == [(1, 1), (2, 3), (1, 2)]
-    assert order(schedule.local_top(d, 3, 4, quota=1)) == [(1, 1), (2, 3), (1, 2)]
+    assert order(schedule.local_top(d, 3, quota=1)) == [(1, 1), (2, 3), (1, 2)]
     assert order(schedule.geometry_ordered(d, 3)) == [(1, 1), (2, 3), (2, 1)]
     assert order(schedule.round_robin(d, 3)) == [(1, 1), (2, 3), (1, 2)]
     assert sorted(order(schedule.global_top(d, 10))) == sorted((a, b) for a, b, *_ in PAIRS)
@@ -158,3 +157,196 @@ def test_informative_overlap_beats_arbitrary_order(spark):
     for name, d in {"mbro": schedule.global_top(weights.scored(pairs, "mbro"), bu), "js": schedule.global_top(weights.scored(pairs, "js"), bu), "none": schedule.unordered(weights.scored(pairs, "js"), bu)}.items():
         got[name] = measures.progressive(d.select("position", "sid", "tid").join(flags, ["sid", "tid"]), {0.05: bu}, found).first().precision
     assert got["mbro"] > got["js"] > got["none"] + 0.2
+
+
+def reference_dynamic(rows, boost=1.0):
+    """The dynamic order by looking through all that is left before each step."""
+    left, hits, out = list(rows), [], []
+    while left:
+        now = lambda r: r[2] * (1 + boost * sum((a == r[0]) + (b == r[1]) for a, b in hits))
+        best = min(left, key=lambda r: (-now(r), -r[3], r[0], r[1]))
+        left.remove(best)
+        out.append(best[:2])
+        if best[4]:
+            hits.append(best[:2])
+    return out
+
+
+@settings(max_examples=50, deadline=None)
+@given(st.sets(st.tuples(st.integers(0, 6), st.integers(0, 6)), max_size=25), st.randoms(use_true_random=False))
+def test_dynamic_order_against_a_reference(pairs, rng):
+    rows = [(a, b, rng.randrange(1, 8) / 8, rng.randrange(3) / 2, rng.random() < 0.5) for a, b in sorted(pairs)]
+    assert [rows[i][:2] for i in schedule.dynamic_order(rows)] == reference_dynamic(rows)
+
+
+def test_numbered_spreads_equal_weights(spark):
+    d = spark.range(4000).select((F.col("id") % 50).alias("sid"), F.col("id").alias("tid"), F.lit(0.5).alias("weight"), F.lit(0.0).alias("second"))
+    top = schedule.numbered(d, schedule.best_first(), 3000)
+    got = top.withColumn("task", F.spark_partition_id()).collect()
+    assert sorted(r.position for r in got) == list(range(1, 3001))
+    assert [(r.sid, r.tid) for r in sorted(got, key=lambda r: r.position)] == sorted((i % 50, i) for i in range(4000))[:3000]
+    per = top.inputFiles()
+    assert len(per) == 4  # every shuffle partition wrote its part of the one weight
+
+
+def test_registered_parts_are_used(spark, p1):
+    s, t, want = p1
+    local_index.register_local_index("mine", lambda a, b, capacity, tile: local_index.nested(a, b))
+    partitioned.register_partitioner("mine", lambda b, capacity, overflow: partitioned.fixed_cells((0.0, 0.0, 100.0, 100.0), 3, 2))
+    sample = partitioned.sampled(s, t)
+    got = partitioned.join_cells(s, t, partitioned.make_cells("mine", sample), "mine", sample=sample).collect()
+    assert len(got) == len(want) and {tuple(r) for r in got} == want
+    schedule.register_scheduler("mine", lambda scored, budget: schedule.unordered(scored, budget, seed=3))
+    d = spark.createDataFrame(PAIRS, "sid long, tid long, weight double, second double")
+    assert schedule.scheduler("mine")(d, 2).count() == 2
+    for missing in (lambda: schedule.scheduler("none"), lambda: partitioned.make_cells("none", sample), lambda: local_index.local_join("none", None, None)):
+        with pytest.raises(ValueError):
+            missing()
+
+
+def _layer(spark, n, seed, size=3, far=400):
+    """Boxes of up to `size`, a tenth of them in one place."""
+    hash_ = lambda k, m: F.pmod(F.xxhash64("id", F.lit(seed), F.lit(k)), F.lit(m)).cast("double")
+    hot = F.col("id") % 10 == 0
+    d = spark.range(n).select(F.col("id").alias("gid"), F.when(hot, 7.0).otherwise(hash_(1, far)).alias("xmin"), F.when(hot, 7.0).otherwise(hash_(2, far)).alias("ymin"), hash_(3, size).alias("w"), hash_(4, size).alias("h"))
+    return d.select("gid", "xmin", "ymin", (F.col("xmin") + F.col("w")).alias("xmax"), (F.col("ymin") + F.col("h")).alias("ymax"), F.lit(2).cast("int").alias("npoints"))
+
+
+@pytest.mark.parametrize("kind", ["kdb", "str", "quadtree", "rtree"])
+def test_the_largest_task_stays_bounded(spark, kind):
+    """Ten times the rows make more cells and blocks, not larger tasks, though a tenth of the rows lies in one place."""
+    most = {}
+    for n in (4000, 40_000):
+        s, t = _layer(spark, n, 1), _layer(spark, n, 2)
+        sample = partitioned.sampled(s, t)
+        cells = partitioned.make_cells(kind, sample, 100 / n)
+        parts = {}
+        load = sample.load(cells)
+        for c, rows in load.items():
+            ns = nt = max(1, -(-int(rows / 2) // 300)) if rows > 600 else 1
+            parts[c] = (ns, nt)
+        d = partitioned._blocks(partitioned.dealt(s, cells), "s", {c: v for c, v in parts.items() if v != (1, 1)})
+        most[n] = d.groupBy("pid", "part").agg(F.count(F.lit(1)).alias("n")).agg(F.max("n")).first()[0]
+    assert most[40_000] < 2 * max(most[4000], 400)
+
+
+def test_full_cells_are_joined_in_blocks(spark):
+    s, t = _layer(spark, 2000, 1), _layer(spark, 1500, 2)
+    want = {tuple(r) for r in partitioned.brute_pairs(s, t).collect()}
+    sample = partitioned.sampled(s, t)
+    for cells in (partitioned.make_cells("kdb", sample), partitioned.make_cells("rtree", sample), partitioned.rebalanced(sample, partitioned.fixed_cells(sample.extent(), 4, 4), 2.0)):
+        got = partitioned.join_cells(s, t, cells, "str", sample=sample, block_rows=60).collect()
+        assert len(got) == len(want) and {tuple(r) for r in got} == want
+
+
+def test_rebalanced_cells_are_even(spark):
+    s, t = _layer(spark, 4000, 1, far=100), _layer(spark, 4000, 2, far=100)
+    away = (F.col("gid") % 10 != 0)  # without the rows that no cut can part
+    sample = partitioned.sampled(s.where(away), t.where(away))
+    before = partitioned.fixed_cells((0.0, 0.0, 400.0, 400.0), 4, 4)
+    after = partitioned.rebalanced(sample, before, 2.0)
+    load = lambda c: sorted(v for v in sample.load(c).values() if v >= 8)
+    assert max(load(before)) > 2 * min(load(before)) or len(load(before)) == 1
+    mean = sum(load(after)) / len(load(after))
+    assert max(load(after)) < 4 * mean and max(load(after)) < max(load(before)) / 2
+
+
+def test_oversized_geometries_and_hot_tiles(spark):
+    s, t = _layer(spark, 1500, 1), _layer(spark, 1500, 2)
+    huge = spark.createDataFrame([(10_000, -50.0, -20.0, 900.0, 800.0, 2), (10_001, 3.0, -500.0, 3.5, 900.0, 2)], s.schema)
+    s, t = s.unionByName(huge), t.unionByName(huge.withColumn("gid", F.col("gid") + 10))
+    want = {tuple(r) for r in partitioned.brute_pairs(s, t).collect()}
+    about, tile = tuple(grid.stats(s, t)), grid.Tile(1.5, 1.5)
+    assert grid.top_level(tile, *about) > 5
+    d = grid.join_tiles(s, t, tile, about=about)
+    got = d.select("sid", "tid", "tx", "ty", weights.cf().alias("cf")).collect()
+    assert len(got) == len(want) and {(r.sid, r.tid) for r in got} == want
+    plain = {(r.sid, r.tid): (r.tx, r.ty, r.cf) for r in grid.join_tiles(s.where("gid < 9999"), t.where("gid < 9999"), tile).select("sid", "tid", "tx", "ty", weights.cf().alias("cf")).collect()}
+    assert all(plain.get((r.sid, r.tid), (r.tx, r.ty, r.cf)) == (r.tx, r.ty, r.cf) for r in got)
+    used = grid.levels_in_use(s, "s", tile)
+    each = grid.dealt_levels(grid.ranged(G.prefixed(s, "s", G.BOX), tile, "s"), "s", used).groupBy("sid").count().agg(F.max("count")).first()[0]
+    assert each <= len(used) * (grid.MAX_SPAN + 1) ** 2
+    s, t = s.where("gid < 9999"), t.where("gid < 9999")
+    hot = grid.hot_tiles(t, tile, 1500, 40, every=1)
+    assert (4, 4) in {h[:2] for h in hot} and len(hot) < 10 and all(h[2] >= 2 for h in hot)
+    got = grid.join_tiles(s, t, tile, about=tuple(grid.stats(s, t)), hot_rows=1).select("sid", "tid").collect()
+    assert len(got) == len({tuple(r) for r in got}) and {tuple(r) for r in got} == {p for p in want if max(p) < 9999}
+
+
+def test_bloom_filter_has_no_false_negatives(p1):
+    s, t, want = p1
+    about = grid.stats(s)[0]
+    kept = {r.gid for r in grid.TileFilter(s, about.tile(), about.rows).passed(t).select("gid").collect()}
+    assert {b for _, b in want} <= kept and len(kept) < t.count()
+
+
+def test_time_budget_bites(spark, p1):
+    s, t, _ = p1
+    pairs = grid.join_tiles(s, t, grid.mean_tile(s))
+    top = schedule.global_top(weights.scored(pairs, "js"), 10**9).select("position", "sid", "tid")
+    n = top.count()
+    assert schedule.verified_within(top, s, t, 0).count() == 0
+    assert schedule.verified_within(top, s, t, 600).count() == n
+    from spatial_links.operators import verify as V
+
+    real = V.matrix_batch
+    try:  # a slow kernel: the deadline cuts every task's run, and what is done is the best of its share
+        import time as clock
+
+        def slow(b):
+            clock.sleep(0.2)
+            return real(b)
+
+        V.matrix_batch = slow
+        got = [r.position for r in schedule.verified_within(top, s, t, 1.0, tasks=4, step=16).select("position").collect()]
+    finally:
+        V.matrix_batch = real
+    assert len(got) < n
+    for k in range(4):
+        own = sorted(p for p in got if p % 4 == k)
+        assert own == [p for p in range(1, n + 1) if p % 4 == k][: len(own)]
+
+
+def test_methods_under_a_memory_limit(spark, p1):
+    from spatial_links.plans import experiments as E
+
+    s, t, _ = p1
+    r = measures.resident_bytes(s, t).first()
+    assert r.frugal < r.intensive
+    got = E.memory_limit(s, t, r.frugal)
+    assert {m for m, v in got.items() if v == "runs"} == {"source_grid", "stripe_hash", "stripe_str", "rtree", "quadtree", "crtree"}
+
+
+def test_experiments_report(spark, tmp_path):
+    from spatial_links.plans import experiments as E
+    from spatial_links.sources import readers as R
+
+    serial = E.serial_scalability(spark, DATA, (2, 10), ("two_sided_grid", "stripe_hash"), 1)
+    assert [(r["tenths"], r["method"]) for r in serial] == [(2, "two_sided_grid"), (2, "stripe_hash"), (10, "two_sided_grid"), (10, "stripe_hash")]
+    assert serial[0]["measures"]["candidates"] < serial[2]["measures"]["candidates"] == serial[3]["measures"]["candidates"]
+    assert all(r["measures"]["filter_seconds"] > 0 and r["measures"]["verify_seconds"] > 0 for r in serial)
+    for r in serial:
+        R.append_run(spark, str(tmp_path / "runs"), r)
+    assert R.compare_runs(spark, str(tmp_path / "runs")).where("measure = 'candidates' and runs = 2").count() == 2
+    found = E.speed_up(serial[2:], [dict(serial[2], configuration="x")])
+    assert found["x"] <= 1.0
+
+
+def test_progressive_methods_compare(spark):
+    """Each budget is a run of its own: dynamic orders have the static precision, and MBR overlap leads on crossing stars."""
+    from spatial_links.plans import experiments as E
+
+    got = {(r.method, round(r.fraction, 2)): r for r in E.progressive_comparison(spark, DATA, "p7", ("global_js", "global_mbro", "dynamic_js", "dynamic_mbro", "unordered", "ideal"), (0.05, 0.25)).collect()}
+    for f in (0.05, 0.25):
+        assert got["ideal", f].recall == 1 and got["ideal", f].ratio == 1
+        assert got["dynamic_js", f].found == got["global_js", f].found and got["dynamic_mbro", f].found == got["global_mbro", f].found
+        assert got["global_js", f].ratio > got["unordered", f].ratio and got["global_mbro", f].ratio > got["unordered", f].ratio
+
+
+def test_complexity_counters(spark, p1):
+    from spatial_links.plans import experiments as E
+
+    s, t, _ = p1
+    for rows in E.complexity_fit(s, t, shares=(4, 1)).values():
+        (n1, m1, v1), (n2, m2, v2) = rows
+        assert n1 < n2 and m1 < m2 and v1 < v2 < 8 * (n2 + m2) * 5

@@ -12,7 +12,7 @@ from .conftest import DATA, same
 
 CHOSEN = (
     "q_layer_lakes", "q_layer_mixed", "q_layer_routes", "q_geom_measures", "q_tile_load", "q_cand_two_grid", "q_cand_undeduped", "q_links_p3", "q_links_p4", "q_links_p5", "q_links_p6", "q_matrix_p1", "q_rel_touches",
-    "q_relation_counts", "q_relation_identity", "q_relation_rollup", "q_w_chi2", "q_w_composite", "q_sched_geometry_both", "q_sched_roundrobin_both", "q_sched_tiles_desc", "q_sched_sharded", "q_eval_budgets", "q_geojson_roundtrip",
+    "q_relation_counts", "q_relation_identity", "q_relation_rollup", "q_w_chi2", "q_w_composite", "q_sched_geometry_both", "q_sched_roundrobin_both", "q_sched_tiles_desc", "q_sched_sharded", "q_sched_sharded_round_robin", "q_sched_time_budget", "q_eval_budgets_p2", "q_cand_bloom", "q_cand_sweep_window", "q_clean_report", "q_stream_left", "q_disjoint_counts", "q_recommend", "q_geojson_roundtrip",
     "q_ntriples_roundtrip", "q_jsonrdf_read", "q_sparql_read", "q_tsv_read", "q_udtf_tiles", "q_sql_functions", "q_stream_static", "q_stream_session", "q_stream_stream", "q_self_join", "q_attr_join_nation",
 )
 
@@ -70,3 +70,16 @@ def test_runs_are_compared(spark, tmp_path):
         R.append_run(spark, str(tmp_path / "r"), {"method": "pbsm", "params": {"nx": 4}, "measures": {"filter_seconds": v}})
     r = R.compare_runs(spark, str(tmp_path / "r")).first()
     assert (r.method, r.measure, r.runs, r["mean"]) == ("pbsm", "filter_seconds", 2, 2.0)
+
+
+def test_slanting_lines_against_the_kernel(spark):
+    """The skewed workload's relation counts are those of all pairs of boxes that meet, verified one by one."""
+    from spatial_links.operators import verify
+
+    s, t = L.layer(spark, DATA, "lakes").where("gid % 7 = 0"), L.layer(spark, DATA, "walks").where("gid % 7 = 0")
+    from spatial_links.operators import partitioned
+    from spatial_links.plans import methods as M
+
+    want = verify.links(verify.matrices(verify.attach(partitioned.brute_pairs(s, t), s, t)))
+    got = M.discover_links(s, t, M.MethodSpec("skew_aware_join", {"partitioner": "rtree"}))
+    assert got.exceptAll(want).count() == want.exceptAll(got).count() == 0 < got.count()
