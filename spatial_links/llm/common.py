@@ -2,31 +2,16 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from spatial_links.plans.shared import dropped, new_path
+
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that all executors share: spark.checkpoint.dir, or one of our own where that is unset (tests)."""
-    found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not found:
-        found = tempfile.mkdtemp(prefix="checkpoint-")
-        spark.sparkContext.setCheckpointDir(found)
-        found = spark.sparkContext.getCheckpointDir()
-    return found
-
-
-def new_path(spark: SparkSession, name: str) -> str:
-    return f"{shared_dir(spark).rstrip('/')}/{name}-{uuid.uuid4().hex}"
-
-
 def materialise(df: DataFrame, name: str, files: int | None = None) -> DataFrame:
     """Writes df to the shared folder and reads it back: lineage is cut and a lost executor costs no recomputation.
 
@@ -49,12 +34,7 @@ def by_ids(rows: DataFrame, ids: DataFrame, keys: list[str], how: str) -> DataFr
 
 def drop(df: DataFrame) -> None:
     """Deletes the files of a table that `materialise` wrote, once nothing reads it any more."""
-    spark = df.sparkSession
-    top = shared_dir(spark).rstrip("/").split(":", 1)[-1].lstrip("/")
-    for parent in {f.rpartition("/")[0] for f in df.inputFiles()}:
-        if top in parent:
-            path = spark._jvm.org.apache.hadoop.fs.Path(parent)
-            path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+    dropped(df)
 
 
 def small(spark: SparkSession, rows: list[tuple], schema: str) -> DataFrame:

@@ -5,6 +5,9 @@ letters, visible ASCII and single white space is cut around its letter runs (wit
 vocabulary keeps it, and with apostrophes inside); any other text only at spaces between two visible characters. Pieces
 are found, hashed and looked up on the byte arrays of a whole block; new ones are encoded together, and the ids are
 gathered from a pool that is kept, within a bound, for the worker's next block. The ids equal those of encoding the whole text.
+
+The library finds a vocabulary's special strings in a text before all else and gives them their own id; here each is a
+piece of its own, and the text around it is cut there. With special_as_text they are ordinary text instead.
 """
 
 from __future__ import annotations
@@ -35,18 +38,35 @@ _LATIN[[0xC3, 0xC4, 0xC5]] = True
 
 
 @lru_cache(maxsize=4)
-def _tokenizer(path: str):
-    """(tokenizer, whether words end in a mark and case and white space are dropped, ids that start or end a word)."""
+def _tokenizer(path: str, special_as_text: bool = False):
+    """(tokenizer, whether words end in a mark and case and white space are dropped, ids that start or end a word, special strings)."""
     os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
     from tokenizers import Tokenizer
 
     found = Tokenizer.from_file(path)
-    found.encode_special_tokens = True  # the vocabulary's special strings are ordinary text in a corpus
+    found.encode_special_tokens = special_as_text
     ends = json.loads(found.to_str())["model"].get("end_of_word_suffix")
     vocabulary = found.get_vocab()
     edge = np.zeros(max(vocabulary.values()) + 1, bool)
     edge[[i for w, i in vocabulary.items() if (w.endswith(ends) if ends else w.startswith("Ġ"))]] = True
-    return found, bool(ends), edge
+    special = [] if special_as_text else [t.content.encode() for t in found.get_added_tokens_decoder().values()]
+    return found, bool(ends), edge, special
+
+
+def occurrences(raw: np.ndarray, off: np.ndarray, strings: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """(start, end) of the special strings inside documents, leftmost first where any would overlap."""
+    whole, found = raw.tobytes(), []
+    for x in strings:
+        at = whole.find(x)
+        while at >= 0:
+            found.append((at, at + len(x)))
+            at = whole.find(x, at + 1)
+    spans, reached = [], 0
+    for a, b in sorted(found):
+        if a >= reached and np.searchsorted(off, a, "right") == np.searchsorted(off, b - 1, "right"):
+            spans.append((a, b))
+            reached = b
+    return tuple(np.array(spans, np.int64).reshape(-1, 2).T)
 
 
 def pieces(raw: np.ndarray, off: np.ndarray, bare: bool) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -105,9 +125,9 @@ def pieces(raw: np.ndarray, off: np.ndarray, bare: bool) -> tuple[np.ndarray, np
 
 
 class Encoder:
-    def __init__(self, path: str, end_id: int, entries: int = CACHE_ENTRIES):
+    def __init__(self, path: str, end_id: int, entries: int = CACHE_ENTRIES, special_as_text: bool = False):
         self.entries = entries
-        self.tokenizer, self.bare, self.edge = _tokenizer(path)
+        self.tokenizer, self.bare, self.edge, self.special = _tokenizer(path, special_as_text)
         self.end = end_id
         self._clear()
 
@@ -148,9 +168,20 @@ class Encoder:
             got = [e.ids for e in self.tokenizer.encode_batch_fast([p for _, p in part], add_special_tokens=False)]
             self._keep([k for k, _ in part], np.array([i for x in got for i in x], np.uint32), np.array([len(x) for x in got], np.int64))
 
+    def _pieces(self, raw: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        a, b = occurrences(raw, off, self.special)
+        if not len(a):
+            return pieces(raw, off, self.bare)
+        start, end, _ = pieces(raw, np.unique(np.concatenate([off, a, b])), self.bare)
+        k = np.searchsorted(a, start, "right") - 1
+        outside = (k < 0) | (start >= b[np.maximum(k, 0)])
+        start, end = np.concatenate([start[outside], a]), np.concatenate([end[outside], b])
+        order = np.argsort(start)
+        return start[order], end[order], np.searchsorted(off, start[order], "right") - 1
+
     def block(self, raw: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(ids, ends): the ids of all documents of a block, each followed by the end id, and where each document's end."""
-        start, end, doc = pieces(raw, off, self.bare)
+        start, end, doc = self._pieces(raw, off)
         key, at, inverse = np.unique(T.span_hash(raw, start, end), return_index=True, return_inverse=True)
         names = key.tolist()
         get = self.slot.get

@@ -1,9 +1,9 @@
 """Token ids in ORC: stripes of run-length encoded integers with row indexes and Bloom filters on document ids.
 
 The corpus is put in ascending doc_id order by a range partitioning, each partition is encoded and written as one
-file. A file holds rows (part, doc_id, ids); readers take stripes in parallel, and a predicate on doc_id skips
+file. A file holds rows (part, doc_id, row, ids), row being the place in the part; readers take stripes in parallel, and a predicate on doc_id skips
 stripes and row groups by their statistics and Bloom filters. Null and empty texts have the end id only; rows that
-share a doc_id all stay. Other columns are ignored.
+share a doc_id all stay, in the order in which their file holds them. Rows without a doc_id come first. Other columns are ignored.
 """
 
 from __future__ import annotations
@@ -21,7 +21,7 @@ from spatial_links.llm.encode import BLOCK_BYTES, encoder
 from spatial_links.llm.textops import blocks
 
 STRIPE_BYTES, INDEX_STRIDE = 64 << 20, 1000
-SCHEMA = "part int, doc_id long, ids array<int>"
+SCHEMA = "part int, doc_id long, row long, ids array<int>"
 
 
 def _encode(path: str, end_id: int):
@@ -40,13 +40,14 @@ def write_tokens(docs: DataFrame, path: str, vocabulary: str, end_id: int, compr
     Run-length encoding packs ids to their bits; a general codec on top (compression) gains little and costs time.
     """
     ordered = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).repartitionByRange("doc_id").sortWithinPartitions("doc_id")
-    ids = ordered.mapInArrow(_encode(vocabulary, end_id), "doc_id long, ids array<int>").select(F.spark_partition_id().alias("part"), "doc_id", "ids")
+    ids = ordered.mapInArrow(_encode(vocabulary, end_id), "doc_id long, ids array<int>")
+    ids = ids.select(F.spark_partition_id().alias("part"), "doc_id", F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1)).alias("row"), "ids")
     options = {"compression": compression, "orc.stripe.size": str(STRIPE_BYTES), "orc.create.index": "true", "orc.row.index.stride": str(INDEX_STRIDE), "orc.bloom.filter.columns": "doc_id", "orc.bloom.filter.fpp": "0.01", "orc.encoding.strategy": "SPEED"}
     ids.write.options(**options).orc(path)
 
 
 def read_tokens(spark: SparkSession, path: str) -> DataFrame:
-    """(part, doc_id, ids) of written files; filters on doc_id are pushed down to stripes and row groups."""
+    """(part, doc_id, row, ids) of written files; filters on doc_id are pushed down to stripes and row groups."""
     return spark.read.schema(SCHEMA).orc(path)
 
 
@@ -56,12 +57,12 @@ def _digest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         off = np.frombuffer(ids.buffers()[1], np.int32)[ids.offset : ids.offset + len(ids) + 1] if len(ids) else np.zeros(1, np.int32)
         raw = memoryview(np.ascontiguousarray(ids.values.to_numpy(zero_copy_only=False).astype("<u4", copy=False))).cast("B")
         crc = [zlib.crc32(raw[4 * int(x) : 4 * int(y)]) for x, y in zip(off[:-1], off[1:], strict=True)]
-        yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(np.diff(off).astype(np.int64)), pa.array(crc, pa.int64())], names=["part", "doc_id", "n_tokens", "ids_crc32"])
+        yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(3), pa.array(np.diff(off).astype(np.int64)), pa.array(crc, pa.int64())], names=["part", "doc_id", "row", "n_tokens", "ids_crc32"])
 
 
 def digest(tokens: DataFrame) -> DataFrame:
-    """(part, doc_id, n_tokens, ids_crc32) of read_tokens' rows."""
-    return tokens.select("part", "doc_id", "ids").mapInArrow(_digest, "part int, doc_id long, n_tokens long, ids_crc32 long")
+    """(part, doc_id, row, n_tokens, ids_crc32) of read_tokens' rows."""
+    return tokens.select("part", "doc_id", "ids", "row").mapInArrow(_digest, "part int, doc_id long, row long, n_tokens long, ids_crc32 long")
 
 
 def with_starts(rows: DataFrame) -> DataFrame:
@@ -72,5 +73,5 @@ def with_starts(rows: DataFrame) -> DataFrame:
         before.append((r.part, total))
         total += r.n
     base = small(rows.sparkSession, before, "part int, base long")
-    earlier = Window.partitionBy("part").orderBy("doc_id").rowsBetween(Window.unboundedPreceding, -1)
+    earlier = Window.partitionBy("part").orderBy("row").rowsBetween(Window.unboundedPreceding, -1)
     return rows.join(F.broadcast(base), "part").select("doc_id", (F.col("base") + F.coalesce(F.sum("n_tokens").over(earlier), F.lit(0))).alias("start"), "n_tokens", "ids_crc32")
