@@ -112,16 +112,20 @@ def test_components(spark):
 ODD = ["a  b", "a   b", " x", "x ", "x \n y", "\n\n  a\tb", "a \x1c b", "it's don't 'll  'S", "5's x", 'say "\'tis" x', "x''s", "\n\nNext", "a\nb", "e ́x", "Été İI", "<|endoftext|> hi", "日本 語", "ß SS Σ ΑΣ", "a\0 b c", "", None, "a . b ... c", " " * 7 + "q", "A\r\n B", "a%b %c 5 5 d"]
 
 
+SPECIAL = ["<|endoftext|>", "a<|endoftext|>", "<|endoftext", "|><|endoftext|>b", "a <|endoftext|> b", "<|endoftext|><|endoftext|>", "x  <|endoftext|>  y\n<|startoftext|> z", "<|end<|endoftext|>oftext|>", "<|ENDOFTEXT|> é<|startoftext|>é", "it's<|endoftext|>'s 5<|endoftext|>5", "日本<|endoftext|>語 \t <|startoftext|>", "word " * 300 + "<|endoftext|>" + " word" * 300]
+
+
 @pytest.mark.parametrize(("name", "end"), [("byte_bpe_50k.json", 2), ("word_bpe_49k.json", 0)])
 def test_pieces_encode_like_whole_texts(rows, name, end):
     import public_tokenizers
     from tokenizers import Tokenizer
 
     t = Tokenizer.from_file(public_tokenizers.path(name))
+    texts = [r[1] for r in rows] + ODD + SPECIAL
+    ids_of = lambda: [np.array([*e.ids, end], "<u4").tobytes() for e in t.encode_batch([x or "" for x in texts], add_special_tokens=False)]
+    assert encode.Encoder(public_tokenizers.path(name), end)(texts) == ids_of()  # the library's defaults
     t.encode_special_tokens = True
-    texts = [r[1] for r in rows] + ODD
-    want = [np.array([*e.ids, end], "<u4").tobytes() for e in t.encode_batch([x or "" for x in texts], add_special_tokens=False)]
-    assert encode.Encoder(public_tokenizers.path(name), end)(texts) == want
+    assert encode.Encoder(public_tokenizers.path(name), end, special_as_text=True)(texts) == ids_of()
 
 
 def test_token_files(spark, docs, rows, empty):
@@ -132,7 +136,6 @@ def test_token_files(spark, docs, rows, empty):
     token_files.write_tokens(docs, path, vocabulary, 2)
     got = token_files.with_starts(token_files.digest(token_files.read_tokens(spark, path))).orderBy("doc_id").collect()
     t, at = Tokenizer.from_file(vocabulary), 0
-    t.encode_special_tokens = True
     for r, (i, text, *_) in zip(got, rows, strict=True):
         ids = [*t.encode(text or "", add_special_tokens=False).ids, 2]
         assert (r.doc_id, r.start, r.n_tokens, r.ids_crc32) == (i, at, len(ids), zlib.crc32(np.array(ids, "<u4").tobytes()))
@@ -143,29 +146,86 @@ def test_token_files(spark, docs, rows, empty):
     assert token_files.with_starts(token_files.digest(token_files.read_tokens(spark, path + "e"))).count() == 0
 
 
+def test_token_files_of_repeated_and_missing_ids(spark):
+    import public_tokenizers
+
+    vocabulary, path = public_tokenizers.path("byte_bpe_50k.json"), new_path(spark, "tokens")
+    texts = [(5, "one two"), (5, "three"), (None, "no id"), (5, "four five six"), (2, None), (9, "<|endoftext|> x")]
+    token_files.write_tokens(spark.createDataFrame(texts, "doc_id long, text string"), path, vocabulary, 2)
+    got = token_files.with_starts(token_files.digest(token_files.read_tokens(spark, path))).collect()
+    got.sort(key=lambda r: r.start)
+    assert [r.doc_id for r in got] == [None, 2, 5, 5, 5, 9]
+    at = 0
+    for r in got:
+        assert r.start == at
+        at += r.n_tokens
+    assert got[-1].n_tokens == 3 and got[1].n_tokens == 1
+
+
 def test_packing(docs, rows, empty):
     import public_tokenizers
+    from tokenizers import Tokenizer
 
     vocabulary = public_tokenizers.path("word_bpe_49k.json")
     got = packing.pack(docs, vocabulary).collect()
-    by = collections.defaultdict(list)
+    by, pieces = collections.defaultdict(list), collections.defaultdict(list)
     for r in got:
         by[r.sequence_id].append((r.offset, r.length))
+        pieces[r.doc_id].append((r.piece, r.start, r.length, r.ids_crc32))
     for parts in by.values():
         at = 0
         for offset, length in sorted(parts):
             assert offset == at
             at += length
         assert at <= 2048
-    whole = collections.Counter()
-    for r in got:
-        whole[r.doc_id] += r.length
-    enc = encode.Encoder(vocabulary, 0)
-    assert whole == {i: len(x) // 4 for i, x in zip([r[0] for r in rows], enc([r[1] for r in rows]), strict=True)}
-    assert len(by) <= -(-sum(whole.values()) // 2048) + 1
+    t, total = Tokenizer.from_file(vocabulary), 0
+    for i, text, *_ in rows:
+        ids = np.array([*t.encode(text or "", add_special_tokens=False).ids, 0], "<u4")
+        want = [(k, at, len(ids[at : at + 2048]), zlib.crc32(ids[at : at + 2048].tobytes())) for k, at in enumerate(range(0, len(ids), 2048))]
+        assert sorted(pieces[i]) == want
+        total += len(ids)
+    assert len(by) <= -(-total // 2048) + 1
     assert packing.pack(empty, vocabulary).count() == 0
 
 
+def test_the_program_is_solved_to_its_gap():
+    """Value and dual bound meet within the gap, the bound holds for any packing, and the packing beats best fit where pieces are long."""
+    rng = random.Random(1)
+    few = collections.Counter(rng.choice([700, 800, 900, 1000, 500, 400]) for _ in range(20_000))
+    mid = collections.Counter(rng.randint(600, 1100) for _ in range(30_000))
+    for h, better in ((few, 0.98), (mid, 0.995)):
+        plan = packing.solve(h, 2048)
+        assert plan.program.gap <= packing.GAP + 1e-9
+        held = collections.Counter()
+        for form, k in plan.forms:
+            assert sum(a * n for n, a in form) <= 2048
+            for n, a in form:
+                held[n] += a * k
+        assert held == h
+        plain = sum(k for _, k in packing._best_fit(dict(h), 2048))
+        assert plan.bound <= plan.sequences <= better * plain
+    triplets = collections.Counter()
+    for _ in range(2000):
+        a = rng.randint(300, 900)
+        b = rng.randint(300, 900)
+        triplets.update([a, b, 2048 - a - b])
+    plan = packing.solve(triplets, 2048)
+    assert plan.bound == pytest.approx(2000) and plan.sequences <= 1.05 * 2000
+
+
+@pytest.mark.parametrize("seed", range(6))
+def test_knapsack_prices_against_all_configurations(seed):
+    rng = np.random.default_rng(seed)
+    lengths = np.sort(rng.choice(np.arange(3, 20), 5, replace=False))
+    weight = rng.random(5)
+    best, last = packing.price(weight, lengths, 24)
+    every = [c for c in itertools.product(range(9), repeat=5) if sum(a * int(n) for a, n in zip(c, lengths, strict=True)) <= 24]
+    assert best[24] == pytest.approx(max(float(np.dot(c, weight)) for c in every))
+    form = packing._filling(last, lengths, 24)
+    assert sum(weight[j] * a for j, a in form.items()) == pytest.approx(best[24])
+    assert packing.fractional(lengths, np.full(5, 100.0), 24).bound <= sum(packing.configurations({int(n): 100 for n in lengths}, 24)[k][1] for k in range(len(packing.configurations({int(n): 100 for n in lengths}, 24)))) + 1e-9
+
+
 def test_configurations_hold_the_histogram():
     rng = random.Random(1)
     for _ in range(5):
