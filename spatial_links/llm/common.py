@@ -32,6 +32,28 @@ def by_ids(rows: DataFrame, ids: DataFrame, keys: list[str], how: str) -> DataFr
     return rows.join(F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids, keys, how)
 
 
+#: Rows of a key beyond which it is joined by broadcast, and the share of all rows that decides it for large inputs.
+HOT_ROWS, HOT_SHARE = 2_000, 1e-5
+
+
+def join_hot(left: DataFrame, right: DataFrame, keys: str | list[str], how: str = "inner", counted: DataFrame | None = None, sizes: DataFrame | None = None) -> DataFrame:
+    """left join right on keys that are distinct in right, without a task for all rows of a frequent key.
+
+    The rows of frequent keys meet right's rows of these keys by broadcast: there are at most 1 / HOT_SHARE of them,
+    whatever the input. counted: where to count keys, if not in left. sizes: counts that are known, (keys, rows).
+    """
+    keys = [keys] if isinstance(keys, str) else keys
+    n = sizes.select(*keys, "rows") if sizes is not None else (left if counted is None else counted).groupBy(*keys).agg(F.count(F.lit(1)).alias("rows"))
+    n = n.where(F.col("rows") > HOT_ROWS)
+    total = n.agg(F.sum("rows")).first()[0]
+    if total is None:
+        return left.join(right, keys, how)
+    hot = materialise(n.where(F.col("rows") > int(total * HOT_SHARE)).select(*keys), "hot", 1)
+    often = materialise(right.join(F.broadcast(hot), keys, "left_semi"), "often", 1)
+    cold = left.join(F.broadcast(hot), keys, "left_anti").join(right, keys, how)
+    return left.join(F.broadcast(hot), keys, "left_semi").join(F.broadcast(often), keys, how).unionByName(cold)
+
+
 def drop(df: DataFrame) -> None:
     """Deletes the files of a table that `materialise` wrote, once nothing reads it any more."""
     dropped(df)

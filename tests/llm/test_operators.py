@@ -91,6 +91,31 @@ def test_near_duplicates_of_a_large_group(spark):
     assert {r.doc_id: (r.n_shingles, r.component_id) for r in got} == brute_groups(rows, 2)
 
 
+def test_near_duplicates_of_odd_ids(spark, empty):
+    """Repeated doc_ids are one document with several texts; rows without a doc_id or words stay alone."""
+    w, v = " ".join(f"a{i}" for i in range(40)), " ".join(f"b{i}" for i in range(40))
+    rows = [(5, w), (5, v), (9, v + " tail"), (8, w + " tail"), (None, w), (None, None), (12, None), (12, v + " end"), (13, ""), (14, "c " * 30), (3, "lone words here"), (5, None), (2, "b0 b1")]
+    got = near_dedup.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), width=2).collect()
+    assert len(got) == len(rows)
+    assert {(r.doc_id, r.component_id, r.kept) for r in got if r.doc_id is not None} == {(5, 5, True), (9, 5, False), (8, 5, False), (12, 5, False), (13, 13, True), (14, 14, True), (3, 3, True), (2, 2, True)}
+    assert [(r.component_id, r.kept) for r in got if r.doc_id is None] == [(None, True)] * 2
+    assert near_dedup.near_duplicates(empty, width=2).count() == 0
+
+
+def test_near_duplicates_with_hot_keys(spark, monkeypatch):
+    """All joins on frequent keys by broadcast give the same groups; so do blocks of a few rows."""
+    from spatial_links.llm import common
+
+    monkeypatch.setattr(common, "HOT_ROWS", 2)
+    monkeypatch.setattr(near_dedup, "OUTSIDE_BLOCK", 8)
+    monkeypatch.setattr(near_dedup, "AROUND_BLOCK", 16)
+    rng = random.Random(5)
+    w = [f"w{i}" for i in range(60)]
+    rows = [(i, " ".join(x if rng.random() > 0.05 else f"x{rng.randrange(999)}" for x in w)) for i in range(120)] + [(200 + i, " ".join(w)) for i in range(60)] + [(300 + i, f"the same words {i} " + " ".join(w[:20])) for i in range(40)]
+    got = near_dedup.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), width=2).collect()
+    assert {r.doc_id: (r.n_shingles, r.component_id) for r in got} == brute_groups(rows, 2)
+
+
 def test_components(spark):
     rng = random.Random(2)
     edges = [(rng.randrange(60), rng.randrange(60)) for _ in range(45)] + [(100 + i, 101 + i) for i in range(40)] + [(300, 301 + i) for i in range(50)] + [(5, 5), (None, 3)]
