@@ -1,14 +1,17 @@
 """Shards by a K-d tree: nodes are split at distributed weighted medians along their widest metadata dimension.
 
-Each row is a point (size, characters, language, text hash) weighing its bytes. A node that is to hold k shards is
-split on the dimension in which its points spread widest, where the bytes to the left are floor(k/2)/k of its own; its
-parts are split on until each is one shard, which then has the target bytes. All nodes of a level are split together.
+Each row is a point (size, characters, language, source) weighing its bytes; a node that is one point in all of these is
+split along the hash of its texts. A node that is to hold k shards is split on the dimension in which its points spread
+widest (the first of them if several do), where the bytes to the left are floor(k/2)/k of its own; its
+parts are split on until each is one shard, which then has the target bytes. All nodes of a level are split together, and
+the rows with their nodes are written once a level.
 
 A median is found by histograms, digit by digit: ten bits of the coordinate, then the text's hash, then a hash of
 doc_id, each narrowed to the bin that holds the median, until the error is a small part of a shard. So equal texts
-stay together unless their group is itself too large for that, and then it is cut by doc_id. The driver sees at most
-nodes * dimensions * 1024 sums a pass, whatever the input. Only DataFrame functions are used. Null texts count as
-empty (16 bytes); rows that are equal in all columns are dealt like any other group.
+stay together unless their group is itself too large for that, and then it is cut by doc_id; equal texts of several
+languages or sources count as having the first of these. The driver sees at most nodes * dimensions * 1024 sums a pass,
+whatever the input. Only DataFrame functions are used. Null texts count as empty (16 bytes), null languages and sources as
+empty; rows that are equal in all columns are dealt like any other group, rows without a doc_id too.
 """
 
 from __future__ import annotations
@@ -16,10 +19,10 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from spatial_links.llm.common import materialise, partitions, small
+from spatial_links.llm.common import by_ids, drop, materialise, partitions, small
 
 OVERHEAD_BYTES, DIGIT, TOLERANCE = 16, 10, 0.002
-DIMENSIONS = ("size", "characters", "language", "hash")
+DIMENSIONS = ("size", "characters", "language", "source", "hash")
 #: Bits of a point's order along a dimension: coordinate, then 32 of the text's hash; of the second key, by doc_id.
 FIRST_BITS, SECOND_BITS = 42, 20
 
@@ -32,23 +35,35 @@ def _scaled(x: Column, least: int, most: int) -> Column:
 
 
 def points(docs: DataFrame) -> DataFrame:
-    """(doc_id, size, text_crc32, q array of 10-bit coordinates, tie) of docs(doc_id, text, lang)."""
+    """(doc_id, size, text_crc32, q array of 10-bit coordinates, tie) of docs(doc_id, text, lang, source)."""
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    lang = F.coalesce(F.col("lang").cast("string"), F.lit("")) if "lang" in docs.columns else F.lit("")
+    crc = lambda c: F.crc32(F.coalesce(F.col(c).cast("string"), F.lit("")) if c in docs.columns else F.lit(""))
     rows = docs.select(
         F.col("doc_id").cast("long").alias("doc_id"),
         (F.octet_length(text) + OVERHEAD_BYTES).cast("long").alias("size"),
         (F.char_length(text) + OVERHEAD_BYTES).cast("long").alias("chars"),
         F.crc32(text).alias("text_crc32"),
-        F.crc32(lang).alias("lang_crc"),
+        crc("lang").alias("lang"),
+        crc("source").alias("source"),
     )
     rows = materialise(rows, "metadata")
     a, b, c, d = (int(x or OVERHEAD_BYTES) for x in rows.agg(F.min("size"), F.max("size"), F.min("chars"), F.max("chars")).first())
-    q = F.array(_scaled(F.col("size"), a, b), _scaled(F.col("chars"), c, d), F.shiftright("lang_crc", 22), F.shiftright("text_crc32", 22))
+    group = ["text_crc32", "size"]
+    both = rows.groupBy(*group).agg(F.min("lang").alias("lang0"), F.max("lang").alias("lang1"), F.min("source").alias("source0"), F.max("source").alias("source1"))
+    mixed = materialise(both.where("lang0 <> lang1 or source0 <> source1").select(*group, "lang0", "source0"), "mixed", 8)
+    rows = by_ids(rows, mixed, group, "left")
+    coordinate = lambda c: F.shiftright(F.coalesce(f"{c}0", c), 22)
+    q = F.array(_scaled(F.col("size"), a, b), _scaled(F.col("chars"), c, d), coordinate("lang"), coordinate("source"), F.shiftright("text_crc32", 22))
     tie = F.xxhash64(F.coalesce("doc_id", F.lit(0))).bitwiseAND(F.lit((1 << SECOND_BITS) - 1))
     return rows.select("doc_id", "size", "text_crc32", q.alias("q"), tie.alias("tie"))
 
 
+def widest(spans: dict[int, int]) -> int:
+    """The dimension to split: the widest of metadata, the first of equals; the hash only where none spreads."""
+    last = len(DIMENSIONS) - 1
+    return max((d for d in spans if d < last and spans[d] > 0), key=lambda d: (spans[d], -d), default=last)
+
+
 def _moved(rows: DataFrame, cuts: list[tuple]) -> DataFrame:
     """Each row's node after the cuts (node, dim, first, second) of a level; a node that is not cut stays."""
     by = F.broadcast(small(rows.sparkSession, cuts, "node long, dim int, first long, second long"))
@@ -64,7 +79,7 @@ def _key(dim: Column) -> Column:
 
 def split(rows: DataFrame, shards: int, tolerance: float = TOLERANCE) -> tuple[DataFrame, dict[int, int]]:
     """rows with `node`, a leaf of the tree, and the number of each leaf."""
-    rows = rows.withColumn("node", F.lit(1).cast("long"))
+    rows = materialise(rows.withColumn("node", F.lit(1).cast("long")), "level")
     open_ = {1: shards}
     while any(k > 1 for k in open_.values()):
         wide = rows.where(F.col("node").isin([n for n, k in open_.items() if k > 1])).select("node", "size", F.posexplode("q").alias("dim", "q"))
@@ -74,13 +89,14 @@ def split(rows: DataFrame, shards: int, tolerance: float = TOLERANCE) -> tuple[D
         state = {}
         for node, dims in seen.items():
             total, k = sum(dims[0].values()), open_[node]
-            dim = max(dims, key=lambda d: (max(dims[d]) - min(dims[d]), d))
+            dim = widest({d: max(v) - min(v) for d, v in dims.items()})
             state[node] = {"dim": dim, "goal": total * (k // 2) / k, "near": tolerance * total / k, "left": 0, "at": 0, "shift": FIRST_BITS, "done": False}
             _narrow(state[node], dims[dim], DIGIT)
         while todo := [n for n, s in state.items() if not s["done"]]:
             _refine(rows, state, todo)
         cuts = [(n, s["dim"], *_threshold(s)) for n, s in state.items()]
-        rows = _moved(rows, cuts)
+        before, rows = rows, materialise(_moved(rows, cuts), "level")
+        drop(before)
         after = {}
         for n, k in open_.items():
             if k > 1:  # without rows, all its shards stay empty

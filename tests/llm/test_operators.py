@@ -325,6 +325,54 @@ def test_shards(docs, rows, empty):
     assert kd_shards.shard(empty, 4).count() == 0
 
 
+def reference_shards(points, shards):
+    """The tree by sorting: leaf number of each point, from (size, crc, q, tie) and exact weighted medians."""
+    out, last = {}, len(kd_shards.DIMENSIONS) - 1
+
+    def cut(rows, k, path):
+        if k == 1 or not rows:
+            out.update(dict.fromkeys(rows, path if k == 1 else path + "0" * (k - 1).bit_length()))
+            return
+        spans = [max(points[i][2][d] for i in rows) - min(points[i][2][d] for i in rows) for d in range(last)]
+        dim = max(range(last), key=lambda d: (spans[d], -d)) if max(spans) else last
+        key = lambda i: (points[i][2][dim], points[i][1], points[i][3])
+        sums = collections.Counter()
+        for i in rows:
+            sums[key(i)] += points[i][0]
+        goal, before, at = sum(sums.values()) * (k // 2) / k, 0, None
+        for v in sorted(sums):
+            if before + sums[v] > goal:
+                at = (v, before + sums[v] - goal < goal - before)
+                break
+            before += sums[v]
+        left = [i for i in rows if key(i) < at[0] or (at[1] and key(i) == at[0] and before < goal)]
+        cut(left, k // 2, path + "0")
+        cut([i for i in rows if i not in set(left)], k - k // 2, path + "1")
+
+    cut(list(points), shards, "1")
+    return out
+
+
+@pytest.mark.parametrize("shards", [2, 5, 8])
+def test_shards_against_sorted_medians(spark, docs, shards):
+    rows = kd_shards.points(docs)
+    points = {r.doc_id: (r.size, r.text_crc32, tuple(r.q), r.tie) for r in rows.collect()}
+    got, _ = kd_shards.split(rows, shards, tolerance=0.0)
+    parts = lambda of: {frozenset(i for i in of if of[i] == n) for n in set(of.values())}
+    assert parts({r.doc_id: r.node for r in got.collect()}) == parts(reference_shards(points, shards))
+
+
+def test_shards_split_on_metadata_first_and_keep_equal_texts(spark):
+    rows = [(i, "x" * 50 if i % 2 else f"{i % 9}" * 50, None, f"s{i % 4}") for i in range(400)]
+    d = spark.createDataFrame(rows, "doc_id long, text string, lang string, source string")
+    assert kd_shards.widest({0: 0, 1: 0, 2: 5, 3: 9, 4: 1023}) == 3 and kd_shards.widest({0: 0, 1: 0, 2: 0, 3: 0, 4: 7}) == 4
+    for text in {r[1] for r in rows if r[0] % 2 == 0}:
+        own = {r[0] for r in rows if r[1] == text}
+        got = {tuple(r.q) for r in kd_shards.points(d).collect() if r.doc_id in own}
+        assert len(got) == 1  # copies of several sources are one point
+    assert kd_shards.shard(d.drop("source"), 3).count() == 400
+
+
 def test_shards_are_near_equal_and_cut_a_hot_group(spark):
     rows = [(i, "same text here " * 5) for i in range(3000)] + [(3000 + i, f"text {i} " * (1 + i % 40)) for i in range(3000)]
     got = kd_shards.shard(spark.createDataFrame(rows, "doc_id long, text string"), 16).groupBy("shard").agg(F.sum("size").alias("n")).collect()
