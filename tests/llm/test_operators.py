@@ -396,12 +396,37 @@ def test_licenses_of_one_block(spark):
     assert {r.doc_id: r.labels for r in license_scan.scan(d).collect()} == dict(enumerate(want.values()))
 
 
-def test_licenses_across_line_breaks(spark):
+def test_licenses_across_line_breaks(spark, duck):
+    """Wrapped sentences and bodies get their label, in the operator and in SQL alike."""
     import textwrap
 
-    texts = [(i, label, textwrap.fill("some words before it " * k + text, width)) for i, (k, width, (label, text)) in enumerate(itertools.product((0, 30), (40, 72), license_scan.TEMPLATES)) if label in ("mit", "bsd", "mpl-2.0")]
+    from spatial_links.llm import license_texts
+
+    texts = [(i, label, textwrap.fill("some words before it " * k + text, width)) for i, (k, width, (label, text)) in enumerate(itertools.product((0, 30), (40, 72), license_texts.TEMPLATES))]
     d = spark.createDataFrame([(i, t) for i, _, t in texts], "doc_id long, text string")
-    assert {r.doc_id: r.labels for r in license_scan.scan(d).collect()} == {i: label for i, label, _ in texts}
+    got = {r.doc_id: r for r in license_scan.scan(d).collect()}
+    for i, label, text in texts:
+        assert label in got[i].labels.split(","), (label, got[i].labels, text[:200])
+    con = duck.cursor()
+    con.execute("create or replace temp table wrapped(doc_id bigint, text varchar)")
+    con.executemany("insert into wrapped values (?, ?)", [(i, t) for i, _, t in texts])
+    rows = con.sql(license_scan.oracle().replace("from documents", "from wrapped")).fetchall()
+    assert {r[0]: (r[6], round(r[7], 9)) for r in rows} == {i: (r.labels, round(r.score, 9)) for i, r in got.items()}
+
+
+def test_license_bodies_without_their_first_sentence(spark):
+    from spatial_links.llm import license_texts
+
+    bodies = [(i, label, " ".join(text.split()[6:])) for i, (label, text) in enumerate(license_texts.BODIES) if len(text.split()) > 90]
+    d = spark.createDataFrame([(i, "intro " * 300 + t + " outro" * 300) for i, _, t in bodies], "doc_id long, text string")
+    got = {r.doc_id: r.labels.split(",") for r in license_scan.scan(d).collect()}
+    assert len(bodies) == 7 and all(label in got[i] for i, label, _ in bodies)
+
+
+def test_licenses_of_rows_without_id(spark):
+    text = "Released under the MIT License"
+    d = spark.createDataFrame([(None, text), (None, "nothing"), (1, text)], "doc_id long, text string")
+    assert sorted(r.labels for r in license_scan.scan(d).collect()) == ["", "mit", "mit"]
 
 
 def test_decontamination(spark, rows, docs, empty):
