@@ -6,8 +6,9 @@ coverage, the document's source path and the neighbouring words. It is fitted on
 `labelled_findings` writes out of public key shapes and of the look-alikes that scanners trip over; their number is a
 parameter. Fitting and scoring use DataFrame functions and spark.ml only. Scanning is one pass without a shuffle.
 
-Null and empty texts have no candidates. Equal rows give equal findings. The number of candidates of a text is not
-capped. Extra columns of docs are ignored, or kept by `redact`; a missing source counts as empty.
+Null and empty texts have no candidates. Equal rows give equal findings; rows without a doc_id are scanned like others. The
+number of candidates of a text is not capped, and the work grows in proportion to it. Extra columns of docs are ignored, or
+kept by `redact` under whatever names; a missing source counts as empty.
 """
 
 from __future__ import annotations
@@ -20,7 +21,7 @@ from pyspark.ml.functions import vector_to_array
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from spatial_links.llm.common import by_ids, materialise
+from spatial_links.llm.common import BROADCAST_IDS, materialise
 
 MIN_LENGTH, NEAR, TRAINING_ROWS, TREES, DEPTH, THRESHOLD, SEED = 16, 40, 4000, 24, 7, 0.5, 5
 _KEY = "A-Za-z0-9+/_-"
@@ -35,8 +36,21 @@ CANDIDATE = (
     rf"|(?<=[:= \"'])(?<=(?i:{_CREDENTIAL})[\"']? {{0,2}}[:=] {{0,2}}[\"']?)[^\s\"']{{8,}}"
     r"|-----BEGIN [A-Z ]{0,20}PRIVATE KEY-----"
 )
-#: Words that stand in made-up keys and in identifiers, not in secrets.
-DICTIONARY = ("example", "sample", "test", "dummy", "placeholder", "changeme", "your", "here", "insert", "password", "secret", "token", "name", "file", "image", "index", "page", "user", "data", "version", "release", "build", "chapter", "section", "table", "figure", "http", "https", "www", "com", "org", "html", "json", "xxxx", "0000", "1234", "abcd")
+#: Common words of made-up keys, of identifiers and of English, four letters or more.
+DICTIONARY = tuple(
+    "about access account action active address after again agent alert alpha always amount another answer apply archive around array author back base batch before begin beta "
+    "block body book branch buffer build button cache call camera cent change chapter check city class clear client close cloud code color column come command comment commit "
+    "common company config connect content control copy core count country create current data date debug default delete demo design detail device digit domain down draft drive dummy "
+    "edit email enable engine entry error event every example export field figure file filter final find first folder font form format free from full function game gate graph green group hand "
+    "handler header help here high home host hour house html http image import index info input insert issue item java jpeg json just kernel keep label language large last layer left "
+    "letter level library light line link list load local lock login long loop main make manager market master match media member memory menu message method minute model module month more "
+    "name network news next node note number object offset online open option order other output package page paper parent part password path payment people person phone photo place "
+    "placeholder plan play please point port post price print private process product profile project proxy public query quick random read record release remote report request response result "
+    "return review right role root route rule sample save scale schema score screen script search season second secret section select self send serial server service session shared shop show side sign "
+    "simple site size small social some sort source space special stage start state station status step stone store story stream street string style submit support switch system table task team "
+    "temp template test text than that their them theme then there this thread time title today token tool topic total town track travel tree type under unit update upload user valid value "
+    "version video view water week well what when where which width will window with word work world would write xxxx year your yours zone 0000 1234 abcd changeme".split()
+)
 FEATURES = ("length", "digit_share", "upper_share", "lower_share", "hex", "transitions", "distinct_share", "longest_letters", "vowel_share", "dictionary_share", "test_path", "credential_near", "assigned", "quoted", "harmless_near", "header")
 
 
@@ -59,7 +73,7 @@ def features(df: DataFrame) -> DataFrame:
         "distinct_share": F.size(F.array_distinct(F.split(t, ""))) / F.length(t),
         "longest_letters": letters,
         "vowel_share": _share(low, "[^aeiou]"),
-        "dictionary_share": 1 - F.length(F.regexp_replace(low, "|".join(DICTIONARY), "")) / F.length(t),
+        "dictionary_share": 1 - F.length(F.regexp_replace(low, "|".join(sorted(DICTIONARY, key=len, reverse=True)), "")) / F.length(t),
         "test_path": F.lower("path").rlike("test|example|sample|fixture|docs?/|readme"),
         "credential_near": before.rlike("passw|secret|token|api.?key|auth|bearer|credential|private|access.?key"),
         "assigned": before.rlike("[:=] ?[\"'`]?$"),
@@ -76,7 +90,10 @@ def labelled_findings(spark: SparkSession, rows: int = TRAINING_ROWS) -> DataFra
     pick = lambda salt, *xs: F.element_at(F.array(*(F.lit(x) for x in xs)), (F.pmod(F.xxhash64(n, F.lit(salt)), F.lit(len(xs))) + 1).cast("int"))
     hex_ = lambda salt, size: F.substring(F.sha2(F.concat_ws("-", n, F.lit(salt)), 512), 1, size)
     b64 = lambda salt, size: F.substring(F.regexp_replace(F.base64(F.unhex(F.sha2(F.concat_ws("-", n, F.lit(salt)), 512))), "\n", ""), 1, size)
-    word = lambda salt: pick(salt, "the", "stone", "river", "letter", "garden", "window", "market", "season", "number", "travel", "erent", "thion", "inther", "andle", "schung", "ement")
+    syllable = lambda salt: F.concat(pick(f"{salt}c", *"bcdfghklmnprstvw", "br", "st", "tr", "ch", "gl", "th"), pick(f"{salt}v", *"aeiou", "ai", "ou", "ea"), pick(f"{salt}e", "", "", "n", "r", "s", "l", "nd", "ng"))
+    made_up = lambda salt: F.concat(syllable(f"{salt}1"), syllable(f"{salt}2"), F.when(F.pmod(F.xxhash64(n, F.lit(f"{salt}3")), F.lit(2)) == 0, syllable(f"{salt}4")).otherwise(""))
+    known = [w for w in DICTIONARY if w.isalpha()][::9]
+    word = lambda salt: F.when(F.pmod(F.xxhash64(n, F.lit(f"{salt}w")), F.lit(2)) == 0, pick(salt, *known)).otherwise(made_up(salt))
     glued = lambda salt, k: F.concat(*(word(f"{salt}{i}") for i in range(k)))
     near = pick("near", "token = \"", "api_key: ", "secret=", "password = '", "Authorization: Bearer ", "access_key = \"", "key: \"")
     given = pick("given", "PASSWORD=", "DB_SECRET=", "Password: ", '"password": "', '"token": "', "password = '", "secret=", '"api_key": "', "API_KEY = ")
@@ -96,7 +113,7 @@ def labelled_findings(spark: SparkSession, rows: int = TRAINING_ROWS) -> DataFra
         (plain, F.concat(F.lit("chapter/"), word("f"), F.lit("/page-"), n)), (plain, F.concat(F.initcap(word("g")), F.initcap(word("h")), F.initcap(word("i")), F.initcap(word("j")))), (plain, F.concat(F.initcap(word("p")), F.lit("Is"), F.initcap(word("q")), F.lit("Of"), F.initcap(word("r")))), (plain, F.concat(F.lit("This"), F.initcap(word("s")), F.lit("A"), F.initcap(word("t")), F.lit("s"))), (plain, F.concat(glued("k", 3), F.lit("!!!"))), (near, F.concat(F.lit("xxxxxxxxxxxxxxxx"), F.pmod(n, F.lit(10)))),
         (pick("rule", "token: ", "password: ", "secret = "), glued("l", 3)), (given, F.concat(word("u"), word("v"))),
     ]
-    path = pick("path", "src1", "src7", "docs/readme", "tests/fixture", "src19")
+    path = pick("path", "app/main", "config/settings", "docs/readme", "tests/fixture", "web/2024/post", "")
 
     def case(cases: list, label: int) -> DataFrame:
         base = spark.range(0, rows // 2).withColumn("k", F.pmod(n, F.lit(len(cases))))
@@ -117,6 +134,15 @@ def _scored(df: DataFrame, model: RandomForestClassificationModel) -> DataFrame:
     return model.transform(rows).withColumn("score", F.round(vector_to_array("probability")[1], 6)).drop(*FEATURES, "features", "rawPrediction", "probability", "prediction")
 
 
+def _running(lengths: Column, step: int = 64) -> Column:
+    """Running sums of an array, by sums of blocks of `step`, so that no prefix is copied for each element."""
+    total = lambda a: F.aggregate(a, F.lit(0), lambda x, y: x + y)
+    blocks = F.when(F.size(lengths) > 0, F.sequence(F.lit(0), F.floor((F.size(lengths) - 1) / step).cast("int"))).otherwise(F.array().cast("array<int>"))
+    sums = F.transform(blocks, lambda b: total(F.slice(lengths, b * step + 1, F.lit(step))))
+    before = F.aggregate(sums, F.array(F.lit(0)), lambda a, x: F.concat(a, F.array(F.element_at(a, -1) + x)))
+    return F.transform(lengths, lambda _, i: F.get(before, F.floor(i / step).cast("int")) + total(F.slice(lengths, (F.floor(i / step) * step).cast("int") + 1, F.pmod(i, F.lit(step)) + 1)))
+
+
 def candidates(docs: DataFrame) -> DataFrame:
     """doc_id, number, start (in characters), token, before, after, path for each candidate of docs(doc_id, text, source)."""
     path = F.coalesce(F.col("source").cast("string"), F.lit("")) if "source" in docs.columns else F.lit("")
@@ -124,9 +150,9 @@ def candidates(docs: DataFrame) -> DataFrame:
     parts, tokens = F.split("text", CANDIDATE, -1), F.regexp_extract_all("text", F.lit(CANDIDATE), F.lit(0))
     rows = rows.select("doc_id", "path", parts.alias("parts"), tokens.alias("tokens"))
     each = F.transform("tokens", lambda t, i: F.struct(t.alias("token"), F.right(F.get("parts", i), F.lit(NEAR)).alias("before"), F.left(F.get("parts", i + 1), F.lit(NEAR)).alias("after"), (F.length(F.get("parts", i)) + F.length(t)).alias("span")))
-    lengths = F.transform(each, lambda e: e["span"])
-    ends = F.aggregate(lengths, F.array().cast("array<int>"), lambda a, x: F.concat(a, F.array(F.coalesce(F.try_element_at(a, F.lit(-1)), F.lit(0)) + x)))
-    rows = rows.select("doc_id", "path", F.posexplode(F.arrays_zip(each.alias("e"), ends.alias("end"))).alias("number", "c"))
+    rows = rows.select("doc_id", "path", each.alias("e"))
+    rows = rows.select("doc_id", "path", "e", F.transform("e", lambda x: x["span"]).alias("spans")).select("doc_id", "path", "e", _running(F.col("spans")).alias("end"))
+    rows = rows.select("doc_id", "path", F.posexplode(F.arrays_zip("e", "end")).alias("number", "c"))
     return rows.select("doc_id", "number", (F.col("c.end") - F.length("c.e.token")).alias("start"), F.col("c.e.token").alias("token"), F.col("c.e.before").alias("before"), F.col("c.e.after").alias("after"), "path")
 
 
@@ -142,14 +168,22 @@ def scan(docs: DataFrame, model: RandomForestClassificationModel | None = None,
 def redact(docs: DataFrame, model: RandomForestClassificationModel | None = None, threshold: float = THRESHOLD, mask: str = "[secret]") -> DataFrame:
     """docs with each kept finding in text replaced by mask; all columns and rows stay, n_chars follows the text."""
     model = model or fit(labelled_findings(docs.sparkSession))
-    key = F.xxhash64(F.col("text").cast("string"), F.coalesce(F.col("source").cast("string"), F.lit("")) if "source" in docs.columns else F.lit(""))
-    keyed = docs.withColumn("secret_key", key)
-    cand = candidates(keyed.select(F.struct("doc_id", "secret_key").alias("doc_id"), "text", *(["source"] if "source" in docs.columns else [])))
+    columns = docs.columns
+    free = lambda name: next(x for x in (name + "_" * k for k in range(len(columns) + 1)) if x not in columns)
+    key, numbers = free("text_key"), free("secret_numbers")
+    has_source = "source" in columns
+    keyed = docs.withColumn(key, F.xxhash64(F.col("text").cast("string"), F.coalesce(F.col("source").cast("string"), F.lit("")) if has_source else F.lit("")))
+    # Findings follow from text and source, so equal rows share them; ids need not be there or be distinct.
+    cand = candidates(keyed.select(F.struct(F.coalesce(F.col("doc_id"), F.lit(0)).alias("id"), F.col(key).alias("key")).alias("doc_id"), "text", *(["source"] if has_source else [])))
     hits = _scored(cand, model).where(F.col("score") >= threshold)
-    hits = hits.groupBy(F.col("doc_id.doc_id").alias("doc_id"), F.col("doc_id.secret_key").alias("secret_key")).agg(F.collect_set("number").alias("secret_numbers"))
+    hits = hits.groupBy(F.col("doc_id.id").alias("of_id"), F.col("doc_id.key").alias("of_key")).agg(F.collect_set("number").alias(numbers))
+    hits = materialise(hits, "secrets")
+    hits = F.broadcast(hits) if hits.count() <= BROADCAST_IDS else hits
+    out = keyed.join(hits, (F.coalesce(keyed["doc_id"], F.lit(0)) == F.col("of_id")) & (keyed[key] == F.col("of_key")), "left").drop("of_id", "of_key")
     parts, tokens = F.split("text", CANDIDATE, -1), F.regexp_extract_all("text", F.lit(CANDIDATE), F.lit(0))
-    clean = F.array_join(F.transform(parts, lambda p, i: F.concat(p, F.when(F.array_contains("secret_numbers", i), F.lit(mask)).otherwise(F.coalesce(F.get(tokens, i), F.lit(""))))), "")
-    out = by_ids(keyed, materialise(hits, "secrets"), ["doc_id", "secret_key"], "left").withColumn("text", F.when(F.col("secret_numbers").isNull(), F.col("text")).otherwise(clean))
-    if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(F.col("secret_numbers").isNull(), F.col("n_chars")).otherwise(F.length("text").cast(docs.schema["n_chars"].dataType)))
-    return out.select(*docs.columns)
+    clean = F.array_join(F.transform(parts, lambda p, i: F.concat(p, F.when(F.array_contains(numbers, i), F.lit(mask)).otherwise(F.coalesce(F.get(tokens, i), F.lit(""))))), "")
+    same = F.col(numbers).isNull()
+    out = out.withColumn("text", F.when(same, F.col("text")).otherwise(clean))
+    if "n_chars" in columns:
+        out = out.withColumn("n_chars", F.when(same, F.col("n_chars")).otherwise(F.length("text").cast(docs.schema["n_chars"].dataType)))
+    return out.select(*(f"`{c}`" for c in columns))

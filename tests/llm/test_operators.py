@@ -501,6 +501,45 @@ def test_secrets_in_other_cases_quotes_and_shapes(spark):
     assert secret_scan.features(token).first().distinct_share == 12 / 192
 
 
+def test_planted_secrets_in_documents(spark):
+    """Keys of known shapes put into the given texts are found; texts without any are left alone."""
+    rng = random.Random(11)
+    digits = "0123456789abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ"
+    key = lambda n, of=digits: "".join(rng.choice(of) for _ in range(n))
+    shapes = [
+        lambda: "AKIA" + key(16, digits[36:] + digits[2:8]), lambda: "ghp_" + key(36), lambda: "sk-" + key(48), lambda: f'api_key = "{key(32)}"', lambda: f"password: {key(14)}", lambda: f"SECRET_TOKEN={key(40, digits[:16])}",
+        lambda: f'{{"token": "{key(24)}"}}', lambda: "xoxb-" + key(12, digits[:10]) + "-" + key(24), lambda: "Authorization: Bearer " + key(40), lambda: "-----BEGIN RSA PRIVATE KEY-----",
+    ]
+    docs = spark.read.parquet(f"{DATA}/documents.parquet").select("doc_id", "text", "source").collect()
+    rows, planted = [], set()
+    for r in docs:
+        w = (r.text or "").split(" ")
+        if r.doc_id % 4 == 0:
+            w.insert(rng.randrange(len(w) + 1), shapes[rng.randrange(len(shapes))]())
+            planted.add(r.doc_id)
+        rows.append((r.doc_id, " ".join(w), r.source))
+    found = {r.doc_id for r in secret_scan.scan(spark.createDataFrame(rows, "doc_id long, text string, source string")).select("doc_id").distinct().collect()}
+    before = {r.doc_id for r in secret_scan.scan(spark.createDataFrame([tuple(r) for r in docs], "doc_id long, text string, source string")).select("doc_id").distinct().collect()}
+    assert len(found & planted) >= 0.95 * len(planted)
+    assert len((found - before) - planted) == 0 and len(before) <= 0.05 * len(docs)
+
+
+def test_secrets_with_clashing_names_and_missing_ids(spark):
+    key = "24be64439e3e49cf46b2d7c90f3602a3d0b907ff"
+    rows = [(None, f'token = "{key}"', 77, 1, 2), (None, "plain", 78, 1, 2), (3, f'token = "{key}"' * 2, 79, 1, 2), (3, "plain too", 80, 1, 2)]
+    d = spark.createDataFrame(rows, "doc_id long, text string, secret_key int, text_key int, secret_numbers int")
+    got = secret_scan.redact(d)
+    assert got.columns == d.columns
+    assert sorted((r.secret_key, r.text, r.text_key, r.secret_numbers) for r in got.collect()) == [(a, t.replace(key, "[secret]"), b, c) for _, t, a, b, c in rows]
+
+
+def test_places_of_many_candidates(spark):
+    key = "24be64439e3e49cf46b2d7c90f3602a3d0b907ff"
+    text = "x" * 7 + "".join(f" secret={key}{'y' * (i % 5)}" for i in range(300))
+    got = secret_scan.candidates(spark.createDataFrame([(1, text)], "doc_id long, text string")).collect()
+    assert len(got) == 300 and all(text[r.start : r.start + len(r.token)] == r.token and r.token.startswith(key) for r in got)
+
+
 def test_secret_forest_on_held_out_findings(spark):
     every = secret_scan.labelled_findings(spark, 2000).withColumn("h", F.pmod(F.xxhash64("token", "before"), F.lit(4)))
     model = secret_scan.fit(every.where("h > 0").drop("h"))
