@@ -2,17 +2,20 @@
 
 The model predicts the lower-cased bytes of a text and an end byte, bit by bit. Predictors for contexts of 0 to 5
 bytes keep counts of zeros and ones in hashed tables of a fixed size. A mixer adds their log odds with weights from the
-set that a gate picks (longest context seen, and how often); its weights are learned online, over the training n-grams
-in their partitions, and averaged. An adaptive table then refines the mixed probability by gate and value. In training,
-an n-gram's own occurrence is left out of the counts it is predicted from.
+set that a gate picks (longest context seen, and how often), and an adaptive table refines the mixed probability by gate
+and value. Weights and refinement are learned online: each partition goes through its training strings in order, predicts
+every bit with what it has learned so far, and moves the weights and the table's entry towards the bit; the partitions'
+weights are averaged and their tables added, twice. In training, a string's own occurrence is left out of the counts it is
+predicted from. Strings are dealt by a hash of all their bytes, so common endings make no large task.
 
-What is gathered from the corpus: counts of all words and all 6-byte strings, summed over training texts, which
+What is gathered from the corpus: counts of all words and all strings of 6 bytes, summed over training texts, which
 grows with the input. What reaches one place has a fixed size: the slot tables, the weights, and the commonest
 `COMMON_WORDS` words (and scores of the commonest `COMMON_STRINGS` strings), which are looked up where texts are read; all other words are joined with their counts, so the
 base score is exact for any vocabulary. A text's score is a sum over its distinct strings, computed once a block.
 
 Null and empty texts are one end token (and end byte). Repeated rows are separate rows. With no training text the
-counts are zero: base 0, score of an untrained model. Very long texts make a block of their own.
+counts are zero: base 0, score of an untrained model. Very long texts make a block of their own. Rows without a doc_id are
+scored, and counted as training texts. Counts of slots are kept in steps of a sixth of a power of two, up to 6e12.
 """
 
 from __future__ import annotations
@@ -32,7 +35,7 @@ ORDERS = 6
 #: Slots of each order's table, as powers of two.
 SLOT_BITS = (8, 14, 18, 20, 21, 22)
 BASE = np.concatenate([[0], np.cumsum([1 << b for b in SLOT_BITS])])
-GATES, STEPS, LEARN, ROUNDS = 4 * ORDERS + 1, 33, 0.02, 2
+GATES, STEPS, LEARN, ROUNDS, CODE_STEPS, PRIOR_BITS = 4 * ORDERS + 1, 33, 0.02, 2, 6, 50.0
 COMMON_WORDS, COMMON_STRINGS, PENDING = 1 << 20, 1 << 20, 600_000
 END_BYTE = 0xFF
 END_TOKEN = int(T.mix(np.array([12345], np.uint64))[0])
@@ -40,16 +43,16 @@ WORD, GRAM = 0, 1
 
 
 def grams(raw: np.ndarray, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """(6-byte strings as integers, document): one for each byte of each text and one for its end byte."""
-    m = len(off) - 1
+    """(strings of ORDERS bytes as integers, document): one for each byte of each text and one for its end byte."""
+    m, past = len(off) - 1, ORDERS - 1
     size = np.diff(off)
-    to = off[:-1] + 6 * np.arange(m)  # each text is put after 5 end bytes and before one
-    x = np.full(int(off[-1]) + 6 * m, END_BYTE, np.uint8)
+    to = off[:-1] + ORDERS * np.arange(m)  # each text is put after `past` end bytes and before one
+    x = np.full(int(off[-1]) + ORDERS * m, END_BYTE, np.uint8)
     own = np.repeat(np.arange(m), size)
-    x[np.arange(len(raw)) + 6 * own + 5] = T.LOWER[raw]
-    key = np.zeros(max(len(x) - 5, 0), np.uint64)
-    for j in range(6):
-        key = (key << _U(8)) | x[j : len(x) - 5 + j]
+    x[np.arange(len(raw)) + ORDERS * own + past] = T.LOWER[raw]
+    key = np.zeros(max(len(x) - past, 0), np.uint64)
+    for j in range(ORDERS):
+        key = (key << _U(8)) | x[j : len(x) - past + j]
     doc = np.repeat(np.arange(m), size + 1)
     return key[np.arange(len(doc)) - np.repeat(np.cumsum(size + 1) - size - 1, size + 1) + np.repeat(to, size + 1)], doc
 
@@ -143,10 +146,10 @@ def _slots(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _code(counts: np.ndarray) -> np.ndarray:
-    return np.minimum(255, np.rint(8 * np.log2(1 + counts))).astype(np.uint8)
+    return np.minimum(255, np.rint(CODE_STEPS * np.log2(1 + counts))).astype(np.uint8)
 
 
-_COUNT = 2.0 ** (np.arange(256) / 8) - 1
+_COUNT = 2.0 ** (np.arange(256) / CODE_STEPS) - 1
 
 
 class Mixer:
@@ -157,6 +160,8 @@ class Mixer:
         self.weights = np.zeros((GATES, ORDERS + 1), np.float32)
         self.weights[:, :ORDERS] = 0.3
         self.refine = np.tile(_squash(_grid()), (GATES, 1)).astype(np.float32)
+        #: Bits per byte that each round predicted its training strings with while it learned.
+        self.losses: list[float] = []
 
     def inputs(self, ctx: list[np.ndarray], sym: np.ndarray, bit: int, leave_out: bool) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(log odds of each order, gate, the bit) at one bit of each string."""
@@ -228,54 +233,55 @@ def _strings(batches: Iterator[pa.RecordBatch], size: int):
 
 
 def _learn(shared):
-    """Online passes over a partition's strings; yields its weights, each set with the bits it was learned from."""
+    """An online pass over a partition's strings; yields its weights, each set with the bits it was learned from, and its table."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         mixer: Mixer = shared.value
-        w, seen = mixer.weights.astype(float), np.zeros(GATES)
-        energy = np.full(w.shape, 1e-3)
+        own = Mixer(mixer.zeros, mixer.ones)
+        own.weights, seen = mixer.weights.astype(float), np.zeros(GATES)
+        energy = np.full(own.weights.shape, 1e-3)
+        bits, ones = np.zeros(GATES * STEPS), np.zeros(GATES * STEPS)
+        loss, total = 0.0, 0.0
         for keys, n in _strings(batches, 2048):
             ctx, sym = contexts(keys), keys & _U(255)
             for bit in range(8):
-                x, gate, y = mixer.inputs(ctx, sym, bit, True)
-                p = _squash(np.clip(np.einsum("ij,ij->i", x, w[gate]), -12, 12))
-                push = x * ((y - p) * n)[:, None]
-                step = np.zeros_like(w)
+                x, gate, y = own.inputs(ctx, sym, bit, True)
+                odds = own.mixed(x, gate)
+                one = own.refined(odds, gate)
+                loss -= float((n * np.log2(np.where(y > 0, one, 1 - one))).sum())
+                push = x * ((y - _squash(odds)) * n)[:, None]
+                step = np.zeros_like(own.weights)
                 np.add.at(step, gate, push)
                 mass = np.bincount(gate, weights=n, minlength=GATES)
                 step /= np.maximum(mass, 1)[:, None]
                 energy += step**2
-                w += LEARN * 5 * step / np.sqrt(energy)
+                own.weights += LEARN * 5 * step / np.sqrt(energy)
                 seen += mass
-        yield pa.RecordBatch.from_arrays([pa.array([w.tobytes()], pa.binary()), pa.array([seen.tobytes()], pa.binary())], names=["weights", "seen"])
+                at = gate * STEPS + np.rint((odds + 12) * ((STEPS - 1) / 24)).astype(np.int64)
+                bits += np.bincount(at, weights=n, minlength=GATES * STEPS)
+                ones += np.bincount(at, weights=n * y, minlength=GATES * STEPS)
+                if bit == 7:
+                    own.refine = _table(bits, ones)
+            total += float(n.sum())
+        parts = [own.weights, seen, bits, ones, np.array([loss, total])]
+        yield pa.RecordBatch.from_arrays([pa.array([np.ascontiguousarray(v, float).tobytes()], pa.binary()) for v in parts], names=["weights", "seen", "bits", "ones", "loss"])
 
     return run
 
 
-def _refine(shared):
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        mixer: Mixer = shared.value
-        total = np.zeros((2, GATES * STEPS))
-        for keys, n in _strings(batches, 32_768):
-            ctx, sym = contexts(keys), keys & _U(255)
-            for bit in range(8):
-                x, gate, y = mixer.inputs(ctx, sym, bit, True)
-                at = gate * STEPS + np.rint((mixer.mixed(x, gate) + 12) * ((STEPS - 1) / 24)).astype(np.int64)
-                total[0] += np.bincount(at, weights=n, minlength=GATES * STEPS)
-                total[1] += np.bincount(at, weights=n * y, minlength=GATES * STEPS)
-        yield pa.RecordBatch.from_arrays([pa.array([total[0].tobytes()], pa.binary()), pa.array([total[1].tobytes()], pa.binary())], names=["n", "ones"])
-
-    return run
+def _table(bits: np.ndarray, ones: np.ndarray) -> np.ndarray:
+    """The refining table of these sums: shares of ones, drawn to the mixed probability where few bits were seen."""
+    prior = _squash(_grid())[None, :]
+    return ((ones.reshape(GATES, STEPS) + PRIOR_BITS * prior) / (bits.reshape(GATES, STEPS) + PRIOR_BITS)).astype(np.float32)
 
 
 def train(strings: DataFrame) -> Mixer:
-    """From (key, n), the counts of all 6-byte strings of the training texts."""
+    """From (key, n), the counts of all strings of 6 bytes of the training texts."""
     spark = strings.sparkSession
     width = max(4, partitions(spark))
-    # By the last two context bytes: all longer contexts of a string are then counted in one place.
-    dealt = materialise(strings.repartition(width, F.shiftright("key", 8).bitwiseAND(F.lit(0xFFFF))).sortWithinPartitions(F.xxhash64("key")), "strings")
+    dealt = materialise(strings.repartition(width, F.xxhash64("key")).sortWithinPartitions(F.xxhash64("key", F.lit(1))), "strings")
     touched = dealt.mapInArrow(_slots, "kind int, key long, n long").groupBy("key").agg(F.sum("n").alias("n"))
-    coded = touched.select(F.col("key").cast("int").alias("key"), F.least(F.lit(255), F.rint(8 * F.log2(1 + F.col("n")))).cast("short").alias("code"))
+    coded = touched.select(F.col("key").cast("int").alias("key"), F.least(F.lit(255), F.rint(CODE_STEPS * F.log2(1 + F.col("n")))).cast("short").alias("code"))
     got = coded.toArrow()
     zeros, ones = np.zeros(int(BASE[-1]), np.uint8), np.zeros(int(BASE[-1]), np.uint8)
     key, code = got.column(0).to_numpy(), got.column(1).to_numpy().astype(np.uint8)
@@ -284,19 +290,15 @@ def train(strings: DataFrame) -> Mixer:
     mixer = Mixer(zeros, ones)
     for _ in range(ROUNDS):
         shared = spark.sparkContext.broadcast(mixer)
-        parts = dealt.select("key", "n").mapInArrow(_learn(shared), "weights binary, seen binary").collect()
-        mass = np.array([np.frombuffer(r.seen) for r in parts])
-        each = np.array([np.frombuffer(r.weights).reshape(GATES, ORDERS + 1) for r in parts])
+        parts = dealt.select("key", "n").mapInArrow(_learn(shared), "weights binary, seen binary, bits binary, ones binary, loss binary").collect()
+        of = lambda c: np.array([np.frombuffer(r[c]) for r in parts])
+        mass, each = of("seen"), of("weights").reshape(-1, GATES, ORDERS + 1)
         some = mass.sum(0) > 0
         mean = (each * mass[:, :, None]).sum(0) / np.maximum(mass.sum(0), 1)[:, None]
         mixer.weights = np.where(some[:, None], mean, mixer.weights).astype(np.float32)
+        mixer.refine = _table(of("bits").sum(0), of("ones").sum(0))
+        mixer.losses.append(float(of("loss")[:, 0].sum() / max(1.0, of("loss")[:, 1].sum())))
         shared.destroy()
-    shared = spark.sparkContext.broadcast(mixer)
-    parts = dealt.select("key", "n").mapInArrow(_refine(shared), "n binary, ones binary").collect()
-    n, hits = (sum(np.frombuffer(r[i]) for r in parts).reshape(GATES, STEPS) if parts else np.zeros((GATES, STEPS)) for i in (0, 1))
-    prior = _squash(_grid())[None, :]
-    mixer.refine = ((hits + 50 * prior) / (n + 50)).astype(np.float32)
-    shared.destroy()
     return mixer
 
 

@@ -586,3 +586,47 @@ def test_language_model_is_a_distribution(docs):
     for ctx in (b"abcde", b"\xff\xff\xff\xffa", b"zqzqz"):
         keys = np.array([int.from_bytes(ctx + bytes([s]), "big") for s in range(256)], np.uint64)
         assert math.isclose((10 ** model.log10(keys)).sum(), 1, rel_tol=1e-4)
+
+
+def _train(docs):
+    counts = docs.select("doc_id", "text").mapInArrow(mixing_model._gather, "kind int, key long, n long").groupBy("kind", "key").agg(F.sum("n").alias("n"))
+    return mixing_model.train(counts.where("kind = 1").select("key", "n"))
+
+
+def test_language_model_against_one_bit_at_a_time(docs, rows):
+    """The score of a text, by a scalar walk over its bytes and bits with the model's tables."""
+    model = _train(docs)
+    slot = lambda o, ctx, node: int(mixing_model.slot(o, np.array([ctx], np.uint64), np.array([node], np.uint64))[0])
+    assert model.losses[1] <= model.losses[0]  # the second round begins with what the first has learned
+
+    def brute(text):
+        data, total = [255] * 5 + list(text.translate(FOLD).encode()) + [255], 0.0
+        for at in range(5, len(data)):
+            key = np.array([int.from_bytes(bytes(data[at - 5 : at + 1]), "big")], np.uint64)
+            ctx = [int(c[0]) for c in mixing_model.contexts(key)]
+            for bit in range(8):
+                node, y = (1 << bit) | (data[at] >> (8 - bit)), (data[at] >> (7 - bit)) & 1
+                odds, gate, terms = 0.0, 0, []
+                for o in range(mixing_model.ORDERS):
+                    s = slot(o, ctx[o], node)
+                    n0, n1 = (2.0 ** (int(t[s]) / mixing_model.CODE_STEPS) - 1 for t in (model.zeros, model.ones))
+                    terms.append(math.log((n1 + 0.4) / (n0 + 0.4)))
+                    level = sum(n0 + n1 >= x for x in (0.5, 1.5, 4, 16))
+                    gate = 4 * o + level if level else gate
+                odds = min(11.5, max(-11.5, sum(w * t for w, t in zip(model.weights[gate], [*terms, 0.3], strict=True))))
+                place = (odds + 12) * (mixing_model.STEPS - 1) / 24
+                low = int(place)
+                r = model.refine[gate, low] * (1 - (place - low)) + model.refine[gate, low + 1] * (place - low)
+                p = min(1 - 1e-6, max(1e-6, 0.5 * (1 / (1 + math.exp(-odds)) + r)))
+                total += math.log10(p if y else 1 - p)
+        return total
+
+    for text in (rows[3][1], rows[4][1], rows[13][1], rows[6][1][:200], ""):
+        keys, _ = mixing_model.grams(*(lambda a: (np.frombuffer(a, np.uint8), np.array([0, len(a)])))(text.encode()))
+        assert math.isclose(model.log10(keys).sum(), brute(text), rel_tol=1e-4)
+
+
+def test_language_model_on_held_out_texts(spark):
+    """Held-out texts take fewer bits than the mix of orders 0 and 1 alone could give, and no more than training texts by a fifth."""
+    got = {r.held_out: r.b for r in mixing_model.scores(spark.read.parquet(f"{DATA}/documents.parquet")).groupBy("held_out").agg(F.avg("bits_per_byte").alias("b")).collect()}
+    assert got[True] < 2.6 and got[True] < 1.2 * got[False] + 0.3
