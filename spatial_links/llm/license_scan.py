@@ -76,9 +76,19 @@ def _places(words: Column, phrase: tuple[str, ...]) -> Column:
     return F.filter(F.sequence(F.lit(0), F.greatest(F.size(words) - 1, F.lit(0))), at)
 
 
+def _tree(words: list[str]) -> str:
+    """A pattern of any of the words, by their first letters, so that few alternatives are tried at a place."""
+    if len(words) < 3:
+        return "|".join(words)
+    by: dict[str, list[str]] = {}
+    for w in words:
+        by.setdefault(w[:1], []).append(w[1:])
+    return "|".join(c if rest == [""] else f"{c}(?:{_tree([w for w in rest if w])}){'?' if '' in rest else ''}" for c, rest in by.items())
+
+
 def _any(words: list[str]) -> str:
     edge = "[^0-9a-zA-Z\\x80-\\x{10FFFF}]"
-    return f"(?i)(?:^|{edge})(?:{'|'.join(words)})(?:{edge}|$)"
+    return f"(?i)(?:^|{edge})(?:{_tree(words)})(?:{edge}|$)"
 
 
 def base_places(docs: DataFrame) -> DataFrame:

@@ -389,6 +389,13 @@ def test_license_scan(spark, duck, docs, empty):
     assert license_scan.scan(empty).count() == 0
 
 
+def test_word_trees():
+    words = ["a", "an", "and", "android", "any", "be", "bee", "x1", "of"]
+    found = re.compile(f"(?:{license_scan._tree(words)})")
+    every = {"".join(c) for n in range(1, 4) for c in itertools.product("anbe1xof", repeat=n)} | set(words) | {"andro", "androids"}
+    assert {w for w in every if found.fullmatch(w)} == set(words)
+
+
 def test_licenses_of_one_block(spark):
     gpl = "This work is licensed under the GNU General Public License"
     want = {"Licensed under the Apache License, Version 2.0, or the MIT License": "apache-2.0,mit", "Licensed under CC BY 4.0": "cc-by", "Licensed under CC BY-SA 4.0": "cc-by,cc-by-sa-4.0", gpl + ", version 3": "gpl,gpl-3.0", gpl: "gpl"}
