@@ -14,6 +14,7 @@ kept by `redact` under whatever names; a missing source counts as empty.
 from __future__ import annotations
 
 from functools import reduce
+from zlib import crc32
 
 from pyspark.ml.classification import RandomForestClassificationModel, RandomForestClassifier
 from pyspark.ml.feature import VectorAssembler
@@ -23,7 +24,7 @@ from pyspark.sql import functions as F
 
 from spatial_links.llm.common import BROADCAST_IDS, materialise
 
-MIN_LENGTH, NEAR, TRAINING_ROWS, TREES, DEPTH, THRESHOLD, SEED = 16, 40, 4000, 24, 7, 0.5, 5
+MIN_LENGTH, NEAR, TRAINING_ROWS, TREES, DEPTH, THRESHOLD, SEED, WORDS_A_ROW = 16, 40, 4000, 24, 7, 0.5, 5, 24
 _KEY = "A-Za-z0-9+/_-"
 _CREDENTIAL = "password|passwd|secret|token|apikey|api_key"
 #: How keys of well-known services begin.
@@ -84,16 +85,22 @@ def features(df: DataFrame) -> DataFrame:
     return df.select("*", *(F.coalesce(v.cast("double"), F.lit(0.0)).alias(k) for k, v in values.items()))
 
 
+def _some_words(n: Column) -> Column:
+    """WORDS_A_ROW words by hashes of a number: half of the dictionary, half made up of syllables."""
+    of = lambda i, salt, xs: F.element_at(F.array(*(F.lit(x) for x in xs)), (F.pmod(F.xxhash64(n, i, F.lit(salt)), F.lit(len(xs))) + 1).cast("int"))
+    syllable = lambda i, salt: F.concat(of(i, f"{salt}c", [*"bcdfghklmnprstvw", "br", "st", "tr", "ch", "gl", "th"]), of(i, f"{salt}v", [*"aeiou", "ai", "ou", "ea"]), of(i, f"{salt}e", ["", "", "n", "r", "s", "l", "nd", "ng"]))
+    known = [w for w in DICTIONARY if w.isalpha()][::9]
+    made_up = lambda i: F.concat(syllable(i, "1"), syllable(i, "2"), F.when(of(i, "more", [0, 1]) == 0, syllable(i, "3")).otherwise(""))
+    return F.transform(F.sequence(F.lit(1), F.lit(WORDS_A_ROW)), lambda i: F.when(of(i, "kind", [0, 1]) == 0, of(i, "known", known)).otherwise(made_up(i)))
+
+
 def labelled_findings(spark: SparkSession, rows: int = TRAINING_ROWS) -> DataFrame:
     """token, before, after, path, label: findings of known kinds, made of hashes of their number."""
     n = F.col("id")
     pick = lambda salt, *xs: F.element_at(F.array(*(F.lit(x) for x in xs)), (F.pmod(F.xxhash64(n, F.lit(salt)), F.lit(len(xs))) + 1).cast("int"))
     hex_ = lambda salt, size: F.substring(F.sha2(F.concat_ws("-", n, F.lit(salt)), 512), 1, size)
     b64 = lambda salt, size: F.substring(F.regexp_replace(F.base64(F.unhex(F.sha2(F.concat_ws("-", n, F.lit(salt)), 512))), "\n", ""), 1, size)
-    syllable = lambda salt: F.concat(pick(f"{salt}c", *"bcdfghklmnprstvw", "br", "st", "tr", "ch", "gl", "th"), pick(f"{salt}v", *"aeiou", "ai", "ou", "ea"), pick(f"{salt}e", "", "", "n", "r", "s", "l", "nd", "ng"))
-    made_up = lambda salt: F.concat(syllable(f"{salt}1"), syllable(f"{salt}2"), F.when(F.pmod(F.xxhash64(n, F.lit(f"{salt}3")), F.lit(2)) == 0, syllable(f"{salt}4")).otherwise(""))
-    known = [w for w in DICTIONARY if w.isalpha()][::9]
-    word = lambda salt: F.when(F.pmod(F.xxhash64(n, F.lit(f"{salt}w")), F.lit(2)) == 0, pick(salt, *known)).otherwise(made_up(salt))
+    word = lambda salt: F.get("words", F.lit(crc32(salt.encode()) % WORDS_A_ROW))
     glued = lambda salt, k: F.concat(*(word(f"{salt}{i}") for i in range(k)))
     near = pick("near", "token = \"", "api_key: ", "secret=", "password = '", "Authorization: Bearer ", "access_key = \"", "key: \"")
     given = pick("given", "PASSWORD=", "DB_SECRET=", "Password: ", '"password": "', '"token": "', "password = '", "secret=", '"api_key": "', "API_KEY = ")
@@ -116,7 +123,7 @@ def labelled_findings(spark: SparkSession, rows: int = TRAINING_ROWS) -> DataFra
     path = pick("path", "app/main", "config/settings", "docs/readme", "tests/fixture", "web/2024/post", "")
 
     def case(cases: list, label: int) -> DataFrame:
-        base = spark.range(0, rows // 2).withColumn("k", F.pmod(n, F.lit(len(cases))))
+        base = spark.range(0, rows // 2).select("id", F.pmod(n, F.lit(len(cases))).alias("k"), _some_words(n).alias("words"))
         take = lambda at: reduce(lambda e, i: e.when(F.col("k") == i, cases[i][at]), range(1, len(cases)), F.when(F.col("k") == 0, cases[0][at]))
         return base.select(take(1).cast("string").alias("token"), take(0).alias("before"), path.alias("path"), F.lit(float(label)).alias("label"))
 
