@@ -239,6 +239,15 @@ def test_full_cells_are_joined_in_blocks(spark):
         assert len(got) == len(want) and {tuple(r) for r in got} == want
 
 
+def test_brute_force_has_no_limit(spark):
+    """More than 10^9 pairs, which were refused before: every target meets its own source, and the next one's corner."""
+    side = lambda n, w: spark.range(n).select(F.col("id").alias("gid"), (F.col("id") * 2.0).alias("xmin"), F.lit(0.0).alias("ymin"), (F.col("id") * 2.0 + w).alias("xmax"), F.lit(1.0).alias("ymax"))
+    got = partitioned.brute_pairs(side(40_000, 1.0), side(30_000, 2.0)).groupBy((F.col("sid") - F.col("tid")).alias("d")).count().collect()
+    assert {r.d: r["count"] for r in got} == {0: 30_000, 1: 30_000}
+    none = side(3, 1.0).withColumn("xmin", F.lit(None).cast("double"))
+    assert partitioned.brute_pairs(side(3, 1.0), none).count() == 0
+
+
 def test_rebalanced_cells_are_even(spark):
     s, t = _layer(spark, 4000, 1, far=100), _layer(spark, 4000, 2, far=100)
     away = (F.col("gid") % 10 != 0)  # without the rows that no cut can part
