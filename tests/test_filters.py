@@ -179,6 +179,38 @@ def test_dynamic_order_against_a_reference(pairs, rng):
     assert [rows[i][:2] for i in schedule.dynamic_order(rows)] == reference_dynamic(rows)
 
 
+def test_dynamic_order_is_merged_from_parts(spark):
+    """More pairs than one task takes (refused before) come in the order of a single task, ties and raised pairs included."""
+    import random
+
+    rng = random.Random(5)
+    pairs = {(rng.randrange(5) + 5 * k, rng.randrange(5) + 5 * k) for k in range(60) for _ in range(9)} | {(1000 + i, 1000 + (i + j) % 40) for i in range(40) for j in range(3)}
+    rows = [(a, b, rng.randrange(1, 9) / 8, rng.randrange(3) / 2, rng.random() < 0.5) for a, b in sorted(pairs)]
+    d = spark.createDataFrame(rows, "sid long, tid long, weight double, second double, related boolean")
+    want = [rows[i][:2] for i in schedule.dynamic_order(rows)]
+    assert want == reference_dynamic(rows)
+    assert [(r.sid, r.tid) for r in schedule.dynamic_top(d).orderBy("position").collect()] == want
+    got = schedule.dynamic_top(d, most=50).orderBy("position").collect()
+    assert [(r.sid, r.tid) for r in got] == want and [r.position for r in got] == list(range(1, len(want) + 1))
+    assert len({r.part for r in schedule._connected(d).collect()}) > 30
+
+
+def test_dynamic_order_keeps_few_bytes_a_pair():
+    """Half a million pairs in flat arrays and a heap of raised pairs only: before, over 500 bytes each."""
+    import tracemalloc
+
+    rng = np.random.default_rng(3)
+    n = 500_000
+    s = rng.integers(0, n // 10, n)
+    args = (s, s + rng.integers(0, 60, n), rng.integers(1, 200, n) / 200, np.zeros(n), rng.random(n) < 0.05)
+    tracemalloc.start()
+    order, worst, _ = schedule.dynamic_positions(*args)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert sorted(order.tolist()) == list(range(n)) and (worst <= np.arange(n)).all()
+    assert peak < 300 * n
+
+
 def test_numbered_spreads_equal_weights(spark):
     d = spark.range(4000).select((F.col("id") % 50).alias("sid"), F.col("id").alias("tid"), F.lit(0.5).alias("weight"), F.lit(0.0).alias("second"))
     top = schedule.numbered(d, schedule.best_first(), 3000)
