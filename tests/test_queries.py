@@ -83,3 +83,59 @@ def test_slanting_lines_against_the_kernel(spark):
     want = verify.links(verify.matrices(verify.attach(partitioned.brute_pairs(s, t), s, t)))
     got = M.discover_links(s, t, M.MethodSpec("skew_aware_join", {"partitioner": "rtree"}))
     assert got.exceptAll(want).count() == want.exceptAll(got).count() == 0 < got.count()
+
+
+def test_sparql_reads_a_given_table(spark, duck):
+    """The endpoint query asks for rows of a table (before: squares made up in the fetcher); pages are read as they were."""
+    assert len(same(spark, duck, Q.QUERIES["q_sparql_read"], Q.ORACLES["q_sparql_read"])) == L.layer(spark, DATA, "lakes").count() > 0
+    good, _ = R.clean(R.read_endpoint(spark, "SELECT ?s ?wkt", "spatial_links.sources.local_endpoint:fetch", pages=3, page_size=100))
+    assert good.count() == 250
+
+
+def test_catalog_is_no_query():
+    """It reads no table; the registry's documentation stays in `methods_catalog` and on the command line."""
+    assert "q_catalog" not in entry.queries()
+
+
+def test_ratio_keeps_no_shuffle(spark, monkeypatch):
+    """Each pair's counts are settled before the next pair begins: the result's plan has no exchange (before: all pairs in one)."""
+    monkeypatch.setattr(L, "PAIRS", {"p5": L.PAIRS["p5"], "p2": L.PAIRS["p2"]})
+    d = Q.QUERIES["q_qualifying_ratio"](spark, DATA)
+    assert "Exchange" not in d._jdf.queryExecution().executedPlan().toString()
+    assert {r.pair: 0 < r.related <= r.candidates for r in d.collect()} == {"p5": True, "p2": True}
+
+
+def test_one_join_for_all_orders(spark, monkeypatch):
+    from spatial_links.plans import experiments as E
+    from spatial_links.plans import methods as M
+
+    calls = []
+    for module, name in ((E.grid, "join_tiles"), (M, "candidate_pairs"), (M, "pair_matrices")):
+        monkeypatch.setattr(module, name, lambda *a, f=getattr(module, name), n=name, **k: (calls.append(n), f(*a, **k))[1])
+    got = E.progressive_comparison(spark, DATA, "p9", ("global_js", "composite", "ideal"), (0.1,)).collect()
+    assert len(got) == 3 and calls == ["join_tiles"]  # before: one more for each order, and one for the matrices
+    calls.clear()
+    s, t = L.pair(spark, DATA, "p9")
+    found = M.grid_search(s, t, "source_grid", {"scheduler": ["global", "unordered"], "weight": ["js", "mbro"]}, "recall")
+    assert len(found) == 4 and found[0][1] >= found[-1][1] > 0
+    assert calls.count("candidate_pairs") == 2  # the matrices' and the search's; before: one for each combination
+
+
+def test_boxes_settle_stream_pairs(spark):
+    """Rectangles and axis-parallel segments need no matrix (before: all pairs went to Python); others are verified."""
+    from spatial_links.streaming import jobs as J
+
+    line = lambda x1, y1, x2, y2: ("L", 1, [x1, x2], [y1, y2], [2])
+    rect = ("P", 2, [0.0, 4.0, 4.0, 0.0, 0.0], [0.0, 0.0, 4.0, 4.0, 0.0], [5])
+    elbow = ("P", 2, [0.0, 4.0, 4.0, 3.0, 3.0, 0.0, 0.0], [0.0, 0.0, 1.0, 1.0, 4.0, 4.0, 0.0], [7])
+    kite = ("P", 2, [0.0, 2.0, 4.0, 2.0, 0.0], [2.0, 0.0, 2.0, 4.0, 2.0], [5])
+    layer = lambda rows: G.with_mbr(spark.createDataFrame([(i, *r) for i, r in enumerate(rows)], "gid long, geom_type string, dim int, xs array<double>, ys array<double>, ring_ends array<int>"))
+    zones = layer([rect, elbow, kite])
+    visits = layer([line(3.5, 3.0, 6.0, 3.0), line(3.5, 9.0, 9.0, 3.5), line(-1.0, 1.0, 1.0, -1.0), line(4.0, 0.0, 4.0, 9.0), line(3.9, 4.5, 4.5, 3.9), line(5.0, 0.0, 6.0, 0.0)])
+    visits = visits.selectExpr("*", "timestamp '2024-01-01' as ts", "1L as user_id", "'view' as event_type")
+    want = {(r.sid, r.tid) for r in J.related(J.stream_links(visits, zones)).collect()}
+    d = J.related_visits(visits, zones)
+    got = [(r.sid, r.tid) for r in d.collect()]
+    assert len(got) == len(set(got)) and set(got) == want and {(0, 0), (0, 3)} <= want and (1, 0) not in want
+    plain = J.related_visits(visits, zones.where("gid = 0"))._jdf.queryExecution().optimizedPlan().toString()
+    assert plain.count("ArrowEvalPython") == 1  # of slanting visits only
