@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from spatial_links.functions.geometry import boxes_meet, prefixed
+from spatial_links.functions.geometry import BOX, boxes_meet, prefixed
 from spatial_links.operators import grid, verify
 from spatial_links.plans.shared import dropped, written
 from spatial_links.sources.layers import as_visits
@@ -22,10 +22,10 @@ def visit_stream(spark: SparkSession, path: str, per_trigger: int = 1) -> DataFr
 VISIT = ("ts", "user_id", "event_type")
 
 
-def _against(visits: DataFrame, zones: DataFrame) -> DataFrame:
-    """Pairs of visits (a stream or a batch) and static zones whose boxes meet, each once, with both geometries."""
+def _against(visits: DataFrame, zones: DataFrame, cols: tuple[str, ...] | None = None) -> DataFrame:
+    """Pairs of visits (a stream or a batch) and static zones whose boxes meet, each once, with both geometries (or cols)."""
     tile = grid.guarded(grid.mean_tile(zones), zones)
-    cols = grid.columns(True)
+    cols = cols or grid.columns(True)
     s = grid.dealt(grid.ranged(prefixed(zones, "s", cols), tile, "s"), "s")
     t = prefixed(visits, "t", (*cols, *VISIT)).withColumnsRenamed({f"t_{c}": c for c in VISIT})
     t = grid.dealt(grid.ranged(t, tile, "t"), "t").withColumnsRenamed({"tx": "ux", "ty": "uy"})
@@ -37,17 +37,34 @@ def stream_links(visits: DataFrame, zones: DataFrame) -> DataFrame:
     return _against(visits, zones).withColumn("matrix", verify.matrix_of()).select("sid", "tid", *VISIT, "matrix", "s_dim", "t_dim")
 
 
+def related_visits(visits: DataFrame, zones: DataFrame) -> DataFrame:
+    """(sid, tid, ts, user_id, event_type) of the pairs that share a point.
+
+    Two geometries that fill their boxes share a point just where the boxes do, so such pairs need no matrix. A side of
+    static zones that do not fill theirs, and visits that do not, are verified by the kernel.
+    """
+    columns = ("sid", "tid", *VISIT)
+    full = verify.fills_box()
+    plain, other = zones.where(full), zones.where(~full)
+    out = _against(visits.where(full), plain, BOX).select(*columns)
+    out = out.unionByName(related(stream_links(visits.where(~full), plain)).select(*columns))
+    return out.unionByName(related(stream_links(visits, other)).select(*columns)) if other.limit(1).count() else out
+
+
 def left_batches(visits: DataFrame, zones: DataFrame, out: str, checkpoint: str):
     """The left join: related pairs, and each visit without any once with sid null; a folder of out for each micro-batch.
 
-    A visit lies in one micro-batch with all its tiles, so what is unmatched is known within it and no state is kept.
+    A visit lies in one micro-batch with all its tiles, so what is unmatched is known within it and no state is kept. Its
+    pairs are written once, to where they stay, and read from there for what is unmatched.
     """
 
     def batch(df: DataFrame, number: int) -> None:
-        links = written(related(stream_links(df, zones)).select("sid", "tid", "ts"))
-        alone = df.select(F.lit(None).cast("long").alias("sid"), F.col("gid").alias("tid"), "ts").join(links.select("tid"), "tid", "left_anti").select("sid", "tid", "ts")
-        links.unionByName(alone).write.mode("overwrite").parquet(f"{out}/batch={number}")
-        dropped(links)
+        path = f"{out}/batch={number}"
+        links = related_visits(df, zones).select("sid", "tid", "ts")
+        links.write.mode("overwrite").parquet(path)
+        met = df.sparkSession.read.schema(links.schema).parquet(path).select("tid").distinct()
+        alone = df.select(F.lit(None).cast("long").alias("sid"), F.col("gid").alias("tid"), "ts").join(met, "tid", "left_anti").select("sid", "tid", "ts")
+        alone.write.mode("append").parquet(path)
 
     return visits.writeStream.foreachBatch(batch).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
@@ -90,18 +107,37 @@ def progressive_batches(visits: DataFrame, zones: DataFrame, share: float, out:
 
 def running_totals(links: DataFrame) -> DataFrame:
     """(sid, links, last): links so far of each zone, kept as state across micro-batches."""
+    import numpy as np
     import pandas as pd
+    import pyarrow as pa
     from pyspark.sql.streaming.state import GroupStateTimeout
 
+    def summed(batches):
+        """Sums of a task's links, so that the state gets a row for each zone and task in place of one for each link."""
+        held: list[pa.Table] = []
+
+        def once(sums):
+            d = pa.concat_tables(held).group_by("sid").aggregate(sums)
+            return d.rename_columns([c.removesuffix("_sum").removesuffix("_max") for c in d.column_names]).select(["sid", "ts", "n"])
+
+        for b in batches:
+            d = pa.Table.from_batches([b])
+            held.append(d.append_column("n", pa.array(np.ones(len(d), np.int64))))
+            if sum(map(len, held)) > 1_000_000:
+                held = [once([("n", "sum"), ("ts", "max")])]
+        if held:
+            yield from once([("n", "sum"), ("ts", "max")]).select(["sid", "n", "ts"]).to_batches()
+
     def update(key, frames, state):
         n, last = state.get if state.exists else (0, pd.Timestamp(0))
         for f in frames:
-            n += len(f)
+            n += int(f["n"].sum())
             last = max(last, f["ts"].max())
         state.update((n, last))
         yield pd.DataFrame({"sid": [key[0]], "links": [n], "last": [last]})
 
-    return links.select("sid", "ts").groupBy("sid").applyInPandasWithState(update, "sid long, links long, last timestamp", "links long, last timestamp", "update", GroupStateTimeout.NoTimeout)
+    each = links.select("sid", "ts").mapInArrow(summed, "sid long, n long, ts timestamp")
+    return each.groupBy("sid").applyInPandasWithState(update, "sid long, links long, last timestamp", "links long, last timestamp", "update", GroupStateTimeout.NoTimeout)
 
 
 def meetings(first: DataFrame, second: DataFrame, hours: int = 2, late: str = "1 hour") -> DataFrame:
