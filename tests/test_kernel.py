@@ -66,3 +66,14 @@ def test_worked_examples():
     assert relate([(square, ([[(0.0, 0.0), (2.0, 0.0)]], False))]) == ["FF2101FF2"]
     assert relate([(([[(0.0, 0.0), (2.0, 2.0)]], False), ([[(0.0, 2.0), (2.0, 0.0)]], False))]) == ["0F1FF0102"]
     assert relate([]) == []
+
+
+def test_pieces_without_a_meeting_are_asked_once(monkeypatch):
+    """A ring of 400 segments that crosses a box twice: a handful of points is looked for in the other, not one a segment."""
+    comb = [(float(x), float(4 + x % 2)) for x in range(400)]
+    ring = [[(0.0, 0.0), *comb, (399.0, 0.0), (0.0, 0.0)]], True
+    asked, real = [], K._inside
+    monkeypatch.setattr(K, "_inside", lambda poly, pair, x, y, doubt: asked.append(len(x)) or real(poly, pair, x, y, doubt))
+    box, apart, hole = ([rect(10.0, -3.0, 300.0, 5.0)], True), ([rect(500.0, 500.0, 2.0, 2.0)], True), ([rect(1.0, 1.0, 390.0, 2.0)], True)
+    assert relate([(ring, box), (ring, apart), (ring, hole)]) == ["212101212", "FF2FF1212", "212FF1FF2"]
+    assert sum(asked) < 40
