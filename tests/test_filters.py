@@ -391,3 +391,47 @@ def test_complexity_counters(spark, p1):
     for rows in E.complexity_fit(s, t, shares=(4, 1)).values():
         (n1, m1, v1), (n2, m2, v2) = rows
         assert n1 < n2 and m1 < m2 and v1 < v2 < 8 * (n2 + m2) * 5
+
+
+def test_dynamic_order_of_repeated_and_unrelated_pairs():
+    """Pairs there more than once, few or no related ones, added boosts and negative weights: as the reference has them."""
+    import random
+
+    def reference(rows, boost, mode):
+        left, hits, out = list(range(len(rows))), [], []
+        while left:
+            n = lambda r: sum((a == r[0]) + (b == r[1]) for a, b in hits)
+            now = lambda r: r[2] + boost * n(r) if mode == "add" else r[2] * (1 + boost * n(r))
+            i = min(left, key=lambda k: (-now(rows[k]), -rows[k][3], *rows[k][:2], k))
+            left.remove(i)
+            out.append(i)
+            if rows[i][4]:
+                hits.append(rows[i][:2])
+        return out
+
+    rng = random.Random(11)
+    for k in range(60):
+        share, low = rng.choice((0.0, 0.1, 0.5, 1.0)), rng.choice((-4, 1))
+        rows = [(rng.randrange(6), rng.randrange(6), rng.randrange(low, 8) / 8, rng.randrange(3) / 2, rng.random() < share) for _ in range(40)]
+        for boost, mode in ((1.0, "mul"), (0.5, "add")):
+            value = lambda i: rows[i]  # noqa: B023, E731
+            assert [value(i) for i in schedule.dynamic_order(rows, boost, mode)] == [value(i) for i in reference(rows, boost, mode)], (k, boost, mode)
+
+
+def test_only_related_pairs_are_taken_in_turn(monkeypatch):
+    """Before, each pair went through the sequential loop."""
+    seen, real = [], schedule._related_in_turn
+    monkeypatch.setattr(schedule, "_related_in_turn", lambda *a: seen.append(len(a[4])) or real(*a))
+    rows = [(i % 50, i, 1 / (1 + i % 7), 0.0, i % 100 == 0) for i in range(2000)]
+    assert sorted(schedule.dynamic_order(rows)) == list(range(2000)) and seen == [20]
+
+
+def test_progressive_measures_need_no_join(spark):
+    """All budgets come from one aggregate: no join (a broadcast for each order before), no row a pair and budget."""
+    d = spark.createDataFrame([(p, p % 3 == 0, p % 2) for p in range(1, 31)], "position long, related boolean, run int")
+    m = measures.progressive(d, {0.2: 6, 0.5: 15}, 10)
+    plan = m._jdf.queryExecution().executedPlan().toString()
+    assert "Join" not in plan and "Exchange hashpartitioning" not in plan
+    assert [(r.fraction, r.found, r.area) for r in m.orderBy("fraction").collect()] == [(0.2, 2, 5), (0.5, 5, 35)]
+    one = measures.progressive(d, {0.2: 6, 0.5: 15}, 10, F.col("run"))
+    assert [(r.found, r.area) for r in one.orderBy("fraction").collect()] == [(1, 1), (3, 21)]
